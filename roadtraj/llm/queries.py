@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from roadtraj.llm import chat, mixing, packing, quality, topk
+from roadtraj.llm import chat, mixing, packing, quality, substrings, topk
 
 # A conversation whose texts are nothing but control strings.
 _CONTROL_TEXT = "</s>[INST] ok [/INST]"
@@ -21,6 +21,10 @@ def tokenizer_path() -> str:
     return public_tokenizers.path("word_bpe_49k.json")
 
 
+def op1_difference_cover_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substrings.remove_repeats(_table(spark, sf_dir, "documents"))
+
+
 def op3_prefix_target_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     own = spark.createDataFrame([(-1, 0, "user", _CONTROL_TEXT), (-1, 1, "assistant", _CONTROL_TEXT)], "conv_id long, turn long, role string, text string")
     given = _table(spark, sf_dir, "conversations").select(F.col("conv_id").cast("long"), F.col("turn").cast("long"), "role", "text")
@@ -45,5 +49,5 @@ def op8_sum_of_squares_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(_table(spark, sf_dir, "documents"), tokenizer_path())
 
 
-QUERIES = {f.__name__: f for f in (op3_prefix_target_chat, op4_quality_rules, op6_exact_top_k, op7_pivotal_mixing, op8_sum_of_squares_packing)}
+QUERIES = {f.__name__: f for f in (op1_difference_cover_dedup, op3_prefix_target_chat, op4_quality_rules, op6_exact_top_k, op7_pivotal_mixing, op8_sum_of_squares_packing)}
 ORACLE_SQL: dict[str, str] = {}
