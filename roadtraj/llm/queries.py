@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from roadtraj.llm import chat, jaccard, mixing, packing, quality, substrings, topk
+from roadtraj.llm import chat, jaccard, mixing, packing, privacy, quality, substrings, topk
 
 # A conversation whose texts are nothing but control strings.
 _CONTROL_TEXT = "</s>[INST] ok [/INST]"
@@ -36,6 +36,10 @@ def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.verdicts(_table(spark, sf_dir, "documents")).select(*names)
 
 
+def op5_disclosure_privacy(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return privacy.digests(privacy.find(_table(spark, sf_dir, "documents")))
+
+
 def op6_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return topk.top_k(_table(spark, sf_dir, "embeddings"))
 
@@ -53,5 +57,5 @@ def op10_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard.join_components(_table(spark, sf_dir, "documents"), n=3, percent=90)
 
 
-QUERIES = {f.__name__: f for f in (op1_difference_cover_dedup, op3_prefix_target_chat, op4_quality_rules, op6_exact_top_k, op7_pivotal_mixing, op8_sum_of_squares_packing, op10_ngram_jaccard_join)}
+QUERIES = {f.__name__: f for f in (op1_difference_cover_dedup, op3_prefix_target_chat, op4_quality_rules, op5_disclosure_privacy, op6_exact_top_k, op7_pivotal_mixing, op8_sum_of_squares_packing, op10_ngram_jaccard_join)}
 ORACLE_SQL: dict[str, str] = {}
