@@ -14,16 +14,16 @@ gives an empty table.
 
 from __future__ import annotations
 
+import os
 import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from roadtraj.llm.textbatch import ragged, slices, words_of
+from roadtraj.llm.textbatch import LOWER, Words, ragged, slices, word_hashes, words_of
 
 WINDOW = 2048
 END_ID = 1
@@ -31,30 +31,78 @@ PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long,
 _PIECES = pa.schema([(n, pa.int64()) for n in ("doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset")])
 
 
+_LETTER = np.zeros(256, bool)
+_LETTER[97:123] = True
+_STOP = np.zeros(256, bool)
+_STOP[[44, 46]] = True
+
+
+def _parts(words: Words) -> Words:
+    """Words in lower case, a last comma or full stop after a letter apart: fewer distinct ones, the same ids."""
+    data, start, end = LOWER[words.data], words.start, words.end
+    marked = np.unique(np.searchsorted(start, np.flatnonzero(words.data == 60), side="right") - 1)
+    if len(marked):  # may hold a special token's string, which capitals are not
+        at = ragged(start[marked], end[marked] - start[marked])
+        data[at] = words.data[at]
+    last, before = data[np.maximum(end - 1, 0)] if len(end) else end, data[np.maximum(end - 2, 0)] if len(end) else end
+    cut = (end - start > 1) & _STOP[last] & _LETTER[before] if len(end) else np.zeros(0, bool)
+    each = 1 + cut.astype(np.int64)
+    starts, ends, stops = np.repeat(start, each), np.repeat(end, each), np.cumsum(each)
+    starts[stops[cut] - 1] = ends[stops[cut] - 2] = end[cut] - 1
+    return Words(data, starts, ends, np.concatenate([[0], stops])[words.first])
+
+
 class WordTokenizer:
-    """Token ids of texts through their distinct words; valid for tokenizers that drop white space between words."""
+    """Token ids of texts through their distinct words; valid for tokenizers that drop white space between words.
+
+    The ids of words already met are held by the words' 64-bit hashes, up to
+    ``most`` words; then the store starts anew.
+    """
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, most: int = 1_000_000):
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
-        self.tokenizer = Tokenizer.from_file(path)
+        self.tokenizer, self.most = Tokenizer.from_file(path), most
+        self._clear()
+
+    def _clear(self) -> None:
+        self.hashes, self.firsts, self.sizes = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        self.table = np.zeros(0, np.uint32)
+
+    def _find(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        if not len(self.hashes):
+            return np.zeros(len(hashes), np.int64), np.zeros(len(hashes), bool)
+        at = np.minimum(np.searchsorted(self.hashes, hashes), len(self.hashes) - 1)
+        return at, self.hashes[at] == hashes
+
+    def _learn(self, words: Words, hashes: np.ndarray, new: np.ndarray) -> None:
+        fresh, first = np.unique(hashes[new], return_index=True)
+        body = words.data.tobytes()
+        texts = [body[a:b].decode() for a, b in zip(words.start[new[first]].tolist(), words.end[new[first]].tolist(), strict=True)]
+        coded = (e.ids for lo in range(0, len(texts), 8192) for e in self.tokenizer.encode_batch_fast(texts[lo : lo + 8192], add_special_tokens=False))
+        sizes, ids = [], []
+        for word in coded:
+            sizes.append(len(word))
+            ids += word
+        sizes = np.array(sizes, np.int64)
+        firsts = len(self.table) + np.cumsum(sizes) - sizes
+        self.table = np.concatenate([self.table, np.array(ids, np.uint32)])
+        order = np.argsort(all_ := np.concatenate([self.hashes, fresh]), kind="stable")
+        self.hashes, self.firsts, self.sizes = all_[order], np.concatenate([self.firsts, firsts])[order], np.concatenate([self.sizes, sizes])[order]
 
     def encode(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """All ids and each text's bounds in them."""
-        words = words_of(column)
-        lengths = words.end - words.start
-        offsets = np.concatenate([[0], np.cumsum(lengths)])
-        body = words.data[ragged(words.start, lengths)] if len(lengths) else np.zeros(0, np.uint8)
-        each = pa.LargeStringArray.from_buffers(len(lengths), pa.py_buffer(offsets), pa.py_buffer(np.ascontiguousarray(body)))
-        coded = pc.dictionary_encode(each)
-        kinds = coded.dictionary.to_pylist()
-        known = [np.array(e.ids, np.uint32) for lo in range(0, len(kinds), 4096) for e in self.tokenizer.encode_batch(kinds[lo : lo + 4096], add_special_tokens=False)]
-        sizes = np.array([len(k) for k in known], np.int64)
-        table = np.concatenate([np.zeros(0, np.uint32), *known])
-        code = coded.indices.to_numpy(zero_copy_only=False)
-        firsts = np.cumsum(sizes) - sizes
-        per = sizes[code] if len(code) else np.zeros(0, np.int64)
-        ids = table[ragged(firsts[code], per)] if len(code) else np.zeros(0, np.uint32)
+        words = _parts(words_of(column))
+        hashes = word_hashes(words.data, words.start, words.end)
+        if len(self.hashes) > self.most:
+            self._clear()
+        at, known = self._find(hashes)
+        if not known.all():
+            self._learn(words, hashes, np.flatnonzero(~known))
+            at, _ = self._find(hashes)
+        per = self.sizes[at] if len(at) else np.zeros(0, np.int64)
+        ids = self.table[ragged(self.firsts[at], per)] if len(at) else np.zeros(0, np.uint32)
         return ids, np.concatenate([[0], np.cumsum(per)])[words.first]
 
 
@@ -68,8 +116,8 @@ class LevelArray:
 
     def place(self, length: int, piece) -> list | None:
         """The pieces of the window that this piece fills, else None."""
-        after = np.minimum(np.arange(self.window - length + 1) + length, self.window)
-        gain = np.where(after == self.window, 0, 2 * self.counts[after] + 1)
+        gain = 2 * self.counts[length:] + 1
+        gain[-1] = 0  # a full window is no longer counted
         stay = self.counts[: self.window - length + 1]
         change = np.where(stay > 0, gain - 2 * stay + 1, np.iinfo(np.int64).max)
         change[0] = gain[0]
@@ -126,7 +174,7 @@ def _pack(batches: Iterator[pa.RecordBatch], path: str, window: int) -> Iterator
     from pyspark import TaskContext
 
     writer, levels, tokenizer = _Writer(TaskContext.get().partitionId()), LevelArray(window), WordTokenizer(path)
-    for batch in slices(batches):
+    for batch in slices(batches, most=4 << 20):
         ids, bounds = tokenizer.encode(batch.column("text"))
         for n, doc in enumerate(batch.column("doc_id").to_pylist()):
             tokens = np.append(ids[bounds[n] : bounds[n + 1]], np.uint32(END_ID))
