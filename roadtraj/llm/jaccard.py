@@ -30,7 +30,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from roadtraj.llm.scratch import materialize
@@ -211,8 +211,10 @@ def join_components(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame
 
 
 def keep_one(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
-    """One document of each component, that of the smallest id; documents without words all stay."""
-    found = join_components(docs, n, percent).groupBy("doc_id").agg(F.min("component_id").alias("_component")).withColumnRenamed("doc_id", "_id")
+    """One document of each component, that of the smallest id. Documents without words and rows without an id all stay."""
     names = docs.columns
-    joined = docs.join(found, docs["doc_id"].cast("long").eqNullSafe(found["_id"])).where(F.col("_component").isNull() | (F.col("_component") == F.col("_id")))
-    return joined.select(*[docs[c] for c in names])
+    found = join_components(docs, n, percent).where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.min("component_id").alias("_component"), F.max("n_shingles").alias("_grams")).withColumnRenamed("doc_id", "_id")
+    keyed = docs.where(F.col("doc_id").isNotNull()).withColumn("_doc", F.col("doc_id").cast("long"))
+    heads = keyed.join(found, keyed["_doc"] == found["_id"]).where("_component = _doc")
+    first = heads.withColumn("_n", F.row_number().over(Window.partitionBy("_doc").orderBy("text"))).where("_n = 1 OR _grams = 0")
+    return first.select(*[keyed[c] for c in names]).unionByName(docs.where(F.col("doc_id").isNull()))

@@ -93,8 +93,8 @@ def round_copies(units: DataFrame, group: str, seed: int = 7, chunk: int = CHUNK
 
 
 def mix(docs: DataFrame, weights=WEIGHTS, share=SHARE, most=MOST_COPIES, seed: int = 7, chunk: int = CHUNK) -> DataFrame:
-    """doc_id, key (hash of the text), source, size, source_size, target, copies of each document row."""
-    sized = materialize(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("key"), F.col("source"), word_count(F.col("text")).alias("size")), "sizes")
+    """doc_id, key (hash of the row), source, size, source_size, target, copies of each document row."""
+    sized = materialize(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("doc_id", "text", "source").alias("key"), F.col("source"), word_count(F.col("text")).alias("size")), "sizes")
     goal = materialize(targets(sized, weights, share, most), "targets")
     ratio = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
     goal = goal.withColumn("_whole", F.floor(ratio + 1e-12)).withColumn("_p", F.greatest(ratio - F.col("_whole"), F.lit(0.0)))
@@ -116,9 +116,9 @@ def mix(docs: DataFrame, weights=WEIGHTS, share=SHARE, most=MOST_COPIES, seed: i
 def apply_mix(docs: DataFrame, **options) -> DataFrame:
     """The documents, each row repeated as often as the mix takes it."""
     names = docs.columns
-    copies = mix(docs, **options).groupBy("doc_id", "key").agg(F.sort_array(F.collect_list("copies")).alias("_copies"))
-    keyed = docs.withColumns({"_key": F.xxhash64("text"), "_id": F.col("doc_id").cast("long")})
-    place = F.row_number().over(Window.partitionBy("_id", "_key").orderBy(F.lit(1)))
-    joined = keyed.withColumn("_place", place).join(copies, keyed["_id"].eqNullSafe(copies["doc_id"]) & (keyed["_key"] == copies["key"]))
-    times = F.element_at("_copies", F.col("_place")).cast("int")
-    return joined.where(times > 0).withColumn("_n", F.explode(F.sequence(F.lit(1), times))).select(*[docs[c] for c in names])
+    copies = mix(docs, **options).groupBy("doc_id", "key").agg(F.sort_array(F.collect_list("copies")).alias("_copies")).withColumnRenamed("doc_id", "_id")
+    keyed = docs.withColumn("_row", F.xxhash64("doc_id", "text", "source"))
+    placed = keyed.withColumn("_place", F.row_number().over(Window.partitionBy("_row").orderBy("doc_id")))
+    joined = placed.join(copies, (placed["_row"] == copies["key"]) & placed["doc_id"].cast("long").eqNullSafe(copies["_id"]))
+    times = F.try_element_at("_copies", F.col("_place")).cast("int")
+    return joined.where(times > 0).withColumn("_n", F.explode(F.sequence(F.lit(1), times))).select(*[placed[c] for c in names])
