@@ -175,7 +175,7 @@ def linked_classes(docs: DataFrame, n: int, percent: int) -> tuple[DataFrame, Da
     """(doc_id, tie, n_shingles, set_id) of all rows, and (set_id, label) of classes that link with another."""
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
     classes = materialize(keyed.mapInArrow(lambda batches: _class_rows(batches, n), "doc_id long, n_shingles long, set_id long"), "classes")
-    modulus = max(1, min(4, 50 // (100 - percent))) if percent < 100 else 4
+    modulus = max(1, min(6, 60 // (100 - percent))) if percent < 100 else 6
     sampled = keyed.select("text").mapInArrow(lambda batches: _sampled_rows(batches, n, modulus), "h long, set_id long")
     lone = sampled.groupBy("h").agg(F.min("set_id").alias("lo"), F.max("set_id").alias("hi")).where("lo = hi").groupBy("lo").agg(F.count(F.lit(1)).alias("lone"))
     heads = classes.where("set_id <> 0").groupBy("set_id").agg(F.first("n_shingles").alias("size"), F.min(F.struct(F.col("doc_id").isNull(), "doc_id")).alias("m"))
@@ -184,16 +184,16 @@ def linked_classes(docs: DataFrame, n: int, percent: int) -> tuple[DataFrame, Da
 
     texts = keyed.join(near.where("head IS NOT NULL").select("head", "set_id"), keyed["doc_id"] == F.col("head")).select("set_id", "text")
     sets = texts.mapInArrow(lambda batches: _set_rows(batches, n), "set_id long, size long, grams array<long>")
-    sets = materialize(sets.dropDuplicates(["set_id"]), "sets")
+    sets = materialize(sets, "sets")  # a repeated row's set stands twice; it links with itself only
     prefix = F.slice("grams", F.lit(1), F.expr(f"cast(size - ceil({percent} * size / 100.0) + 1 as int)"))
     short = materialize(sets.select("set_id", F.explode(prefix).alias("h")), "prefixes")
     shared = materialize(short.groupBy("h").agg(F.min("set_id").alias("lo"), F.max("set_id").alias("hi")).where("lo < hi").select("h", "lo"), "shared")
     stars = short.join(shared, "h").where("set_id <> lo").select(F.col("set_id").alias("a"), F.col("lo").alias("b"))
     groups = components(stars, "groups")
-    member = materialize(sets.join(groups, sets["set_id"] == groups["node"]).select("set_id", "size", "grams", F.col("label").alias("part")), "members")
+    member = sets.select("set_id", "size").join(groups, sets["set_id"] == groups["node"]).select("set_id", "size", F.col("label").alias("part")).distinct()
     weights = member.groupBy("part").agg(F.greatest(F.lit(1), F.ceil(F.sum(F.col("size") + 200) / BLOCK_WEIGHT)).cast("int").alias("blocks"))
-    placed = member.join(weights, "part").withColumn("own", F.pmod(F.xxhash64("set_id"), F.col("blocks")).cast("int"))
-    dealt = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    placed = materialize(member.select("set_id", "part").join(weights, "part").withColumn("own", F.pmod(F.xxhash64("set_id"), F.col("blocks")).cast("int")), "placed")
+    dealt = sets.join(placed, "set_id").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     dealt = dealt.select("part", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "set_id", "grams")
     stars = dealt.groupBy("part", "i", "j").applyInPandas(_link_group(percent), "a long, b long")
     return classes, components(stars, "links")
