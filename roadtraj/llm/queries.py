@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from roadtraj.llm import chat, hmm, jaccard, mixing, packing, privacy, quality, substrings, topk
+from roadtraj.llm import chat, hmm, jaccard, mixing, packing, privacy, quality, substrings, suffixes, topk
 
 # A conversation whose texts are nothing but control strings.
 _CONTROL_TEXT = "</s>[INST] ok [/INST]"
@@ -57,9 +57,13 @@ def op8_sum_of_squares_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(_table(spark, sf_dir, "documents"), tokenizer_path())
 
 
+def op9_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffixes.remove_repeats(_table(spark, sf_dir, "documents"))
+
+
 def op10_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard.join_components(_table(spark, sf_dir, "documents"), n=3, percent=90)
 
 
-QUERIES = {f.__name__: f for f in (op1_difference_cover_dedup, op2_hidden_markov_score, op3_prefix_target_chat, op4_quality_rules, op5_disclosure_privacy, op6_exact_top_k, op7_pivotal_mixing, op8_sum_of_squares_packing, op10_ngram_jaccard_join)}
+QUERIES = {f.__name__: f for f in (op1_difference_cover_dedup, op2_hidden_markov_score, op3_prefix_target_chat, op4_quality_rules, op5_disclosure_privacy, op6_exact_top_k, op7_pivotal_mixing, op8_sum_of_squares_packing, op9_suffix_array_dedup, op10_ngram_jaccard_join)}
 ORACLE_SQL: dict[str, str] = {}
