@@ -6,7 +6,7 @@ modulo the period lies in a difference cover are hashed at first (``anchors``).
 For two equal windows at i and j some shift below the period puts both i + shift
 and j + shift on cover positions, so both windows hold one anchor with the same
 hash. Anchors that meet another document mark where a window may repeat; there,
-and only there, whole windows are hashed in 128 bits and compared by value.
+and only there, whole windows are hashed in 96 bits and compared by value.
 
 Shuffles carry hashes and positions; texts are shuffled once, and those of
 marked documents once more. Groups are reduced to the smallest id before they
@@ -94,7 +94,7 @@ def _window_rows(batches: Iterator[pa.RecordBatch], window: int) -> Iterator[pa.
         rows = pa.array(words.document()[candidates])
         position = candidates - np.repeat(words.first[:-1], counts)[candidates]
         yield pa.RecordBatch.from_arrays(
-            [pa.array(run_hashes(hashed, candidates, window).view(np.int64)), pa.array(run_hashes(hashed, candidates, window, _SECOND_BASE).view(np.int64)), batch.column("doc_id").take(rows), batch.column("tie").take(rows), pa.array(position.astype(np.int32))],
+            [pa.array(run_hashes(hashed, candidates, window).view(np.int64)), pa.array((run_hashes(hashed, candidates, window, _SECOND_BASE) >> np.uint64(32)).astype(np.uint32).view(np.int32)), batch.column("doc_id").take(rows), batch.column("tie").take(rows), pa.array(position.astype(np.int32))],
             names=["h1", "h2", "doc_id", "tie", "pos"],
         )
 
@@ -111,9 +111,9 @@ def _removal_rows(batches: Iterator[pa.RecordBatch], window: int) -> Iterator[pa
         keep = np.cumsum(change)[:-1] == 0
         body, bounds = joined_words(words, keep)
         removed = np.concatenate([[0], np.cumsum(~keep)])
-        digests = pa.array([hashlib.sha256(body[a:b]).hexdigest() for a, b in bounds], pa.string())
-        kept = pa.array([str(body[a:b], "utf-8") for a, b in bounds], pa.string())
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(words.counts().astype(np.int64)), pa.array(removed[words.first[1:]] - removed[words.first[:-1]]), digests, kept], names=["doc_id", "n_words", "n_removed", "kept_sha256", "kept_text"])
+        digests = [d if not n else hashlib.sha256(body[a:b]).hexdigest() for (a, b), n, d in zip(bounds, per, batch.column("digest").to_pylist(), strict=True)]
+        kept = pa.array([str(body[a:b], "utf-8") if n else None for (a, b), n in zip(bounds, per, strict=True)], pa.string())
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(words.counts().astype(np.int64)), pa.array(removed[words.first[1:]] - removed[words.first[:-1]]), pa.array(digests, pa.string()), kept], names=["doc_id", "n_words", "n_removed", "kept_sha256", "kept_text"])
 
 
 def remove_repeats(docs: DataFrame, window: int = WINDOW, with_text: bool = False) -> DataFrame:
@@ -127,15 +127,14 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, with_text: bool = Fals
     looked = materialize(joined.mapInArrow(_digest_rows, "doc_id long, tie int, n_words long, digest string, text string, marks array<int>"), "digests")
 
     near = looked.where(F.col("text").isNotNull())
-    windows = near.select("doc_id", "tie", "text", "marks").mapInArrow(lambda batches: _window_rows(batches, window), "h1 long, h2 long, doc_id long, tie int, pos int")
+    windows = near.select("doc_id", "tie", "text", "marks").mapInArrow(lambda batches: _window_rows(batches, window), "h1 long, h2 int, doc_id long, tie int, pos int")
     first = materialize(windows.groupBy("h1", "h2").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").select("h1", "h2", "first"), "windows")
     repeats = windows.join(first, ["h1", "h2"]).where("doc_id > first").groupBy("doc_id", "tie").agg(F.collect_set("pos").alias("starts"))
     repeats = repeats.withColumnRenamed("doc_id", "_id").withColumnRenamed("tie", "_tie")
-    near = near.select("doc_id", "tie", "text", "n_words", "digest")
-    split = near.join(repeats, (near["doc_id"] == repeats["_id"]) & (near["tie"] == repeats["_tie"]), "left")
-    split = split.select("doc_id", F.when(F.col("starts").isNotNull(), F.col("text")).alias("text"), F.coalesce("starts", F.expr("cast(array() as array<int>)")).alias("starts"), "n_words", "digest")
-    split = materialize(split, "repeats")
-    cut = split.where(F.col("text").isNotNull()).select("doc_id", "text", "starts").mapInArrow(lambda batches: _removal_rows(batches, window), "doc_id long, n_words long, n_removed long, kept_sha256 string, kept_text string")
+    near = near.select("doc_id", "tie", "text", "digest")
+    joined = near.join(repeats, (near["doc_id"] == repeats["_id"]) & (near["tie"] == repeats["_tie"]), "left")
+    ready = joined.select("doc_id", "text", "digest", F.coalesce("starts", F.expr("cast(array() as array<int>)")).alias("starts"))
+    cut = ready.mapInArrow(lambda batches: _removal_rows(batches, window), "doc_id long, n_words long, n_removed long, kept_sha256 string, kept_text string")
     names = ["doc_id", "n_words", "n_removed", "kept_sha256"] + ["kept_text"] * with_text
-    whole = lambda df: df.select("doc_id", "n_words", F.lit(0).cast("long").alias("n_removed"), F.col("digest").alias("kept_sha256"), F.lit(None).cast("string").alias("kept_text")).select(*names)
-    return cut.select(*names).unionByName(whole(split.where(F.col("text").isNull()))).unionByName(whole(looked.where(F.col("text").isNull())))
+    whole = looked.where(F.col("text").isNull()).select("doc_id", "n_words", F.lit(0).cast("long").alias("n_removed"), F.col("digest").alias("kept_sha256"), F.lit(None).cast("string").alias("kept_text"))
+    return cut.select(*names).unionByName(whole.select(*names))
