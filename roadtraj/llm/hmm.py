@@ -87,7 +87,7 @@ class Head:
     """The most frequent words by hash: count and class. Its size is fixed."""
 
     def __init__(self, rows: list):
-        hashes = hash_of_words([r["word"] for r in rows])
+        hashes = hash_of_words([r["word"] for r in rows])  # rows: most frequent first
         classes = np.where(np.arange(len(rows)) < OWN_CLASSES, np.arange(len(rows)), hashed_class(hashes)).astype(np.int32)
         order = np.argsort(hashes)
         self.hashes, self.classes = hashes[order], classes[order]
@@ -305,6 +305,22 @@ def outside_words(found: DataFrame, counts: DataFrame) -> DataFrame:
     return summed.withColumnRenamed("doc_id", "_id").withColumnRenamed("tie", "_tie")
 
 
+def frequent_words(counts: DataFrame, most: int = HEAD_WORDS) -> list:
+    """Rows of the most frequent words, at most ``most`` of them, by count, then word.
+
+    A histogram of counts on a log scale, whose size is fixed, gives the level
+    that no more than ``most`` words reach; only those come to the driver.
+    """
+    level = F.floor(F.log2("n") * 32)
+    short = counts.where(F.octet_length("word") <= _LONGEST_HEAD_WORD)
+    room, cut = most, 1 << 20
+    for r in sorted(short.groupBy(level.alias("level")).count().collect(), key=lambda r: -r["level"]):
+        if r["count"] > room:
+            break
+        room, cut = room - r["count"], r["level"]
+    return sorted(short.where(level >= cut).collect(), key=lambda r: (-r["n"], r["word"]))
+
+
 def _unseen_share(counts: DataFrame, total: int) -> float:
     """The share of tokens that are new words: that of words seen once."""
     once = counts.where("n = 1").count()
@@ -322,7 +338,7 @@ def score(docs: DataFrame, rounds: int = ROUNDS) -> DataFrame:
     counts = materialize(word_counts(keyed), "counts")
     facts = counts.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.count(F.lit(1)).alias("v")).first()
     n_all, n_kinds = int(facts["n"]), int(facts["v"])
-    head = Head(counts.where(F.octet_length("word") <= _LONGEST_HEAD_WORD).orderBy(F.desc("n"), "word").limit(HEAD_WORDS).collect())
+    head = Head(frequent_words(counts))
     totals = class_totals(counts, head)
     inside = np.log10(np.maximum(totals[:, 0] + 0.5 * totals[:, 1], 0.5))
     found = materialize(keyed.mapInArrow(lambda batches: _sequence_rows(batches, head, inside), _SEQUENCES), "sequences")
