@@ -1,6 +1,910 @@
-"""Registered queries and their SQL twins."""
+"""Registered queries: every method, baseline, measure and experiment on the given tables, and their SQL twins."""
 
 from __future__ import annotations
 
+from functools import cached_property
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from roadtraj import oracles as O
+from roadtraj.operators import baselines, grams, huffman, matching, measures, packed, shortest, spatial, temporal
+from roadtraj.plans import rangejoin
+from roadtraj.plans.scratch import cut
+from roadtraj.relational import ORACLE_SQL as RELATIONAL_SQL
+from roadtraj.relational import QUERIES as RELATIONAL
+from roadtraj.sources import network, tables, trips
+from roadtraj.streaming import online
+
 QUERIES: dict = {}
 ORACLE_SQL: dict[str, str] = {}
+
+METRE, SECOND = 10, 1_000_000
+BOUNDS = (0, 10, 20, 50, 100, 200, 400, 600, 800, 1000)
+
+
+class Fixtures:
+    """The inputs of one folder of tables, each built when first asked for."""
+
+    def __init__(self, spark: SparkSession, sf_dir: str, kind: str = "nation", theta: int = 3):
+        self.spark, self.dir, self.kind, self.theta = spark, sf_dir, kind, theta
+
+    @cached_property
+    def edges(self) -> DataFrame:
+        return network.build_network(self.spark, self.dir, self.kind)
+
+    @cached_property
+    def sp(self) -> DataFrame:
+        return cut(shortest.build_pairs(self.edges, "dijkstra"))
+
+    @cached_property
+    def steps(self) -> DataFrame:
+        return trips.trip_steps(self.spark, self.dir, self.kind)
+
+    @cached_property
+    def paths(self) -> DataFrame:
+        return trips.as_paths(self.steps)
+
+    @cached_property
+    def points(self) -> DataFrame:
+        return trips.trip_points(self.spark, self.dir, self.kind)
+
+    @cached_property
+    def temporal(self) -> DataFrame:
+        return trips.as_temporal(self.points)
+
+    @cached_property
+    def short(self) -> DataFrame:
+        return cut(spatial.sp_compress(self.paths, self.sp, self.edges))
+
+    @cached_property
+    def grams(self) -> DataFrame:
+        return grams.mine_grams(self.short.where("train"), self.theta, self.edges)
+
+    @cached_property
+    def book(self) -> huffman.Codebook:
+        return huffman.codebook(self.grams, self.theta)
+
+    @cached_property
+    def nodes(self) -> DataFrame:
+        return grams.decompose(self.short, self.book)
+
+    @cached_property
+    def spans(self) -> DataFrame:
+        return packed.trip_spans(self.nodes)
+
+    @cached_property
+    def aux(self) -> packed.Aux:
+        aux = packed.build_aux(self.spans, self.sp, self.edges)
+        return packed.Aux(cut(aux.spans), cut(aux.parts))
+
+    @cached_property
+    def placed(self) -> DataFrame:
+        return packed.placed_spans(self.spans, self.aux)
+
+    @cached_property
+    def raw(self) -> tuple[DataFrame, packed.Aux]:
+        aux = packed.raw_aux(self.edges)
+        return packed.placed_spans(packed.raw_spans(self.paths), aux), aux
+
+    def asked_where(self) -> DataFrame:
+        """One time for each trip with a path."""
+        ends = self.points.groupBy("trip_id").agg(F.min("t").alias("a"), F.max("t").alias("b"))
+        return ends.select(F.col("trip_id").alias("qid"), "trip_id", F.expr("a + (b - a) * (trip_id * 37 % 101) div 100").alias("t"))
+
+    def asked_when(self) -> DataFrame:
+        """A point on each trip's path."""
+        placed, aux = self.raw
+        total = placed.groupBy("trip_id").agg(F.max("c1").alias("total"))
+        d = total.select(F.col("trip_id").alias("qid"), "trip_id", F.expr("total * (trip_id * 53 % 101) div 101").alias("look"))
+        edge = packed._open(d.join(placed, "trip_id").where("c0 <= look AND look < c1"), aux).withColumn("part", F.col("look") - F.col("at"))
+        return edge.select("qid", "trip_id", packed.along("ex0", "ex1", "part", "w").alias("x"), packed.along("ey0", "ey1", "part", "w").alias("y"))
+
+    def asked_range(self) -> DataFrame:
+        """Five boxes for each trip: the strip of each region, one quarter of its time or another."""
+        regions = tables.load(self.spark, self.dir, "region", "r_regionkey")
+        ends = self.points.groupBy("trip_id").agg(F.min("t").alias("a"), F.max("t").alias("b"))
+        part = "((b - a) div 4)"
+        quarter = "((trip_id + r_regionkey) % 4)"
+        return ends.crossJoin(F.broadcast(regions.limit(5))).select(
+            F.expr("trip_id * 5 + r_regionkey").alias("qid"), "trip_id", F.col("r_regionkey").alias("region"), F.expr(f"a + {part} * {quarter}").alias("t1"), F.expr(f"a + {part} * ({quarter} + 1)").alias("t2"),
+            F.expr("cast(3000 * r_regionkey - 1000 as bigint)").alias("rx0"), F.lit(-1000).cast("long").alias("ry0"), F.expr("cast(3000 * r_regionkey + 1000 as bigint)").alias("rx1"), F.lit(1_000_000).cast("long").alias("ry1"),
+        )
+
+    def asked_near(self) -> DataFrame:
+        """Every vertex, three ten-day blocks."""
+        start, block = 1704067200000000 // trips.T_SCALE, 864000000000 // trips.T_SCALE
+        vertex = self.edges.select(F.col("tail").alias("v"), F.col("x0").alias("x"), F.col("y0").alias("y")).distinct()
+        return vertex.withColumn("dk", F.explode(F.array(*[F.lit(i) for i in range(3)]))).select((F.col("v") * 3 + F.col("dk")).cast("long").alias("qid"), "x", "y", F.lit(2000).cast("long").alias("reach"), (F.lit(start) + F.col("dk") * block).alias("t1"), (F.lit(start) + (F.col("dk") + 1) * block - 1).alias("t2"))
+
+    def asked_pairs(self) -> DataFrame:
+        """Trips of neighbouring users in the same block."""
+        own = self.paths.select(F.col("trip_id").alias("trip_a"))
+        return own.join(self.paths.select(F.col("trip_id").alias("trip_b"), (F.col("trip_id") - 10).alias("trip_a")), "trip_a")
+
+    def thinned(self, tau_m: int, eta_s: int) -> DataFrame:
+        return temporal.temporal_compress(self.temporal, tau_m * METRE, eta_s * SECOND)
+
+    def pair(self, tau_m: int, eta_s: int) -> DataFrame:
+        return self.temporal.join(self.thinned(tau_m, eta_s).withColumnRenamed("temporal", "packed"), "trip_id")
+
+
+def query(sql: str | None = None, name: str | None = None):
+    def add(f):
+        key = name or f.__name__
+        QUERIES[key] = f
+        if sql:
+            ORACLE_SQL[key] = sql
+        return f
+
+    return add
+
+
+def _joined(column: str) -> F.Column:
+    return F.array_join(F.transform(column, lambda e: e.cast("string")), "-")
+
+
+BASE = f"{O.network()}, {O.WALK}"
+SHORT = f"WITH RECURSIVE {BASE}, {O.PAIRS}, {O.SKIPPED}"
+MINED = f"{SHORT}, {O.GRAMS}"
+EXACT = f"WITH RECURSIVE {BASE}, {O.SEGMENTS.format(source='points')}, {O.CUM}"
+
+# Networks and shortest paths
+
+for _kind in ("nation", "supplier"):
+    QUERIES[f"net_edges_{_kind}"] = lambda s, d, k=_kind: network.build_network(s, d, k)
+    ORACLE_SQL[f"net_edges_{_kind}"] = f"WITH {O.network(_kind)} SELECT e, tail, head, w, x0, y0, x1, y1, street FROM net"
+    QUERIES[f"sp_pairs_{_kind}"] = lambda s, d, k=_kind: shortest.build_pairs(network.build_network(s, d, k), "minplus" if k == "nation" else "dijkstra")
+    ORACLE_SQL[f"sp_pairs_{_kind}"] = f"WITH {O.network(_kind)}, {O.PAIRS} SELECT u, v, dist, last_edge FROM sp"
+
+
+@query(f"WITH {O.network()} SELECT count(*) FILTER (w <= 0) AS bad_weights, count(DISTINCT e) AS edges, count(*) FILTER (w < greatest(abs(x1 - x0), abs(y1 - y0))) AS below_straight FROM net")
+def network_checks(spark, sf_dir):
+    e = network.build_network(spark, sf_dir)
+    return e.agg(F.count(F.when(F.col("w") <= 0, 1)).alias("bad_weights"), F.countDistinct("e").alias("edges"), F.count(F.when(F.expr("w < greatest(abs(x1 - x0), abs(y1 - y0))"), 1)).alias("below_straight"))
+
+
+@query(f"WITH {O.network()}, {O.PAIRS} SELECT u, v, dist, last_edge FROM sp WHERE dist <= 9000")
+def sp_pairs_bounded(spark, sf_dir):
+    e = network.build_network(spark, sf_dir)
+    return shortest.build_pairs(e, "dijkstra", radius=9000)
+
+
+@query(
+    f"""WITH RECURSIVE {O.network()}, {O.PAIRS}, back(u, v, n, e, here) AS (SELECT sp.u, sp.v, 0, last_edge, net.tail FROM sp JOIN net ON net.e = last_edge
+  UNION ALL SELECT b.u, b.v, n + 1, sp.last_edge, net.tail FROM back b JOIN sp ON sp.u = b.u AND sp.v = b.here JOIN net ON net.e = sp.last_edge)
+SELECT u, v, string_agg(CAST(e AS VARCHAR), '-' ORDER BY n DESC) AS path FROM back GROUP BY u, v"""
+)
+def sp_expand_nation(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    parts = shortest.expand_pairs(f.sp.select("u", "v"), f.sp, f.edges)
+    return parts.groupBy("u", "v").agg(F.sort_array(F.collect_list(F.struct("back", "e")), asc=False).alias("s")).select("u", "v", F.expr("array_join(transform(s, x -> string(x.e)), '-')").alias("path"))
+
+
+@query(f"WITH {O.network()}, {O.PAIRS} SELECT count(*) AS pairs, 0 AS broken FROM sp")
+def sp_containment(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    broken = shortest.check_containment(f.sp, f.edges).agg(F.count(F.lit(1)).cast("int").alias("broken"))
+    return f.sp.agg(F.count(F.lit(1)).alias("pairs")).crossJoin(broken)
+
+
+# Trips
+
+
+@query(f"WITH {BASE} SELECT trip_id, train, pos, e FROM steps")
+def trip_steps(spark, sf_dir):
+    return Fixtures(spark, sf_dir).steps
+
+
+@query(f"WITH {BASE} SELECT trip_id, seq, d, t FROM points")
+def trip_points(spark, sf_dir):
+    return Fixtures(spark, sf_dir).points
+
+
+_MONEY = """
+mo AS (SELECT o_custkey AS trip_id, epoch_us(o_orderdate) // 86400000000 AS t, sum(CAST(round(o_totalprice * 100) AS BIGINT)) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS d FROM orders),
+mday AS (SELECT trip_id, t, max(d) AS d FROM mo GROUP BY trip_id, t),
+money AS (SELECT trip_id, row_number() OVER (PARTITION BY trip_id ORDER BY t) AS seq, CAST(d AS BIGINT) AS d, t FROM mday)"""
+
+
+@query(f"WITH {_MONEY} SELECT trip_id, seq, d, t FROM money")
+def money_points(spark, sf_dir):
+    return trips.money_points(spark, sf_dir)
+
+
+@query(
+    f"""WITH {O.network('supplier')}, daily AS (SELECT l_orderkey AS trip_id, epoch_us(l_shipdate) // 86400000000 AS day, l_suppkey % n AS v,
+  row_number() OVER (PARTITION BY l_orderkey, epoch_us(l_shipdate) // 86400000000 ORDER BY l_linenumber, l_suppkey, l_partkey, l_extendedprice) AS k FROM lineitem, dims),
+ch AS (SELECT trip_id, day, v, lag(v) OVER (PARTITION BY trip_id ORDER BY day) AS was FROM daily WHERE k = 1)
+SELECT trip_id, row_number() OVER (PARTITION BY trip_id ORDER BY day) AS stop, CAST(v AS INT) AS v, day FROM ch WHERE was IS NULL OR was <> v"""
+)
+def tour_stops(spark, sf_dir):
+    return trips.tour_stops(spark, sf_dir)
+
+
+def tour_paths(spark, sf_dir) -> tuple[Fixtures, DataFrame]:
+    """Tours of the lineitem table as paths of supplier-network edges."""
+    from pyspark.sql import Window
+
+    f = Fixtures(spark, sf_dir, "supplier")
+    by = Window.partitionBy("trip_id").orderBy("stop")
+    legs = trips.tour_stops(spark, sf_dir).withColumn("u", F.lag("v").over(by)).where("u IS NOT NULL")
+    inner = cut(shortest.expand_pairs(legs.select("u", "v"), f.sp, f.edges).groupBy("u", "v").agg(F.sort_array(F.collect_list(F.struct("back", "e")), asc=False).alias("s")).select("u", "v", F.expr("transform(s, x -> x.e)").alias("leg")))
+    paths = legs.join(inner, ["u", "v"]).groupBy("trip_id").agg(F.sort_array(F.collect_list(F.struct("stop", "leg"))).alias("s")).select("trip_id", F.lit(True).alias("train"), F.flatten("s.leg").alias("path"))
+    return f, paths
+
+
+@query()
+def tour_sp_ratio(spark, sf_dir):
+    """Edges of all tours before and after shortest-path skipping."""
+    f, paths = tour_paths(spark, sf_dir)
+    paths = cut(paths)
+    after = spatial.sp_compress(paths, f.sp, f.edges)
+    return paths.agg(F.sum(F.size("path")).alias("edges_before")).crossJoin(after.agg(F.sum(F.size("path")).alias("edges_after")))
+
+
+@query(
+    f"""{EXACT}, ask AS (SELECT trip_id, t_first + (t_last - t_first) // 4 AS ta, t_first + (t_last - t_first) * 3 // 4 AS tb FROM ends),
+da AS ({O.at_time('ask', 'ta')}), db AS ({O.at_time('ask', 'tb')})
+SELECT da.trip_id, CAST((db.d - da.d) * 1000000 // (db.tb - da.ta) AS BIGINT) AS speed FROM da JOIN db ON da.trip_id = db.trip_id WHERE db.tb > da.ta"""
+)
+def avg_speed(spark, sf_dir):
+    from roadtraj.functions.interpolate import avg_speed as speed
+
+    ends = Fixtures(spark, sf_dir).temporal.withColumns({"t_first": F.col("temporal")[0]["t"], "t_last": F.element_at("temporal", -1)["t"]})
+    asked = ends.withColumns({"ta": F.expr("t_first + (t_last - t_first) div 4"), "tb": F.expr("t_first + (t_last - t_first) * 3 div 4")}).where("tb > ta")
+    return asked.select("trip_id", speed("temporal", "ta", "tb").alias("speed"))
+
+
+@query(
+    f"""WITH {BASE}, m AS (SELECT trip_id, d, t, CASE WHEN d <> lag(d) OVER (PARTITION BY trip_id ORDER BY t) THEN 1 ELSE 0 END AS new FROM points),
+r AS (SELECT *, sum(new) OVER (PARTITION BY trip_id ORDER BY t) AS run FROM m) SELECT trip_id, min(t) AS t_from, max(t) AS t_to FROM r GROUP BY trip_id, run HAVING count(*) > 1"""
+)
+def stationary_runs(spark, sf_dir):
+    return temporal.stationary(Fixtures(spark, sf_dir).points)
+
+
+@query(f"{EXACT}, ask AS (SELECT trip_id, pos, CAST(c1 AS BIGINT) AS d FROM cum), a AS ({O.at_distance('ask')}) SELECT trip_id, pos, t_at AS t FROM a")
+def vertex_times(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    return matching.vertex_times(f.paths, f.temporal, f.edges).select("trip_id", F.col("pos").cast("long").alias("pos"), "t")
+
+
+@query(
+    f"""{EXACT} SELECT p.trip_id, p.seq, CAST(x0 + floor((x1 - x0) * (d - c0) / w) AS BIGINT) AS x, CAST(y0 + floor((y1 - y0) * (d - c0) / w) AS BIGINT) AS y, t
+FROM points p JOIN cum ON p.trip_id = cum.trip_id AND c0 <= d AND (d < c1 OR (d = c1 AND c1 = total))"""
+)
+def trip_xyt(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    return matching.to_xyt(f.points, f.paths, f.edges)
+
+
+# Map matching
+
+
+def _fixes(f: Fixtures, every: int = 1) -> DataFrame:
+    return trips.gps_samples(f.spark, f.dir, f.kind, every)
+
+
+@query(
+    f"""WITH {BASE}, fix AS (SELECT trip_id, seq, walk.t, net.e AS e, x0 + CAST(floor((x1 - x0) * floor(w * (event_id % 4 + 1) / 4) / w) AS BIGINT) + (event_id * 7919) % 401 - 200 AS x,
+  y0 + CAST(floor((y1 - y0) * floor(w * (event_id % 4 + 1) / 4) / w) AS BIGINT) + (event_id * 104729) % 401 - 200 AS y FROM walk JOIN net ON walk.e = net.e),
+near AS (SELECT fix.trip_id, fix.seq, net.e, power(greatest(least(net.x0, net.x1) - x, 0, x - greatest(net.x0, net.x1)), 2) + power(greatest(least(net.y0, net.y1) - y, 0, y - greatest(net.y0, net.y1)), 2) AS gap FROM fix, net),
+best AS (SELECT trip_id, seq, e, row_number() OVER (PARTITION BY trip_id, seq ORDER BY gap, e) AS k FROM near WHERE gap <= 450 * 450)
+SELECT trip_id, seq, e FROM best WHERE k = 1"""
+)
+def match_nearest(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    return matching.match_trips(_fixes(f), f.edges)
+
+
+@query()
+def match_viterbi(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    return matching.match_trips(_fixes(f), f.edges, f.sp, mode="viterbi")
+
+
+@query()
+def match_accuracy(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    fixes, out = cut(_fixes(f)), None
+    for mode in ("nearest", "viterbi"):
+        row = measures.match_accuracy(matching.match_trips(fixes, f.edges, f.sp, mode=mode), fixes).select(F.lit(mode).alias("mode"), "n", "right")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query()
+def sampling_sp_ratio(spark, sf_dir):
+    """Edges before and after skipping when every k-th fix is matched and gaps are filled."""
+    f, out = Fixtures(spark, sf_dir), None
+    for every in (1, 2, 3, 5, 10):
+        filled = cut(matching.fill_gaps(matching.match_trips(_fixes(f, every), f.edges, f.sp, mode="viterbi"), f.sp, f.edges))
+        after = spatial.sp_compress(filled, f.sp, f.edges).agg(F.sum(F.size("path")).alias("edges_after"))
+        row = filled.agg(F.sum(F.size("path")).alias("edges_before")).crossJoin(after).select(F.lit(every).alias("every"), "edges_before", "edges_after")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query()
+def reformatted_points(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    return matching.reformat(_fixes(f), f.paths, f.edges)
+
+
+# Spatial stage
+
+_SHORT_PATH = "SELECT trip_id, string_agg(CAST(e AS VARCHAR), '-' ORDER BY pos) AS path FROM {0} GROUP BY trip_id"
+
+
+@query(f"{SHORT} {_SHORT_PATH.format('short')}")
+def sp_compress(spark, sf_dir):
+    return Fixtures(spark, sf_dir).short.select("trip_id", _joined("path").alias("path"))
+
+
+@query(f"{SHORT} {_SHORT_PATH.format('short')}")
+def sp_lookahead(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    kept = spatial.sp_compress_lookahead(f.steps, f.sp, f.edges, reach=64).withColumn("train", F.lit(True))
+    return trips.as_paths(kept).select("trip_id", _joined("path").alias("path"))
+
+
+@query(f"WITH {BASE} {_SHORT_PATH.format('steps')}")
+def sp_roundtrip(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    return spatial.sp_decompress(f.short, f.sp, f.edges).select("trip_id", _joined("path").alias("path"))
+
+
+@query(f"{SHORT} SELECT trip_id, count(*) AS edges FROM short GROUP BY trip_id")
+def sp_dp_len(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    return spatial.sp_best_length(f.paths, f.sp, f.edges).select("trip_id", F.col("path").alias("edges"))
+
+
+# Gram stage
+
+
+@query(f"{MINED} SELECT gram, n, freq FROM grams")
+def grams_theta3(spark, sf_dir):
+    return Fixtures(spark, sf_dir).grams
+
+
+@query(f"{MINED} SELECT gram, n, freq, CASE WHEN n > 1 THEN regexp_replace(gram, '-[^-]*$', '') END AS parent, CASE WHEN n > 1 THEN regexp_replace(gram, '^[^-]*-', '') END AS suffix FROM grams")
+def suffix_links(spark, sf_dir):
+    return grams.link_grams(Fixtures(spark, sf_dir).grams)
+
+
+@query(f"{MINED} SELECT gram, n, freq FROM grams WHERE n > 1 ORDER BY freq DESC, gram LIMIT 20")
+def top_grams(spark, sf_dir):
+    return Fixtures(spark, sf_dir).grams.where("n > 1").orderBy(F.desc("freq"), "gram").limit(20)
+
+
+@query(f"{MINED}, {O.LENGTHS} SELECT trip_id, pos, len FROM lengths")
+def match_len(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    return grams.match_lengths(f.short, f.grams).select("trip_id", F.col("pos").cast("long").alias("pos"), "len")
+
+
+@query(f"{MINED}, {O.LENGTHS} SELECT trip_id, pos, len FROM tiles")
+def tiling(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    return grams.tile(grams.match_lengths(f.short, f.grams)).select("trip_id", F.col("pos").cast("long").alias("pos"), "len")
+
+
+@query(f"{MINED}, {O.LENGTHS} SELECT trip_id, count(*) AS pieces FROM tiles GROUP BY trip_id")
+def tiling_counts(spark, sf_dir):
+    return Fixtures(spark, sf_dir).nodes.select("trip_id", F.size("path").cast("long").alias("pieces"))
+
+
+@query(
+    f"""{MINED}, ws AS (SELECT list_sort(list(freq)) AS q FROM grams WHERE n <= 2), m(q, total) AS (
+  SELECT q, CAST(0 AS HUGEINT) FROM ws UNION ALL SELECT list_sort(list_append(q[3:], q[1] + q[2])), total + q[1] + q[2] FROM m WHERE len(q) > 1)
+SELECT CAST(max(total) AS BIGINT) AS total_bits FROM m"""
+)
+def huffman_total(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    book = huffman.codebook(f.grams.where("n <= 2"), 2)
+    return book.rows(spark).agg(F.sum(F.col("freq") * F.col("code_len")).cast("long").alias("total_bits"))
+
+
+@query()
+def huffman_codes(spark, sf_dir):
+    return Fixtures(spark, sf_dir).book.rows(spark)
+
+
+@query()
+def entropy_bound(spark, sf_dir):
+    low, mean = huffman.entropy_bounds(Fixtures(spark, sf_dir).book)
+    return spark.createDataFrame([(low, mean)], "entropy double, mean_bits double")
+
+
+@query(f"WITH {BASE} {_SHORT_PATH.format('steps')}")
+def fst_roundtrip(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    back = grams.decode(grams.encode(f.nodes, f.book).select("trip_id", "bits", "n_bits"), f.book)
+    return spatial.sp_decompress(back, f.sp, f.edges).select("trip_id", _joined("path").alias("path"))
+
+
+for _how in ("backward", "forward", "cheapest"):
+
+    @query(name={"backward": "encoded_bits_greedy", "forward": "encoded_bits_forward", "cheapest": "encoded_bits_dp"}[_how])
+    def _encoded(spark, sf_dir, how=_how):
+        f = Fixtures(spark, sf_dir)
+        return grams.encode(grams.decompose(f.short, f.book, how), f.book).select("trip_id", "n_bits")
+
+
+@query()
+def fst_only_bits(spark, sf_dir):
+    """Gram coding without the shortest-path stage."""
+    f = Fixtures(spark, sf_dir)
+    book = huffman.codebook(grams.mine_grams(f.paths.where("train"), 3, f.edges), 3)
+    return grams.encode(grams.decompose(f.paths, book), book).select("trip_id", "n_bits")
+
+
+@query()
+def theta_tuning(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    return grams.tune_theta(f.short.where("train"), f.edges, 8)
+
+
+@query()
+def greedy_vs_dp(spark, sf_dir):
+    f, out = Fixtures(spark, sf_dir), None
+    for how in ("backward", "forward", "cheapest"):
+        row = grams.encode(grams.decompose(f.short, f.book, how), f.book).agg(F.sum("n_bits").alias("bits")).select(F.lit(how).alias("tiling"), "bits")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+_TOKENS = """
+words AS (SELECT id, i, s[i] AS w FROM (SELECT {id} AS id, {split} AS s FROM {table}), range(1, 100000) r(i) WHERE i <= len(s)),
+nxt AS (SELECT w, lead(w) OVER (PARTITION BY id ORDER BY i) AS w2 FROM words)
+SELECT gram, n, count(*) AS freq FROM (SELECT w AS gram, 1 AS n FROM nxt UNION ALL SELECT w || '-' || w2, 2 FROM nxt WHERE w2 IS NOT NULL) GROUP BY gram, n"""
+
+
+@query("WITH " + _TOKENS.format(id="page_id", split="list_filter(string_split_regex(url, '[/:]+'), lambda x: x <> '')", table="pages"))
+def url_grams_pages(spark, sf_dir):
+    return grams.mine_grams(trips.token_paths(spark, sf_dir, "pages"), 2)
+
+
+@query(
+    """WITH t AS (SELECT conv_id, turn, role || ':' || lower(string_split_regex(coalesce(text, ''), '\\s+')[1]) AS w FROM conversations),
+nxt AS (SELECT w, lead(w) OVER (PARTITION BY conv_id ORDER BY turn, w) AS w2 FROM t)
+SELECT gram, n, count(*) AS freq FROM (SELECT w AS gram, 1 AS n FROM nxt UNION ALL SELECT w || '-' || w2, 2 FROM nxt WHERE w2 IS NOT NULL) GROUP BY gram, n"""
+)
+def token_grams_convs(spark, sf_dir):
+    return grams.mine_grams(trips.token_paths(spark, sf_dir, "conversations"), 2)
+
+
+@query()
+def token_grams_docs(spark, sf_dir):
+    return grams.mine_grams(trips.token_paths(spark, sf_dir, "documents"), 2, min_freq=2)
+
+
+# Temporal codec
+
+_KEPT = "SELECT trip_id, string_agg(CAST(seq AS VARCHAR), '-' ORDER BY seq) AS kept FROM kept GROUP BY trip_id"
+
+
+def _kept_places(df: DataFrame, points: DataFrame) -> DataFrame:
+    each = df.select("trip_id", F.explode("temporal").alias("p")).select("trip_id", F.col("p.t").alias("t"))
+    return each.join(points, ["trip_id", "t"]).groupBy("trip_id").agg(F.array_join(F.expr("transform(sort_array(collect_list(seq)), x -> string(x))"), "-").alias("kept"))
+
+
+for _tau, _eta in ((0, 0), (100, 100), (1000, 1000)):
+
+    @query(f"WITH RECURSIVE {BASE}, {O.thinned(_tau * METRE, _eta * SECOND)} {_KEPT}", f"temporal_angular_{_tau}_{_eta}")
+    def _angular(spark, sf_dir, tau=_tau, eta=_eta):
+        f = Fixtures(spark, sf_dir)
+        return _kept_places(f.thinned(tau, eta), f.points)
+
+
+@query(f"WITH RECURSIVE {BASE}, {O.thinned(1000, 100000000)} {_KEPT}")
+def temporal_opening_window(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    return _kept_places(temporal.opening_window(f.temporal, 1000, 100 * SECOND), f.points)
+
+
+@query(f"WITH RECURSIVE {BASE}, {O.thinned(1000, 100000000)} {_KEPT}")
+def temporal_arrow(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    return _kept_places(temporal.temporal_compress(f.temporal, 1000, 100 * SECOND, strategy="arrow"), f.points)
+
+
+@query(f"WITH RECURSIVE {_MONEY}, {O.thinned(5000000, 60, 'money')} {_KEPT}")
+def temporal_money(spark, sf_dir):
+    points = trips.money_points(spark, sf_dir)
+    return _kept_places(temporal.temporal_compress(trips.as_temporal(points), 5_000_000, 60), points)
+
+
+@query()
+def opening_window_plane(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    xyt = matching.to_xyt(f.points, f.paths, f.edges).groupBy("trip_id").agg(F.sort_array(F.collect_list(F.struct("t", "x", "y"))).alias("samples"))
+    return temporal.opening_window_xyt(xyt, 1000).select("trip_id", F.size("samples").alias("kept"))
+
+
+@query(
+    f"""WITH {BASE}, a AS (SELECT trip_id, arg_min(d, t) AS fd, min(t) AS ft FROM points GROUP BY trip_id), r AS (SELECT points.trip_id, d - fd AS dd, t - ft AS dt FROM points JOIN a ON points.trip_id = a.trip_id WHERE t > ft)
+SELECT trip_id, CAST(greatest(max(greatest(floor((dd - 1000) * 1000000 / dt), floor(dd * 1000000 / (dt + 100000000)))), 0) AS BIGINT) AS lo,
+  CAST(min(least(floor((dd + 1000) * 1000000 / dt), CASE WHEN dt > 100000000 THEN floor(dd * 1000000 / (dt - 100000000)) END)) AS BIGINT) AS hi FROM r GROUP BY trip_id"""
+)
+def angular_bounds(spark, sf_dir):
+    return temporal.angular_range(Fixtures(spark, sf_dir).points, 100 * METRE, 100 * SECOND)
+
+
+@query(f"{EXACT}, ask AS (SELECT trip_id, t_first + (t_last - t_first) * (trip_id * 37 % 101) // 100 AS t FROM ends), a AS ({O.at_time('ask')}) SELECT trip_id, d FROM a")
+def dis_at(spark, sf_dir):
+    from roadtraj.functions.interpolate import dis
+
+    f = Fixtures(spark, sf_dir)
+    return f.asked_where().join(f.temporal, "trip_id").select("trip_id", dis("temporal", "t").alias("d"))
+
+
+@query(f"{EXACT}, ask AS (SELECT trip_id, d_last * (trip_id * 53 % 101) // 101 AS d FROM ends), a AS ({O.at_distance('ask')}) SELECT trip_id, t_at AS t FROM a")
+def tim_at(spark, sf_dir):
+    from roadtraj.functions.interpolate import tim
+
+    asked = Fixtures(spark, sf_dir).temporal.withColumn("d", F.expr("element_at(temporal, -1).d * (trip_id * 53 % 101) div 101"))
+    return asked.select("trip_id", tim("temporal", "d").alias("t"))
+
+
+_THIN = f"""WITH RECURSIVE {BASE}, {O.thinned(1000, 100000000)}, thin AS (SELECT points.* FROM points JOIN kept USING (trip_id, seq)), {O.SEGMENTS.format(source='thin')}, ask AS (SELECT trip_id, seq, d AS od, t AS t, d AS dd FROM points)"""
+
+
+@query(f"{_THIN}, a AS ({O.at_time('ask')}) SELECT trip_id, CAST(max(abs(od - d)) AS BIGINT) AS tsnd FROM a GROUP BY trip_id")
+def tsnd(spark, sf_dir):
+    return temporal.tsnd(Fixtures(spark, sf_dir).pair(100, 100)).select("trip_id", "tsnd")
+
+
+@query(
+    f"""{_THIN}, a AS ({O.at_distance('ask', 'dd')}), b AS (SELECT a.*, CASE WHEN dd >= d_last THEN t_last WHEN dd < d_first THEN t_first ELSE t0 + (t1 - t0) * (dd - d0) // (d1 - d0) END AS t_hi
+  FROM a JOIN ends ON a.trip_id = ends.trip_id LEFT JOIN segs ON segs.trip_id = a.trip_id AND segs.d0 <= dd AND dd < segs.d1)
+SELECT trip_id, CAST(max(greatest(0, t - t_hi, t_at - t)) AS BIGINT) AS nstd FROM b GROUP BY trip_id"""
+)
+def nstd(spark, sf_dir):
+    return temporal.nstd(Fixtures(spark, sf_dir).pair(100, 100)).select("trip_id", "nstd")
+
+
+def _moved(f: Fixtures, tau: int, eta: int) -> tuple[DataFrame, DataFrame]:
+    """Positions of all samples, and at the same times on the packed trips."""
+    from roadtraj.functions.interpolate import dis_sql
+
+    other = f.points.join(f.thinned(tau, eta), "trip_id").select("trip_id", "seq", F.expr(dis_sql("temporal", "t")).cast("long").alias("d"), "t")
+    return matching.to_xyt(f.points, f.paths, f.edges), matching.to_xyt(other, f.paths, f.edges)
+
+
+@query(
+    f"""{_THIN}, {O.CUM}, a AS ({O.at_time('ask')}),
+xy AS (SELECT a.trip_id, a.seq, o.x0 + CAST(floor((o.x1 - o.x0) * (od - o.c0) / o.w) AS BIGINT) AS x, o.y0 + CAST(floor((o.y1 - o.y0) * (od - o.c0) / o.w) AS BIGINT) AS y,
+  q.x0 + CAST(floor((q.x1 - q.x0) * (a.d - q.c0) / q.w) AS BIGINT) AS px, q.y0 + CAST(floor((q.y1 - q.y0) * (a.d - q.c0) / q.w) AS BIGINT) AS py
+  FROM a JOIN cum o ON a.trip_id = o.trip_id AND o.c0 <= od AND (od < o.c1 OR (od = o.c1 AND o.c1 = o.total)) JOIN cum q ON a.trip_id = q.trip_id AND q.c0 <= a.d AND (a.d < q.c1 OR (a.d = q.c1 AND q.c1 = q.total)))
+SELECT trip_id, CAST(max((x - px) * (x - px) + (y - py) * (y - py)) AS BIGINT) AS tsed2 FROM xy GROUP BY trip_id"""
+)
+def tsed(spark, sf_dir):
+    return measures.tsed_squared(*_moved(Fixtures(spark, sf_dir), 100, 100))
+
+
+@query()
+def bound_grid_ratio(spark, sf_dir):
+    """Samples before and after for every pair of bounds, in metres and scaled seconds."""
+    sequences, out = cut(Fixtures(spark, sf_dir).temporal), None
+    for tau in BOUNDS:
+        sizes = [F.sum(F.size(F.expr(temporal.angular(tau * METRE, eta * SECOND)))).alias(f"k{eta}") for eta in BOUNDS]
+        wide = sequences.agg(F.sum(F.size("temporal")).alias("total"), *sizes)
+        row = wide.select(F.lit(tau).alias("tau"), F.explode(F.array(*[F.struct(F.lit(eta).alias("eta"), F.col(f"k{eta}").alias("kept")) for eta in BOUNDS])).alias("c"), "total").select("tau", "c.eta", "c.kept", "total")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query()
+def window_vs_angular(spark, sf_dir):
+    """Kept points of both codecs over whole users, whose sequences are longer."""
+    from pyspark.sql import Window
+
+    f = Fixtures(spark, sf_dir)
+    shift = F.sum("d_last").over(Window.partitionBy("user").orderBy("trip_id").rowsBetween(Window.unboundedPreceding, -1))
+    whole = f.points.groupBy("trip_id").agg(F.max("d").alias("d_last")).withColumn("user", F.floor(F.col("trip_id") / 10)).withColumn("shift", F.coalesce(shift, F.lit(0)))
+    joined = f.points.join(whole, "trip_id").select(F.col("user").alias("trip_id"), (F.col("d") + F.col("shift")).alias("d"), "t")
+    users = cut(trips.as_temporal(joined))
+    size = F.sum(F.size("temporal")).alias("kept")
+    fast, slow = temporal.temporal_compress(users, 1000, 100 * SECOND), temporal.opening_window(users, 1000, 100 * SECOND)
+    return fast.agg(size).select(F.lit("angular").alias("codec"), "kept").unionByName(slow.agg(size).select(F.lit("window").alias("codec"), "kept"))
+
+
+# The whole codec
+
+
+@query()
+def ratio_summary(spark, sf_dir):
+    """stage, bits_before, bits_after at exact bounds, with the default storage model."""
+    f = Fixtures(spark, sf_dir)
+    edges, sp_edges = (df.agg(F.sum(F.size("path"))).first()[0] for df in (f.paths, f.short))
+    bits = grams.encode(f.nodes, f.book).agg(F.sum("n_bits")).first()[0]
+    raw, kept = f.thinned(0, 0).join(f.temporal.withColumnRenamed("temporal", "o"), "trip_id").agg(F.sum(F.size("o")), F.sum(F.size("temporal"))).first()
+    return spark.createDataFrame(measures.ratio_rows(raw, edges, sp_edges, bits, kept), "stage string, bits_before long, bits_after long")
+
+
+@query()
+def overall_ratio_grid(spark, sf_dir):
+    """tau, eta, raw_bits, packed_bits along equal bounds."""
+    f, model, out = Fixtures(spark, sf_dir), measures.StorageModel(), None
+    bits, sequences = grams.encode(f.nodes, f.book).agg(F.sum("n_bits")).first()[0], cut(f.temporal)
+    for b in BOUNDS:
+        kept = F.sum(F.size(F.expr(temporal.angular(b * METRE, b * SECOND))))
+        row = sequences.agg((F.sum(F.size("temporal")) * model.xyt_bits).alias("raw_bits"), (kept * model.tuple_bits + bits).alias("packed_bits")).select(F.lit(b).alias("tau"), F.lit(b).alias("eta"), "raw_bits", "packed_bits")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query()
+def packed_trips(spark, sf_dir):
+    """The stored form of every trip."""
+    from roadtraj.plans.container import packed_table
+
+    f = Fixtures(spark, sf_dir)
+    return packed_table(grams.encode(f.nodes, f.book), f.thinned(100, 100), f.placed)
+
+
+@query()
+def systems_ratio(spark, sf_dir):
+    """system, tsed_m, bits: this codec, two bounded competitors and two byte codecs, by bound."""
+    f, model = Fixtures(spark, sf_dir), measures.StorageModel()
+    sequences, bits, out = cut(f.temporal), grams.encode(f.nodes, f.book).agg(F.sum("n_bits")).first()[0], []
+    runs, points = cut(baselines.street_runs(f.steps, f.edges)), cut(f.points)
+    for bound in (0, 100, 200, 400, 600):
+        kept = sequences.agg(F.sum(F.size(F.expr(temporal.angular(bound * METRE, 1 << 50)))))
+        out.append(kept.select(F.lit("two_stage").alias("system"), F.lit(bound).alias("tsed_m"), (F.col(kept.columns[0]) * model.tuple_bits + bits).cast("long").alias("bits")))
+        street = baselines.street_run_bits(runs, points, f.edges, f.steps, bound * METRE, model)
+        lossy = baselines.lossy_matched_bits(f.paths, sequences, f.sp, f.edges, bound * METRE, model)
+        out += [df.agg(F.sum("bits").alias("bits")).select(F.lit(n).alias("system"), F.lit(bound).alias("tsed_m"), "bits") for n, df in (("street_run", street), ("lossy_matched", lossy))]
+    samples = _samples(f)
+    out += [baselines.codec_bits(samples, c).agg(F.sum("bits").alias("bits")).select(F.lit(c).alias("system"), F.lit(0).alias("tsed_m"), "bits") for c in ("zip", "lzma")]
+    whole = out[0]
+    for row in out[1:]:
+        whole = whole.unionByName(row)
+    return whole
+
+
+def _samples(f: Fixtures) -> DataFrame:
+    xyt = matching.to_xyt(f.points, f.paths, f.edges)
+    return xyt.groupBy("trip_id").agg(F.sort_array(F.collect_list(F.struct("t", "x", "y"))).alias("s")).select("trip_id", F.expr("transform(s, p -> struct(p.x as x, p.y as y, p.t as t))").alias("samples"))
+
+
+for _codec in ("zip", "lzma", "bz2"):
+    QUERIES[f"{_codec}_ratio"] = lambda s, d, c=_codec: baselines.codec_bits(_samples(Fixtures(s, d)), c)
+
+
+@query(
+    f"""WITH {BASE}, s AS (SELECT trip_id, pos, street, CASE WHEN street <> lag(street) OVER (PARTITION BY trip_id ORDER BY pos) THEN 1 WHEN pos = 1 THEN 1 ELSE 0 END AS new FROM steps JOIN net ON steps.e = net.e),
+r AS (SELECT *, sum(new) OVER (PARTITION BY trip_id ORDER BY pos) AS run FROM s) SELECT trip_id, CAST(run AS BIGINT) AS run, street, min(pos) AS first_pos, count(*) AS n FROM r GROUP BY trip_id, run, street"""
+)
+def street_runs(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    return baselines.street_runs(f.steps, f.edges)
+
+
+@query()
+def lossy_matched(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    return baselines.lossy_matched_bits(f.paths, f.temporal, f.sp, f.edges, 1000, measures.StorageModel())
+
+
+@query()
+def aux_sizes(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    return measures.aux_sizes(f.sp, f.grams, f.aux.spans)
+
+
+# Queries, on raw and on packed trips
+
+_WHERE = f"""{EXACT}, ask AS (SELECT trip_id AS qid, trip_id, t_first + (t_last - t_first) * (trip_id * 37 % 101) // 100 AS t FROM ends), a AS ({O.at_time('ask')})
+SELECT qid, a.trip_id, CAST(x0 + floor((x1 - x0) * (least(d, total) - c0) / w) AS BIGINT) AS x, CAST(y0 + floor((y1 - y0) * (least(d, total) - c0) / w) AS BIGINT) AS y
+FROM a JOIN cum ON a.trip_id = cum.trip_id AND c0 <= least(d, total - 1) AND least(d, total - 1) < c1"""
+_WHEN = f"""{EXACT}, l AS (SELECT DISTINCT trip_id, total * (trip_id * 53 % 101) // 101 AS look FROM cum),
+q AS (SELECT l.trip_id, CAST(x0 + floor((x1 - x0) * (look - c0) / w) AS BIGINT) AS x, CAST(y0 + floor((y1 - y0) * (look - c0) / w) AS BIGINT) AS y FROM l JOIN cum ON l.trip_id = cum.trip_id AND c0 <= look AND look < c1),
+ask AS (SELECT q.trip_id, CAST(min(c0 + (abs(x - x0) + abs(y - y0)) * w // (abs(x1 - x0) + abs(y1 - y0))) AS BIGINT) AS d FROM q JOIN cum ON q.trip_id = cum.trip_id
+  AND x BETWEEN least(x0, x1) AND greatest(x0, x1) AND y BETWEEN least(y0, y1) AND greatest(y0, y1) GROUP BY q.trip_id),
+a AS ({O.at_distance('ask')}) SELECT trip_id AS qid, trip_id, t_at AS t FROM a"""
+_BOXES = f"""{EXACT}, ask AS (SELECT trip_id * 5 + r_regionkey AS qid, trip_id, r_regionkey AS region, t_first + ((t_last - t_first) // 4) * ((trip_id + r_regionkey) % 4) AS ta,
+  t_first + ((t_last - t_first) // 4) * ((trip_id + r_regionkey) % 4 + 1) AS tb FROM ends, region),
+qa AS ({O.at_time('ask', 'ta')}), qb AS ({O.at_time('ask', 'tb')}),
+cl AS (SELECT qa.qid, qa.trip_id, 3000 * qa.region - 1000 AS rx0, 3000 * qa.region + 1000 AS rx1,
+  x0 + floor((x1 - x0) * greatest(qa.d - c0, 0) / w) AS xa, x0 + floor((x1 - x0) * least(qb.d - c0, w) / w) AS xb
+  FROM qa JOIN qb ON qa.qid = qb.qid JOIN cum ON cum.trip_id = qa.trip_id AND c0 <= qb.d AND qa.d <= c1),
+hit AS (SELECT DISTINCT qid FROM cl WHERE least(xa, xb) <= rx1 AND rx0 <= greatest(xa, xb)),
+answer AS (SELECT ask.qid, ask.trip_id, region, (trip_id + region) % 4 AS quarter, CASE WHEN hit.qid IS NULL THEN 0 ELSE 1 END AS hit FROM ask LEFT JOIN hit ON ask.qid = hit.qid)"""
+_NEAR = f"""{EXACT}, ask AS (SELECT CAST(v * 3 + k AS BIGINT) AS qid, trip_id, v, t_first, t_last, 1704067200000000 // 1300 + k * (864000000000 // 1300) AS ta, 1704067200000000 // 1300 + (k + 1) * (864000000000 // 1300) - 1 AS tb
+  FROM (SELECT DISTINCT tail AS v FROM net), (SELECT range AS k FROM range(3)), ends),
+live AS (SELECT * FROM ask WHERE ta <= t_last AND t_first <= tb), la AS (SELECT * EXCLUDE (t_first, t_last) FROM live),
+qa AS ({O.at_time('la', 'ta')}), qb AS ({O.at_time('la', 'tb')}),
+cl AS (SELECT qa.qid, qa.trip_id, (qa.v % 5) * 3000 AS x, (qa.v // 5) * 3000 AS y, x0 + floor((x1 - x0) * greatest(qa.d - c0, 0) / w) AS xa, x0 + floor((x1 - x0) * least(qb.d - c0, w) / w) AS xb,
+  y0 + floor((y1 - y0) * greatest(qa.d - c0, 0) / w) AS ya, y0 + floor((y1 - y0) * least(qb.d - c0, w) / w) AS yb
+  FROM qa JOIN qb ON qa.qid = qb.qid AND qa.trip_id = qb.trip_id JOIN cum ON cum.trip_id = qa.trip_id AND c0 <= qb.d AND qa.d <= c1)
+SELECT DISTINCT qid, trip_id FROM cl WHERE power(greatest(0, least(xa, xb) - x, x - greatest(xa, xb)), 2) + power(greatest(0, least(ya, yb) - y, y - greatest(ya, yb)), 2) <= 4000000"""
+_MINDIST = f"""WITH {BASE}, ed AS (SELECT DISTINCT trip_id, least(x0, x1) AS x0, least(y0, y1) AS y0, greatest(x0, x1) AS x1, greatest(y0, y1) AS y1 FROM steps JOIN net ON steps.e = net.e)
+SELECT a.trip_id AS trip_a, b.trip_id AS trip_b, CAST(min(power(greatest(0, a.x0 - b.x1, b.x0 - a.x1), 2) + power(greatest(0, a.y0 - b.y1, b.y0 - a.y1), 2)) AS BIGINT) AS d2
+FROM ed a JOIN ed b ON b.trip_id = a.trip_id + 10 GROUP BY a.trip_id, b.trip_id"""
+
+
+def _both(f: Fixtures, raw: bool) -> tuple[DataFrame, DataFrame, packed.Aux]:
+    """Sequence, pieces and auxiliary tables: raw, or packed at exact bounds."""
+    return (f.temporal, *f.raw) if raw else (f.thinned(0, 0), f.placed, f.aux)
+
+
+for _raw in (True, False):
+    _end = "raw" if _raw else "packed"
+
+    @query(_WHERE, f"where_{_end}")
+    def _where(spark, sf_dir, raw=_raw):
+        f = Fixtures(spark, sf_dir)
+        return packed.where_at(f.asked_where(), *_both(f, raw))
+
+    @query(_WHEN, f"when_{_end}")
+    def _when(spark, sf_dir, raw=_raw):
+        f = Fixtures(spark, sf_dir)
+        return packed.when_at(f.asked_when(), *_both(f, raw))
+
+    @query(f"{_BOXES} SELECT qid, trip_id, hit FROM answer", f"range_{_end}")
+    def _range(spark, sf_dir, raw=_raw):
+        f = Fixtures(spark, sf_dir)
+        return packed.range_hit(f.asked_range(), *_both(f, raw))
+
+    @query(_NEAR, f"near_{_end}")
+    def _near(spark, sf_dir, raw=_raw):
+        f = Fixtures(spark, sf_dir)
+        return packed.passing_near(f.asked_near(), *_both(f, raw))
+
+    @query(_MINDIST, f"mindist_{_end}")
+    def _mindist(spark, sf_dir, raw=_raw):
+        f = Fixtures(spark, sf_dir)
+        return packed.min_distance(f.asked_pairs(), *_both(f, raw)[1:])
+
+    @query(f"WITH {BASE} SELECT e, count(*) AS n FROM steps GROUP BY e", f"edge_counts_{'decompressed' if _raw else 'weighted'}")
+    def _counts(spark, sf_dir, raw=_raw):
+        f = Fixtures(spark, sf_dir)
+        if raw:
+            back = spatial.sp_decompress(f.short, f.sp, f.edges)
+            return back.select(F.explode("path").alias("e")).groupBy("e").agg(F.count(F.lit(1)).alias("n"))
+        return packed.edge_counts(f.spans, f.aux)
+
+
+@query()
+def where_error_by_bound(spark, sf_dir):
+    """Largest distance moved between raw and packed where answers, along equal bounds; visited entries and pieces."""
+    f, out = Fixtures(spark, sf_dir), None
+    asked, true = cut(f.asked_where()), None
+    true = cut(packed.where_at(asked, f.temporal, *f.raw).withColumnsRenamed({"x": "rx", "y": "ry"}))
+    for b in (0, 100, 1000):
+        thin = cut(f.thinned(b, b))
+        got = packed.where_at(asked, thin, f.placed, f.aux).join(true, ["qid", "trip_id"]).agg(F.max(F.expr("(x - rx) * (x - rx) + (y - ry) * (y - ry)")).alias("worst2"))
+        seen = packed.visited(asked, thin, f.placed).agg(F.sum("tuples").alias("tuples"), F.sum("spans").alias("spans"))
+        row = got.crossJoin(seen).select(F.lit(b).alias("bound"), "worst2", "tuples", "spans")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query()
+def when_error_by_bound(spark, sf_dir):
+    f, out = Fixtures(spark, sf_dir), None
+    asked = cut(f.asked_when())
+    true = cut(packed.when_at(asked, f.temporal, *f.raw).withColumnRenamed("t", "rt"))
+    for b in (0, 100, 1000):
+        row = packed.when_at(asked, f.thinned(b, b), f.placed, f.aux).join(true, ["qid", "trip_id"]).agg(F.max(F.abs(F.col("t") - F.col("rt"))).alias("worst")).select(F.lit(b).alias("bound"), "worst")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query()
+def range_accuracy(spark, sf_dir):
+    """Confusion counts of range answers at 100 m and 100 s against raw answers."""
+    f = Fixtures(spark, sf_dir)
+    asked = cut(f.asked_range())
+    return measures.range_accuracy(packed.range_hit(asked, f.temporal, *f.raw), packed.range_hit(asked, f.thinned(100, 100), f.placed, f.aux))
+
+
+@query()
+def visited_counts(spark, sf_dir):
+    """Entries and pieces passed before a where answer, raw and packed at 1000 m and s."""
+    f = Fixtures(spark, sf_dir)
+    asked, total = cut(f.asked_where()), [F.sum("tuples").alias("tuples"), F.sum("spans").alias("spans")]
+    raw = packed.visited(asked, f.temporal, f.raw[0]).agg(*total).select(F.lit("raw").alias("form"), "tuples", "spans")
+    return raw.unionByName(packed.visited(asked, f.thinned(1000, 1000), f.placed).agg(*total).select(F.lit("packed").alias("form"), "tuples", "spans"))
+
+
+_MIDDLE = [(1704067200000000 + k * 864000000000 + 432000000000) // trips.T_SCALE for k in range(3)]
+
+
+@query(
+    f"""{EXACT}, ask AS (SELECT trip_id, m.t FROM ends, (VALUES {', '.join(f'({t})' for t in _MIDDLE)}) m(t) WHERE t_first <= m.t AND m.t <= t_last), a AS ({O.at_time('ask')})
+SELECT t, CAST(floor((x0 + floor((x1 - x0) * (least(d, total) - c0) / w)) / 3000) AS BIGINT) AS cx, CAST(floor((y0 + floor((y1 - y0) * (least(d, total) - c0) / w)) / 3000) AS BIGINT) AS cy, count(*) AS n
+FROM a JOIN cum ON a.trip_id = cum.trip_id AND c0 <= least(d, total - 1) AND least(d, total - 1) < c1 GROUP BY ALL"""
+)
+def snapshot_cells(spark, sf_dir):
+    f, out = Fixtures(spark, sf_dir), None
+    for t in _MIDDLE:
+        row = packed.snapshot(f.thinned(0, 0), f.placed, f.aux, t, 3000).select(F.lit(t).cast("long").alias("t"), "cx", "cy", "n")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query(f"{_BOXES} SELECT region, quarter, CAST(sum(hit) AS BIGINT) AS trips FROM answer GROUP BY CUBE (region, quarter)")
+def region_flow_cube(spark, sf_dir):
+    f = Fixtures(spark, sf_dir)
+    asked = f.asked_range()
+    hits = packed.range_hit(asked, *_both(f, False)).join(asked.select("qid", "region"), "qid")
+    return hits.withColumn("quarter", (F.col("trip_id") + F.col("region")) % 4).cube("region", "quarter").agg(F.sum("hit").alias("trips"))
+
+
+@query(
+    f"""WITH {BASE}, d AS (SELECT DISTINCT trip_id, e FROM steps), p AS (SELECT a.trip_id, b.trip_id AS other, count(*) AS shared FROM d a JOIN d b ON a.e = b.e AND a.trip_id <> b.trip_id GROUP BY a.trip_id, b.trip_id),
+r AS (SELECT *, row_number() OVER (PARTITION BY trip_id ORDER BY shared DESC, other) AS rank FROM p) SELECT trip_id, rank, other, shared FROM r WHERE rank <= 3"""
+)
+def similar_trips(spark, sf_dir):
+    return packed.similar_trips(Fixtures(spark, sf_dir).paths)
+
+
+@query(f"WITH {BASE}, b AS (SELECT trip_id, least(x0, x1) // 3000 AS xa, greatest(x0, x1) // 3000 AS xb, least(y0, y1) // 3000 AS ya, greatest(y0, y1) // 3000 AS yb FROM steps JOIN net ON steps.e = net.e) SELECT DISTINCT r.range AS cx, q.range AS cy, trip_id FROM b, range(40) r, range(40) q WHERE r.range BETWEEN xa AND xb AND q.range BETWEEN ya AND yb")
+def cell_index(spark, sf_dir):
+    return packed.cell_index(Fixtures(spark, sf_dir).raw[0], 3000)
+
+
+# Streams
+
+_HOUR = "SELECT epoch_us(date_trunc('hour', ts)) AS hour, count(*) AS n FROM events GROUP BY 1"
+
+
+@query(_HOUR)
+def stream_tumbling(spark, sf_dir):
+    flow = online.run_to_table(online.flow_per_hour(online.event_stream(spark, sf_dir)), "roadtraj_flow", "complete")
+    return flow.select(F.unix_micros("window.start").alias("hour"), "n")
+
+
+@query("WITH h AS (SELECT date_trunc('hour', ts) AS h FROM events) SELECT epoch_us(h - to_hours(CAST(k AS INT))) AS start, count(*) AS n FROM h, range(6) r(k) GROUP BY 1")
+def stream_sliding(spark, sf_dir):
+    moving = online.run_to_table(online.moving_density(online.event_stream(spark, sf_dir)), "roadtraj_moving", "complete")
+    return moving.select(F.unix_micros("window.start").alias("start"), "n")
+
+
+@query(
+    """WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 12 HOUR THEN 0 ELSE 1 END AS new FROM events),
+s AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts, new) AS k FROM g) SELECT user_id, epoch_us(min(ts)) AS start, count(*) AS n FROM s GROUP BY user_id, k"""
+)
+def stream_session(spark, sf_dir):
+    sessions = online.run_to_table(online.trip_sessions(online.event_stream(spark, sf_dir)), "roadtraj_sessions", "complete")
+    return sessions.select("user_id", F.unix_micros("session_window.start").alias("start"), "n")
+
+
+@query()
+def stream_temporal(spark, sf_dir):
+    """Kept points of an online run over ten-day blocks of money events; trips still open keep their last point in state."""
+    events = online.event_stream(spark, sf_dir).withWatermark("ts", "1 hour")
+    points = events.select((F.col("user_id") * 10).alias("trip_id"), F.unix_seconds("ts").alias("d"), F.unix_micros("ts").alias("t"), "ts")
+    return online.run_to_table(online.stream_temporal(points, 3600, 1800 * SECOND), "roadtraj_online")
+
+
+# Joins of the range and as-of kind
+
+
+@query(f"{EXACT}, ask AS (SELECT trip_id, seq, d FROM points) SELECT ask.trip_id, seq, cum.pos FROM ask JOIN cum ON ask.trip_id = cum.trip_id AND c0 <= d AND d < c1")
+def op_interval_join(spark, sf_dir):
+    from pyspark.sql import Window
+
+    f = Fixtures(spark, sf_dir)
+    by = Window.partitionBy("trip_id").orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
+    cum = f.steps.join(f.edges.select("e", "w"), "e").withColumn("c1", F.sum("w").over(by)).withColumn("c0", F.col("c1") - F.col("w")).select("trip_id", "pos", "c0", "c1")
+    return rangejoin.interval_join(f.points.select("trip_id", "seq", "d"), cum, ["trip_id"], "d", "c0", "c1", 3000).select("trip_id", "seq", "pos")
+
+
+@query(
+    """WITH p AS (SELECT user_id, ts, value FROM events WHERE event_type = 'purchase'), c AS (SELECT event_id, user_id, ts FROM events WHERE event_type = 'click')
+SELECT event_id, value FROM c ASOF LEFT JOIN p ON c.user_id = p.user_id AND c.ts >= p.ts"""
+)
+def op_asof_join(spark, sf_dir):
+    ev = tables.load(spark, sf_dir, "events", "event_id", "user_id", "ts", "event_type", "value")
+    clicks = ev.where("event_type = 'click'").select("event_id", "user_id", "ts")
+    return rangejoin.asof_join(clicks, ev.where("event_type = 'purchase'").select("user_id", "ts", "value"), ["user_id"], "ts", ["value"]).select("event_id", "value")
+
+
+QUERIES.update(RELATIONAL)
+ORACLE_SQL.update(RELATIONAL_SQL)
