@@ -64,6 +64,8 @@ class WordTokenizer:
         from tokenizers import Tokenizer
 
         self.tokenizer, self.most = Tokenizer.from_file(path), most
+        mark = self.tokenizer.encode("!", add_special_tokens=False).ids
+        self.mark = mark[0] if len(mark) == 1 else None
         self._clear()
 
     def _clear(self) -> None:
@@ -80,16 +82,24 @@ class WordTokenizer:
         fresh, first = np.unique(hashes[new], return_index=True)
         body = words.data.tobytes()
         texts = [body[a:b].decode() for a, b in zip(words.start[new[first]].tolist(), words.end[new[first]].tolist(), strict=True)]
-        coded = (e.ids for lo in range(0, len(texts), 8192) for e in self.tokenizer.encode_batch_fast(texts[lo : lo + 8192], add_special_tokens=False))
-        sizes, ids = [], []
-        for word in coded:
-            sizes.append(len(word))
-            ids += word
-        sizes = np.array(sizes, np.int64)
+        marked = np.array([self.mark is None or "!" in t for t in texts])
+        order = np.concatenate([np.flatnonzero(~marked), np.flatnonzero(marked)])
+        plain, rest = [texts[i] for i in order[: len(texts) - marked.sum()]], [texts[i] for i in np.flatnonzero(marked)]
+        # Words in lines, parted by a mark whose id no word among them has: far fewer texts than words.
+        lines = [" ! ".join(plain[lo : lo + 64]) for lo in range(0, len(plain), 64)]
+        parts, sizes = [], []
+        for lo in range(0, len(lines), 512):
+            for e in self.tokenizer.encode_batch_fast(lines[lo : lo + 512], add_special_tokens=False):
+                parts.append(np.array([*e.ids, self.mark], np.uint32))
+        coded = np.concatenate([np.zeros(0, np.uint32), *parts])
+        stops = np.flatnonzero(coded == self.mark) if len(coded) else np.zeros(0, np.int64)
+        sizes = np.diff(stops, prepend=-1) - 1
+        single = [np.array(e.ids, np.uint32) for e in self.tokenizer.encode_batch_fast(rest, add_special_tokens=False)]
+        sizes = np.concatenate([sizes, np.array([len(x) for x in single], np.int64)])
         firsts = len(self.table) + np.cumsum(sizes) - sizes
-        self.table = np.concatenate([self.table, np.array(ids, np.uint32)])
-        order = np.argsort(all_ := np.concatenate([self.hashes, fresh]), kind="stable")
-        self.hashes, self.firsts, self.sizes = all_[order], np.concatenate([self.firsts, firsts])[order], np.concatenate([self.sizes, sizes])[order]
+        self.table = np.concatenate([self.table, np.delete(coded, stops), *single])
+        into = np.argsort(all_ := np.concatenate([self.hashes, fresh[order]]), kind="stable")
+        self.hashes, self.firsts, self.sizes = all_[into], np.concatenate([self.firsts, firsts])[into], np.concatenate([self.sizes, sizes])[into]
 
     def encode(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """All ids and each text's bounds in them."""
@@ -99,8 +109,12 @@ class WordTokenizer:
             self._clear()
         at, known = self._find(hashes)
         if not known.all():
-            self._learn(words, hashes, np.flatnonzero(~known))
-            at, _ = self._find(hashes)
+            old = at[known]
+            before = self.hashes
+            self._learn(words, hashes, new := np.flatnonzero(~known))
+            moved = np.searchsorted(self.hashes, before)  # where the words known before stand now
+            at[known] = moved[old]
+            at[new], _ = self._find(hashes[new])
         per = self.sizes[at] if len(at) else np.zeros(0, np.int64)
         ids = self.table[ragged(self.firsts[at], per)] if len(at) else np.zeros(0, np.uint32)
         return ids, np.concatenate([[0], np.cumsum(per)])[words.first]
