@@ -45,7 +45,7 @@ def street_run_bits(runs: DataFrame, points: DataFrame, edges: DataFrame, steps:
     temporal = as_temporal(points)
     at = ends.join(temporal, "trip_id").select("trip_id", "d", F.expr(tim_sql("temporal", "d")).cast("long").alias("t"))
     both = at.unionByName(points.select("trip_id", "d", "t")).groupBy("trip_id", "t").agg(F.max("d").alias("d"))
-    kept = opening_window(as_temporal(both), eps, 1 << 50).select("trip_id", F.size("temporal").alias("m"))
+    kept = opening_window(as_temporal(both), eps, None).select("trip_id", F.size("temporal").alias("m"))
     n = runs.groupBy("trip_id").agg(F.count(F.lit(1)).alias("runs"))
     return n.join(kept, "trip_id").select("trip_id", (F.col("runs") * (2 * model.edge_bits + 16) + F.col("m") * model.tuple_bits).cast("long").alias("bits"))
 
@@ -53,7 +53,7 @@ def street_run_bits(runs: DataFrame, points: DataFrame, edges: DataFrame, steps:
 def lossy_matched_bits(paths: DataFrame, temporal: DataFrame, sp: DataFrame, edges: DataFrame, eps: int, model: StorageModel) -> DataFrame:
     """trip_id, bits: edges of the path left after shortest-path skipping without coding, and points at equal-time distance eps."""
     kept = sp_compress(paths.select("trip_id", "path"), sp, edges).select("trip_id", F.size("path").alias("k"))
-    points = opening_window(temporal, eps, 1 << 50).select("trip_id", F.size("temporal").alias("m"))
+    points = opening_window(temporal, eps, None).select("trip_id", F.size("temporal").alias("m"))
     # A lossy record has a point for each edge that it keeps, or the points that the bound asks for, if more.
     return kept.join(points, "trip_id").select("trip_id", (F.col("k") * model.edge_bits + F.greatest("k", "m") * model.tuple_bits).cast("long").alias("bits"))
 

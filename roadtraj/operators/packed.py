@@ -46,8 +46,8 @@ def build_aux(spans: DataFrame, sp: DataFrame, edges: DataFrame) -> Aux:
     links = listed.withColumn("f", F.lead("e").over(ahead)).where("f IS NOT NULL")
     ends = edges.select("e", "tail", "head")
     pairs = links.join(ends.select("e", F.col("head").alias("u")), "e").join(ends.select(F.col("e").alias("f"), F.col("tail").alias("v")), "f").where("u <> v")
-    inner = expand_pairs(pairs.select("u", "v"), sp, edges)
-    between = pairs.join(inner, ["u", "v"]).select("span", "i", (-F.col("back") - 1).alias("j"), inner["e"].alias("e"))
+    inner = expand_pairs(pairs.select("u", "v"), sp, edges).withColumnRenamed("e", "inner_e")
+    between = pairs.join(inner, ["u", "v"]).select("span", "i", (-F.col("back") - 1).alias("j"), F.col("inner_e").alias("e"))
     own = listed.where(~hop).select("span", "i", F.lit(-(1 << 30)).alias("j"), "e")
     # Edges between places i and i + 1 come after place i and before place i + 1.
     all_ = own.unionByName(between.select("span", "i", "j", "e")).join(edges, "e")

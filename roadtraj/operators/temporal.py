@@ -22,20 +22,21 @@ from roadtraj.functions.interpolate import dis_sql, tim_sql
 POINTS = "array<struct<d: bigint, t: bigint>>"
 
 
-def _lower(dd: str, dt: str, tau: int, eta: int, start: str) -> str:
-    return f"aggregate(array(named_struct('n', {dd} - {tau}L, 'm', {dt}), named_struct('n', {dd}, 'm', {dt} + {eta}L)), {start}, (_b, _c) -> IF(_c.n * _b.m > _b.n * _c.m, _c, _b))"
+def _lower(dd: str, dt: str, tau: int, eta: int | None, start: str) -> str:
+    late = "" if eta is None else f", named_struct('n', {dd}, 'm', {dt} + {eta}L)"
+    return f"aggregate(array(named_struct('n', {dd} - {tau}L, 'm', {dt}){late}), {start}, (_b, _c) -> IF(_c.n * _b.m > _b.n * _c.m, _c, _b))"
 
 
-def _upper(dd: str, dt: str, tau: int, eta: int, start: str) -> str:
-    some = f"IF({dt} > {eta}L, named_struct('n', {dd}, 'm', {dt} - {eta}L), {start})"
+def _upper(dd: str, dt: str, tau: int, eta: int | None, start: str) -> str:
+    some = start if eta is None else f"IF({dt} > {eta}L, named_struct('n', {dd}, 'm', {dt} - {eta}L), {start})"
     return f"aggregate(array(named_struct('n', {dd} + {tau}L, 'm', {dt}), {some}), {start}, (_b, _c) -> IF(_c.n * _b.m < _b.n * _c.m, _c, _b))"
 
 
 _ZERO, _OPEN = "named_struct('n', 0L, 'm', 1L)", "named_struct('n', 1L, 'm', 0L)"
 
 
-def angular(tau: int, eta: int, column: str = "temporal") -> str:
-    """SQL: the kept points of an array of (d, t). Row-local; the state is constant but for the output."""
+def angular(tau: int, eta: int | None, column: str = "temporal") -> str:
+    """SQL: the kept points of an array of (d, t); no bound on times where eta is None. Row-local; the state is constant but for the output."""
     dd, dt = "(p.d - a.from.d)", "(p.t - a.from.t)"
     again_d, again_t = "(p.d - a.prev.d)", "(p.t - a.prev.t)"
     inside = f"{dd} * a.lo.m >= a.lo.n * {dt} AND {dd} * a.hi.m <= a.hi.n * {dt}"
@@ -92,14 +93,15 @@ def temporal_decompress(df: DataFrame) -> DataFrame:
     return df
 
 
-def opening_window(df: DataFrame, tau: int, eta: int, column: str = "temporal") -> DataFrame:
+def opening_window(df: DataFrame, tau: int, eta: int | None, column: str = "temporal") -> DataFrame:
     """The quadratic baseline: a point joins the window only if every skipped point allows its slope."""
     s = f"{column}[i - 1]"
     dd, dt = f"({s}.d - a.from.d)", f"({s}.t - a.from.t)"
     fits = (
         f"forall(slice({column}, a.at + 1, i - a.at - 1), q -> "
         f"{dd} * (q.t - a.from.t) >= ((q.d - a.from.d) - {tau}L) * {dt} AND {dd} * (q.t - a.from.t) <= ((q.d - a.from.d) + {tau}L) * {dt} "
-        f"AND {dd} * ((q.t - a.from.t) + {eta}L) >= (q.d - a.from.d) * {dt} AND ((q.t - a.from.t) <= {eta}L OR {dd} * ((q.t - a.from.t) - {eta}L) <= (q.d - a.from.d) * {dt}))"
+        + ("" if eta is None else f"AND {dd} * ((q.t - a.from.t) + {eta}L) >= (q.d - a.from.d) * {dt} AND ((q.t - a.from.t) <= {eta}L OR {dd} * ((q.t - a.from.t) - {eta}L) <= (q.d - a.from.d) * {dt})")
+        + ")"
     )
     step = f"IF({fits}, a, named_struct('from', {column}[i - 2], 'at', i - 1, 'out', concat(a.out, array({column}[i - 2]))))"
     fold = f"aggregate(sequence(2, size({column})), named_struct('from', {column}[0], 'at', 1, 'out', array({column}[0])), (a, i) -> {step}, a -> concat(a.out, array({column}[size({column}) - 1])))"

@@ -653,8 +653,8 @@ def systems_ratio(spark, sf_dir):
     sequences, bits, out = cut(f.temporal), grams.encode(f.nodes, f.book).agg(F.sum("n_bits")).first()[0], []
     runs, points = cut(baselines.street_runs(f.steps, f.edges)), cut(f.points)
     for bound in (0, 100, 200, 400, 600):
-        kept = sequences.agg(F.sum(F.size(F.expr(temporal.angular(bound * METRE, 1 << 50)))))
-        out.append(kept.select(F.lit("two_stage").alias("system"), F.lit(bound).alias("tsed_m"), (F.col(kept.columns[0]) * model.tuple_bits + bits).cast("long").alias("bits")))
+        kept = sequences.agg(F.sum(F.size(F.expr(temporal.angular(bound * METRE, None)))).alias("kept"))
+        out.append(kept.select(F.lit("two_stage").alias("system"), F.lit(bound).alias("tsed_m"), (F.col("kept") * model.tuple_bits + bits).cast("long").alias("bits")))
         street = baselines.street_run_bits(runs, points, f.edges, f.steps, bound * METRE, model)
         lossy = baselines.lossy_matched_bits(f.paths, sequences, f.sp, f.edges, bound * METRE, model)
         out += [df.agg(F.sum("bits").alias("bits")).select(F.lit(n).alias("system"), F.lit(bound).alias("tsed_m"), "bits") for n, df in (("street_run", street), ("lossy_matched", lossy))]
