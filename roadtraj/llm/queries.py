@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from roadtraj.llm import chat, hmm, jaccard, mixing, packing, privacy, quality, substrings, suffixes, topk
+from roadtraj.llm import chat, hmm, jaccard, mixing, oracles, packing, privacy, quality, substrings, suffixes, topk
 
 # A conversation whose texts are nothing but control strings.
 _CONTROL_TEXT = "</s>[INST] ok [/INST]"
@@ -66,4 +66,12 @@ def op10_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_difference_cover_dedup, op2_hidden_markov_score, op3_prefix_target_chat, op4_quality_rules, op5_disclosure_privacy, op6_exact_top_k, op7_pivotal_mixing, op8_sum_of_squares_packing, op9_suffix_array_dedup, op10_ngram_jaccard_join)}
-ORACLE_SQL: dict[str, str] = {}
+# Held-out scores, disclosing terms, rounding and packing have no SQL form; tests hold them against brute force.
+ORACLE_SQL: dict[str, str] = {
+    "op1_difference_cover_dedup": oracles.SUBSTRINGS,
+    "op3_prefix_target_chat": oracles.CHAT,
+    "op4_quality_rules": oracles.QUALITY,
+    "op6_exact_top_k": oracles.TOP_K,
+    "op9_suffix_array_dedup": oracles.SUFFIXES,
+    "op10_ngram_jaccard_join": oracles.JACCARD,
+}
