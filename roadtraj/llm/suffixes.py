@@ -49,7 +49,7 @@ from roadtraj.llm.textbatch import BYTE_VALUES, mix64, powers, ragged, run_hashe
 LENGTH = 200
 GRAM = 16
 BLOCK = 24
-MANY = 2_000
+MANY = 20_000  # of one anchor: what a task may gather, some 10 MB of contexts
 REACH = LENGTH - GRAM
 _BASE = 0xC2B2AE3D27D4EB4F
 
@@ -132,7 +132,7 @@ def common_prefixes(text: list[int], order: list[int]) -> list[int]:
 
 
 def _key(docs: DataFrame) -> DataFrame:
-    """doc_id, tie (tells texts of one id apart), times (rows alike), text."""
+    """doc_id, tie (tells texts of one id apart), text."""
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.hash("text").alias("tie"), F.coalesce("text", F.lit("")).alias("text"))
 
 
