@@ -10,7 +10,8 @@ start. Two bounds, both exact, keep the product small:
   each: the first |x| - ceil(t |x|) + 1. Classes that share such a gram, directly
   or along a chain, form a candidate group.
 
-Each group is cut into blocks of bounded weight; a task multiplies two blocks,
+Texts of such classes are kept, not their gram sets, which are larger and quickly
+made. Each group is cut into blocks of bounded weight; a task multiplies two blocks,
 accumulates overlap counts column range by column range, drops pairs below the
 size-derived bound and returns a star for every connected piece, never all
 pairs. Components of all stars are found by label propagation with pointer
@@ -34,7 +35,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from roadtraj.llm.scratch import materialize
-from roadtraj.llm.textbatch import LOWER, mix64, powers, slices, word_hashes, words_of
+from roadtraj.llm.textbatch import LOWER, mix64, powers, ragged, slices, word_hashes, words_of
 
 BLOCK_WEIGHT = 200_000  # grams, and 200 for each document
 _COLUMNS = 2048
@@ -91,12 +92,21 @@ def _sampled_rows(batches: Iterator[pa.RecordBatch], n: int, modulus: int) -> It
         yield pa.RecordBatch.from_arrays([pa.array(gram[at].view(np.int64)), pa.array(ids[at].view(np.int64))], names=["h", "set_id"])
 
 
-def _set_rows(batches: Iterator[pa.RecordBatch], n: int) -> Iterator[pa.RecordBatch]:
+def _true_rows(batches: Iterator[pa.RecordBatch], n: int) -> Iterator[pa.RecordBatch]:
+    """Rows whose text has the set it is meant to have, not another text of that id."""
+    for batch in slices(batches):
+        ids = set_ids(*gram_sets(batch.column("text"), n)).view(np.int64)
+        yield batch.filter(pa.array(batch.column("set_id").to_numpy() == ids))
+
+
+def _prefix_rows(batches: Iterator[pa.RecordBatch], n: int, percent: int) -> Iterator[pa.RecordBatch]:
+    """The smallest grams of each set, as many as two linked sets must share one of."""
     for batch in slices(batches):
         gram, bounds = gram_sets(batch.column("text"), n)
-        arrays = pa.ListArray.from_arrays(pa.array(bounds.astype(np.int32)), pa.array(gram.view(np.int64)))
-        same = batch.column("set_id").to_numpy() == set_ids(gram, bounds).view(np.int64)  # not another text of that id
-        yield pa.RecordBatch.from_arrays([batch.column("set_id"), pa.array(np.diff(bounds).astype(np.int64)), arrays], names=["set_id", "size", "grams"]).filter(pa.array(same))
+        size = np.diff(bounds)
+        length = np.where(size > 0, size - -(-percent * size // 100) + 1, 0)
+        at = ragged(bounds[:-1], length)
+        yield pa.RecordBatch.from_arrays([batch.column("set_id").take(pa.array(np.repeat(np.arange(len(size)), length))), pa.array(gram[at].view(np.int64))], names=["set_id", "h"])
 
 
 def _pieces(linked: np.ndarray) -> np.ndarray:
@@ -141,12 +151,13 @@ def block_links(sets: list[np.ndarray], sides: np.ndarray, percent: int) -> np.n
     return _pieces(linked)
 
 
-def _link_group(percent: int):
+def _link_group(n: int, percent: int):
     def link(frame: pd.DataFrame) -> pd.DataFrame:
         frame = frame.sort_values("set_id", ignore_index=True)
         i, j = frame["i"].iloc[0], frame["j"].iloc[0]
         sides = np.full(len(frame), 2) if i == j else np.where(frame["own"].to_numpy() == i, 0, 1)
-        label = block_links([np.asarray(g).view(np.uint64) for g in frame["grams"]], sides, percent)
+        gram, bounds = gram_sets(pa.array(frame["text"], pa.string()), n)
+        label = block_links([gram[a:b] for a, b in zip(bounds[:-1], bounds[1:], strict=True)], sides, percent)
         ids = frame["set_id"].to_numpy()
         at = np.flatnonzero(label != np.arange(len(label)))
         return pd.DataFrame({"a": ids[at], "b": ids[label[at]]})
@@ -175,27 +186,26 @@ def linked_classes(docs: DataFrame, n: int, percent: int) -> tuple[DataFrame, Da
     """(doc_id, tie, n_shingles, set_id) of all rows, and (set_id, label) of classes that link with another."""
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
     classes = materialize(keyed.mapInArrow(lambda batches: _class_rows(batches, n), "doc_id long, n_shingles long, set_id long"), "classes")
-    modulus = max(1, min(6, 60 // (100 - percent))) if percent < 100 else 6
+    modulus = -(-45 // (100 - percent)) if percent < 100 else 5
     sampled = keyed.select("text").mapInArrow(lambda batches: _sampled_rows(batches, n, modulus), "h long, set_id long")
     lone = sampled.groupBy("h").agg(F.min("set_id").alias("lo"), F.max("set_id").alias("hi")).where("lo = hi").groupBy("lo").agg(F.count(F.lit(1)).alias("lone"))
     heads = classes.where("set_id <> 0").groupBy("set_id").agg(F.first("n_shingles").alias("size"), F.min(F.struct(F.col("doc_id").isNull(), "doc_id")).alias("m"))
     near = heads.join(lone, heads["set_id"] == lone["lo"], "left").where(100 * F.coalesce("lone", F.lit(0)) <= (100 - percent) * F.col("size"))
     near = materialize(near.select("set_id", "size", F.col("m.doc_id").alias("head")), "near")
 
-    texts = keyed.join(near.where("head IS NOT NULL").select("head", "set_id"), keyed["doc_id"] == F.col("head")).select("set_id", "text")
-    sets = texts.mapInArrow(lambda batches: _set_rows(batches, n), "set_id long, size long, grams array<long>")
-    sets = materialize(sets, "sets")  # a repeated row's set stands twice; it links with itself only
-    prefix = F.slice("grams", F.lit(1), F.expr(f"cast(size - ceil({percent} * size / 100.0) + 1 as int)"))
-    short = materialize(sets.select("set_id", F.explode(prefix).alias("h")), "prefixes")
+    texts = keyed.join(near.where("head IS NOT NULL").select("head", "set_id", "size"), keyed["doc_id"] == F.col("head")).select("set_id", "size", "text")
+    # A repeated row's text stands twice; it links with itself only.
+    texts = materialize(texts.mapInArrow(lambda batches: _true_rows(batches, n), "set_id long, size long, text string"), "texts")
+    short = materialize(texts.mapInArrow(lambda batches: _prefix_rows(batches, n, percent), "set_id long, h long"), "prefixes")
     shared = materialize(short.groupBy("h").agg(F.min("set_id").alias("lo"), F.max("set_id").alias("hi")).where("lo < hi").select("h", "lo"), "shared")
     stars = short.join(shared, "h").where("set_id <> lo").select(F.col("set_id").alias("a"), F.col("lo").alias("b"))
     groups = components(stars, "groups")
-    member = sets.select("set_id", "size").join(groups, sets["set_id"] == groups["node"]).select("set_id", "size", F.col("label").alias("part")).distinct()
+    member = texts.select("set_id", "size").join(groups, texts["set_id"] == groups["node"]).select("set_id", "size", F.col("label").alias("part")).distinct()
     weights = member.groupBy("part").agg(F.greatest(F.lit(1), F.ceil(F.sum(F.col("size") + 200) / BLOCK_WEIGHT)).cast("int").alias("blocks"))
     placed = materialize(member.select("set_id", "part").join(weights, "part").withColumn("own", F.pmod(F.xxhash64("set_id"), F.col("blocks")).cast("int")), "placed")
-    dealt = sets.join(placed, "set_id").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    dealt = dealt.select("part", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "set_id", "grams")
-    stars = dealt.groupBy("part", "i", "j").applyInPandas(_link_group(percent), "a long, b long")
+    dealt = texts.join(placed, "set_id").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.select("part", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "set_id", "text")
+    stars = dealt.groupBy("part", "i", "j").applyInPandas(_link_group(n, percent), "a long, b long")
     return classes, components(stars, "links")
 
 

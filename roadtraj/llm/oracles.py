@@ -61,8 +61,8 @@ WITH RECURSIVE d AS (SELECT doc_id, list_filter(string_split_regex(translate(coa
 g AS (SELECT DISTINCT doc_id, w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] AS k FROM (SELECT doc_id, w, unnest(range(1, len(w) - 1)) AS i FROM d WHERE len(w) >= 3)
   UNION SELECT doc_id, array_to_string(w, ' ') FROM d WHERE len(w) BETWEEN 1 AND 2),
 n AS (SELECT doc_id, count(*) AS size FROM g GROUP BY doc_id),
-o AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS both FROM g a JOIN g b ON a.k = b.k AND a.doc_id < b.doc_id GROUP BY a.doc_id, b.doc_id),
-l AS (SELECT a, b FROM o JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * both >= 90 * (x.size + y.size - both)),
+o AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS met FROM g a JOIN g b ON a.k = b.k AND a.doc_id < b.doc_id GROUP BY a.doc_id, b.doc_id),
+l AS (SELECT a, b FROM o JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * met >= 90 * (x.size + y.size - met)),
 e AS (SELECT a, b FROM l UNION SELECT b, a FROM l),
 t(a, b) AS (SELECT a, b FROM e UNION SELECT t.a, e.b FROM t JOIN e ON t.b = e.a)
 SELECT d.doc_id, coalesce(size, 0) AS n_shingles, least(d.doc_id, (SELECT min(b) FROM t WHERE t.a = d.doc_id)) AS component_id FROM d LEFT JOIN n ON d.doc_id = n.doc_id"""
