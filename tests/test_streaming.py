@@ -12,9 +12,9 @@ def _points(spark, folder, rows):
 
 def test_online_codec_equals_batch(spark, tmp_path):
     folder = str(tmp_path / "in")
-    rows = [(k, (i * i * (k + 3)) % 17 + i * 10, i * 60 + k) for k in range(4) for i in range(30)]
+    rows = [(k, (i * i * (k + 3)) % 17 + i * 10, 1000 + i * 60 + k) for k in range(4) for i in range(30)]
     for lo in (0, 10, 20):  # three files, so three micro-batches
-        _points(spark, folder, [r for r in rows if lo * 60 <= r[2] - r[0] < (lo + 10) * 60])
+        _points(spark, folder, [r for r in rows if lo * 60 <= r[2] - 1000 - r[0] < (lo + 10) * 60])
     flush = [(k, 10**6, 10**7 + k) for k in range(99, 101)]
     _points(spark, folder, flush)
     raw = spark.readStream.schema("trip_id long, d long, t long").option("maxFilesPerTrigger", 1).parquet(folder)
@@ -28,6 +28,6 @@ def test_online_codec_equals_batch(spark, tmp_path):
 
 def test_deduplicated_stream(spark, tmp_path):
     folder = str(tmp_path / "ev")
-    spark.range(5).selectExpr("id as event_id", "timestamp_seconds(id) as ts").unionAll(spark.range(5).selectExpr("id as event_id", "timestamp_seconds(id) as ts")).write.parquet(folder)
+    spark.range(5).selectExpr("id as event_id", "timestamp_seconds(id + 9) as ts").unionAll(spark.range(5).selectExpr("id as event_id", "timestamp_seconds(id + 9) as ts")).write.parquet(folder)
     raw = spark.readStream.schema("event_id long, ts timestamp").parquet(folder)
     assert online.run_to_table(online.deduplicated(raw), "dedup").count() == 5
