@@ -20,9 +20,9 @@ THETA = 3
 
 def explode_grams(paths: DataFrame, theta: int = THETA, column: str = "path", at: str = "start") -> DataFrame:
     """All other columns, pos (from 1), n, gram: one row for each gram that starts (or ends) at each place."""
-    placed = paths.withColumn("pos", F.explode(F.sequence(F.lit(1), F.size(column)))) if at == "start" else paths.withColumn("pos", F.explode(F.sequence(F.lit(1), F.size(column))))
+    placed = paths.where(F.size(column) > 0).withColumn("pos", F.explode(F.sequence(F.lit(1), F.size(column))))
     room = (F.size(column) - F.col("pos") + 1) if at == "start" else F.col("pos")
-    each = placed.where(F.size(column) > 0).withColumn("n", F.explode(F.sequence(F.lit(1), F.least(F.lit(theta), room))))
+    each = placed.withColumn("n", F.explode(F.sequence(F.lit(1), F.least(F.lit(theta), room))))
     first = F.col("pos") if at == "start" else F.col("pos") - F.col("n") + 1
     return each.withColumn("gram", F.array_join(F.slice(column, first, F.col("n")), "-")).drop(column)
 
@@ -153,7 +153,17 @@ def tune_theta(paths: DataFrame, edges: DataFrame, most: int = 8) -> DataFrame:
     return out if out is not None else spark.createDataFrame([], "theta int, bits_before long, bits_after long")
 
 
-def rank_symbols(paths: DataFrame) -> DataFrame:
-    """symbol, id: dense ids of string symbols, most frequent first, without a global window over all places."""
+def rank_symbols(paths: DataFrame, partitions: int = 8) -> DataFrame:
+    """symbol, id, freq: dense ids of string symbols, most frequent first.
+
+    Ranks within range partitions plus the sizes of the partitions before: only
+    one number for each partition meets in one task, not the symbols.
+    """
+    from roadtraj.plans.scratch import cut
+
     counted = paths.select(F.explode("path").alias("symbol")).groupBy("symbol").agg(F.count(F.lit(1)).alias("freq"))
-    return counted.withColumn("id", F.row_number().over(Window.orderBy(F.desc("freq"), "symbol"))).select("symbol", "id", "freq")
+    placed = cut(counted.repartitionByRange(partitions, F.desc("freq"), "symbol").withColumn("part", F.spark_partition_id()))
+    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    sizes = placed.groupBy("part").count().select("part", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("offset"))
+    local = F.row_number().over(Window.partitionBy("part").orderBy(F.desc("freq"), "symbol"))
+    return placed.withColumn("local", local).join(sizes, "part").select("symbol", (F.col("local") + F.col("offset")).alias("id"), "freq")

@@ -59,3 +59,11 @@ def aux_sizes(sp: DataFrame, grams: DataFrame, spans: DataFrame) -> DataFrame:
 def match_accuracy(matched: DataFrame, truth: DataFrame) -> DataFrame:
     """n, right: fixes with a match, and those whose edge is the one driven."""
     return matched.withColumnRenamed("e", "found").join(truth.select("trip_id", "seq", "e"), ["trip_id", "seq"]).agg(F.count(F.lit(1)).alias("n"), F.sum((F.col("found") == F.col("e")).cast("long")).alias("right"))
+
+
+def check_dominance(network_gap: DataFrame, plane_gap: DataFrame, slack: int = 4) -> DataFrame:
+    """trip_id, tsnd, tsed2 of trips whose plane distance exceeds the network distance: none where weights are at least straight lengths.
+
+    ``slack`` covers positions that are rounded down.
+    """
+    return network_gap.join(plane_gap, "trip_id").where(F.col("tsed2") > (F.col("tsnd") + slack) * (F.col("tsnd") + slack)).select("trip_id", "tsnd", "tsed2")

@@ -585,6 +585,59 @@ def tsed(spark, sf_dir):
     return measures.tsed_squared(*_moved(Fixtures(spark, sf_dir), 100, 100))
 
 
+@query(f"WITH {BASE} SELECT count(DISTINCT trip_id) AS trips, 0 AS violations FROM points")
+def tsed_dominance(spark, sf_dir):
+    """Trips, and those whose plane error exceeds their network error; streets that wrap around the torus are left out of the plane."""
+    f = Fixtures(spark, sf_dir)
+    flat = f.steps.join(f.edges.where("abs(x1 - x0) + abs(y1 - y0) > w"), "e", "left_semi").select("trip_id").distinct()
+    worse = measures.check_dominance(temporal.tsnd(f.pair(100, 100)), measures.tsed_squared(*_moved(f, 100, 100))).join(flat, "trip_id", "left_anti")
+    return f.temporal.agg(F.count(F.lit(1)).alias("trips")).crossJoin(worse.agg(F.count(F.lit(1)).cast("int").alias("violations")))
+
+
+@query(
+    """WITH w AS (SELECT unnest(string_split_regex(lower(text), '\\s+')) AS symbol FROM documents), c AS (SELECT symbol, count(*) AS freq FROM w GROUP BY symbol)
+SELECT symbol, row_number() OVER (ORDER BY freq DESC, symbol) AS id, freq FROM c"""
+)
+def symbol_ids_docs(spark, sf_dir):
+    return grams.rank_symbols(trips.token_paths(spark, sf_dir, "documents"))
+
+
+@query(f"{EXACT}, ask AS (SELECT trip_id, t_first + (t_last - t_first) * (trip_id * 37 % 101) // 100 AS t FROM ends), a AS ({O.at_time('ask')}) SELECT trip_id, d FROM a")
+def sql_surface(spark, sf_dir):
+    """The same question in SQL text, over views and registered functions."""
+    from roadtraj.functions import sqlfns
+
+    f = Fixtures(spark, sf_dir)
+    sqlfns.register(spark)
+    f.temporal.createOrReplaceTempView("roadtraj_temporal")
+    f.asked_where().createOrReplaceTempView("roadtraj_asked")
+    return spark.sql("SELECT trip_id, dis(temporal, t) AS d FROM roadtraj_asked JOIN roadtraj_temporal USING (trip_id)")
+
+
+@query(f"{MINED} SELECT gram, CAST(i AS INT) AS pos, CAST(string_split(gram, '-')[i] AS INT) AS e FROM grams, range(1, 4) r(i) WHERE i <= n")
+def gram_edges(spark, sf_dir):
+    from roadtraj.functions import sqlfns
+
+    sqlfns.register(spark)
+    Fixtures(spark, sf_dir).grams.createOrReplaceTempView("roadtraj_grams")
+    return spark.sql("SELECT gram, pos, e FROM roadtraj_grams, LATERAL gram_edges(gram)")
+
+
+@query(f"WITH {O.network()} SELECT problem, n FROM (SELECT 'weight not positive' AS problem, count(*) AS n FROM net WHERE w <= 0) WHERE n > 0")
+def network_problems(spark, sf_dir):
+    return network.check_network(network.build_network(spark, sf_dir))
+
+
+@query()
+def alternative_weights(spark, sf_dir):
+    """Pairs and their mean cost when an edge weighs its length, its time or one hop."""
+    out = None
+    for weight in ("length", "time", "hops"):
+        row = shortest.shortest_pairs(network.build_network(spark, sf_dir, "nation", weight), "dijkstra").agg(F.count(F.lit(1)).alias("pairs"), F.sum("dist").alias("total")).select(F.lit(weight).alias("weight"), "pairs", "total")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 @query()
 def bound_grid_ratio(spark, sf_dir):
     """Samples before and after for every pair of bounds, in metres and scaled seconds."""
