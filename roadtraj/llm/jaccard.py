@@ -6,9 +6,9 @@ start. Two bounds, both exact, keep the product small:
 * A document that links with another lacks at most (1 - t) of its grams there.
   Grams with one hash residue are counted over all classes; a class with more
   grams that no other class has than this bound allows can link with nothing.
-* Of the rest, two linked classes share one of the smallest grams (by hash) of
-  each: the first |x| - ceil(t |x|) + 1. Classes that share such a gram, directly
-  or along a chain, form a candidate group.
+* Of the rest, two linked classes share one of the first |x| - ceil(t |x|) + 1
+  grams of each, by hash, a bounded list of very frequent ones last. Classes that
+  share such a gram, directly or along a chain, form a candidate group.
 
 Texts of such classes are kept, not their gram sets, which are larger and quickly
 made. Each group is cut into blocks of bounded weight; a task multiplies two blocks,
@@ -38,6 +38,7 @@ from roadtraj.llm.scratch import materialize
 from roadtraj.llm.textbatch import LOWER, mix64, powers, ragged, slices, word_hashes, words_of
 
 BLOCK_WEIGHT = 200_000  # grams, and 200 for each document
+HEAVY = 500_000  # grams put last in every prefix; 4 MB
 _COLUMNS = 2048
 _SEEDS = powers(0x9FB21C651E98DF25, 4096)[0]
 
@@ -99,16 +100,40 @@ def _true_rows(batches: Iterator[pa.RecordBatch], n: int) -> Iterator[pa.RecordB
         yield batch.filter(pa.array(batch.column("set_id").to_numpy() == ids))
 
 
-def _prefix_rows(batches: Iterator[pa.RecordBatch], n: int, percent: int) -> Iterator[pa.RecordBatch]:
-    """The smallest grams of each set, as many as two linked sets must share one of."""
+def _prefix_rows(batches: Iterator[pa.RecordBatch], n: int, percent: int, heavy: np.ndarray, times: int = 1) -> Iterator[pa.RecordBatch]:
+    """The first grams of each set, as many as two linked sets must share one of (or ``times`` as many).
+
+    Grams go by hash, heavy ones last: any order that is the same for all sets will do.
+    """
     for batch in slices(batches):
         gram, bounds = gram_sets(batch.column("text"), n)
         size = np.diff(bounds)
-        length = np.where(size > 0, size - -(-percent * size // 100) + 1, 0)
+        if len(heavy) and len(gram):
+            last = heavy[np.minimum(np.searchsorted(heavy, gram), len(heavy) - 1)] == gram
+            gram = gram[np.lexsort((gram, last, np.repeat(np.arange(len(size)), size)))]
+        length = np.where(size > 0, np.minimum(times * (size - -(-percent * size // 100) + 1), size), 0)
         at = ragged(bounds[:-1], length)
         yield pa.RecordBatch.from_arrays([batch.column("set_id").take(pa.array(np.repeat(np.arange(len(size)), length))), pa.array(gram[at].view(np.int64))], names=["set_id", "h"])
 
 
+def heavy_grams(texts: DataFrame, n: int, percent: int, most: int = HEAVY) -> np.ndarray:
+    """The most frequent of the grams that prefixes are taken from, at most ``most`` of them.
+
+    Passages that many documents share would tie unrelated documents into one
+    candidate group; put last, they hardly enter a prefix.
+    """
+    none = np.zeros(0, np.uint64)
+    seen = texts.mapInArrow(lambda batches: _prefix_rows(batches, n, percent, none, 3), "set_id long, h long")
+    often = materialize(seen.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n >= 16"), "often")
+    level = F.floor(F.log2("n") * 8)
+    room, cut = most, 1 << 20
+    for r in sorted(often.groupBy(level.alias("level")).count().collect(), key=lambda r: -r["level"]):
+        if r["count"] > room:
+            break
+        room, cut = room - r["count"], r["level"]
+    return np.sort(often.where(level >= cut).select("h").toArrow().column("h").to_numpy().view(np.uint64))
+
+
 def _pieces(linked: np.ndarray) -> np.ndarray:
     """Smallest member of each row's connected piece of a symmetric boolean matrix."""
     label = np.arange(len(linked))
@@ -196,7 +221,8 @@ def linked_classes(docs: DataFrame, n: int, percent: int) -> tuple[DataFrame, Da
     texts = keyed.join(near.where("head IS NOT NULL").select("head", "set_id", "size"), keyed["doc_id"] == F.col("head")).select("set_id", "size", "text")
     # A repeated row's text stands twice; it links with itself only.
     texts = materialize(texts.mapInArrow(lambda batches: _true_rows(batches, n), "set_id long, size long, text string"), "texts")
-    short = materialize(texts.mapInArrow(lambda batches: _prefix_rows(batches, n, percent), "set_id long, h long"), "prefixes")
+    heavy = texts.sparkSession.sparkContext.broadcast(heavy_grams(texts, n, percent))
+    short = materialize(texts.mapInArrow(lambda batches: _prefix_rows(batches, n, percent, heavy.value), "set_id long, h long"), "prefixes")
     shared = materialize(short.groupBy("h").agg(F.min("set_id").alias("lo"), F.max("set_id").alias("hi")).where("lo < hi").select("h", "lo"), "shared")
     stars = short.join(shared, "h").where("set_id <> lo").select(F.col("set_id").alias("a"), F.col("lo").alias("b"))
     groups = components(stars, "groups")
