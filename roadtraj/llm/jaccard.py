@@ -6,9 +6,11 @@ start. Two bounds, both exact, keep the product small:
 * A document that links with another lacks at most (1 - t) of its grams there.
   Grams with one hash residue are counted over all classes; a class with more
   grams that no other class has than this bound allows can link with nothing.
-* Of the rest, two linked classes share one of the first |x| - ceil(t |x|) + 1
-  grams of each, by hash, a bounded list of very frequent ones last. Classes that
-  share such a gram, directly or along a chain, form a candidate group.
+* Of the rest, two linked classes share k of the first |x| - ceil(t |x|) + k
+  grams of each, by hash, a bounded list of very frequent ones last. Where a gram
+  is in few classes, its pairs are counted, and those that share fewer than k are
+  discarded. Classes that share a gram of many, directly or along a chain, form a
+  candidate group, whose pairs are never listed.
 
 Texts of such classes are kept, not their gram sets, which are larger and quickly
 made. Each group is cut into blocks of bounded weight; a task multiplies two blocks,
@@ -40,6 +42,8 @@ from roadtraj.llm.textbatch import LOWER, mix64, powers, ragged, slices, word_ha
 BLOCK_WEIGHT = 200_000  # grams, and 200 for each document
 HEAVY = 500_000  # grams put last in every prefix; 4 MB
 _COLUMNS = 2048
+CROWD = 64  # sets that share a gram and are still compared pair by pair
+_PREFIXES = "set_id long, size int, need int, h long"
 _SEEDS = powers(0x9FB21C651E98DF25, 4096)[0]
 
 
@@ -100,20 +104,38 @@ def _true_rows(batches: Iterator[pa.RecordBatch], n: int) -> Iterator[pa.RecordB
         yield batch.filter(pa.array(batch.column("set_id").to_numpy() == ids))
 
 
-def _prefix_rows(batches: Iterator[pa.RecordBatch], n: int, percent: int, heavy: np.ndarray, times: int = 1) -> Iterator[pa.RecordBatch]:
-    """The first grams of each set, as many as two linked sets must share one of (or ``times`` as many).
+def _prefix_rows(batches: Iterator[pa.RecordBatch], n: int, percent: int, heavy: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """The first grams of each set: set_id, size, need, h.
 
-    Grams go by hash, heavy ones last: any order that is the same for all sets will do.
+    Grams go by hash, heavy ones last: any order that is the same for all sets
+    will do. A linked set lacks at most d grams; of the first d + need grams of
+    both sets, with the smaller need, at least need are shared. ``need`` is 1
+    where a set has no more than d light grams.
     """
     for batch in slices(batches):
         gram, bounds = gram_sets(batch.column("text"), n)
         size = np.diff(bounds)
-        if len(heavy) and len(gram):
-            last = heavy[np.minimum(np.searchsorted(heavy, gram), len(heavy) - 1)] == gram
-            gram = gram[np.lexsort((gram, last, np.repeat(np.arange(len(size)), size)))]
-        length = np.where(size > 0, np.minimum(times * (size - -(-percent * size // 100) + 1), size), 0)
-        at = ragged(bounds[:-1], length)
-        yield pa.RecordBatch.from_arrays([batch.column("set_id").take(pa.array(np.repeat(np.arange(len(size)), length))), pa.array(gram[at].view(np.int64))], names=["set_id", "h"])
+        document = np.repeat(np.arange(len(size)), size)
+        last = heavy[np.minimum(np.searchsorted(heavy, gram), len(heavy) - 1)] == gram if len(heavy) and len(gram) else np.zeros(len(gram), bool)
+        gram = gram[np.lexsort((gram, last, document))]
+        light = np.bincount(document[~last], minlength=len(size))
+        lacks = size - -(-percent * size // 100)
+        need = np.maximum(np.minimum(2 * lacks + 1, light - lacks), 1)
+        length = np.minimum(np.where(size > 0, lacks + need, 0), size)
+        rows = pa.array(np.repeat(np.arange(len(size)), length))
+        yield pa.RecordBatch.from_arrays([batch.column("set_id").take(rows), pa.array(size.astype(np.int32)).take(rows), pa.array(need.astype(np.int32)).take(rows), pa.array(gram[ragged(bounds[:-1], length)].view(np.int64))], names=["set_id", "size", "need", "h"])
+
+
+def _linked_rows(batches: Iterator[pa.RecordBatch], n: int, percent: int) -> Iterator[pa.RecordBatch]:
+    """a, b of the pairs whose texts' sets link."""
+    for batch in slices(batches, "text_a", 1 << 20):
+        one, two = gram_sets(batch.column("text_a"), n), gram_sets(batch.column("text_b"), n)
+        linked = []
+        for k in range(batch.num_rows):
+            x, y = (g[b[k] : b[k + 1]] for g, b in (one, two))
+            met = len(np.intersect1d(x, y, assume_unique=True))
+            linked.append(100 * met >= percent * (len(x) + len(y) - met))
+        yield batch.select(["a", "b"]).filter(pa.array(linked))
 
 
 def heavy_grams(texts: DataFrame, n: int, percent: int, most: int = HEAVY) -> np.ndarray:
@@ -123,7 +145,7 @@ def heavy_grams(texts: DataFrame, n: int, percent: int, most: int = HEAVY) -> np
     candidate group; put last, they hardly enter a prefix.
     """
     none = np.zeros(0, np.uint64)
-    seen = texts.mapInArrow(lambda batches: _prefix_rows(batches, n, percent, none, 3), "set_id long, h long")
+    seen = texts.mapInArrow(lambda batches: _prefix_rows(batches, n, percent, none), _PREFIXES)
     often = materialize(seen.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n >= 16"), "often")
     level = F.floor(F.log2("n") * 8)
     room, cut = most, 1 << 20
@@ -222,9 +244,20 @@ def linked_classes(docs: DataFrame, n: int, percent: int) -> tuple[DataFrame, Da
     # A repeated row's text stands twice; it links with itself only.
     texts = materialize(texts.mapInArrow(lambda batches: _true_rows(batches, n), "set_id long, size long, text string"), "texts")
     heavy = texts.sparkSession.sparkContext.broadcast(heavy_grams(texts, n, percent))
-    short = materialize(texts.mapInArrow(lambda batches: _prefix_rows(batches, n, percent, heavy.value), "set_id long, h long"), "prefixes")
-    shared = materialize(short.groupBy("h").agg(F.min("set_id").alias("lo"), F.max("set_id").alias("hi")).where("lo < hi").select("h", "lo"), "shared")
-    stars = short.join(shared, "h").where("set_id <> lo").select(F.col("set_id").alias("a"), F.col("lo").alias("b"))
+    short = texts.mapInArrow(lambda batches: _prefix_rows(batches, n, percent, heavy.value), _PREFIXES)
+    shared = materialize(short.groupBy("h").agg(F.min("set_id").alias("lo"), F.max("set_id").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo < hi").select("h", "lo", (F.col("n") > CROWD).alias("crowded")), "shared")
+
+    # Grams of few sets: pairs with the shared grams counted; a pair below what both need is none.
+    row = F.struct("set_id", "size", "need")
+    few = short.join(shared.where("NOT crowded").select("h"), "h").groupBy("h").agg(F.sort_array(F.collect_set(row)).alias("s"))
+    pair = "explode(flatten(transform(s, (x, i) -> transform(filter(slice(s, i + 2, size(s)), y -> 100L * y.size >= {p}L * x.size AND 100L * x.size >= {p}L * y.size), y -> named_struct('a', x.set_id, 'b', y.set_id, 'need', least(x.need, y.need))))))"
+    pairs = few.select(F.expr(pair.format(p=percent)).alias("p")).groupBy("p.a", "p.b").agg(F.count(F.lit(1)).alias("met"), F.max("p.need").alias("need")).where("met >= need").select("a", "b")
+    pairs = materialize(pairs, "pairs")
+    sided = pairs.join(texts.select(F.col("set_id").alias("a"), F.col("text").alias("text_a")), "a").join(texts.select(F.col("set_id").alias("b"), F.col("text").alias("text_b")), "b")
+    found = sided.mapInArrow(lambda batches: _linked_rows(batches, n, percent), "a long, b long")
+
+    # Grams of many sets: whoever shares one, directly or along a chain, is compared block by block.
+    stars = short.join(shared.where("crowded").select("h", "lo"), "h").where("set_id <> lo").select(F.col("set_id").alias("a"), F.col("lo").alias("b"))
     groups = components(stars, "groups")
     member = texts.select("set_id", "size").join(groups, texts["set_id"] == groups["node"]).select("set_id", "size", F.col("label").alias("part")).distinct()
     weights = member.groupBy("part").agg(F.greatest(F.lit(1), F.ceil(F.sum(F.col("size") + 200) / BLOCK_WEIGHT)).cast("int").alias("blocks"))
@@ -232,7 +265,7 @@ def linked_classes(docs: DataFrame, n: int, percent: int) -> tuple[DataFrame, Da
     dealt = texts.join(placed, "set_id").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     dealt = dealt.select("part", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "set_id", "text")
     stars = dealt.groupBy("part", "i", "j").applyInPandas(_link_group(n, percent), "a long, b long")
-    return classes, components(stars, "links")
+    return classes, components(stars.unionByName(found), "links")
 
 
 def join_components(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:

@@ -124,6 +124,7 @@ def test_jaccard(spark):
 def test_jaccard_blocks(spark, monkeypatch):
     """A group in many blocks, linked only through its centre."""
     monkeypatch.setattr(jaccard, "BLOCK_WEIGHT", 1500)
+    monkeypatch.setattr(jaccard, "CROWD", 4)
     rng = random.Random(4)
     centre = [f"w{rng.randrange(10**6)}" for _ in range(60)]
     rows = [(0, " ".join(centre), None, None, None)]
