@@ -14,12 +14,16 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 
+_OWN: dict[str, str | None] = {}
+
+
 def shared_folder(spark: SparkSession) -> str:
     """The cluster's ``spark.checkpoint.dir``; a temporary folder only where that is unset."""
     folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not folder:
-        folder = f"file://{tempfile.mkdtemp(prefix='roadtraj-')}"
-        spark.conf.set("spark.checkpoint.dir", folder)
+    if not folder:  # tests on one machine
+        app = spark.sparkContext.applicationId
+        folder = _OWN.setdefault(app, None) or f"file://{tempfile.mkdtemp(prefix='roadtraj-')}"
+        _OWN[app] = folder
     return folder
 
 
