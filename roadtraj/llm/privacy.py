@@ -5,9 +5,9 @@ case) within a fixed distance of a mention is a candidate. Over the whole corpus
 of N documents, with n(e) and n(t) documents that hold the entity and the term,
 and n(e, t) that hold the term near the entity, the entity carries
 log(N / n(e)) of information and the term reveals log(n(e,t) N / (n(e) n(t))) of
-it. A term that reveals at least a set share of the information, seen in enough
-documents, is a span of kind ``term``: generalised, or removed where it reveals
-nearly all. Everything is built-in DataFrame expressions and SQL functions.
+it. A term that reveals at least a set share of the information is a span of kind
+``term``: generalised, or removed where it reveals nearly all. One document is
+enough, since most personal values occur in no more. Everything is built-in DataFrame expressions and SQL functions.
 
 Defined results: a null text is empty; a null doc_id is an id of its own;
 repeated rows count as documents each and get the same spans; columns beyond
@@ -43,7 +43,6 @@ _GAP = r"[^\p{L}\p{N}]+"
 _RUN = r"[\p{L}\p{N}]+"
 
 REACH = 64
-SUPPORT = 3
 GENERALISE, REMOVE = 0.8, 0.95
 
 
@@ -100,10 +99,10 @@ def term_documents(docs: DataFrame) -> DataFrame:
 
 
 def disclosures(docs: DataFrame, near: DataFrame, found: DataFrame) -> DataFrame:
-    """entity, term, share: the share of the entity's information that the term reveals, where support suffices."""
+    """entity, term, share: the share of the entity's information that the term reveals, of GENERALISE or more."""
     total = found.count()
     of_entity = found.select("doc_id", "row_key", F.explode(F.expr("array_distinct(transform(spans, s -> struct(s.kind as kind, s.value as value)))")).alias("entity")).groupBy("entity").agg(F.count(F.lit(1)).alias("n_entity"))
-    pairs = near.groupBy("entity", "term", "doc_id", "row_key").agg(F.count(F.lit(1)).alias("n")).groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_both")).where(F.col("n_both") >= SUPPORT)
+    pairs = near.groupBy("entity", "term", "doc_id", "row_key").agg(F.count(F.lit(1)).alias("n")).groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_both"))
     counted = materialize(pairs, "pairs")
     of_term = term_documents(docs).join(counted.select("term").distinct(), "term", "left_semi")
     share = F.log(F.col("n_both") * F.lit(float(total)) / (F.col("n_entity") * F.col("n_term"))) / F.log(F.lit(float(total)) / F.col("n_entity"))

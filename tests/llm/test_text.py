@@ -82,6 +82,12 @@ def test_privacy(spark):
     assert privacy.digests(privacy.find(frame(spark, []))).count() == 0
 
 
+def test_privacy_of_values_seen_once(spark):
+    rows = [(1, "ask quentin at q7@mail.org today", None, None, None), *[(2 + i, "ask at today", None, None, None) for i in range(40)]]
+    got = {r.doc_id: r.spans for r in privacy.digests(privacy.find(frame(spark, rows))).collect()}
+    assert got[1] == "term:4:11,email:15:26" and set(got.values()) == {got[1], ""}
+
+
 def test_targets(spark):
     sizes = spark.createDataFrame([("a", 100), ("b", 10), ("c", 50), (None, 7), ("d", 0)], "source string, size long")
     got = {r.source: r.target for r in mixing.targets(sizes).collect()}
