@@ -1,23 +1,30 @@
 """Personal data: pattern spans, and terms whose co-occurrence discloses them.
 
-Patterns find the protected entities. A term (a run of letters and digits, lower
-case) within a fixed distance of a mention is a candidate. Over the whole corpus
-of N documents, with n(e) and n(t) documents that hold the entity and the term,
-and n(e, t) that hold the term near the entity, the entity carries
-log(N / n(e)) of information and the term reveals log(n(e,t) N / (n(e) n(t))) of
-it. A term that reveals at least a set share of the information is a span of kind
-``term``: generalised, or removed where it reveals nearly all. One document is
-enough, since most personal values occur in no more. Everything is built-in DataFrame expressions and SQL functions.
+Patterns find the protected entities. A term is a run of letters and digits with a
+letter, lower case. Over the whole corpus of N documents, with n(e) and n(t)
+documents that hold the entity and the term, and n(e, t) that hold both, the
+entity carries log(N / n(e)) of information and the term reveals
+log(n(e, t) N / (n(e) n(t))) of it. A term that reveals at least a set share of the
+information of an entity is, wherever it stands in a document with that entity, a
+span of kind ``term``: generalised, or removed where it reveals nearly all. One
+document is enough, since most personal values occur in no more. Everything is
+built-in DataFrame expressions and SQL functions.
+
+All counts are of whole documents, spans included; only what stands outside every
+pattern span is marked. Entities of the same documents have the same shares, and
+so have terms of the same documents, so pairs are counted between such classes,
+known by a 128-bit sum of hashes. n(e, t) is at most n(e), so pairs whose term is
+too frequent for the set share even then are not formed.
 
 Defined results: a null text is empty; a null doc_id is an id of its own;
 repeated rows count as documents each and get the same spans; columns beyond
 doc_id and text are ignored by ``find``; empty tables give empty tables. The
-cost of locating is quadratic only in the matches of one text.
+cost of locating patterns is quadratic only in the matches of one text.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from roadtraj.llm.scratch import materialize
@@ -38,11 +45,9 @@ _VALID = {
     "card": "length(regexp_replace({v}, '[^0-9]', '')) BETWEEN 14 AND 19 AND luhn_check(regexp_replace({v}, '[^0-9]', ''))",
     "phone": "length(regexp_replace({v}, '[^0-9]', '')) BETWEEN 10 AND 15",
 }
-_SPAN = "struct<start: int, kind: int, stop: int, value: string, before: string, after: string>"
 _GAP = r"[^\p{L}\p{N}]+"
 _RUN = r"[\p{L}\p{N}]+"
 
-REACH = 64
 GENERALISE, REMOVE = 0.8, 0.95
 
 
@@ -60,7 +65,7 @@ def _quoted(pattern: str) -> str:
 
 
 def base_spans(docs: DataFrame, keep: tuple[str, ...] = ()) -> DataFrame:
-    """doc_id, row_key, spans: valid pattern matches with the text around them, by start, then kind."""
+    """doc_id, row_key, spans, held: valid pattern matches by start, then kind, and the text of rows that have some."""
     text = F.coalesce(F.col("text"), F.lit(""))
     frame = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("doc_id", "text").alias("row_key"), text.alias("_t"), *keep)
     digits = F.col("_t").rlike("[0-9]")
@@ -72,41 +77,68 @@ def base_spans(docs: DataFrame, keep: tuple[str, ...] = ()) -> DataFrame:
         frame = frame.withColumn(f"_g_{kind}", F.when(F.size(f"_m_{kind}") > 0, F.split("_t", pattern, -1)).otherwise(F.expr("cast(array() as array<string>)")))
         located = _located(f"_m_{kind}", f"_g_{kind}", KINDS.index(kind))
         lists.append(f"filter({located}, s -> {_VALID[kind].format(v='s.value')})")
-    around = (
-        f"transform(sort_array(concat({', '.join(lists)})), s -> named_struct('start', s.start, 'kind', s.kind, 'stop', s.stop, 'value', s.value, "
-        f"'before', substring(_t, greatest(s.start - {REACH}, 0) + 1, least(s.start, {REACH})), 'after', substring(_t, s.stop + 1, {REACH})))"
-    )
-    return frame.select("doc_id", "row_key", *keep, F.expr(around).alias("spans"))
+    frame = frame.withColumn("spans", F.expr(f"sort_array(concat({', '.join(lists)}))"))
+    return frame.select("doc_id", "row_key", *keep, "spans", F.when(F.size("spans") > 0, F.col("_t")).alias("held"))
 
 
-def _near_terms(found: DataFrame) -> DataFrame:
-    """doc_id, row_key, entity, term, start, stop: terms near mentions, outside every span."""
-    mention = found.where(F.size("spans") > 0).select("doc_id", "row_key", F.expr("transform(spans, s -> struct(s.start, s.stop))").alias("taken"), F.explode("spans").alias("s"))
-    for side in ("before", "after"):
-        mention = mention.withColumn(f"_m_{side}", F.regexp_extract_all(F.col(f"s.{side}"), F.lit(_RUN), F.lit(0))).withColumn(f"_g_{side}", F.split(F.col(f"s.{side}"), _RUN, -1))
-    first = f"greatest(s.start - {REACH}, 0)"
-    before = f"filter({_located('_m_before', '_g_before', 4, first)}, x -> x.stop < s.start AND (x.start > {first} OR {first} = 0))"
-    after = f"filter({_located('_m_after', '_g_after', 4, 's.stop')}, x -> x.start > s.stop AND (x.stop < s.stop + length(s.after) OR length(s.after) < {REACH}))"
-    terms = mention.select("doc_id", "row_key", "taken", F.struct(F.col("s.kind"), F.col("s.value")).alias("entity"), F.explode(F.expr(f"concat({before}, {after})")).alias("x"))
-    clear = terms.where(F.expr("length(x.value) >= 2 AND x.value rlike '\\\\p{L}' AND NOT exists(taken, t -> t.start < x.stop AND x.start < t.stop)"))
-    return clear.select("doc_id", "row_key", "entity", F.lower("x.value").alias("term"), F.col("x.start").alias("start"), F.col("x.stop").alias("stop"))
+def _terms(text: Column) -> Column:
+    """The distinct terms of a text."""
+    return F.array_distinct(F.transform(F.filter(F.split(text, _GAP, -1), lambda x: (F.length(x) >= 2) & x.rlike(r"\p{L}")), F.lower))
 
 
 def term_documents(docs: DataFrame) -> DataFrame:
     """term, n_term: the documents that hold each term, over all texts."""
-    terms = F.array_distinct(F.split(F.lower(F.coalesce("text", F.lit(""))), _GAP))
-    return docs.select(F.explode(terms).alias("term")).groupBy("term").agg(F.count(F.lit(1)).alias("n_term"))
+    return docs.select(F.explode(_terms(F.coalesce("text", F.lit("")))).alias("term")).groupBy("term").agg(F.count(F.lit(1)).alias("n_term"))
+
+
+def _classes(each: DataFrame, what: str) -> DataFrame:
+    """what, n, sums: the documents of each value, and sums of their hashes that tell sets of documents apart."""
+    halves = [f"sum(copies * {half})" for salt in (0, 1) for half in (f"shiftright(xxhash64({salt}, id, row_key), 32)", f"(xxhash64({salt}, id, row_key) & 4294967295L)")]
+    return each.groupBy(what).agg(F.sum("copies").alias("n"), F.expr(f"array({', '.join(halves)})").alias("sums"))
+
+
+def disclosures(docs: DataFrame, found: DataFrame) -> DataFrame:
+    """id, row_key, term, share: the terms of each document that reveal GENERALISE or more of an entity in it, and the most they reveal."""
+    total = float(found.count())
+    held = found.where("held IS NOT NULL").select(F.coalesce("doc_id", F.lit(-1)).alias("id"), "row_key", F.expr("array_distinct(transform(spans, s -> struct(s.kind as kind, s.value as value)))").alias("entities"), _terms(F.col("held")).alias("terms"))
+    held = materialize(held.groupBy("id", "row_key").agg(F.count(F.lit(1)).alias("copies"), F.first("entities").alias("entities"), F.first("terms").alias("terms")), "held")
+    each = held.select("id", "row_key", "copies", F.explode("entities").alias("entity"))
+    of_entity = materialize(_classes(each, "entity").where(F.col("n") < total), "entities")
+    entities = each.join(of_entity, "entity").select("id", "row_key", "copies", F.col("n").alias("n_entity"), F.col("sums").alias("of_entity")).distinct()
 
+    most = of_entity.agg(F.max("n")).first()[0] or 0
+    reach = lambda n: F.pow(F.lit(max(total, 1.0)), F.lit(1 - GENERALISE)) * F.pow(n, F.lit(GENERALISE)) * F.lit(1 + 1e-9)
+    each = held.select("id", "row_key", "copies", F.explode("terms").alias("term"))
+    of_term = _classes(each, "term").drop("n").join(term_documents(docs).where(F.col("n_term") <= reach(F.lit(float(most)))), "term")
+    terms = materialize(each.drop("copies").join(materialize(of_term, "classes"), "term").withColumnRenamed("sums", "of_term"), "terms")
 
-def disclosures(docs: DataFrame, near: DataFrame, found: DataFrame) -> DataFrame:
-    """entity, term, share: the share of the entity's information that the term reveals, of GENERALISE or more."""
-    total = found.count()
-    of_entity = found.select("doc_id", "row_key", F.explode(F.expr("array_distinct(transform(spans, s -> struct(s.kind as kind, s.value as value)))")).alias("entity")).groupBy("entity").agg(F.count(F.lit(1)).alias("n_entity"))
-    pairs = near.groupBy("entity", "term", "doc_id", "row_key").agg(F.count(F.lit(1)).alias("n")).groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_both"))
-    counted = materialize(pairs, "pairs")
-    of_term = term_documents(docs).join(counted.select("term").distinct(), "term", "left_semi")
-    share = F.log(F.col("n_both") * F.lit(float(total)) / (F.col("n_entity") * F.col("n_term"))) / F.log(F.lit(float(total)) / F.col("n_entity"))
-    return counted.join(of_entity, "entity").join(of_term, "term").where(F.col("n_entity") < total).select("entity", "term", share.alias("share")).where(F.col("share") >= GENERALISE)
+    of_doc = terms.select("id", "row_key", "n_term", "of_term").distinct()
+    pairs = materialize(entities.join(of_doc, ["id", "row_key"]).where(F.col("n_term") <= reach(F.col("n_entity"))), "pairs")
+    kinds = ["n_entity", "of_entity", "n_term", "of_term"]
+    share = F.log(F.col("n_both") * F.lit(total) / (F.col("n_entity") * F.col("n_term"))) / F.log(F.lit(total) / F.col("n_entity"))
+    flagged = materialize(pairs.groupBy(kinds).agg(F.sum("copies").alias("n_both")).withColumn("share", share).where(F.col("share") >= GENERALISE), "flagged")
+    best = pairs.join(flagged, kinds).groupBy("id", "row_key", "n_term", "of_term").agg(F.max("share").alias("share"))
+    return terms.join(best, ["id", "row_key", "n_term", "of_term"]).select("id", "row_key", "term", "share")
+
+
+def _extra(found: DataFrame, flagged: DataFrame) -> DataFrame:
+    """id, row_key, extra: every occurrence of the flagged terms of each document that no span overlaps.
+
+    A run ends where the lengths of all runs and gaps up to it add up to. It is
+    overlapped if a span that starts before its end ends behind its start.
+    """
+    rows = found.where("held IS NOT NULL").select(F.coalesce("doc_id", F.lit(-1)).alias("id"), "row_key", "spans", "held")
+    rows = rows.join(flagged.select("id", "row_key").distinct(), ["id", "row_key"], "left_semi").dropDuplicates(["id", "row_key"])
+    cut = rows.select("id", "row_key", F.split("held", _RUN, -1).alias("gap"), F.regexp_extract_all("held", F.lit(_RUN), F.lit(0)).alias("run"))
+    runs = cut.select("id", "row_key", F.posexplode(F.arrays_zip("gap", "run")).alias("pos", "x")).where("x.run IS NOT NULL")
+    here = Window.partitionBy("id", "row_key")
+    placed = runs.withColumn("stop", F.sum(F.length("x.gap") + F.length("x.run")).over(here.orderBy("pos")).cast("int"))
+    placed = placed.select("id", "row_key", F.lower("x.run").alias("term"), (F.col("stop") - F.length("x.run")).alias("start"), "stop")
+    hits = placed.join(flagged, ["id", "row_key", "term"]).select("id", "row_key", "start", "stop", "share", (2 * F.col("stop") - 1).alias("at"))
+    spans = rows.select("id", "row_key", F.explode("spans").alias("s")).select("id", "row_key", "s.start", "s.stop", F.lit(None).cast("double").alias("share"), (2 * F.col("s.start")).alias("at"))
+    swept = hits.unionByName(spans).withColumn("taken", F.max(F.when(F.col("share").isNull(), F.col("stop"))).over(here.orderBy("at")))
+    clear = swept.where(F.col("share").isNotNull() & (F.coalesce("taken", F.lit(0)) <= F.col("start")))
+    return clear.groupBy("id", "row_key").agg(F.sort_array(F.collect_list(F.struct("start", F.lit(KINDS.index("term")).alias("kind"), "stop", (F.col("share") >= REMOVE).alias("gone")))).alias("extra"))
 
 
 def find(docs: DataFrame, keep: tuple[str, ...] = ()) -> DataFrame:
@@ -116,13 +148,9 @@ def find(docs: DataFrame, keep: tuple[str, ...] = ()) -> DataFrame:
     disclosing terms, with ``gone`` where they are to be removed.
     """
     found = materialize(base_spans(docs, keep), "spans")
-    near = materialize(_near_terms(found), "near")
-    flagged = materialize(disclosures(docs, near, found), "flagged")
-    hits = near.join(flagged, ["entity", "term"]).groupBy("doc_id", "row_key", "start", "stop").agg(F.max("share").alias("share"))
-    extra = hits.groupBy("doc_id", "row_key").agg(F.sort_array(F.collect_list(F.struct("start", F.lit(KINDS.index("term")).alias("kind"), "stop", (F.col("share") >= REMOVE).alias("gone")))).alias("extra"))
-    extra = extra.withColumnRenamed("doc_id", "_id").withColumnRenamed("row_key", "_key")
+    extra = _extra(found, materialize(disclosures(docs, found), "flagged")).withColumnRenamed("id", "_id").withColumnRenamed("row_key", "_key")
     base = found.select("doc_id", "row_key", *keep, F.expr("transform(spans, s -> struct(s.start as start, s.kind as kind, s.stop as stop))").alias("base"))
-    joined = base.join(extra, (base["row_key"] == extra["_key"]) & base["doc_id"].eqNullSafe(extra["_id"]), "left")
+    joined = base.join(extra, (base["row_key"] == extra["_key"]) & (F.coalesce(base["doc_id"], F.lit(-1)) == extra["_id"]), "left")
     return joined.select("doc_id", "row_key", *keep, "base", F.coalesce("extra", F.expr("cast(array() as array<struct<start: int, kind: int, stop: int, gone: boolean>>)")).alias("extra"))
 
 

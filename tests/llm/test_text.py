@@ -88,6 +88,28 @@ def test_privacy_of_values_seen_once(spark):
     assert got[1] == "term:4:11,email:15:26" and set(got.values()) == {got[1], ""}
 
 
+def test_privacy_of_whole_documents(spark):
+    far = "and so on " * 30
+    rows = [(1, f"Quentin {far}q7@mail.org {far}QUENTIN quentin@x.org", None, None, None), (None, f"walter {far}w8@mail.org walter", None, None, None), *[(2 + i, "and so on at mail org x", None, None, None) for i in range(40)]]
+    rows.append(rows[1])
+    got = {r.doc_id: r.spans for r in privacy.digests(privacy.find(frame(spark, rows))).collect()}
+    assert got[1] == "term:0:7,email:308:319,term:620:627,email:628:641"
+    assert got[None] == "term:0:6,email:307:318,term:319:325" and not got[2]
+    # Every share against counts of whole documents.
+    rows = documents(7, 90) + [(5000 + i, f"{t} mail{i % 9}@x.org {i}", None, None, None) for i, t, *_ in documents(7, 90) if i and t and i % 4 == 0]
+    found = privacy.base_spans(frame(spark, rows))
+    terms = [{x.lower() for x in re.findall(r"[^\W_]+", t or "") if len(x) > 1 and re.search(r"[^\W\d_]", x)} for _, t, *_ in rows]
+    held = [set(re.findall(r"\S+@\S+", t or "")) for _, t, *_ in rows]
+    n_term, n_entity = Counter(x for s in terms for x in s), Counter(x for s in held for x in s)
+    n_both, want = Counter((e, x) for es, ts in zip(held, terms, strict=True) for e in es for x in ts), {}
+    for (i, *_), es, ts in zip(rows, held, terms, strict=True):
+        for e, x in itertools.product(es, ts):
+            share = math.log(n_both[e, x] * len(rows) / (n_entity[e] * n_term[x])) / math.log(len(rows) / n_entity[e])
+            if share >= privacy.GENERALISE:
+                want[i, x] = max(want.get((i, x), 0), round(share, 9))
+    assert want and {(r.id, r.term): round(r.share, 9) for r in privacy.disclosures(frame(spark, rows), found).collect()} == want
+
+
 def test_targets(spark):
     sizes = spark.createDataFrame([("a", 100), ("b", 10), ("c", 50), (None, 7), ("d", 0)], "source string, size long")
     got = {r.source: r.target for r in mixing.targets(sizes).collect()}
