@@ -15,15 +15,14 @@ from roadtraj.functions.geometry import point_segment_squared
 from roadtraj.operators.spatial import PairTable, map_paths
 
 
-def candidates(samples: DataFrame, edges: DataFrame, radius: int, most: int = 6) -> DataFrame:
-    """trip_id, seq, x, y, t, e, gap: edges within ``radius`` of each fix, the closest ``most`` of them."""
+def candidates(samples: DataFrame, edges: DataFrame, radius: int) -> DataFrame:
+    """trip_id, seq, x, y, t, e, gap: all edges within ``radius`` of each fix."""
     cells = lambda lo, hi: F.sequence(F.floor(lo / radius), F.floor(hi / radius))
     tiled = edges.withColumn("cx", F.explode(cells(F.least("x0", "x1") - radius, F.greatest("x0", "x1") + radius))).withColumn("cy", F.explode(cells(F.least("y0", "y1") - radius, F.greatest("y0", "y1") + radius)))
     placed = samples.withColumns({"cx": F.floor(F.col("x") / radius), "cy": F.floor(F.col("y") / radius)})
     gap = point_segment_squared(*[F.col(c).cast("double") for c in ("x", "y", "x0", "y0", "x1", "y1")])
     near = placed.join(tiled, ["cx", "cy"]).withColumn("gap", F.floor(gap + 0.5)).where(F.col("gap") <= float(radius) * radius)
-    rank = F.row_number().over(Window.partitionBy("trip_id", "seq").orderBy("gap", "e"))
-    return near.withColumn("_rank", rank).where(F.col("_rank") <= most).select("trip_id", "seq", "x", "y", "t", near["e"], "gap")
+    return near.select("trip_id", "seq", "x", "y", "t", near["e"], "gap")
 
 
 def match_trips(samples: DataFrame, edges: DataFrame, sp: DataFrame | None = None, radius: int = 450, mode: str = "nearest") -> DataFrame:

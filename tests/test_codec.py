@@ -166,3 +166,15 @@ def test_packed_container_prunes(spark, town, tmp_path):
     some = read_packed(spark, str(tmp_path / "packed"), t2=middle)
     assert 0 < some.count() < table.count()
     assert "PushedFilters: [IsNotNull(t_first), LessThanOrEqual(t_first" in some._jdf.queryExecution().executedPlan().toString()
+
+
+def test_every_edge_in_reach_is_a_candidate(spark):
+    from roadtraj.operators import matching
+
+    # Nine edges start at one vertex; the one driven is the last of them by distance and by id.
+    net = spark.createDataFrame([(i, 0, i + 1, 1000, 0, 0, 1000, 40 * i) for i in range(9)], "e long, tail long, head long, w long, x0 long, y0 long, x1 long, y1 long")
+    fixes = spark.createDataFrame([(1, 0, 300, -50, 0), (1, 1, 1000, 400, 60)], "trip_id long, seq int, x long, y long, t long")
+    got = {(r.seq, r.e) for r in matching.candidates(fixes, net, 450).collect()}
+    assert got == {(s, e) for s in (0, 1) for e in range(9)}
+    sp = spark.createDataFrame([(0, 0, 0, None)], "u long, v long, dist long, last_edge int")
+    assert [r.e for r in matching.match_trips(fixes, net, sp, mode="viterbi").orderBy("seq").collect()] == [8, 8]
