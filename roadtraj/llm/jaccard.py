@@ -1,23 +1,29 @@
 """Exact n-gram Jaccard join as a blocked sparse product of document by n-gram incidence.
 
 Documents are sets of word n-gram hashes; equal sets are one class from the
-start. Two bounds, both exact, keep the product small:
+start. Two size-derived bounds, both exact, keep the product small:
 
 * A document that links with another lacks at most (1 - t) of its grams there.
   Grams with one hash residue are counted over all classes; a class with more
   grams that no other class has than this bound allows can link with nothing.
-* Of the rest, two linked classes share k of the first |x| - ceil(t |x|) + k
-  grams of each, by hash, a bounded list of very frequent ones last. Where a gram
-  is in few classes, its pairs are counted, and those that share fewer than k are
-  discarded. Classes that share a gram of many, directly or along a chain, form a
-  candidate group, whose pairs are never listed.
-
-Texts of such classes are kept, not their gram sets, which are larger and quickly
-made. Each group is cut into blocks of bounded weight; a task multiplies two blocks,
-accumulates overlap counts column range by column range, drops pairs below the
-size-derived bound and returns a star for every connected piece, never all
-pairs. Components of all stars are found by label propagation with pointer
-jumping.
+* Two linked sets differ in at most D grams, D following from their sizes. Dealt
+  by hash over more than D segments, they agree in a whole segment, so its digest
+  is a signature they share. ``segment_signatures`` deals each set for its own
+  size level and for the levels of smaller sets that it may still link with.
+
+Sets that share a signature meet in blocks of bounded weight. A block's incidence
+matrix is multiplied with its own transpose: overlap counts are accumulated column by
+column, and pairs below the bound their sizes set are discarded. This happens
+twice. First every set meets the smallest set it shares a signature with, and
+whoever else falls into that block: one copy of a text, whatever the size of the
+group. Signatures whose sets are by then one component are done. The sets
+of those that are left over, in groups, meet in the blocks of a grid, every pair of
+blocks once. Each block returns a star for every connected piece, never all pairs;
+components of all stars are found by label propagation with pointer jumping.
+
+A class is known by 128 bits. Signatures carry 64 of them: that two linked sets
+agree in those by chance is the only way to miss a link, and sets that do so by
+chance and are no links only meet in a block.
 
 Defined results: a null or blank text is empty and links with nothing; a text
 with fewer words than n has its whole sequence as its one gram; rows of one
@@ -29,21 +35,20 @@ row with an id has its set; other columns are ignored.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from math import ceil, exp, sqrt
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from roadtraj.llm.scratch import materialize
-from roadtraj.llm.textbatch import LOWER, mix64, powers, ragged, slices, word_hashes, words_of
+from roadtraj.llm.textbatch import LOWER, mix64, powers, ragged, slices, text_bytes, word_hashes, words_of
 
-BLOCK_WEIGHT = 200_000  # grams, and 200 for each document
-HEAVY = 500_000  # grams put last in every prefix; 4 MB
+BLOCK_WEIGHT = 150_000  # bytes of text / 6, and 200 for each document
+RATIO = 1.3  # sizes of one signature level
 _COLUMNS = 2048
-CROWD = 64  # sets that share a gram and are still compared pair by pair
-_PREFIXES = "set_id long, size int, need int, h long"
+_DENSE = 32  # a gram in more rows of a block is a column of a dense product, others are listed
 _SEEDS = powers(0x9FB21C651E98DF25, 4096)[0]
 
 
@@ -76,140 +81,209 @@ def gram_sets(column: pa.Array, n: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 def set_ids(gram: np.ndarray, bounds: np.ndarray) -> np.ndarray:
-    """One 64-bit id for each set; 0 for the empty set."""
-    sums = np.zeros(len(gram) + 1, np.uint64)
-    np.cumsum(mix64(gram ^ np.uint64(0x5851F42D4C957F2D)), out=sums[1:])
+    """128 bits for each set, two columns; zeros for the empty set."""
     size = np.diff(bounds).astype(np.uint64)
-    return np.where(size > 0, mix64(sums[bounds[1:]] - sums[bounds[:-1]] + size) | np.uint64(1), np.uint64(0))
+    halves = []
+    for seed in (0x5851F42D4C957F2D, 0x14057B7EF767814F):
+        sums = np.zeros(len(gram) + 1, np.uint64)
+        np.cumsum(mix64(gram ^ np.uint64(seed)), out=sums[1:])
+        halves.append(np.where(size > 0, mix64(sums[bounds[1:]] - sums[bounds[:-1]] + size), np.uint64(0)))
+    return np.stack(halves, axis=1)
+
+
+def _id_columns(gram: np.ndarray, bounds: np.ndarray) -> tuple[pa.Array, pa.Array]:
+    """set_id (null: empty) and key, the first half of it."""
+    ids = set_ids(gram, bounds)
+    body = np.ascontiguousarray(ids).tobytes()
+    empty = (np.diff(bounds) == 0).tolist()
+    return pa.array([None if e else body[16 * k : 16 * k + 16] for k, e in enumerate(empty)], pa.binary()), pa.array(ids[:, 0].view(np.int64))
 
 
 def _class_rows(batches: Iterator[pa.RecordBatch], n: int) -> Iterator[pa.RecordBatch]:
     for batch in slices(batches):
         gram, bounds = gram_sets(batch.column("text"), n)
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(np.diff(bounds).astype(np.int64)), pa.array(set_ids(gram, bounds).view(np.int64))], names=["doc_id", "n_shingles", "set_id"])
+        set_id, key = _id_columns(gram, bounds)
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(np.diff(bounds).astype(np.int64)), set_id, key], names=["doc_id", "n_shingles", "set_id", "key"])
 
 
 def _sampled_rows(batches: Iterator[pa.RecordBatch], n: int, modulus: int) -> Iterator[pa.RecordBatch]:
     for batch in slices(batches):
         gram, bounds = gram_sets(batch.column("text"), n)
-        ids = np.repeat(set_ids(gram, bounds), np.diff(bounds))
+        keys = np.repeat(set_ids(gram, bounds)[:, 0], np.diff(bounds))
         at = np.flatnonzero((gram >> np.uint64(7)) % np.uint64(modulus) == 0)
-        yield pa.RecordBatch.from_arrays([pa.array(gram[at].view(np.int64)), pa.array(ids[at].view(np.int64))], names=["h", "set_id"])
+        yield pa.RecordBatch.from_arrays([pa.array(gram[at].view(np.int64)), pa.array(keys[at].view(np.int64))], names=["h", "key"])
 
 
 def _true_rows(batches: Iterator[pa.RecordBatch], n: int) -> Iterator[pa.RecordBatch]:
     """Rows whose text has the set it is meant to have, not another text of that id."""
     for batch in slices(batches):
-        ids = set_ids(*gram_sets(batch.column("text"), n)).view(np.int64)
-        yield batch.filter(pa.array(batch.column("set_id").to_numpy() == ids))
+        own, _ = _id_columns(*gram_sets(batch.column("text"), n))
+        same = [a == b for a, b in zip(own.to_pylist(), batch.column("set_id").to_pylist(), strict=True)]
+        yield batch.filter(pa.array(same, pa.bool_()))
 
 
-def _prefix_rows(batches: Iterator[pa.RecordBatch], n: int, percent: int, heavy: np.ndarray) -> Iterator[pa.RecordBatch]:
-    """The first grams of each set: set_id, size, need, h.
+def size_levels(most: int, percent: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Smallest size, largest size of a partner, segments and spare segments of each level, for sets of up to ``most`` grams.
 
-    Grams go by hash, heavy ones last: any order that is the same for all sets
-    will do. A linked set lacks at most d grams; of the first d + need grams of
-    both sets, with the smaller need, at least need are shared. ``need`` is 1
-    where a set has no more than d light grams.
+    A level is for links whose smaller set has a size in it. With D grams of
+    difference at most and D + 1 + spare segments, linked sets agree in more
+    segments than are spare. The spare ones outnumber, all but always, those that
+    are empty in a set, as an empty segment tells nothing.
     """
-    for batch in slices(batches):
-        gram, bounds = gram_sets(batch.column("text"), n)
-        size = np.diff(bounds)
-        document = np.repeat(np.arange(len(size)), size)
-        last = heavy[np.minimum(np.searchsorted(heavy, gram), len(heavy) - 1)] == gram if len(heavy) and len(gram) else np.zeros(len(gram), bool)
-        gram = gram[np.lexsort((gram, last, document))]
-        light = np.bincount(document[~last], minlength=len(size))
-        lacks = size - -(-percent * size // 100)
-        need = np.maximum(np.minimum(2 * lacks + 1, light - lacks), 1)
-        length = np.minimum(np.where(size > 0, lacks + need, 0), size)
-        rows = pa.array(np.repeat(np.arange(len(size)), length))
-        yield pa.RecordBatch.from_arrays([batch.column("set_id").take(rows), pa.array(size.astype(np.int32)).take(rows), pa.array(need.astype(np.int32)).take(rows), pa.array(gram[ragged(bounds[:-1], length)].view(np.int64))], names=["set_id", "size", "need", "h"])
-
-
-def _linked_rows(batches: Iterator[pa.RecordBatch], n: int, percent: int) -> Iterator[pa.RecordBatch]:
-    """a, b of the pairs whose texts' sets link."""
-    for batch in slices(batches, "text_a", 1 << 20):
-        one, two = gram_sets(batch.column("text_a"), n), gram_sets(batch.column("text_b"), n)
-        linked = []
-        for k in range(batch.num_rows):
-            x, y = (g[b[k] : b[k + 1]] for g, b in (one, two))
-            met = len(np.intersect1d(x, y, assume_unique=True))
-            linked.append(100 * met >= percent * (len(x) + len(y) - met))
-        yield batch.select(["a", "b"]).filter(pa.array(linked))
-
-
-def heavy_grams(texts: DataFrame, n: int, percent: int, most: int = HEAVY) -> np.ndarray:
-    """The most frequent of the grams that prefixes are taken from, at most ``most`` of them.
-
-    Passages that many documents share would tie unrelated documents into one
-    candidate group; put last, they hardly enter a prefix.
+    first, widest, segments, spares = [], [], [], []
+    low = 1
+    while low <= most:
+        high = max(low, int(low * RATIO) - 1)
+        partner = 100 * high // percent
+        apart = (high + partner) * (100 - percent) // (100 + percent)
+        spare = 0
+        for _ in range(8 * bool(apart)):
+            total = apart + 1 + spare
+            empty = total * exp(-low / total)
+            spare = ceil(empty + 3 * sqrt(empty) + 1)
+        first.append(low)
+        widest.append(partner)
+        segments.append(apart + 1 + spare)
+        spares.append(spare)
+        low = high + 1
+    return tuple(np.array(x, np.int64) for x in (first, widest, segments, spares))
+
+
+def segment_signatures(gram: np.ndarray, bounds: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
+    """Signatures of all sets, and the row of each. Linked sets that are not equal share at least one.
+
+    A set with more empty segments than are spare also signs those, so that the
+    rest of the links, between two such sets, is not lost.
     """
-    none = np.zeros(0, np.uint64)
-    seen = texts.mapInArrow(lambda batches: _prefix_rows(batches, n, percent, none), _PREFIXES)
-    often = materialize(seen.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n >= 16"), "often")
-    level = F.floor(F.log2("n") * 8)
-    room, cut = most, 1 << 20
-    for r in sorted(often.groupBy(level.alias("level")).count().collect(), key=lambda r: -r["level"]):
-        if r["count"] > room:
+    size = np.diff(bounds)
+    first, widest, segments, spares = size_levels(int(size.max(initial=0)), percent)
+    out, rows = [], []
+    level = np.searchsorted(first, size, side="right") - 1
+    while True:
+        at = np.flatnonzero((level >= 0) & (size > 0))
+        at = at[size[at] <= widest[level[at]]] if len(at) else at
+        if not len(at):
+            break
+        wide = segments[level[at]]
+        offset = np.concatenate([[0], np.cumsum(wide)])
+        take = ragged(bounds[:-1][at], size[at])
+        own = np.repeat(np.arange(len(at)), size[at])
+        picked = gram[take]
+        cell = offset[own] + ((picked >> np.uint64(11)) % wide[own].astype(np.uint64)).astype(np.int64)
+        sums = np.zeros(offset[-1], np.uint64)
+        np.add.at(sums, cell, mix64(picked ^ np.uint64(0x2545F4914F6CDD1D)))
+        filled = np.zeros(offset[-1], bool)
+        filled[cell] = True
+        row = np.repeat(np.arange(len(at)), wide)
+        signs = filled | (np.bincount(row[~filled], minlength=len(at)) > spares[level[at]])[row]
+        place = np.arange(offset[-1]) - offset[row]
+        label = (place + (level[at][row] << 40)).astype(np.uint64)
+        out.append(mix64(sums ^ mix64(label + np.uint64(1)))[signs])
+        rows.append(at[row[signs]])
+        level = level - 1
+    if not out:
+        return np.zeros(0, np.uint64), np.zeros(0, np.int64)
+    return np.concatenate(out), np.concatenate(rows)
+
+
+def _signature_rows(batches: Iterator[pa.RecordBatch], n: int, percent: int) -> Iterator[pa.RecordBatch]:
+    for batch in slices(batches):
+        h, row = segment_signatures(*gram_sets(batch.column("text"), n), percent)
+        yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), batch.column("key").take(pa.array(row))], names=["h", "key"])
+
+
+def overlaps(gram: np.ndarray, bounds: np.ndarray) -> np.ndarray:
+    """Overlap counts of all pairs of rows: the incidence matrix times its transpose, column by column."""
+    n = len(bounds) - 1
+    columns, code = np.unique(gram, return_inverse=True)
+    times = np.bincount(code, minlength=len(columns))
+    row = np.repeat(np.arange(n), np.diff(bounds))
+    order = np.argsort(code, kind="stable")
+    row, code = row[order], code[order]
+    shared = np.zeros((n, n), np.int64)
+    sparse = np.flatnonzero((times[code] > 1) & (times[code] <= _DENSE))
+    thin_row, thin = row[sparse], code[sparse]
+    cells = []
+    for step in range(1, _DENSE):
+        at = np.flatnonzero(thin[step:] == thin[:-step])
+        if not len(at):
             break
-        room, cut = room - r["count"], r["level"]
-    return np.sort(often.where(level >= cut).select("h").toArrow().column("h").to_numpy().view(np.uint64))
+        cells.append(thin_row[at] * n + thin_row[at + step])
+    if cells:
+        shared += np.bincount(np.concatenate(cells), minlength=n * n).reshape(n, n)
+    dense = np.flatnonzero(times[code] > _DENSE)
+    thick_row, thick = row[dense], np.unique(code[dense], return_inverse=True)[1]
+    for lo in range(0, int(thick.max(initial=-1)) + 1, _COLUMNS):
+        i, j = np.searchsorted(thick, [lo, lo + _COLUMNS])
+        part = np.zeros((n, _COLUMNS), np.float32)
+        part[thick_row[i:j], thick[i:j] - lo] = 1
+        shared += np.triu(part @ part.T, 1).astype(np.int64)
+    return shared
 
 
 def _pieces(linked: np.ndarray) -> np.ndarray:
     """Smallest member of each row's connected piece of a symmetric boolean matrix."""
     label = np.arange(len(linked))
+    near = [np.flatnonzero(x) for x in linked]
     while True:
         lower = label.copy()
-        for i in range(len(linked)):
-            at = np.flatnonzero(linked[i])
+        for i, at in enumerate(near):
             if len(at):
-                lower[i] = min(lower[i], lower[at].min())
+                lower[i] = min(lower[i], label[at].min())
         lower = lower[lower]
         if (lower == label).all():
             return label
         label = lower
 
 
-def block_links(sets: list[np.ndarray], sides: np.ndarray, percent: int) -> np.ndarray:
-    """Pieces of the link graph over the rows of one block pair (sides: 0, 1, or 2 where both blocks are one)."""
-    sizes = np.array([len(s) for s in sets], np.int64)
-    columns, code = np.unique(np.concatenate(sets), return_inverse=True)
-    often = np.bincount(code, minlength=len(columns)) > 1
-    row = np.repeat(np.arange(len(sets)), sizes)
-    row, code = row[often[code]], (np.cumsum(often) - 1)[code[often[code]]]
-    order = np.argsort(code, kind="stable")
-    row, code = row[order], code[order]
-    left, right = np.flatnonzero(sides != 1), np.flatnonzero(sides != 0)
-    overlap = np.zeros((len(left), len(right)), np.float32)
-    for lo in range(0, int(often.sum()), _COLUMNS):
-        i, j = np.searchsorted(code, [lo, lo + _COLUMNS])
-        dense = np.zeros((len(sets), _COLUMNS), np.float32)
-        dense[row[i:j], code[i:j] - lo] = 1
-        overlap += dense[left] @ dense[right].T
-    n_left, n_right = sizes[left][:, None], sizes[right][None, :]
-    fits = (100 * n_left >= percent * n_right) & (100 * n_right >= percent * n_left)
-    shared = overlap.astype(np.int64)
-    met = fits & (100 * shared >= percent * (n_left + n_right - shared)) & (shared > 0)
-    linked = np.zeros((len(sets), len(sets)), bool)
-    linked[np.ix_(left, right)] = met
-    linked |= linked.T
-    np.fill_diagonal(linked, False)
-    return _pieces(linked)
-
-
-def _link_group(n: int, percent: int):
-    def link(frame: pd.DataFrame) -> pd.DataFrame:
-        frame = frame.sort_values("set_id", ignore_index=True)
-        i, j = frame["i"].iloc[0], frame["j"].iloc[0]
-        sides = np.full(len(frame), 2) if i == j else np.where(frame["own"].to_numpy() == i, 0, 1)
-        gram, bounds = gram_sets(pa.array(frame["text"], pa.string()), n)
-        label = block_links([gram[a:b] for a, b in zip(bounds[:-1], bounds[1:], strict=True)], sides, percent)
-        ids = frame["set_id"].to_numpy()
-        at = np.flatnonzero(label != np.arange(len(label)))
-        return pd.DataFrame({"a": ids[at], "b": ids[label[at]]})
+def block_links(gram: np.ndarray, bounds: np.ndarray, percent: int) -> np.ndarray:
+    """Smallest member of each row's piece of the link graph of a block."""
+    shared, size = overlaps(gram, bounds), np.diff(bounds)
+    low, high = np.nonzero(shared)
+    met = shared[low, high]
+    linked = 100 * met >= percent * (size[low] + size[high] - met)
+    graph = np.zeros(shared.shape, bool)
+    graph[low[linked], high[linked]] = graph[high[linked], low[linked]] = True
+    return _pieces(graph)
+
 
-    return link
+_STARS = pa.schema([("a", pa.binary()), ("b", pa.binary())])
+
+
+def _block_rows(batches: Iterator[pa.RecordBatch], n: int, percent: int, most: int) -> Iterator[pa.RecordBatch]:
+    """Stars of the blocks of rows that come ordered by block; whole small blocks share a product."""
+    held: list[pa.RecordBatch] = []
+
+    def product():
+        table = pa.Table.from_batches(held).combine_chunks()
+        label = block_links(*gram_sets(table.column("text").combine_chunks(), n), percent)
+        at = np.flatnonzero(label != np.arange(len(label)))
+        ids = table.column("set_id").combine_chunks()
+        return pa.RecordBatch.from_arrays([ids.take(pa.array(at)), ids.take(pa.array(label[at]))], schema=_STARS)
+
+    weight, last = 0, None
+    for batch in slices(batches, most=3 * most):
+        keys = list(zip(*(batch.column(c).to_pylist() for c in ("part", "i", "j")), strict=True))
+        sizes = np.diff(text_bytes(batch.column("text"))[1]) // 6 + 200
+        lo = 0
+        for k, key in enumerate(keys):
+            if key != last and weight >= most:
+                if k > lo:
+                    held.append(batch.slice(lo, k - lo))
+                yield product()
+                held.clear()
+                lo, weight = k, 0
+            last, weight = key, weight + int(sizes[k])
+        held.append(batch.slice(lo))
+    if held:
+        yield product()
+
+
+def multiply(dealt: DataFrame, n: int, percent: int) -> DataFrame:
+    """a, b: stars of the pieces found in the blocks (part, i, j) of rows with set_id and text."""
+    most = BLOCK_WEIGHT
+    ordered = dealt.select("part", "i", "j", "set_id", "text").repartition("part", "i", "j").sortWithinPartitions("part", "i", "j")
+    return ordered.mapInArrow(lambda batches: _block_rows(batches, n, percent, most), "a binary, b binary")
 
 
 def components(edges: DataFrame, tag: str) -> DataFrame:
@@ -229,49 +303,69 @@ def components(edges: DataFrame, tag: str) -> DataFrame:
     raise RuntimeError("labels did not settle")
 
 
+def _blocks(member: DataFrame) -> DataFrame:
+    """part, blocks: how many blocks of bounded weight the sets (part, weight) of a part fill."""
+    return member.groupBy("part").agg(F.greatest(F.lit(1), F.ceil(F.sum("weight") / F.lit(BLOCK_WEIGHT))).cast("int").alias("blocks"))
+
+
+def _with_text(placed: DataFrame, texts: DataFrame) -> DataFrame:
+    """The blocks' rows with their texts; a join by sort at any size, as the texts grow with the input."""
+    return texts.select("key", "set_id", "text").hint("merge").join(placed, "key")
+
+
 def linked_classes(docs: DataFrame, n: int, percent: int) -> tuple[DataFrame, DataFrame]:
-    """(doc_id, tie, n_shingles, set_id) of all rows, and (set_id, label) of classes that link with another."""
+    """(doc_id, n_shingles, set_id, key) of all rows, and (node, label) of classes that link with another."""
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    classes = materialize(keyed.mapInArrow(lambda batches: _class_rows(batches, n), "doc_id long, n_shingles long, set_id long"), "classes")
+    classes = materialize(keyed.mapInArrow(lambda batches: _class_rows(batches, n), "doc_id long, n_shingles long, set_id binary, key long"), "classes")
     modulus = -(-45 // (100 - percent)) if percent < 100 else 5
-    sampled = keyed.select("text").mapInArrow(lambda batches: _sampled_rows(batches, n, modulus), "h long, set_id long")
-    lone = sampled.groupBy("h").agg(F.min("set_id").alias("lo"), F.max("set_id").alias("hi")).where("lo = hi").groupBy("lo").agg(F.count(F.lit(1)).alias("lone"))
-    heads = classes.where("set_id <> 0").groupBy("set_id").agg(F.first("n_shingles").alias("size"), F.min(F.struct(F.col("doc_id").isNull(), "doc_id")).alias("m"))
-    near = heads.join(lone, heads["set_id"] == lone["lo"], "left").where(100 * F.coalesce("lone", F.lit(0)) <= (100 - percent) * F.col("size"))
-    near = materialize(near.select("set_id", "size", F.col("m.doc_id").alias("head")), "near")
-
-    texts = keyed.join(near.where("head IS NOT NULL").select("head", "set_id", "size"), keyed["doc_id"] == F.col("head")).select("set_id", "size", "text")
-    # A repeated row's text stands twice; it links with itself only.
-    texts = materialize(texts.mapInArrow(lambda batches: _true_rows(batches, n), "set_id long, size long, text string"), "texts")
-    heavy = texts.sparkSession.sparkContext.broadcast(heavy_grams(texts, n, percent))
-    short = texts.mapInArrow(lambda batches: _prefix_rows(batches, n, percent, heavy.value), _PREFIXES)
-    shared = materialize(short.groupBy("h").agg(F.min("set_id").alias("lo"), F.max("set_id").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo < hi").select("h", "lo", (F.col("n") > CROWD).alias("crowded")), "shared")
-
-    # Grams of few sets: pairs with the shared grams counted; a pair below what both need is none.
-    row = F.struct("set_id", "size", "need")
-    few = short.join(shared.where("NOT crowded").select("h"), "h").groupBy("h").agg(F.sort_array(F.collect_set(row)).alias("s"))
-    pair = "explode(flatten(transform(s, (x, i) -> transform(filter(slice(s, i + 2, size(s)), y -> 100L * y.size >= {p}L * x.size AND 100L * x.size >= {p}L * y.size), y -> named_struct('a', x.set_id, 'b', y.set_id, 'need', least(x.need, y.need))))))"
-    pairs = few.select(F.expr(pair.format(p=percent)).alias("p")).groupBy("p.a", "p.b").agg(F.count(F.lit(1)).alias("met"), F.max("p.need").alias("need")).where("met >= need").select("a", "b")
-    pairs = materialize(pairs, "pairs")
-    sided = pairs.join(texts.select(F.col("set_id").alias("a"), F.col("text").alias("text_a")), "a").join(texts.select(F.col("set_id").alias("b"), F.col("text").alias("text_b")), "b")
-    found = sided.mapInArrow(lambda batches: _linked_rows(batches, n, percent), "a long, b long")
-
-    # Grams of many sets: whoever shares one, directly or along a chain, is compared block by block.
-    stars = short.join(shared.where("crowded").select("h", "lo"), "h").where("set_id <> lo").select(F.col("set_id").alias("a"), F.col("lo").alias("b"))
-    groups = components(stars, "groups")
-    member = texts.select("set_id", "size").join(groups, texts["set_id"] == groups["node"]).select("set_id", "size", F.col("label").alias("part")).distinct()
-    weights = member.groupBy("part").agg(F.greatest(F.lit(1), F.ceil(F.sum(F.col("size") + 200) / BLOCK_WEIGHT)).cast("int").alias("blocks"))
-    placed = materialize(member.select("set_id", "part").join(weights, "part").withColumn("own", F.pmod(F.xxhash64("set_id"), F.col("blocks")).cast("int")), "placed")
-    dealt = texts.join(placed, "set_id").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    dealt = dealt.select("part", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "set_id", "text")
-    stars = dealt.groupBy("part", "i", "j").applyInPandas(_link_group(n, percent), "a long, b long")
-    return classes, components(stars.unionByName(found), "links")
+    sampled = keyed.select("text").mapInArrow(lambda batches: _sampled_rows(batches, n, modulus), "h long, key long")
+    lone = sampled.groupBy("h").agg(F.min("key").alias("lo"), F.max("key").alias("hi")).where("lo = hi").groupBy("lo").agg(F.count(F.lit(1)).alias("lone"))
+    heads = classes.where("set_id IS NOT NULL").groupBy("set_id").agg(F.first("key").alias("key"), F.first("n_shingles").alias("size"), F.min("doc_id").alias("head"))
+    # Sets that agree in the key by chance share their lone grams' count, so the bound does not judge them.
+    alone = F.col("_sets") == 1
+    judged = heads.hint("merge").join(lone, heads["key"] == lone["lo"], "left").withColumn("_sets", F.count(F.lit(1)).over(Window.partitionBy("key")))
+    near = judged.where((100 * F.coalesce("lone", F.lit(0)) <= (100 - percent) * F.col("size")) | ~alone)
+    near = materialize(near.where("head IS NOT NULL").select("set_id", "key", "head"), "near")
+
+    texts = keyed.hint("merge").join(near, keyed["doc_id"] == near["head"]).select("set_id", "key", "text")
+    texts = texts.mapInArrow(lambda batches: _true_rows(batches, n), "set_id binary, key long, text string")
+    texts = materialize(texts, "texts")  # a repeated row's text stands twice; it links with itself only
+    weights = texts.select("key", "set_id", (F.octet_length("text") / F.lit(6) + 200).alias("weight"))
+
+    signed = texts.mapInArrow(lambda batches: _signature_rows(batches, n, percent), "h long, key long")
+    shared = signed.groupBy("h").agg(F.min("key").alias("lo"), F.max("key").alias("hi")).where("lo < hi").select("h", "lo")
+    met = materialize(signed.hint("merge").join(materialize(shared, "shared"), "h").select("h", "key", "lo"), "met")
+
+    # Every set with the smallest one that it shares a signature with.
+    stars = materialize(met.groupBy("key").agg(F.min("lo").alias("part")), "stars")
+    blocks = _blocks(weights.join(stars, "key"))
+    spread = F.pmod(F.xxhash64("key"), F.col("blocks")).cast("int")
+    own = stars.where("key <> part").join(blocks, "part").select("key", "part", spread.alias("i"))
+    centres = blocks.select(F.col("part").alias("key"), "part", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("i"))
+    first = own.unionByName(centres).withColumn("j", F.col("i"))
+    first = materialize(multiply(_with_text(first, texts), n, percent), "first")
+
+    # Signatures whose sets are not yet one component: their sets, grouped, in a grid of blocks.
+    labels = components(first, "first")
+    label = F.xxhash64(F.coalesce("label", "set_id")).alias("l")
+    of_key = materialize(weights.join(labels, weights["set_id"] == labels["node"], "left").select("key", "weight", label), "labels")
+    with_label = met.select("h", "key").hint("merge").join(of_key.select("key", "l"), "key")
+    open_ = with_label.groupBy("h").agg(F.min("l").alias("lo"), F.max("l").alias("hi")).where("lo < hi").select("h", "lo")
+    left_over = materialize(with_label.hint("merge").join(materialize(open_, "open"), "h").select("key", "l", "lo").distinct(), "left")
+    groups = components(left_over.select(F.col("l").alias("a"), F.col("lo").alias("b")).distinct(), "groups")
+    member = left_over.select("key", "l").distinct().join(groups, F.col("l") == groups["node"]).select("key", F.col("label").alias("part"))
+    member = materialize(member.join(of_key.select("key", "weight"), "key"), "member")
+    placed = member.join(_blocks(member), "part").select("key", "part", "blocks", spread.alias("own"))
+    grid = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    grid = grid.select("key", "part", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
+    second = multiply(_with_text(grid, texts), n, percent)
+    return classes, components(first.unionByName(second), "links")
 
 
 def join_components(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
     """doc_id, n_shingles, component_id of each document row."""
     classes, labels = linked_classes(docs, n, percent)
-    heads = classes.where("set_id <> 0").groupBy("set_id").agg(F.min("doc_id").alias("head"))
+    heads = classes.where("set_id IS NOT NULL").groupBy("set_id").agg(F.min("doc_id").alias("head"))
     tops = heads.join(labels, heads["set_id"] == labels["node"], "left").select("set_id", "head", F.coalesce("label", "set_id").alias("label"))
     least = tops.groupBy("label").agg(F.min("head").alias("component_id"))
     of_set = materialize(tops.join(least, "label").select(F.col("set_id").alias("_set"), "component_id"), "components")

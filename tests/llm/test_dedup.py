@@ -3,6 +3,8 @@
 import random
 from collections import Counter
 
+import numpy as np
+
 from roadtraj.llm import jaccard, substrings, suffixes
 from tests.llm.fixtures import documents, frame, sha, words
 
@@ -121,10 +123,54 @@ def test_jaccard(spark):
         assert got == _components(rows, n, percent)
 
 
+def test_linked_sets_share_a_signature():
+    """Random pairs at and above the bound, tiny sets and sets with many empty segments included."""
+    rng = np.random.default_rng(5)
+    tried = 0
+    for percent in (80, 90):
+        for _ in range(400):
+            size = int(rng.integers(1, 60)) if rng.random() < 0.5 else int(rng.integers(60, 900))
+            pool = rng.integers(0, 1 << 62, 2 * size + 2).astype(np.uint64)
+            apart = int(rng.integers(0, size * (100 - percent) // 100 + 1))
+            x = np.unique(pool[:size])
+            y = np.unique(np.concatenate([x[apart:], pool[size : size + int(rng.integers(0, apart + 1))]]))
+            both = len(np.intersect1d(x, y))
+            if not len(y) or 100 * both < percent * (len(x) + len(y) - both):
+                continue
+            tried += 1
+            signs, row = jaccard.segment_signatures(np.concatenate([x, y]), np.array([0, len(x), len(x) + len(y)]), percent)
+            assert set(signs[row == 0].tolist()) & set(signs[row == 1].tolist())
+    assert tried > 300
+
+
+def test_overlaps_are_a_product(monkeypatch):
+    monkeypatch.setattr(jaccard, "_DENSE", 3)
+    rng = np.random.default_rng(6)
+    sets = [np.unique(rng.integers(0, 40, rng.integers(0, 30))).astype(np.uint64) for _ in range(25)]
+    got = jaccard.overlaps(np.concatenate(sets), np.concatenate([[0], np.cumsum([len(s) for s in sets])]))
+    for a in range(25):
+        for b in range(a + 1, 25):
+            assert got[a, b] == len(np.intersect1d(sets[a], sets[b]))
+
+
+def test_jaccard_grid(spark, monkeypatch):
+    """Families that share signatures without being linked, and chains between them, over many blocks of the grid."""
+    monkeypatch.setattr(jaccard, "BLOCK_WEIGHT", 1000)
+    rng = random.Random(8)
+    base = [f"w{rng.randrange(10**6)}" for _ in range(120)]
+    rows = []
+    for i in range(60):
+        near = list(base)
+        for _ in range(rng.randrange(0, 5)):
+            near[rng.randrange(120)] = f"edit{rng.randrange(40)}"
+        rows.append((i, " ".join(near), None, None, None))
+    got = Counter((r.doc_id, r.n_shingles, r.component_id) for r in jaccard.join_components(frame(spark, rows), 3, 90).collect())
+    assert got == _components(rows, 3, 90) and 3 < len({k[2] for k in got}) < 60
+
+
 def test_jaccard_blocks(spark, monkeypatch):
     """A group in many blocks, linked only through its centre."""
     monkeypatch.setattr(jaccard, "BLOCK_WEIGHT", 1500)
-    monkeypatch.setattr(jaccard, "CROWD", 4)
     rng = random.Random(4)
     centre = [f"w{rng.randrange(10**6)}" for _ in range(60)]
     rows = [(0, " ".join(centre), None, None, None)]
