@@ -14,12 +14,12 @@ start. Two size-derived bounds, both exact, keep the product small:
 Sets that share a signature meet in blocks of bounded weight. A block's incidence
 matrix is multiplied with its own transpose: overlap counts are accumulated column by
 column, and pairs below the bound their sizes set are discarded. This happens
-twice. First every set meets the smallest set it shares a signature with, and
-whoever else falls into that block: one copy of a text, whatever the size of the
-group. Signatures whose sets are by then one component are done. The sets
-of those that are left over, in groups, meet in the blocks of a grid, every pair of
-blocks once. Each block returns a star for every connected piece, never all pairs;
-components of all stars are found by label propagation with pointer jumping.
+twice. First every set meets the smallest set it shares a signature with, its
+centre, and whoever else falls into that block: one copy of a text, whatever the
+size of the group. Signatures whose sets hang on one centre by then are done. The
+sets of those that are left over, in groups, meet in the blocks of a grid, every
+pair of blocks once. Each block returns a star for every connected piece, never all pairs;
+components of all stars are found by contraction.
 
 A class is known by 128 bits. Signatures carry 64 of them: that two linked sets
 agree in those by chance is the only way to miss a link, and sets that do so by
@@ -280,27 +280,37 @@ def _block_rows(batches: Iterator[pa.RecordBatch], n: int, percent: int, most: i
 
 
 def multiply(dealt: DataFrame, n: int, percent: int) -> DataFrame:
-    """a, b: stars of the pieces found in the blocks (part, i, j) of rows with set_id and text."""
+    """a, b: stars of the pieces found in the blocks (part, i, j) of rows with set_id and text; ``rank`` false comes first and is a star's centre."""
     most = BLOCK_WEIGHT
-    ordered = dealt.select("part", "i", "j", "set_id", "text").repartition("part", "i", "j").sortWithinPartitions("part", "i", "j")
+    ordered = dealt.select("part", "i", "j", "rank", "set_id", "text").repartition("part", "i", "j").sortWithinPartitions("part", "i", "j", "rank")
     return ordered.mapInArrow(lambda batches: _block_rows(batches, n, percent, most), "a binary, b binary")
 
 
 def components(edges: DataFrame, tag: str) -> DataFrame:
-    """node, label (its component's smallest node) of the nodes of undirected edges a, b."""
-    both = materialize(edges.select("a", "b").union(edges.select("b", "a")).where("a <> b").distinct().toDF("src", "dst"), f"{tag}-edges")
-    labels = materialize(both.groupBy("src").agg(F.min("dst").alias("m")).select(F.col("src").alias("node"), F.least("src", "m").alias("label")), f"{tag}-0")
-    for round_ in range(1, 64):
-        near = both.join(labels, both["dst"] == labels["node"]).groupBy("src").agg(F.min("label").alias("m"))
-        hop = labels.join(near, labels["node"] == near["src"], "left").select("node", "label", F.least("label", F.coalesce("m", "label")).alias("next"))
-        up = labels.select(F.col("node").alias("_up"), F.col("label").alias("_top"))
-        after = hop.join(up, hop["next"] == up["_up"], "left").select("node", F.least("next", F.coalesce("_top", "next")).alias("label"), F.col("label").alias("was"))
-        after = materialize(after, f"{tag}-{round_}")
-        done = after.where("label <> was").limit(1).count() == 0
-        labels = after.select("node", "label")
-        if done:
-            return labels
-    raise RuntimeError("labels did not settle")
+    """node, label (one node of its component) of the nodes of undirected edges a, b.
+
+    In each round every node moves onto its smallest neighbour or stays, and only
+    edges between different places go on, so rounds get smaller; the places of all
+    rounds, one after the other, lead to the label.
+    """
+    left = materialize(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a <> b").distinct(), f"{tag}-edges")
+    moves = []
+    for round_ in range(64):
+        both = left.union(left.select("b", "a")).groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m"))
+        move = materialize(both.select("node", F.least("node", "m").alias("to")), f"{tag}-{round_}")
+        moves.append(move)
+        ends = [move.select(F.col("node").alias(c), F.col("to").alias(f"_{c}")) for c in "ab"]
+        moved = left.join(ends[0], "a").join(ends[1], "b").where("_a <> _b").select(F.least("_a", "_b").alias("a"), F.greatest("_a", "_b").alias("b")).distinct()
+        left = materialize(moved, f"{tag}-left")
+        if left.isEmpty():
+            break
+    else:
+        raise RuntimeError("components did not settle")
+    labels = moves[-1].select("node", F.col("to").alias("label"))
+    for move in reversed(moves[:-1]):
+        onward = labels.withColumnRenamed("node", "to")
+        labels = move.join(onward, "to", "left").select("node", F.coalesce("label", "to").alias("label"))
+    return labels
 
 
 def _blocks(member: DataFrame) -> DataFrame:
@@ -342,13 +352,14 @@ def linked_classes(docs: DataFrame, n: int, percent: int) -> tuple[DataFrame, Da
     spread = F.pmod(F.xxhash64("key"), F.col("blocks")).cast("int")
     own = stars.where("key <> part").join(blocks, "part").select("key", "part", spread.alias("i"))
     centres = blocks.select(F.col("part").alias("key"), "part", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("i"))
-    first = own.unionByName(centres).withColumn("j", F.col("i"))
+    first = own.unionByName(centres).withColumn("j", F.col("i")).withColumn("rank", F.col("key") != F.col("part"))
     first = materialize(multiply(_with_text(first, texts), n, percent), "first")
 
-    # Signatures whose sets are not yet one component: their sets, grouped, in a grid of blocks.
-    labels = components(first, "first")
-    label = F.xxhash64(F.coalesce("label", "set_id")).alias("l")
-    of_key = materialize(weights.join(labels, weights["set_id"] == labels["node"], "left").select("key", "weight", label), "labels")
+    # Signatures whose sets do not hang on one centre yet: their sets, grouped, in a grid of blocks.
+    hangs = first.groupBy("a").agg(F.min("b").alias("b"))
+    hangs = hangs.join(hangs.select(F.col("a").alias("b"), F.col("b").alias("c")), "b", "left").select(F.col("a").alias("_set"), F.coalesce("c", "b").alias("centre"))
+    label = F.xxhash64(F.coalesce("centre", "set_id")).alias("l")
+    of_key = materialize(weights.join(hangs, weights["set_id"] == hangs["_set"], "left").select("key", "weight", label), "labels")
     with_label = met.select("h", "key").hint("merge").join(of_key.select("key", "l"), "key")
     open_ = with_label.groupBy("h").agg(F.min("l").alias("lo"), F.max("l").alias("hi")).where("lo < hi").select("h", "lo")
     left_over = materialize(with_label.hint("merge").join(materialize(open_, "open"), "h").select("key", "l", "lo").distinct(), "left")
@@ -357,7 +368,7 @@ def linked_classes(docs: DataFrame, n: int, percent: int) -> tuple[DataFrame, Da
     member = materialize(member.join(of_key.select("key", "weight"), "key"), "member")
     placed = member.join(_blocks(member), "part").select("key", "part", "blocks", spread.alias("own"))
     grid = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    grid = grid.select("key", "part", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
+    grid = grid.select("key", "part", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), F.lit(True).alias("rank"))
     second = multiply(_with_text(grid, texts), n, percent)
     return classes, components(first.unionByName(second), "links")
 

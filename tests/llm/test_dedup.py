@@ -50,6 +50,21 @@ def test_suffix_array():
             assert text[a : a + n] == text[b : b + n] and text[a : a + n + 1] != text[b : b + n + 1]
 
 
+def test_places_order_as_the_suffix_array_does():
+    """The pass over places gives the array of the text whose symbols carry their places, and its common prefixes."""
+    rng = np.random.default_rng(2)
+    for _ in range(60):
+        rows, width = int(rng.integers(1, 12)), int(rng.integers(1, 7))
+        matrix = rng.integers(0, 3, (rows, width)).astype(np.uint8)
+        text = [x for row in matrix for x in [*(place * 300 + int(c) + 2 for place, c in enumerate(row)), 1]]
+        order = [i for i in suffixes.suffix_array(text) if i < len(text) and text[i] != 1]
+        for place, got, common in suffixes.place_orders(np.ascontiguousarray(matrix.T), 200):
+            rest = [matrix[r, place:].tolist() for r in got]
+            assert rest == [matrix[i // (width + 1), place:].tolist() for i in order if i % (width + 1) == place]
+            for a, b, n in zip(rest, rest[1:], common[1:], strict=False):
+                assert n == next((k for k in range(len(a)) if a[k] != b[k]), len(a))
+
+
 def _byte_twin(rows, length=200):
     seen = Counter()
     data = [(i, (t or "").encode()) for i, t, *_ in rows]
