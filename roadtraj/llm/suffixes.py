@@ -13,15 +13,18 @@ or in two. Finding them takes three steps.
    contexts of one anchor are counted, not gathered. A context that occurs twice
    repeats throughout. Where an anchor has several different contexts, these are
    compared by a suffix array.
-3. Suffix arrays. The contexts of one anchor are aligned at it, so they are cut
-   into blocks of fixed width; a block with its place is a symbol. The array of
-   the symbol sequence is built in linear time by grouping: suffixes that share
-   their longest Lyndon prefix form groups, these are processed from the largest
-   down, found through pointers to the previous smaller suffix; then each group's
-   order is emitted from the smallest up, without renaming and recursion. Longest
-   common prefixes of neighbours say which strings occur in another context by
-   whole blocks; only strings whose ends cut a block at the border of such a run
-   are compared byte by byte.
+3. Suffix arrays. The contexts of one anchor are aligned at it. A byte with its
+   place is a symbol, symbols of later places being greater, and a context's end
+   is smallest. The array of that text is built by linear grouping: suffixes that
+   share their longest Lyndon prefix form groups, these are processed from the
+   largest down, and each moves the previous smaller suffixes of its members up
+   in their own groups. Here a longest Lyndon prefix runs to the context's end and
+   the previous smaller suffix stands one place before, so all groups of a place are
+   processed at once, by one counting pass over the place before it, and what
+   a pass leaves is the order to emit: no renaming and no recursion
+   (``place_orders``; ``suffix_array`` is the same construction for any text).
+   Common prefixes of neighbours come along, so strings that stand together in the
+   order over ``length`` bytes are the repeats, byte for byte.
 
 Anchors with very many different contexts, where one task would gather too much,
 have their strings counted by hash instead, which is exact at any size.
@@ -48,8 +51,8 @@ from roadtraj.llm.textbatch import BYTE_VALUES, mix64, powers, ragged, run_hashe
 
 LENGTH = 200
 GRAM = 16
-BLOCK = 24
 MANY = 20_000  # of one anchor: what a task may gather, some 10 MB of contexts
+CONTEXTS = 8192  # contexts of whole anchors in one array
 REACH = LENGTH - GRAM
 _BASE = 0xC2B2AE3D27D4EB4F
 
@@ -132,8 +135,8 @@ def common_prefixes(text: list[int], order: list[int]) -> list[int]:
 
 
 def _key(docs: DataFrame) -> DataFrame:
-    """doc_id, tie (tells texts of one id apart), text."""
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.hash("text").alias("tie"), F.coalesce("text", F.lit("")).alias("text"))
+    """doc_id, k and tie (96 bits that tell rows apart, but for rows alike in id and text), text."""
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("doc_id", "text").alias("k"), F.hash("text").alias("tie"), F.coalesce("text", F.lit("")).alias("text"))
 
 
 def _gram_hashes(data: np.ndarray, length: int, base: int = _BASE) -> np.ndarray:
@@ -182,7 +185,7 @@ def _anchor_rows(batches: Iterator[pa.RecordBatch], with_context: bool) -> Itera
             yield pa.RecordBatch.from_arrays([pa.array(hashes.view(np.int64)), pa.array(np.array(context, np.uint64).view(np.int64))], names=["h", "context"])
         else:
             rows = pa.array(document)
-            yield pa.RecordBatch.from_arrays([pa.array(hashes.view(np.int64)), batch.column("doc_id").take(rows), batch.column("tie").take(rows), pa.array((places - offsets[document]).astype(np.int32))], names=["h", "doc_id", "tie", "pos"])
+            yield pa.RecordBatch.from_arrays([pa.array(hashes.view(np.int64)), batch.column("k").take(rows), batch.column("tie").take(rows), pa.array((places - offsets[document]).astype(np.int32))], names=["h", "k", "tie", "pos"])
 
 
 def _digest_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -192,7 +195,7 @@ def _digest_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         unmarked = batch.column("marks").is_null().to_numpy(zero_copy_only=False)
         digests = pa.array([hashlib.sha256(body[a:b]).hexdigest() for a, b in zip(offsets[:-1], offsets[1:], strict=True)], pa.string())
         text = batch.column("text").take(pa.array(np.arange(batch.num_rows), mask=unmarked))
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("tie"), pa.array(np.diff(offsets)), digests, text, batch.column("marks")], names=["doc_id", "tie", "n_bytes", "digest", "text", "marks"])
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("k"), batch.column("tie"), pa.array(np.diff(offsets)), digests, text, batch.column("marks")], names=["doc_id", "k", "tie", "n_bytes", "digest", "text", "marks"])
 
 
 WHOLE, MIXED, HOT = 0, 1, 2
@@ -234,7 +237,7 @@ def _context_rows(batches: Iterator[pa.RecordBatch], with_bytes: bool) -> Iterat
             )
         else:
             rows = pa.array(document)
-            yield pa.RecordBatch.from_arrays([pa.array(hashes.view(np.int64)), pa.array(ids, pa.binary()), batch.column("doc_id").take(rows), batch.column("tie").take(rows), pa.array((places - offsets[document]).astype(np.int32))], names=["h", "context", "doc_id", "tie", "pos"])
+            yield pa.RecordBatch.from_arrays([pa.array(hashes.view(np.int64)), pa.array(ids, pa.binary()), batch.column("k").take(rows), batch.column("tie").take(rows), pa.array((places - offsets[document]).astype(np.int32))], names=["h", "context", "k", "tie", "pos"])
 
 
 def _hashes_at(data: np.ndarray, places: np.ndarray) -> np.ndarray:
@@ -243,91 +246,96 @@ def _hashes_at(data: np.ndarray, places: np.ndarray) -> np.ndarray:
     return mix64((BYTE_VALUES[data[places[:, None] + np.arange(GRAM)]] * up).sum(axis=1, dtype=np.uint64))
 
 
-def _repeated(matrix: np.ndarray, lo: np.ndarray, hi: np.ndarray, bucket: np.ndarray, times: np.ndarray) -> np.ndarray:
-    """Which of the strings (context x start) repeat. Contexts are padded to one width, aligned at the anchor."""
-    m, width = matrix.shape
-    n_blocks = width // BLOCK
-    cells = np.zeros((m, n_blocks, 8 + BLOCK), np.uint8)
-    cells[:, :, :4] = bucket.astype(">u4").view(np.uint8).reshape(m, 1, 4)
-    cells[:, :, 4:8] = np.arange(n_blocks, dtype=">u4").view(np.uint8).reshape(1, n_blocks, 4)
-    cells[:, :, 8:] = matrix.reshape(m, n_blocks, BLOCK)
-    _, symbol = np.unique(cells.reshape(m * n_blocks, -1).view(f"V{8 + BLOCK}").ravel(), return_inverse=True)
-    symbol = symbol.reshape(m, n_blocks) + 1
-    edge = np.arange(n_blocks) * BLOCK
-    outside = (edge < lo[:, None]) | (edge + BLOCK > hi[:, None])
-    symbol[outside] = m * n_blocks + 1 + np.arange(int(outside.sum()))
-    text = symbol.ravel().tolist()
-    order = suffix_array(text)
-    common = common_prefixes(text, order)
-    longest = np.zeros(m * n_blocks + 1, np.int64)
-    prefix = np.array([*common, 0])
-    longest[np.array(order)] = np.maximum(prefix[:-1], prefix[1:])
-    longest = np.minimum(longest[:-1].reshape(m, n_blocks), n_blocks - np.arange(n_blocks))
-    longest = np.concatenate([longest, np.zeros((m, 1), np.int64)], axis=1)
-
-    a = np.arange(width - LENGTH + 1)
-    down, up, down_end, up_end = a // BLOCK, -(-a // BLOCK), (a + LENGTH) // BLOCK, -(-(a + LENGTH) // BLOCK)
-    valid = (a >= lo[:, None]) & (a + LENGTH <= hi[:, None])
-    sure = valid & ((longest[:, down] >= up_end - down) | (times > 1)[:, None])
-    maybe = valid & (sure | (longest[:, up] >= down_end - up))
-    unclear = np.zeros((int(bucket.max()) + 1, len(a)), bool)
-    np.logical_or.at(unclear, bucket, maybe & ~sure)
-    rows, cols = np.nonzero(maybe & unclear[bucket])
-    if len(rows):
-        keys = []
-        for base in (_BASE, 0xA0761D6478BD642F):
-            powered, inverse = powers(base, width)
-            sums = np.zeros((m, width + 1), np.uint64)
-            np.cumsum(BYTE_VALUES[matrix] * powered, axis=1, out=sums[:, 1:])
-            keys.append(mix64((sums[rows, cols + LENGTH] - sums[rows, cols]) * inverse[cols]))
-        order = np.lexsort((keys[1], keys[0], cols, bucket[rows]))
-        rows, cols, keys = rows[order], cols[order], [k[order] for k in keys]
-        same = (bucket[rows[1:]] == bucket[rows[:-1]]) & (cols[1:] == cols[:-1]) & (keys[0][1:] == keys[0][:-1]) & (keys[1][1:] == keys[1][:-1])
-        sure[rows[1:][same], cols[1:][same]] = True
-        sure[rows[:-1][same], cols[:-1][same]] = True
-    return sure
-
-
-def _resolve_batch(held: list[tuple]) -> Iterator[tuple]:
+def _least(values: np.ndarray, first: np.ndarray, last: np.ndarray) -> np.ndarray:
+    """Minimum of values[first..last], ends included, for many ranges."""
+    power = np.frexp((last - first + 1).astype(np.float64))[1] - 1  # of two, at most the range's width
+    out = np.empty(len(first), values.dtype)
+    table = values
+    for k in range(int(power.max(initial=-1)) + 1):
+        at = np.flatnonzero(power == k)
+        if len(at):
+            out[at] = np.minimum(table[first[at]], table[last[at] - (1 << k) + 1])
+        if len(table) > 1 << k:
+            table = np.minimum(table[: -(1 << k)], table[1 << k :])
+    return out
+
+
+def place_orders(columns: np.ndarray, most: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """Place, order of the rows' suffixes from there, common prefix of each with the one before (``most`` at most).
+
+    ``columns`` is the matrix of rows by places, transposed. Places come from the last down.
+    """
+    rows = columns.shape[1]
+    order, common = np.arange(rows), np.zeros(rows, np.int16)
+    for place in range(len(columns) - 1, -1, -1):
+        symbol = columns[place][order]
+        moved = np.argsort(symbol, kind="stable")  # a counting sort: symbols are bytes
+        symbol = symbol[moved]
+        same = np.flatnonzero(symbol[1:] == symbol[:-1])
+        after = np.zeros(rows, np.int16)
+        after[same + 1] = np.minimum(_least(common, moved[same] + 1, moved[same + 1]) + 1, most)
+        order, common = order[moved], after
+        yield place, order, common
+
+
+def repeated_strings(matrix: np.ndarray, lo: np.ndarray, hi: np.ndarray, times: np.ndarray) -> np.ndarray:
+    """Which strings (context x start) occur twice. Contexts fill lo to hi of their rows and are aligned at the anchor."""
+    starts = matrix.shape[1] - LENGTH + 1
+    found = np.zeros((len(matrix), starts), bool)
+    for place, order, common in place_orders(np.ascontiguousarray(matrix.T), LENGTH):
+        if place < starts:
+            run = np.cumsum(common < LENGTH) - 1
+            fits = ((lo <= place) & (place + LENGTH <= hi))[order]
+            occurs = np.bincount(run, weights=np.where(fits, times[order], 0))
+            found[order, place] = fits & (occurs[run] > 1)
+    return found
+
+
+_CUTS = pa.schema([("h", pa.int64()), ("context", pa.binary()), ("cuts", pa.list_(pa.int32()))])
+
+
+def _resolve(rows: pa.Table) -> pa.RecordBatch:
+    """Cuts of the distinct contexts of whole anchors, in order; rows of one context stand together."""
+    rows = rows.combine_chunks()
+    h, context = rows.column("h").to_numpy(), rows.column("context").combine_chunks()
+    marks = np.frombuffer(b"".join(context.to_pylist()), np.uint64).reshape(-1, 2)
+    fresh = np.ones(len(h), bool)
+    fresh[1:] = (h[1:] != h[:-1]) | (marks[1:] != marks[:-1]).any(1)
+    first = np.flatnonzero(fresh)
+    times = np.add.reduceat(rows.column("times").to_numpy(), first)
+    body = rows.column("body").combine_chunks().take(pa.array(first))
+    data, bounds = text_bytes(body)
+    lo = REACH - rows.column("before").to_numpy()[first].astype(np.int64)
+    size = np.diff(bounds)
     width = REACH + LENGTH
-    matrix = np.zeros((len(held), width), np.uint8)
-    lo, hi = np.zeros(len(held), np.int64), np.zeros(len(held), np.int64)
-    for n, (_, _, before, body, _) in enumerate(held):
-        lo[n], hi[n] = REACH - before, REACH - before + len(body)
-        matrix[n, lo[n] : hi[n]] = np.frombuffer(body, np.uint8)
-    h = np.array([x[0] for x in held])
-    bucket = np.concatenate([[0], np.cumsum(h[1:] != h[:-1])])
-    found = _repeated(matrix, lo, hi, bucket, np.array([x[4] for x in held]))
-    step = np.diff(np.pad(found, ((0, 0), (1, 1))).astype(np.int8), axis=1)
-    (row, first), (_, stop) = np.nonzero(step == 1), np.nonzero(step == -1)
-    cuts: dict[int, list[int]] = {}
-    for r, a, b in zip(row.tolist(), first.tolist(), stop.tolist(), strict=True):
-        cuts.setdefault(r, []).extend((a - REACH, b - 1 + LENGTH - REACH))
-    for r, flat in cuts.items():
-        yield held[r][0], held[r][1], flat
-
-
-def _resolve_rows(batches: Iterator[pa.RecordBatch], at_once: int = 1500) -> Iterator[pa.RecordBatch]:
-    """Cuts of each distinct context; rows come ordered by anchor and context."""
-
-    def groups():
-        held: list[tuple] = []
-        for batch in batches:
-            for row in zip(*(batch.column(c).to_pylist() for c in ("h", "context", "before", "body", "times")), strict=True):
-                if held and held[-1][:2] == row[:2]:
-                    held[-1] = (*held[-1][:4], held[-1][4] + row[4])
-                    continue
-                if len(held) >= at_once and held[-1][0] != row[0]:
-                    yield held
-                    held = []
-                held.append(row)
-        if held:
-            yield held
-
-    for held in groups():
-        out = list(_resolve_batch(held))
-        if out:
-            yield pa.RecordBatch.from_arrays([pa.array([o[0] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.binary()), pa.array([o[2] for o in out], pa.list_(pa.int32()))], names=["h", "context", "cuts"])
+    matrix = np.zeros((len(first), width), np.uint8)
+    matrix.ravel()[ragged(np.arange(len(first)) * width + lo, size)] = data
+    step = np.diff(np.pad(repeated_strings(matrix, lo, lo + size, times), ((0, 0), (1, 1))).astype(np.int8), axis=1)
+    (row, start), (_, stop) = np.nonzero(step == 1), np.nonzero(step == -1)
+    per = np.bincount(row, minlength=len(first))
+    cut = np.flatnonzero(per)
+    flat = np.stack([start - REACH, stop - 1 + LENGTH - REACH], axis=1).ravel().astype(np.int32)
+    offsets = np.concatenate([[0], np.cumsum(2 * per[cut])]).astype(np.int32)
+    at = pa.array(first[cut])
+    return pa.RecordBatch.from_arrays([pa.array(h[first[cut]]), context.take(at), pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat))], schema=_CUTS)
+
+
+def _resolve_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Cuts of each distinct context; rows come ordered by anchor and context, and an anchor's rows are taken together."""
+    held, count = [], 0
+    for batch in batches:
+        held.append(batch)
+        count += batch.num_rows
+        if count >= CONTEXTS:
+            rows = pa.Table.from_batches(held)
+            h = rows.column("h").to_numpy()
+            whole = int(np.flatnonzero(h != h[-1])[-1]) + 1 if h[0] != h[-1] else 0
+            if whole:
+                yield _resolve(rows.slice(0, whole))
+            held = rows.slice(whole).to_batches()
+            count -= whole
+    if count:
+        yield _resolve(pa.Table.from_batches(held))
 
 
 def _string_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -343,7 +351,7 @@ def _string_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         of = np.searchsorted(offsets, starts, side="right") - 1
         rows = pa.array(of)
         one, two = _gram_hashes(data, LENGTH), _gram_hashes(data, LENGTH, 0xA0761D6478BD642F)
-        yield pa.RecordBatch.from_arrays([pa.array(one[starts].view(np.int64)), pa.array(two[starts].view(np.int64)), batch.column("doc_id").take(rows), batch.column("tie").take(rows), pa.array((starts - offsets[of]).astype(np.int32))], names=["h1", "h2", "doc_id", "tie", "pos"])
+        yield pa.RecordBatch.from_arrays([pa.array(one[starts].view(np.int64)), pa.array(two[starts].view(np.int64)), batch.column("k").take(rows), batch.column("tie").take(rows), pa.array((starts - offsets[of]).astype(np.int32))], names=["h1", "h2", "k", "tie", "pos"])
 
 
 def _removal_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -378,23 +386,23 @@ def remove_repeats(docs: DataFrame, with_bytes: bool = False) -> DataFrame:
     many = seen.groupBy("h").agg(F.count(F.lit(1)).alias("n"), F.min("context").alias("lo"), F.max("context").alias("hi")).where("n > 1")
     kind = F.when(F.col("lo") == F.col("hi"), WHOLE).when(F.col("n") > MANY, HOT).otherwise(MIXED)
     shared = materialize(many.select("h", kind.alias("kind")), "anchors")
-    found = keyed.mapInArrow(lambda batches: _anchor_rows(batches, False), "h long, doc_id long, tie int, pos int")
-    marks = found.join(shared, "h").groupBy("doc_id", "tie").agg(F.collect_set(F.struct("pos", "kind")).alias("marks"))
+    found = keyed.mapInArrow(lambda batches: _anchor_rows(batches, False), "h long, k long, tie int, pos int")
+    marks = found.join(shared, "h").groupBy("k", "tie").agg(F.collect_set(F.struct("pos", "kind")).alias("marks"))
     joined = _beside(keyed, marks, "marks")
-    looked = materialize(joined.mapInArrow(_digest_rows, "doc_id long, tie int, n_bytes long, digest string, text string, marks array<struct<pos: int, kind: int>>"), "digests")
-    near = looked.where(F.col("text").isNotNull()).select("doc_id", "tie", "text", "marks", "n_bytes", "digest")
+    looked = materialize(joined.mapInArrow(_digest_rows, "doc_id long, k long, tie int, n_bytes long, digest string, text string, marks array<struct<pos: int, kind: int>>"), "digests")
+    near = looked.where(F.col("text").isNotNull()).select("doc_id", "k", "tie", "text", "marks", "n_bytes", "digest")
 
-    contexts = near.select("doc_id", "tie", "text", "marks").where(F.expr(f"exists(marks, m -> m.kind = {MIXED})"))
+    contexts = near.select("k", "tie", "text", "marks").where(F.expr(f"exists(marks, m -> m.kind = {MIXED})"))
     bodies = contexts.mapInArrow(lambda batches: _context_rows(batches, True), "h long, context binary, before int, body binary, times long")
     cuts = materialize(bodies.repartition("h").sortWithinPartitions("h", "context").mapInArrow(_resolve_rows, "h long, context binary, cuts array<int>"), "cuts")
-    where = contexts.mapInArrow(lambda batches: _context_rows(batches, False), "h long, context binary, doc_id long, tie int, pos int")
-    mixed = where.join(cuts, ["h", "context"]).select("doc_id", "tie", F.expr("transform(cuts, c -> c + pos)").alias("cuts"))
+    where = contexts.mapInArrow(lambda batches: _context_rows(batches, False), "h long, context binary, k long, tie int, pos int")
+    mixed = where.join(cuts, ["h", "context"]).select("k", "tie", F.expr("transform(cuts, c -> c + pos)").alias("cuts"))
 
-    hot = near.select("doc_id", "tie", "text", "marks").where(F.expr(f"exists(marks, m -> m.kind = {HOT})"))
-    strings = hot.mapInArrow(_string_rows, "h1 long, h2 long, doc_id long, tie int, pos int")
+    hot = near.select("k", "tie", "text", "marks").where(F.expr(f"exists(marks, m -> m.kind = {HOT})"))
+    strings = hot.mapInArrow(_string_rows, "h1 long, h2 long, k long, tie int, pos int")
     again = materialize(strings.groupBy("h1", "h2").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("h1", "h2"), "strings")
-    hits = strings.join(again, ["h1", "h2"]).select("doc_id", "tie", F.array(F.col("pos"), F.col("pos") + LENGTH).alias("cuts"))
-    per = mixed.unionByName(hits).groupBy("doc_id", "tie").agg(F.flatten(F.collect_set("cuts")).alias("cuts"))
+    hits = strings.join(again, ["h1", "h2"]).select("k", "tie", F.array(F.col("pos"), F.col("pos") + LENGTH).alias("cuts"))
+    per = mixed.unionByName(hits).groupBy("k", "tie").agg(F.flatten(F.collect_set("cuts")).alias("cuts"))
     ready = _beside(near, per, "cuts").withColumn("cuts", F.coalesce("cuts", F.expr("cast(array() as array<int>)")))
     cut = ready.select("doc_id", "text", "marks", "cuts").mapInArrow(_removal_rows, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
     names = ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"] + ["kept"] * with_bytes
@@ -404,6 +412,6 @@ def remove_repeats(docs: DataFrame, with_bytes: bool = False) -> DataFrame:
 
 
 def _beside(left: DataFrame, right: DataFrame, column: str) -> DataFrame:
-    """``left`` with ``column`` of the row of ``right`` that has its doc_id and tie, nulls alike."""
-    other = right.select(F.col("doc_id").alias("_id"), F.col("tie").alias("_tie"), column)
-    return left.join(other, (left["tie"] == other["_tie"]) & left["doc_id"].eqNullSafe(other["_id"]), "left").drop("_id", "_tie")
+    """``left`` with ``column`` of the row of ``right`` that has its key."""
+    other = right.select(F.col("k").alias("_k"), F.col("tie").alias("_tie"), column)
+    return left.join(other, (left["k"] == other["_k"]) & (left["tie"] == other["_tie"]), "left").drop("_k", "_tie")
