@@ -2,18 +2,20 @@
 
 A latent state per token emits a word class, and a class emits a word. The most
 frequent words are classes of their own, all others fall into hashed classes, and
-words never seen in training are one class; so the model has a fixed size while
-word counts, held in a distributed table, grow with the corpus. Baum-Welch runs
-over all training documents: tasks sum expected counts of their sequences, and
-the sums are added up. The scaled forward recursion then gives the exact
-likelihood of every whole document.
+words never seen in training are one class. Both numbers of classes grow with the
+square root of the vocabulary, so what Baum-Welch gathers grows with the corpus and
+still fits into a task; word counts, held in a distributed table, grow with it in
+full. Baum-Welch runs over all training documents: tasks sum expected
+counts of their sequences, and the sums are added up. The scaled forward
+recursion then gives the exact likelihood of every whole document.
 
-Words that are in the fixed-size head table are looked up where they stand; the
-rest meet the word counts in a shuffle join.
+Words that are in the head table are looked up where they stand; the rest meet the
+word counts in a shuffle join.
 
-For training, long texts are cut into segments that start from the state
-distribution of the model; scoring never cuts. Documents share time steps, so a
-step is one array product.
+Documents share time steps, so a step is one array product. For training, long
+texts are worked on in segments at once, and nothing is lost at their borders: the
+product of a segment's transitions carries the forward state into the next one
+and the backward state into the one before.
 
 Defined results: a null text is one end token; a null doc_id is kept out
 of training, and ``held_out`` is null; repeated rows count in training each; other columns are ignored; an
@@ -23,6 +25,8 @@ empty table gives an empty table.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
+from math import ceil, sqrt
 
 import numpy as np
 import pyarrow as pa
@@ -34,21 +38,45 @@ from roadtraj.llm.scratch import materialize
 from roadtraj.llm.textbatch import LOWER, ragged, slices, word_hashes, words_of
 
 STATES = 8
-OWN_CLASSES = 6_000
-HASHED_CLASSES = 2_000
-HEAD_WORDS = 65_536
+OWN_CLASSES = 8  # times the square root of the vocabulary
+HASHED_CLASSES = 3  # likewise
+HEAD_WORDS = 65_536  # or as many as there are classes of one word
 ROUNDS = 3
 SEGMENT = 64
+TOKENS = 1 << 18  # of the sequences that Baum-Welch works on at once
 END = " "  # the end token's entry in the word table; no word holds a space
 _LONGEST_HEAD_WORD = 64
 _PSEUDO = 0.1
-N_CLASSES = OWN_CLASSES + HASHED_CLASSES + 1
-_UNSEEN = N_CLASSES - 1
+
+
+@dataclass(frozen=True)
+class Classes:
+    """Classes of one word each, hashed classes, and one of unseen words, in this order."""
+
+    own: int
+    hashed: int
+
+    @staticmethod
+    def of(n_words: int) -> Classes:
+        root = ceil(sqrt(n_words)) + 1
+        return Classes(OWN_CLASSES * root, HASHED_CLASSES * root)
+
+    @property
+    def unseen(self) -> int:
+        return self.own + self.hashed
+
+    @property
+    def n(self) -> int:
+        return self.unseen + 1
+
+    def by_hash(self, hashes: np.ndarray) -> np.ndarray:
+        return (self.own + (hashes >> np.uint64(11)) % np.uint64(self.hashed)).astype(np.int32)
 
 
 def _keyed(docs: DataFrame) -> DataFrame:
+    """doc_id, k and tie (96 bits that tell rows apart, but for rows alike in id and text), held_out, text."""
     part = F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(5))
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.hash("text").alias("tie"), (part == 1).alias("held_out"), F.coalesce("text", F.lit("")).alias("text"))
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("doc_id", "text").alias("k"), F.hash("text").alias("tie"), (part == 1).alias("held_out"), F.coalesce("text", F.lit("")).alias("text"))
 
 
 def _strings(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> pa.Array:
@@ -79,21 +107,18 @@ def hash_of_words(words: list[str]) -> np.ndarray:
     return word_hashes(joined, ends - lengths, ends)
 
 
-def hashed_class(hashes: np.ndarray) -> np.ndarray:
-    return (OWN_CLASSES + (hashes >> np.uint64(11)) % np.uint64(HASHED_CLASSES)).astype(np.int32)
-
-
 class Head:
-    """The most frequent words by hash: count and class. Its size is fixed."""
+    """The most frequent words by hash: count and class."""
 
-    def __init__(self, rows: list):
+    def __init__(self, rows: list, kinds: Classes):
+        self.kinds = kinds
         hashes = hash_of_words([r["word"] for r in rows])  # rows: most frequent first
-        classes = np.where(np.arange(len(rows)) < OWN_CLASSES, np.arange(len(rows)), hashed_class(hashes)).astype(np.int32)
+        classes = np.where(np.arange(len(rows)) < kinds.own, np.arange(len(rows)), kinds.by_hash(hashes)).astype(np.int32)
         order = np.argsort(hashes)
         self.hashes, self.classes = hashes[order], classes[order]
         self.counts = np.array([r["n"] for r in rows], np.int64)[order]
         at_end = np.flatnonzero(self.hashes == hash_of_words([END])[0])
-        self.end = (int(self.classes[at_end[0]]), int(self.counts[at_end[0]])) if len(at_end) else (_UNSEEN, 0)
+        self.end = (int(self.classes[at_end[0]]), int(self.counts[at_end[0]])) if len(at_end) else (kinds.unseen, 0)
 
     def find(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Position in the table, and whether it is there."""
@@ -103,7 +128,7 @@ class Head:
         return at, self.hashes[at] == hashes
 
 
-_SEQUENCES = "doc_id long, tie int, held_out boolean, classes array<short>, n_head long, base double, inner double, outside array<struct<pos: int, word: string, inner: double>>"
+_SEQUENCES = "doc_id long, k long, tie int, held_out boolean, classes array<int>, n_head long, base double, inner double, outside array<struct<pos: int, word: string, inner: double>>"
 
 
 def _sequence_rows(batches: Iterator[pa.RecordBatch], head: Head, inside: np.ndarray) -> Iterator[pa.RecordBatch]:
@@ -121,7 +146,7 @@ def _sequence_rows(batches: Iterator[pa.RecordBatch], head: Head, inside: np.nda
         bounds = np.concatenate([[0], np.cumsum(counts + 1)])
         spot = np.arange(len(at)) + words.document()
         classes, seen = np.full(bounds[-1], head.end[0], np.int64), np.full(bounds[-1], head.end[1], np.int64)
-        hashed = hashed_class(hashes)
+        hashed = head.kinds.by_hash(hashes)
         classes[spot] = np.where(known, head.classes[at], hashed) if len(head.classes) else hashed
         seen[spot] = np.where(known, head.counts[at], 0) if len(head.counts) else 0
         counted = np.ones(bounds[-1], bool)
@@ -134,30 +159,31 @@ def _sequence_rows(batches: Iterator[pa.RecordBatch], head: Head, inside: np.nda
         )
         yield pa.RecordBatch.from_arrays(
             [
-                batch.column("doc_id"), batch.column("tie"), batch.column("held_out"),
-                pa.ListArray.from_arrays(pa.array(bounds.astype(np.int32)), pa.array(classes.astype(np.int16))),
-                pa.array(sums(seen > 0).astype(np.int64)), pa.array(sums(logs)), pa.array(sums(np.where(classes == _UNSEEN, 0.0, logs - inside[classes]))),
+                *(batch.column(c) for c in ("doc_id", "k", "tie", "held_out")),
+                pa.ListArray.from_arrays(pa.array(bounds.astype(np.int32)), pa.array(classes.astype(np.int32))),
+                pa.array(sums(seen > 0).astype(np.int64)), pa.array(sums(logs)), pa.array(sums(np.where(classes == head.kinds.unseen, 0.0, logs - inside[classes]))),
                 pa.ListArray.from_arrays(pa.array(np.searchsorted(rest, words.first).astype(np.int32)), outside),
             ],
-            names=["doc_id", "tie", "held_out", "classes", "n_head", "base", "inner", "outside"],
+            names=["doc_id", "k", "tie", "held_out", "classes", "n_head", "base", "inner", "outside"],
         )
 
 
 def class_totals(counts: DataFrame, head: Head) -> np.ndarray:
-    """Tokens and distinct words of every class (N_CLASSES x 2), from the whole word table."""
+    """Tokens and distinct words of every class (classes x 2), from the whole word table."""
+    kinds = head.kinds
 
     def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros((N_CLASSES, 2), np.int64)
+        total = np.zeros((kinds.n, 2), np.int64)
         for batch in batches:
             n = batch.column("n").to_numpy()
             hashes = word_hashes(*_bounds(batch.column("word")))
             at, known = head.find(hashes)
-            classes = np.where(known, head.classes[at] if len(head.classes) else 0, hashed_class(hashes))
+            classes = np.where(known, head.classes[at] if len(head.classes) else 0, kinds.by_hash(hashes))
             np.add.at(total[:, 0], classes, n)
             np.add.at(total[:, 1], classes, 1)
-        yield pa.RecordBatch.from_arrays([pa.array(np.arange(N_CLASSES)), pa.array(total[:, 0]), pa.array(total[:, 1])], names=["c", "n", "v"])
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(kinds.n)), pa.array(total[:, 0]), pa.array(total[:, 1])], names=["c", "n", "v"])
 
-    out = np.zeros((N_CLASSES, 2), np.int64)
+    out = np.zeros((kinds.n, 2), np.int64)
     for r in counts.mapInArrow(sums, "c long, n long, v long").groupBy("c").agg(F.sum("n").alias("n"), F.sum("v").alias("v")).collect():
         out[r["c"]] = r["n"], r["v"]
     return out
@@ -187,7 +213,7 @@ class Model:
     @staticmethod
     def from_counts(start: np.ndarray, move: np.ndarray, emit: np.ndarray) -> Model:
         start, move, emit = start + _PSEUDO, move + _PSEUDO, emit + _PSEUDO / 10
-        emit[_UNSEEN] = 0
+        emit[-1] = 0  # the class of unseen words, whose share is set apart
         return Model(start / start.sum(), move / move.sum(1, keepdims=True), emit / emit.sum(0))
 
 
@@ -215,26 +241,87 @@ def forward(model: Model, flat: np.ndarray, bounds: np.ndarray) -> np.ndarray:
     return out
 
 
-def expected_counts(model: Model, flat: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
-    """Baum-Welch: expected starts, moves and emissions over sequences of at most SEGMENT tokens, and their log likelihood."""
-    order, first, alive = _by_length(flat, bounds)
-    start, move, emit, total = np.zeros(STATES), np.zeros((STATES, STATES)), np.zeros_like(model.emit), 0.0
+def _segments(bounds: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
+    """Bounds of the segments of all sequences, and the number of each in its sequence."""
+    per = -(-np.diff(bounds) // length)
+    number = ragged(np.zeros(len(per), np.int64), per)
+    return np.concatenate([np.repeat(bounds[:-1], per) + number * length, bounds[-1:]]), number
+
+
+def _transitions(model: Model, flat: np.ndarray, cuts: np.ndarray, which: np.ndarray) -> np.ndarray:
+    """Products of move and emission over all tokens of some segments (segments x K x K), each scaled."""
+    lengths = np.diff(cuts)[which]
+    order = np.argsort(-lengths, kind="stable")
+    first, alive = cuts[:-1][which][order], np.searchsorted(-lengths[order], -np.arange(1, lengths.max(initial=0) + 1), side="right")
+    n_states = len(model.start)
+    product = np.repeat(np.eye(n_states)[None], len(which), axis=0)
+    for t, n in enumerate(alive):
+        step = (product[:n].reshape(-1, n_states) @ model.move).reshape(n, n_states, n_states) * model.emit[flat[first[:n] + t]][:, None, :]
+        product[:n] = step / step.sum((1, 2), keepdims=True)
+    out = np.empty_like(product)
+    out[order] = product
+    return out
+
+
+def _border_states(model: Model, flat: np.ndarray, cuts: np.ndarray, number: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Forward state before each segment, and backward state behind it, each up to a factor.
+
+    Before the first segment of a sequence the state is the model's start, behind the last one it is 1.
+    """
+    n_states = len(model.start)
+    before, behind = np.zeros((len(number), n_states)), np.ones((len(number), n_states))
+    later = np.flatnonzero(number > 0)
+    if not len(later):
+        return before, behind
+    product = np.zeros((len(number), n_states, n_states))
+    product[later] = _transitions(model, flat, cuts, later)
+    opening = later[number[later] == 1] - 1  # first segments that have a second
+    state = np.repeat(model.start[None, :], len(opening), axis=0) * model.emit[flat[cuts[opening]]]
+    for t in range(1, int(np.diff(cuts)[opening].max())):
+        state = (state @ model.move) * model.emit[flat[cuts[opening] + t]]
+        state /= state.sum(1, keepdims=True)
+    before[opening + 1] = state / state.sum(1, keepdims=True)
+    for k in range(2, int(number.max()) + 1):
+        at = np.flatnonzero(number == k)
+        onward = (before[at - 1][:, None, :] @ product[at - 1])[:, 0, :]
+        before[at] = onward / onward.sum(1, keepdims=True)
+    for k in range(int(number.max()), 0, -1):
+        at = np.flatnonzero(number == k)
+        back = (product[at] @ behind[at][:, :, None])[:, :, 0]
+        behind[at - 1] = back / back.sum(1, keepdims=True)
+    return before, behind
+
+
+def expected_counts(model: Model, flat: np.ndarray, bounds: np.ndarray, length: int | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
+    """Baum-Welch: expected starts, moves and emissions over whole sequences, and their log likelihood.
+
+    Segments of ``length`` tokens are worked on side by side; states at their borders are exact.
+    """
+    cuts, number = _segments(bounds, length or SEGMENT)
+    before, behind = _border_states(model, flat, cuts, number)
+    n_states = len(model.start)
+    order, first, alive = _by_length(flat, cuts)
+    before, behind, opens = before[order], behind[order], (number == 0)[order]
+    lengths = np.diff(cuts)[order]
+    start, move, emit, total = np.zeros(n_states), np.zeros((n_states, n_states)), np.zeros_like(model.emit), 0.0
     ahead, scales = [], []
-    state = model.start
+    state = np.where(opens[:, None], model.start[None, :], before @ model.move)
     for t, n in enumerate(alive):
-        state = (np.repeat(state[None, :], n, axis=0) if t == 0 else state[:n] @ model.move) * model.emit[flat[first[:n] + t]]
+        state = (state if t == 0 else state[:n] @ model.move) * model.emit[flat[first[:n] + t]]
         scale = state.sum(1)
         state = state / scale[:, None]
         total += np.log(scale).sum()
         ahead.append(state)
         scales.append(scale)
     classes, weights = [], []
-    back = np.zeros((0, STATES))
+    back = np.zeros((0, n_states))
     for t in range(len(alive) - 1, -1, -1):
         n = alive[t]
-        grown = np.ones((n, STATES))
-        if t + 1 < len(alive):
-            m = alive[t + 1]
+        m = alive[t + 1] if t + 1 < len(alive) else 0
+        grown = np.empty((n, n_states))
+        grown[m:] = behind[m:n]  # segments that end here
+        grown[m:] /= (ahead[t][m:] * grown[m:]).sum(1, keepdims=True)
+        if m:
             seen = model.emit[flat[first[:m] + t + 1]] * back / scales[t + 1][:, None]
             move += (ahead[t][:m].T @ seen) * model.move
             grown[:m] = seen @ model.move.T
@@ -242,9 +329,12 @@ def expected_counts(model: Model, flat: np.ndarray, bounds: np.ndarray) -> tuple
         classes.append(flat[first[:n] + t])
         weights.append(ahead[t] * back)
     if classes:
-        start += weights[-1].sum(0)
+        start += weights[-1][opens[: alive[0]]].sum(0)
+        follows = np.flatnonzero(~opens)
+        seen = model.emit[flat[first[follows]]] * back[follows] / scales[0][follows][:, None]
+        move += (before[follows].T @ seen) * model.move
         where, weight = np.concatenate(classes), np.concatenate(weights)
-        for k in range(STATES):
+        for k in range(n_states):
             emit[:, k] = np.bincount(where, weights=weight[:, k], minlength=len(emit))
     return start, move, emit, total
 
@@ -254,14 +344,6 @@ def _flat(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return column.flatten().to_numpy(), offsets - offsets[0]
 
 
-def _segments(bounds: np.ndarray) -> np.ndarray:
-    """Bounds of the segments of all sequences."""
-    lengths = np.diff(bounds)
-    per = -(-lengths // SEGMENT)
-    number = ragged(np.zeros(len(per), np.int64), per)
-    return np.concatenate([np.repeat(bounds[:-1], per) + number * SEGMENT, bounds[-1:]])
-
-
 def train(sequences: DataFrame, model: Model, rounds: int = ROUNDS) -> tuple[Model, list[float]]:
     """Baum-Welch over all training sequences; the log likelihood before each round."""
     seen, training = [], sequences.where(F.coalesce(~F.col("held_out"), F.lit(False))).select("classes")
@@ -272,37 +354,40 @@ def train(sequences: DataFrame, model: Model, rounds: int = ROUNDS) -> tuple[Mod
             here, sums = Model(*now.value), None
             for batch in batches:
                 flat, bounds = _flat(batch.column("classes"))
-                cuts = _segments(bounds)
-                for lo in range(0, len(cuts) - 1, 8192):
-                    got = expected_counts(here, flat, cuts[lo : lo + 8193])
+                lo = 0
+                while lo + 1 < len(bounds):  # whole sequences, TOKENS or one at once
+                    hi = max(lo + 1, int(np.searchsorted(bounds, bounds[lo] + TOKENS, side="right")) - 1)
+                    got = expected_counts(here, flat, bounds[lo : hi + 1])
                     sums = got if sums is None else tuple(a + b for a, b in zip(sums, got, strict=True))
+                    lo = hi
             if sums is not None:
                 flat = np.concatenate([sums[0], sums[1].ravel(), sums[2].ravel(), [sums[3]]])
                 at = np.flatnonzero(flat)
                 yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(flat[at])], names=["cell", "weight"])
 
-        flat = np.zeros(STATES + STATES**2 + N_CLASSES * STATES + 1)
+        n_states, n_classes = len(model.start), len(model.emit)
+        flat = np.zeros(n_states + n_states**2 + n_classes * n_states + 1)
         for r in training.mapInArrow(gather, "cell long, weight double").groupBy("cell").agg(F.sum("weight").alias("weight")).toPandas().itertuples():
             flat[r.cell] = r.weight
-        start, move, emit, (total,) = np.split(flat, np.cumsum([STATES, STATES**2, N_CLASSES * STATES]))
-        model = Model.from_counts(start, move.reshape(STATES, STATES), emit.reshape(N_CLASSES, STATES))
+        start, move, emit, (total,) = np.split(flat, np.cumsum([n_states, n_states**2, n_classes * n_states]))
+        model = Model.from_counts(start, move.reshape(n_states, n_states), emit.reshape(n_classes, n_states))
         seen.append(float(total))
         now.unpersist()
     return model, seen
 
 
 def outside_words(found: DataFrame, counts: DataFrame) -> DataFrame:
-    """_id, _tie, rows, n_known, base, inner, unseen (places) of the words outside the head, from the word table."""
-    each = found.select("doc_id", "tie", F.explode("outside").alias("o")).select("doc_id", "tie", "o.*")
+    """_k, _tie, rows, n_known, base, inner, unseen (places) of the words outside the head, from the word table."""
+    each = found.select("k", "tie", F.explode("outside").alias("o")).select("k", "tie", "o.*")
     met = each.join(counts, "word", "left")
-    summed = met.groupBy("doc_id", "tie").agg(
+    summed = met.groupBy("k", "tie").agg(
         F.count(F.lit(1)).alias("rows"),
         F.count("n").alias("n_known"),
         F.sum(F.log10(F.coalesce("n", F.lit(0)) + 0.5)).alias("o_base"),
         F.sum(F.when(F.col("n").isNotNull(), F.log10(F.col("n") + 0.5) + F.col("inner")).otherwise(0.0)).alias("o_inner"),
         F.collect_set(F.when(F.col("n").isNull(), F.col("pos"))).alias("unseen"),
     )
-    return summed.withColumnRenamed("doc_id", "_id").withColumnRenamed("tie", "_tie")
+    return summed.withColumnRenamed("k", "_k").withColumnRenamed("tie", "_tie")
 
 
 def frequent_words(counts: DataFrame, most: int = HEAD_WORDS) -> list:
@@ -338,19 +423,20 @@ def score(docs: DataFrame, rounds: int = ROUNDS) -> DataFrame:
     counts = materialize(word_counts(keyed), "counts")
     facts = counts.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.count(F.lit(1)).alias("v")).first()
     n_all, n_kinds = int(facts["n"]), int(facts["v"])
-    head = Head(frequent_words(counts))
+    kinds = Classes.of(n_kinds)
+    head = Head(frequent_words(counts, max(HEAD_WORDS, kinds.own)), kinds)
     totals = class_totals(counts, head)
     inside = np.log10(np.maximum(totals[:, 0] + 0.5 * totals[:, 1], 0.5))
     found = materialize(keyed.mapInArrow(lambda batches: _sequence_rows(batches, head, inside), _SEQUENCES), "sequences")
     model, _ = train(found, Model.initial(totals[:, 0]), rounds)
     unseen = _unseen_share(counts, n_all)
     emit = model.emit * (1 - unseen)
-    emit[_UNSEEN] = unseen
+    emit[kinds.unseen] = unseen
     parts = spark.sparkContext.broadcast((model.start, model.move, emit))
 
     outside = outside_words(found, counts)
-    flat = found.select("doc_id", "tie", "held_out", "classes", "n_head", "base", "inner", F.size("outside").alias("n_outside"))
-    joined = flat.join(outside, flat["doc_id"].eqNullSafe(outside["_id"]) & (flat["tie"] == outside["_tie"]), "left")
+    flat = found.select("doc_id", "k", "tie", "held_out", "classes", "n_head", "base", "inner", F.size("outside").alias("n_outside"))
+    joined = flat.join(outside, (flat["k"] == outside["_k"]) & (flat["tie"] == outside["_tie"]), "left")
 
     def rate(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         here = Model(*parts.value)
@@ -358,7 +444,7 @@ def score(docs: DataFrame, rounds: int = ROUNDS) -> DataFrame:
             classes, bounds = _flat(batch.column("classes"))
             classes = classes.astype(np.int64)
             marks, mark_bounds = _flat(batch.column("unseen"))
-            classes[marks + np.repeat(bounds[:-1], np.diff(mark_bounds))] = _UNSEEN
+            classes[marks + np.repeat(bounds[:-1], np.diff(mark_bounds))] = kinds.unseen
             logs = forward(here, classes, bounds) / np.log(10)
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("doc_id", "held_out")), pa.array(np.diff(bounds)), *(batch.column(c) for c in ("n_known", "base", "inner")), pa.array(logs)], names=["doc_id", "held_out", "n_tokens", "n_known", "base", "inner", "logs"])
 

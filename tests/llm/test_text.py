@@ -82,6 +82,22 @@ def test_privacy(spark):
     assert privacy.digests(privacy.find(frame(spark, []))).count() == 0
 
 
+def test_privacy_of_texts_full_of_matches(spark):
+    """Thousands of matches in one text: places are right and the time stays short."""
+    text = "".join(f"é {i}.{i % 256}.1.2 a{i}@x.org +1234567{i:04d}; " for i in range(3000))
+    found = privacy.digests(privacy.find(frame(spark, [(1, text, None, None, None), (2, "x", None, None, None)]))).where("doc_id = 1").first()
+    want = [f"{k}:{m.start()}:{m.end()}" for m in re.finditer(r"(?P<ip>(?<=é )[0-9.]+)|(?P<email>a[0-9]+@x.org)|(?P<phone>\+[0-9]+)", text) for k in [m.lastgroup] if k != "ip" or int(m[0].split(".")[0]) < 256]
+    base = [s for s in found.spans.split(",") if not s.startswith("term")]
+    assert base == want and found.n_email == 3000 and found.n_ip == 256
+
+
+def test_terms_are_generalised_to_their_shape(spark):
+    """A term that reveals most of an entity, but not nearly all, is replaced by what it looks like."""
+    rows = [(i, "ask Quentin x77 rarely at q7@mail.org" if i < 2 else "Quentin x77 rarely at" if i == 2 else "ask at today", None, None, None) for i in range(60)]
+    clean = {r.doc_id: r.text for r in privacy.sanitise(frame(spark, rows)).collect()}
+    assert clean[0] == "ask <NAME> <CODE> <WORD> at <EMAIL>" and clean[2] == rows[2][1]
+
+
 def test_privacy_of_values_seen_once(spark):
     rows = [(1, "ask quentin at q7@mail.org today", None, None, None), *[(2 + i, "ask at today", None, None, None) for i in range(40)]]
     got = {r.doc_id: r.spans for r in privacy.digests(privacy.find(frame(spark, rows))).collect()}
@@ -164,13 +180,26 @@ def test_chat(spark):
         replies = "".join(t[3] or "" for t in turns if t[2] == "assistant")
         want = (len(turns), hashlib.sha256("".join(f"{t[2] or ''}\n{t[3] or ''}\n" for t in turns).encode()).hexdigest(), len(replies), hashlib.sha256(replies.encode()).hexdigest())
         assert (got[conv].n_turns, got[conv].turns_sha256, got[conv].loss_chars, got[conv].loss_sha256) == want
+    rows = examples.where("conv_id = 1 AND trains").orderBy("example").collect()
     full = chat.materialize_examples(examples).where("conv_id = 1").orderBy("example").collect()
+    assert [r.text for r in rows] == [r.text for r in full] and {r.context_chars for r in rows} == {0}
     assert len(full) == 2 and full[1].text.startswith(full[0].text)
     assert [chat.unescape(r.text[r.loss_start : r.loss_end]) for r in full] == ["</s>[INST] ok [/INST]\n", "<\\|é|>"]
     assert sum(len(r.text) for r in full) == got[1].formatted_chars
     assert chat.digests(chat.format_chat(df.limit(0))).count() == 0
 
 
+def test_long_conversations(spark):
+    """Beyond the context limit rows refer to those before them; what they say is the same."""
+    turns = [(c, t, ("user", "assistant", "tool")[t % 3], f"{c} says <|{t}|> " * (t % 5 + c)) for c in (1, 2, 3) for t in range(40)] + [(9, 0, "user", "y" * 3_000_000)]
+    df = spark.createDataFrame(turns, "conv_id long, turn long, role string, text string")
+    short, whole = chat.format_chat(df, 300), chat.format_chat(df)
+    assert short.where("context_chars > 0").count() > 20 and whole.where("context_chars > 0").count() == 0
+    assert sorted(chat.digests(short).collect()) == sorted(chat.digests(whole).collect())
+    texts = [sorted(tuple(r)[0:1] + tuple(r)[2:] for r in chat.materialize_examples(x).collect()) for x in (short, whole)]
+    assert texts[0] == texts[1] and len(texts[0]) == 39
+
+
 def test_escape_round_trip():
     for parts in itertools.product(["<", "|", "\\", "</s>", "[INST]", ">"], repeat=4):
         text = "".join(parts)
@@ -208,6 +237,28 @@ def test_packing(spark):
     assert packing.pack(frame(spark, []), tokenizer_path()).count() == 0
 
 
+def test_packing_keeps_the_level_arrays_windows(spark):
+    """Windows are little padded, and most of those that a task leaves open stay as they are; very long texts take several slices."""
+    rows = documents(9, 400) + [(5000 + i, "long text here " * 100_000, None, None, None) for i in range(4)]
+    packed = packing.pack(frame(spark, rows).coalesce(2), tokenizer_path())
+    found = packing.padding(packed).first()
+    assert found.tokens == sum(r.length for r in packed.select("length").collect()) and found.sequences * 2048 == found.tokens + found.padded
+    sizes = sorted(r.n for r in packed.groupBy("sequence_id").agg(F.sum("length").alias("n")).collect())
+    assert sum(n < packing.ENOUGH * 2048 for n in sizes) <= 2 and found.padded < 0.1 * found.tokens
+
+
+def test_other_tokenizers_get_whole_texts(tmp_path):
+    from tokenizers import Tokenizer, models, pre_tokenizers
+
+    coder = Tokenizer(models.WordLevel({"Ab": 0, "ab": 1, "!": 2, "?": 3}, unk_token="?"))
+    coder.pre_tokenizer = pre_tokenizers.Whitespace()
+    coder.save(str(tmp_path / "t.json"))
+    made = packing.WordTokenizer(str(tmp_path / "t.json"))
+    ids, bounds = made.encode(pa.array(["Ab ab !", None, "ab"]))
+    assert not made.by_word and ids.tolist() == [0, 1, 2, 1] and bounds.tolist() == [0, 3, 3, 4]
+    assert packing.WordTokenizer(tokenizer_path()).by_word
+
+
 def test_level_array_is_greedy():
     """Each placement makes the sum of squared counts smallest."""
     rng, levels, square = np.random.default_rng(1), packing.LevelArray(16), lambda c: int((c[1:-1] ** 2).sum())
@@ -235,9 +286,16 @@ def test_forward_is_exact():
         assert math.isclose(g, math.log(total), rel_tol=1e-9)
     start, move, emit, likelihood = hmm.expected_counts(model, np.concatenate(seqs), bounds)
     assert math.isclose(start.sum(), 4) and math.isclose(move.sum(), 6) and math.isclose(emit.sum(), 10) and math.isclose(likelihood, got.sum())
+    # Whatever the segments, nothing is lost at their borders.
+    seqs = [rng.integers(0, c, n) for n in (1, 2, 7, 23, 24, 25, 60, 8)]
+    flat, bounds = np.concatenate(seqs), np.concatenate([[0], np.cumsum([len(s) for s in seqs])])
+    whole = hmm.expected_counts(model, flat, bounds, 1000)
+    for length in (1, 2, 5, 8):
+        for a, b in zip(hmm.expected_counts(model, flat, bounds, length), whole, strict=True):
+            assert np.allclose(a, b, rtol=1e-9)
 
 
-def test_language_model(spark):
+def test_language_model(spark, monkeypatch):
     rows = [r for r in documents(5, 300) if r[0] is not None]
     df = frame(spark, rows)
     got = hmm.score(df).collect()
@@ -250,21 +308,70 @@ def test_language_model(spark):
     assert Counter((r.doc_id, r.held_out, r.n_tokens, r.n_known, r.train_tokens, round(r.base_score, 4)) for r in got) == want
     assert all(r.score < 0 for r in got)
     # Small head tables send words through the join; nothing but the classes may change.
-    hmm_head, hmm.HEAD_WORDS = hmm.HEAD_WORDS, 40
-    try:
-        again = Counter((r.doc_id, r.held_out, r.n_tokens, r.n_known, r.train_tokens, round(r.base_score, 4)) for r in hmm.score(df, rounds=1).collect())
-    finally:
-        hmm.HEAD_WORDS = hmm_head
+    monkeypatch.setattr(hmm, "HEAD_WORDS", 40)
+    monkeypatch.setattr(hmm, "OWN_CLASSES", 1)
+    again = Counter((r.doc_id, r.held_out, r.n_tokens, r.n_known, r.train_tokens, round(r.base_score, 4)) for r in hmm.score(df, rounds=1).collect())
     assert again == want
     assert hmm.score(frame(spark, [])).count() == 0
     assert [r.held_out for r in hmm.score(frame(spark, [(None, "a b", None, None, None)])).collect()] == [None]
 
 
+def _slow_counts(model, seq):
+    """Expected starts, moves and emissions of one sequence, by sums over plain lists."""
+    k = range(len(model.start))
+    ahead = [[model.start[i] * model.emit[seq[0]][i] for i in k]]
+    for w in seq[1:]:
+        ahead.append([sum(ahead[-1][i] * model.move[i][j] for i in k) * model.emit[w][j] for j in k])
+    back = [[1.0 for _ in k]]
+    for w in seq[:0:-1]:
+        back.insert(0, [sum(model.move[i][j] * model.emit[w][j] * back[0][j] for j in k) for i in k])
+    total = sum(ahead[-1])
+    start, move, emit = np.zeros(len(k)), np.zeros((len(k), len(k))), np.zeros_like(model.emit)
+    for t, w in enumerate(seq):
+        for i in k:
+            weight = ahead[t][i] * back[t][i] / total
+            emit[w][i] += weight
+            start[i] += weight * (t == 0)
+            for j in k:
+                move[i][j] += ahead[t][i] * model.move[i][j] * model.emit[seq[t + 1]][j] * back[t + 1][j] / total if t + 1 < len(seq) else 0
+    return start, move, emit, total
+
+
+@pytest.mark.parametrize("states", [1, 2])
+def test_scores_against_a_slow_twin(spark, monkeypatch, states):
+    """Training and scoring from the texts on, by plain loops; one state is a model of word frequencies alone."""
+    monkeypatch.setattr(hmm, "STATES", states)
+    monkeypatch.setattr(hmm, "OWN_CLASSES", 2)
+    rng = np.random.default_rng(3)
+    rows = [(i, " ".join(f"w{int(x) ** 2 // 40}" for x in rng.integers(0, 60, int(rng.integers(0, 80)))), None, None, None) for i in range(25)]
+    tokens = [[*words(t), " "] for _, t, *_ in rows]
+    trained = [s for s, (i, *_) in zip(tokens, rows, strict=True) if zlib.crc32(str(i).encode()) % 5 != 1]
+    counts = Counter(w for s in trained for w in s)
+    kinds = hmm.Classes.of(len(counts))
+    head = sorted(counts, key=lambda w: (-counts[w], w))
+    of = {w: n if n < kinds.own else int(kinds.by_hash(hmm.hash_of_words([w]))[0]) for n, w in enumerate(head)}
+    totals = np.zeros((kinds.n, 2), np.int64)
+    for w, n in counts.items():
+        totals[of[w]] += (n, 1)
+    model = hmm.Model.initial(totals[:, 0])
+    for _ in range(hmm.ROUNDS):
+        sums = [_slow_counts(model, [of[w] for w in s])[:3] for s in trained]
+        model = hmm.Model.from_counts(*(sum(x) for x in zip(*sums, strict=True)))
+    unseen = min(max(sum(n == 1 for n in counts.values()) / sum(counts.values()), 1e-9), 0.5)
+    emit = model.emit * (1 - unseen)
+    emit[kinds.unseen] = unseen
+    model = hmm.Model(model.start, model.move, emit)
+    got = {r.doc_id: r.score for r in hmm.score(frame(spark, rows)).collect()}
+    for (i, *_), s in zip(rows, tokens, strict=True):
+        inner = sum(math.log10((counts[w] + 0.5) / (totals[of[w]] @ (1, 0.5))) for w in s if w in of)
+        assert math.isclose(got[i], math.log10(_slow_counts(model, [of.get(w, kinds.unseen) for w in s])[3]) + inner, rel_tol=1e-7)
+
+
 def test_training_raises_likelihood(spark):
     rng = np.random.default_rng(2)
-    rows = [(i, int(0), False, rng.integers(i % 2 * 20, i % 2 * 20 + 20, 50).astype(int).tolist()) for i in range(60)]
-    seqs = spark.createDataFrame(rows, "doc_id long, tie int, held_out boolean, classes array<short>")
-    start = np.bincount(np.concatenate([r[3] for r in rows]), minlength=hmm.N_CLASSES)
+    rows = [(i, int(0), False, rng.integers(i % 2 * 20, i % 2 * 20 + 20, 150).astype(int).tolist()) for i in range(60)]
+    seqs = spark.createDataFrame(rows, "doc_id long, tie int, held_out boolean, classes array<int>")
+    start = np.bincount(np.concatenate([r[3] for r in rows]), minlength=hmm.Classes.of(40).n)
     _, seen = hmm.train(seqs, hmm.Model.initial(start), rounds=4)
     assert all(a < b for a, b in zip(seen, seen[1:], strict=False))
 
@@ -284,6 +391,23 @@ def test_top_k(spark):
     assert topk.top_k(df.limit(0)).count() == 0
 
 
+def test_top_k_over_a_grid(spark, monkeypatch):
+    """Many cells; a query id with two vectors asks with the smaller; sums beyond 64 bits stop at their end."""
+    monkeypatch.setattr(topk, "ROWS_PER_BLOCK", 16)
+    monkeypatch.setattr(topk, "QUERIES_PER_BLOCK", 2)
+    rng = np.random.default_rng(2)
+    vectors = [(i, [float(x) for x in rng.integers(-9, 9, 5)]) for i in range(400)] + [(100, [-20.0, 1.0, 1.0, 1.0, 1.0]), (7, [2.0**40] * 5), (350, [2.0**40, -1.0, 0.0, 0.0, 0.0])]
+    df = spark.createDataFrame(vectors, "vec_id long, embedding array<double>").repartition(5)
+    whole = [(i, [math.floor(256 * c) for c in x]) for i, x in vectors]
+    got = {}
+    for r in topk.top_k(df).collect():
+        got.setdefault(r.query_id, []).append((r["rank"], r.vec_id, r.score))
+    for q in range(0, 400, 50):
+        own = min(x for i, x in whole if i == q)
+        best = sorted((-min(sum(a * b for a, b in zip(own, y, strict=True)), 2**63 - 1), i) for i, y in whole if i != q)[:5]
+        assert sorted(got[q]) == [(k + 1, i, -s) for k, (s, i) in enumerate(best)]
+
+
 def test_words_of_slices():
     from roadtraj.llm.textbatch import word_hashes, words_of
 
