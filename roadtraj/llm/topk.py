@@ -5,13 +5,19 @@ packed into blocks that hold, for each dimension, the posting column of all
 their rows. A block of queries goes through the dimensions one at a time: each
 query row with a non-zero weight adds weight times posting to its dense array
 of scores. The k best of an array are selected per block and merged by query.
-Every query meets every candidate block exactly once, keyed by query block.
+
+Query blocks and strips of candidate blocks span a grid. A cell is a join key: a query
+block goes to every strip and a candidate block to every query block, so each
+pair meets in one cell, a task scores a few cells, and cells outnumber cores long
+before a table is large.
 
 Defined results: a vector that is null or holds a null or non-finite component
 takes no part; vectors of different lengths are scored over the dimensions both
 have; a row is no candidate for queries of its own vec_id; a null vec_id takes
-no part; repeated rows are candidates of their own; ties go to the smaller
-vec_id.
+no part; repeated rows are candidates of their own, and of the rows of one
+vec_id that ask, the smallest vector does; ties go to the smaller vec_id.
+Components beyond the range of bigint count as its ends, and so do scores, which
+are added up without a bound where they could pass it.
 """
 
 from __future__ import annotations
@@ -20,11 +26,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-ROWS_PER_BLOCK = 8192
-QUERIES_PER_BLOCK = 4096
+ROWS_PER_BLOCK = 4096
+QUERIES_PER_BLOCK = 512
 _PACKED = pa.schema([("ids", pa.binary()), ("dims", pa.int32()), ("postings", pa.binary())])
 _FOUND = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.int64())])
 
@@ -67,14 +73,18 @@ def pack(vectors: DataFrame, rows: int) -> DataFrame:
 
 def accumulate(weights: np.ndarray, postings: np.ndarray) -> np.ndarray:
     """Dense scores (queries x rows): one dimension's postings at a time, scattered by non-zero weights."""
-    scores = np.zeros((weights.shape[0], postings.shape[1]), np.int64)
-    for d in range(min(weights.shape[1], postings.shape[0])):
+    dims = min(weights.shape[1], postings.shape[0])
+    most = dims * float(np.abs(weights.astype(np.float64)).max(initial=0)) * float(np.abs(postings.astype(np.float64)).max(initial=0))
+    kind = np.int64 if most < 2.0**62 else object
+    weights, postings = weights.astype(kind, copy=False), postings.astype(kind, copy=False)
+    scores = np.zeros((weights.shape[0], postings.shape[1]), kind)
+    for d in range(dims):
         at = np.flatnonzero(weights[:, d])
         if len(at) == len(scores):
             scores += weights[:, d, None] * postings[d]
         elif len(at):
             scores[at] += weights[at, d, None] * postings[d]
-    return scores
+    return scores if kind is np.int64 else np.clip(scores, -(2**63), 2**63 - 1).astype(np.int64)
 
 
 def best(query: int, ids: np.ndarray, scores: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -106,12 +116,17 @@ def _score(batches: Iterator[pa.RecordBatch], k: int, queries_at_once: int = 64)
 def top_k(vectors: DataFrame, k: int = 5, every: int = 50, scale: int = 256) -> DataFrame:
     """query_id, rank, vec_id, score of each query (vec_id divisible by ``every``) against all rows."""
     whole = integer_vectors(vectors, scale)
-    queries = whole.where(F.col("vec_id") % every == 0).dropDuplicates(["vec_id"])
-    asked = queries.count()
-    n_blocks = max(1, -(-asked // QUERIES_PER_BLOCK))
-    packed_queries = pack(queries.repartition(n_blocks, "vec_id"), QUERIES_PER_BLOCK)
-    numbered = packed_queries.select(F.col("ids").alias("q_ids"), F.col("dims").alias("q_dims"), F.col("postings").alias("q_postings"), F.pmod(F.xxhash64("ids"), F.lit(n_blocks)).alias("part"))
-    candidates = pack(whole, ROWS_PER_BLOCK).withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n_blocks - 1).cast("long"))))
-    found = candidates.join(numbered, "part").mapInArrow(lambda batches: _score(batches, k), "query_id long, vec_id long, score long")
-    merged = found.groupBy("query_id").agg(F.slice(F.sort_array(F.collect_list(F.struct((-F.col("score")).alias("down"), "vec_id", "score"))), 1, k).alias("best"))
-    return merged.select("query_id", F.posexplode("best").alias("pos", "b")).select("query_id", (F.col("pos") + 1).cast("int").alias("rank"), "b.vec_id", "b.score")
+    queries = whole.where(F.col("vec_id") % every == 0).groupBy("vec_id").agg(F.min("weights").alias("weights"))
+    sizes = whole.agg(F.count(F.lit(1)).alias("rows"), F.count_distinct(F.when(F.col("vec_id") % every == 0, F.col("vec_id"))).alias("asked")).first()
+    parts, strips = max(1, -(-sizes["asked"] // QUERIES_PER_BLOCK)), max(1, -(-sizes["rows"] // ROWS_PER_BLOCK))
+    cell = lambda n, name: F.explode(F.sequence(F.lit(0), F.lit(n - 1))).alias(name)
+    asked = pack(queries.repartition(parts, "vec_id"), QUERIES_PER_BLOCK).withColumn("part", F.pmod(F.xxhash64("ids"), F.lit(parts)).cast("int"))
+    asked = asked.select(F.col("ids").alias("q_ids"), F.col("dims").alias("q_dims"), F.col("postings").alias("q_postings"), "part", cell(strips, "strip"))
+    given = pack(whole, ROWS_PER_BLOCK).withColumn("strip", F.pmod(F.xxhash64("ids"), F.lit(strips)).cast("int")).select("*", cell(parts, "part"))
+    # As many partitions as cells, up to a bound, so that small blocks of much work are not merged into one task.
+    tasks = min(parts * strips, max(vectors.sparkSession.sparkContext.defaultParallelism * 4, int(vectors.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+    met = given.repartition(tasks, "part", "strip").hint("merge").join(asked.repartition(tasks, "part", "strip"), ["part", "strip"])
+    found = met.mapInArrow(lambda batches: _score(batches, k), "query_id long, vec_id long, score long")
+    # The limit on the rank reaches the tasks before the shuffle, which thus carries k rows for each query and task.
+    place = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
+    return found.withColumn("rank", place).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
