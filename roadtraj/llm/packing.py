@@ -4,8 +4,10 @@ A window of fixed length is open while partly filled. The level array counts the
 open windows of each fill level; a piece of length s goes to the level (0: a new
 window) whose change makes the sum of squared counts smallest. Each task packs
 its own rows with its own array. Documents longer than a window are cut into
-full windows and a rest. When a task's rows end, the tokens of its open windows
-are cut anew into full windows, so at most one window per task is padded.
+full windows and a rest. When a task's rows end, its open windows stay as the level
+array left them where they are ENOUGH full, so that none of them is padded by more;
+only the tokens of emptier ones are cut anew, which leaves one window per task that
+may be. ``padding`` tells what either way comes to.
 
 Defined results: a null text is empty and yields its end token alone; repeated
 rows are packed each; columns beyond doc_id and text are ignored; an empty table
@@ -26,6 +28,7 @@ from pyspark.sql import functions as F
 from roadtraj.llm.textbatch import LOWER, Words, ragged, slices, word_hashes, words_of
 
 WINDOW = 2048
+ENOUGH = 7 / 8
 END_ID = 1
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 _PIECES = pa.schema([(n, pa.int64()) for n in ("doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset")])
@@ -52,11 +55,16 @@ def _parts(words: Words) -> Words:
     return Words(data, starts, ends, np.concatenate([[0], stops])[words.first])
 
 
+# Texts on which a tokenizer must treat words one by one, in lower case, for ``WordTokenizer`` to use that.
+_PROBES = ("Ab cD", "a\tb\n\nc  d\x0b\x0ce\r", " lead trail ", "end. next, x.y z,", "It's DON'T", "1.5 2,000 a1.", "\u00c9t\u00e9 \u00df \u0130", "a-b (c) \"d\"", "<x> &amp; #t @u", "!a b! !", "\u4f60\u597d \U0001f600 a")
+
+
 class WordTokenizer:
-    """Token ids of texts through their distinct words; valid for tokenizers that drop white space between words.
+    """Token ids of texts through their distinct words.
 
-    The ids of words already met are held by the words' 64-bit hashes, up to
-    ``most`` words; then the store starts anew.
+    Where the tokenizer treats words one by one (probed at the start), the ids of
+    words already met are held by the words' 64-bit hashes, up to ``most`` words;
+    then the store starts anew. Any other tokenizer gets the whole texts.
     """
 
     def __init__(self, path: str, most: int = 1_000_000):
@@ -67,6 +75,13 @@ class WordTokenizer:
         mark = self.tokenizer.encode("!", add_special_tokens=False).ids
         self.mark = mark[0] if len(mark) == 1 else None
         self._clear()
+        self.by_word = all(np.array_equal(self._whole(pa.array([p]))[0], self._words(pa.array([p]))[0]) for p in _PROBES)
+        self._clear()
+
+    def _whole(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """As ``encode``, without the store of words."""
+        found = [e.ids for e in self.tokenizer.encode_batch_fast([t or "" for t in column.to_pylist()], add_special_tokens=False)]
+        return np.array([i for ids in found for i in ids], np.uint32), np.concatenate([[0], np.cumsum([len(ids) for ids in found])]).astype(np.int64)
 
     def _clear(self) -> None:
         self.hashes, self.firsts, self.sizes = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
@@ -103,6 +118,9 @@ class WordTokenizer:
 
     def encode(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """All ids and each text's bounds in them."""
+        return self._words(column) if self.by_word else self._whole(column)
+
+    def _words(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         words = _parts(words_of(column))
         hashes = word_hashes(words.data, words.start, words.end)
         if len(self.hashes) > self.most:
@@ -199,7 +217,13 @@ def _pack(batches: Iterator[pa.RecordBatch], path: str, window: int) -> Iterator
                     writer.window(filled)
         if writer.rows:
             yield writer.batch()
-    for pieces in _recut(levels.rest(), window):
+    sparse = []
+    for pieces in levels.rest():
+        if sum(len(p[2]) for p in pieces) >= ENOUGH * window:
+            writer.window(pieces)
+        else:
+            sparse.append(pieces)
+    for pieces in _recut(iter(sparse), window):
         writer.window(pieces)
     if writer.rows:
         yield writer.batch()
@@ -208,3 +232,9 @@ def _pack(batches: Iterator[pa.RecordBatch], path: str, window: int) -> Iterator
 def pack(docs: DataFrame, tokenizer_path: str, window: int = WINDOW) -> DataFrame:
     """One row per piece (see PIECES): its document's tokens, its place in a sequence, padding at the end of sequences."""
     return docs.select(F.col("doc_id").cast("long"), F.col("text")).mapInArrow(lambda batches: _pack(batches, tokenizer_path, window), PIECES)
+
+
+def padding(packed: DataFrame, window: int = WINDOW) -> DataFrame:
+    """sequences, tokens, padded (places without a token), worst (most of them in one sequence) of what ``pack`` returns."""
+    filled = packed.groupBy("sequence_id").agg(F.sum("length").alias("n"))
+    return filled.agg(F.count(F.lit(1)).alias("sequences"), F.sum("n").alias("tokens"), F.sum(F.lit(window) - F.col("n")).alias("padded"), F.max(F.lit(window) - F.col("n")).alias("worst"))
