@@ -6,7 +6,8 @@ documents that hold the entity and the term, and n(e, t) that hold both, the
 entity carries log(N / n(e)) of information and the term reveals
 log(n(e, t) N / (n(e) n(t))) of it. A term that reveals at least a set share of the
 information of an entity is, wherever it stands in a document with that entity, a
-span of kind ``term``: generalised, or removed where it reveals nearly all. One
+span of kind ``term``: generalised to its shape (a code, a name or a word), or
+removed where it reveals nearly all. One
 document is enough, since most personal values occur in no more. Everything is
 built-in DataFrame expressions and SQL functions.
 
@@ -19,7 +20,8 @@ too frequent for the set share even then are not formed.
 Defined results: a null text is empty; a null doc_id is an id of its own;
 repeated rows count as documents each and get the same spans; columns beyond
 doc_id and text are ignored by ``find``; empty tables give empty tables. The
-cost of locating patterns is quadratic only in the matches of one text.
+cost of locating patterns is linear in the matches of one text, folds of
+bounded length aside.
 """
 
 from __future__ import annotations
@@ -51,13 +53,19 @@ _RUN = r"[\p{L}\p{N}]+"
 GENERALISE, REMOVE = 0.8, 0.95
 
 
-def _located(matches: str, gaps: str, kind: int | str, start: str = "0") -> str:
-    """SQL: (start, kind, stop, value) of matches, whose surroundings are the gaps."""
-    return (
-        f"aggregate({matches}, named_struct('at', {start}, 'n', 0, 'out', cast(array() as array<struct<start: int, kind: int, stop: int, value: string>>)), "
-        f"(a, x) -> named_struct('at', a.at + length({gaps}[a.n]) + length(x), 'n', a.n + 1, 'out', concat(a.out, array(named_struct("
-        f"'start', a.at + length({gaps}[a.n]), 'kind', {kind}, 'stop', a.at + length({gaps}[a.n]) + length(x), 'value', x)))), a -> a.out)"
+_FOLD = 256  # matches that one fold gathers; an array grows by copying
+
+
+def _located(matches: str, gaps: str, kind: int) -> str:
+    """SQL: (start, kind, stop, value) of matches, whose surroundings are the gaps. Folds of bounded length, within one fold."""
+    row = "struct<start: int, kind: int, stop: int, value: string>"
+    begin = f"b.at + length({gaps}[b.n])"
+    inner = (
+        f"aggregate(slice({matches}, k * {_FOLD} + 1, {_FOLD}), named_struct('at', a.at, 'n', k * {_FOLD}, 'out', cast(array() as array<{row}>)), "
+        f"(b, x) -> named_struct('at', {begin} + length(x), 'n', b.n + 1, 'out', concat(b.out, array(named_struct('start', {begin}, 'kind', {kind}, 'stop', {begin} + length(x), 'value', x)))), "
+        f"b -> named_struct('at', b.at, 'out', concat(a.out, array(b.out))))"
     )
+    return f"aggregate(sequence(0, cast((size({matches}) - 1) div {_FOLD} as int)), named_struct('at', 0, 'out', cast(array() as array<array<{row}>>)), (a, k) -> {inner}, a -> flatten(a.out))"
 
 
 def _quoted(pattern: str) -> str:
@@ -121,6 +129,11 @@ def disclosures(docs: DataFrame, found: DataFrame) -> DataFrame:
     return terms.join(best, ["id", "row_key", "n_term", "of_term"]).select("id", "row_key", "term", "share")
 
 
+def _shape(run: Column) -> Column:
+    """What a term is generalised to."""
+    return F.when(run.rlike(r"\p{N}"), "CODE").when(run.rlike(r"^\p{Lu}"), "NAME").otherwise("WORD")
+
+
 def _extra(found: DataFrame, flagged: DataFrame) -> DataFrame:
     """id, row_key, extra: every occurrence of the flagged terms of each document that no span overlaps.
 
@@ -133,12 +146,12 @@ def _extra(found: DataFrame, flagged: DataFrame) -> DataFrame:
     runs = cut.select("id", "row_key", F.posexplode(F.arrays_zip("gap", "run")).alias("pos", "x")).where("x.run IS NOT NULL")
     here = Window.partitionBy("id", "row_key")
     placed = runs.withColumn("stop", F.sum(F.length("x.gap") + F.length("x.run")).over(here.orderBy("pos")).cast("int"))
-    placed = placed.select("id", "row_key", F.lower("x.run").alias("term"), (F.col("stop") - F.length("x.run")).alias("start"), "stop")
-    hits = placed.join(flagged, ["id", "row_key", "term"]).select("id", "row_key", "start", "stop", "share", (2 * F.col("stop") - 1).alias("at"))
-    spans = rows.select("id", "row_key", F.explode("spans").alias("s")).select("id", "row_key", "s.start", "s.stop", F.lit(None).cast("double").alias("share"), (2 * F.col("s.start")).alias("at"))
+    placed = placed.select("id", "row_key", F.lower("x.run").alias("term"), _shape(F.col("x.run")).alias("shape"), (F.col("stop") - F.length("x.run")).alias("start"), "stop")
+    hits = placed.join(flagged, ["id", "row_key", "term"]).select("id", "row_key", "start", "stop", "share", "shape", (2 * F.col("stop") - 1).alias("at"))
+    spans = rows.select("id", "row_key", F.explode("spans").alias("s")).select("id", "row_key", "s.start", "s.stop", F.lit(None).cast("double").alias("share"), F.lit(None).cast("string").alias("shape"), (2 * F.col("s.start")).alias("at"))
     swept = hits.unionByName(spans).withColumn("taken", F.max(F.when(F.col("share").isNull(), F.col("stop"))).over(here.orderBy("at")))
     clear = swept.where(F.col("share").isNotNull() & (F.coalesce("taken", F.lit(0)) <= F.col("start")))
-    return clear.groupBy("id", "row_key").agg(F.sort_array(F.collect_list(F.struct("start", F.lit(KINDS.index("term")).alias("kind"), "stop", (F.col("share") >= REMOVE).alias("gone")))).alias("extra"))
+    return clear.groupBy("id", "row_key").agg(F.sort_array(F.collect_list(F.struct("start", F.lit(KINDS.index("term")).alias("kind"), "stop", (F.col("share") >= REMOVE).alias("gone"), "shape"))).alias("extra"))
 
 
 def find(docs: DataFrame, keep: tuple[str, ...] = ()) -> DataFrame:
@@ -151,7 +164,7 @@ def find(docs: DataFrame, keep: tuple[str, ...] = ()) -> DataFrame:
     extra = _extra(found, materialize(disclosures(docs, found), "flagged")).withColumnRenamed("id", "_id").withColumnRenamed("row_key", "_key")
     base = found.select("doc_id", "row_key", *keep, F.expr("transform(spans, s -> struct(s.start as start, s.kind as kind, s.stop as stop))").alias("base"))
     joined = base.join(extra, (base["row_key"] == extra["_key"]) & (F.coalesce(base["doc_id"], F.lit(-1)) == extra["_id"]), "left")
-    return joined.select("doc_id", "row_key", *keep, "base", F.coalesce("extra", F.expr("cast(array() as array<struct<start: int, kind: int, stop: int, gone: boolean>>)")).alias("extra"))
+    return joined.select("doc_id", "row_key", *keep, "base", F.coalesce("extra", F.expr("cast(array() as array<struct<start: int, kind: int, stop: int, gone: boolean, shape: string>>)")).alias("extra"))
 
 
 def written(spans: Column) -> Column:
@@ -168,13 +181,13 @@ def digests(found: DataFrame) -> DataFrame:
 
 
 def sanitise(docs: DataFrame) -> DataFrame:
-    """The documents with every span replaced by its kind, or removed; their columns as they came."""
+    """The documents with every span replaced by its kind or shape, or removed; their columns as they came."""
     names = docs.columns
     found = find(docs).dropDuplicates(["doc_id", "row_key"]).withColumnRenamed("doc_id", "_id").withColumnRenamed("row_key", "_key").where((F.size("base") > 0) | (F.size("extra") > 0))
     merged = (
-        "aggregate(sort_array(concat(transform(base, s -> named_struct('start', s.start, 'kind', s.kind, 'stop', s.stop, 'gone', false)), extra)), "
+        "aggregate(sort_array(concat(transform(base, s -> named_struct('start', s.start, 'kind', s.kind, 'stop', s.stop, 'gone', false, 'shape', cast(null as string))), extra)), "
         "named_struct('at', 0, 'out', cast(array() as array<string>)), (a, s) -> CASE WHEN s.start < a.at THEN named_struct('at', greatest(a.at, s.stop), 'out', a.out) ELSE "
-        "named_struct('at', s.stop, 'out', concat(a.out, array(substring(_t, a.at + 1, s.start - a.at), CASE WHEN s.gone THEN '' ELSE concat('<', upper(_kinds[s.kind]), '>') END))) END, "
+        "named_struct('at', s.stop, 'out', concat(a.out, array(substring(_t, a.at + 1, s.start - a.at), CASE WHEN s.gone THEN '' ELSE concat('<', coalesce(s.shape, upper(_kinds[s.kind])), '>') END))) END, "
         "a -> concat(array_join(a.out, ''), substring(_t, a.at + 1)))"
     )
     keyed = docs.withColumn("_row", F.xxhash64("doc_id", "text"))
