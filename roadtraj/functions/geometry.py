@@ -26,10 +26,15 @@ def box_gap_squared(box: tuple, other: tuple) -> Column:
     return (gx * gx + gy * gy).cast("long")
 
 
-def point_segment_squared(x: Column, y: Column, x0: Column, y0: Column, x1: Column, y1: Column) -> Column:
-    """Squared distance from a point to a segment of any direction (double)."""
+def nearest_part(x: Column, y: Column, x0: Column, y0: Column, x1: Column, y1: Column) -> Column:
+    """Where on a segment, as a share of it, the point nearest to (x, y) lies (double)."""
     dx, dy = x1 - x0, y1 - y0
     length = dx * dx + dy * dy
-    part = F.when(length == 0, F.lit(0.0)).otherwise(F.greatest(F.lit(0.0), F.least(F.lit(1.0), ((x - x0) * dx + (y - y0) * dy) / length)))
-    px, py = x0 + part * dx, y0 + part * dy
+    return F.when(length == 0, F.lit(0.0)).otherwise(F.greatest(F.lit(0.0), F.least(F.lit(1.0), ((x - x0) * dx + (y - y0) * dy) / length)))
+
+
+def point_segment_squared(x: Column, y: Column, x0: Column, y0: Column, x1: Column, y1: Column) -> Column:
+    """Squared distance from a point to a segment of any direction (double)."""
+    part = nearest_part(x, y, x0, y0, x1, y1)
+    px, py = x0 + part * (x1 - x0), y0 + part * (y1 - y0)
     return (x - px) * (x - px) + (y - py) * (y - py)

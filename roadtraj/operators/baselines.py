@@ -1,76 +1,210 @@
-"""Competitors: street runs, lossy path simplification, byte codecs.
+"""Competitors: street runs, a lossy map-matched record, byte codecs.
 
-Two of them are known by their properties only, so they are stand-ins: both
-bound the distance at equal times, one keeps street segments and the times of
-street changes, the other replaces sub-paths by shortest paths with fewer edges
-and keeps points at what remains. The stronger byte codec stands in for one that
-is not at hand.
+Two of them are known by their properties only, so they are stand-ins built to
+have these properties. Both bound the plane distance at equal sample times.
+
+* ``street_runs`` keeps the path as stretches along one street and direction,
+  which give the edges back, and of the sequence only what constant speed between
+  kept points needs to stay within the bound: times where the street changes,
+  whose distances the runs know, and samples where those do not do.
+* ``lossy_matched`` keeps some of the matched samples only. Between two of them
+  the recorded shortest path at constant speed stands for whatever was driven, so
+  path and times are lost in part and cannot be had back. From each kept sample the
+  record reaches as far ahead as the bound allows, trying every sample.
+
+The stronger byte codecs stand in for one that is not at hand.
 """
 
 from __future__ import annotations
 
 import bz2
 import lzma
-import struct
 import zlib
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from roadtraj.functions.interpolate import tim_sql
+from roadtraj.operators.flat import lists, map_column, offsets_of
 from roadtraj.operators.measures import StorageModel
-from roadtraj.operators.spatial import sp_compress
-from roadtraj.operators.temporal import opening_window
+from roadtraj.operators.spatial import PairTable
+from roadtraj.operators.temporal import POINTS, opening_window
 from roadtraj.sources.trips import as_temporal
 
-CODECS = {"zip": lambda b: zlib.compress(b, 6), "lzma": lzma.compress, "bz2": bz2.compress}
+CODECS = {"zip": (lambda b: zlib.compress(b, 6), zlib.decompress), "lzma": (lzma.compress, lzma.decompress), "bz2": (bz2.compress, bz2.decompress)}
 
 
 def street_runs(steps: DataFrame, edges: DataFrame) -> DataFrame:
-    """trip_id, run, street, first_pos, n: maximal stretches along one street."""
+    """trip_id, run, street, first_e, first_pos, n: maximal stretches along one street in one direction."""
     by = Window.partitionBy("trip_id").orderBy("pos")
-    on = steps.join(edges.select("e", "street"), "e")
-    new = on.withColumn("new", F.coalesce((F.col("street") != F.lag("street").over(by)).cast("int"), F.lit(1)))
+    on = steps.join(edges.select("e", "street", "tail", "head"), "e")
+    turned = (F.col("street") != F.lag("street").over(by)) | (F.col("head") == F.lag("tail").over(by))
+    new = on.withColumn("new", F.coalesce(turned.cast("int"), F.lit(1)))
     runs = new.withColumn("run", F.sum("new").over(by))
-    return runs.groupBy("trip_id", "run", "street").agg(F.min("pos").alias("first_pos"), F.count(F.lit(1)).alias("n"))
+    return runs.groupBy("trip_id", "run", "street").agg(F.min_by("e", "pos").alias("first_e"), F.min("pos").alias("first_pos"), F.count(F.lit(1)).alias("n"))
+
+
+def street_next(edges: DataFrame) -> DataFrame:
+    """e, next_e: the edge that follows along the same street, without turning back."""
+    own = edges.select("e", "street", "tail", "head")
+    after = edges.select(F.col("e").alias("next_e"), "street", F.col("tail").alias("head"), F.col("head").alias("_to"))
+    return own.join(after, ["street", "head"]).where("_to <> tail").groupBy("e").agg(F.min("next_e").alias("next_e"))
+
 
+def street_expand(runs: DataFrame, edges: DataFrame) -> DataFrame:
+    """trip_id, pos, e: the steps again. Places along a street double in each round, as in ``expand_pairs``."""
+    jump = street_next(edges)
+    kinds = runs.groupBy("first_e").agg(F.max("n").alias("most"))
+    places = kinds.select("first_e", F.lit(0).alias("i"), F.col("first_e").alias("e"), "most")
+    width, most = 1, runs.agg(F.max("n")).first()[0] or 0
+    while width < most:
+        ahead = places.where(F.col("i") + width < F.col("most")).join(jump, "e").select("first_e", (F.col("i") + width).alias("i"), F.col("next_e").alias("e"), "most")
+        places = places.unionByName(ahead)
+        jump = jump.join(jump.select(F.col("e").alias("next_e"), F.col("next_e").alias("_far")), "next_e").select("e", F.col("_far").alias("next_e"))
+        width *= 2
+    return runs.join(places.drop("most"), "first_e").where("i < n").select("trip_id", (F.col("first_pos") + F.col("i")).cast("int").alias("pos"), "e")
 
-def street_run_bits(runs: DataFrame, points: DataFrame, edges: DataFrame, steps: DataFrame, eps: int, model: StorageModel) -> DataFrame:
-    """trip_id, bits: runs as (street, first edge, length), and the times that constant speed between kept changes needs to stay within eps."""
+
+def street_sequence(runs: DataFrame, points: DataFrame, edges: DataFrame, steps: DataFrame, eps: int) -> DataFrame:
+    """trip_id, temporal, changes: kept points, the samples staying within ``eps`` at their times; how many of them are street changes."""
     by = Window.partitionBy("trip_id").orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
     cum = steps.join(edges.select("e", "w"), "e").withColumn("d", F.sum("w").over(by))
     ends = cum.join(runs.select("trip_id", (F.col("first_pos") + F.col("n") - 1).alias("pos")), ["trip_id", "pos"]).select("trip_id", "d")
     temporal = as_temporal(points)
-    at = ends.join(temporal, "trip_id").select("trip_id", "d", F.expr(tim_sql("temporal", "d")).cast("long").alias("t"))
-    both = at.unionByName(points.select("trip_id", "d", "t")).groupBy("trip_id", "t").agg(F.max("d").alias("d"))
-    kept = opening_window(as_temporal(both), eps, None).select("trip_id", F.size("temporal").alias("m"))
+    within = ends.join(temporal, "trip_id").where("d > temporal[0].d AND d < element_at(temporal, -1).d")
+    at = within.select("trip_id", "d", F.expr(tim_sql("temporal", "d")).cast("long").alias("t"))
+    both = at.withColumn("turn", F.lit(1)).unionByName(points.select("trip_id", "d", "t", F.lit(0).alias("turn"))).groupBy("trip_id", "t").agg(F.max("d").alias("d"), F.max("turn").alias("turn"))
+    kept = opening_window(as_temporal(both), eps, None)
+    turns = both.where("turn = 1").groupBy("trip_id").agg(F.collect_list("t").alias("_turns"))
+    counted = F.expr("size(filter(temporal, p -> array_contains(_turns, p.t)))")
+    return kept.join(turns, "trip_id", "left").select("trip_id", "temporal", F.when(F.col("_turns").isNull(), 0).otherwise(counted).cast("long").alias("changes"))
+
+
+def street_run_bits(runs: DataFrame, sequence: DataFrame, model: StorageModel) -> DataFrame:
+    """trip_id, bits: runs as (first edge, length); a change point is a time, another point a distance and a time."""
     n = runs.groupBy("trip_id").agg(F.count(F.lit(1)).alias("runs"))
-    return n.join(kept, "trip_id").select("trip_id", (F.col("runs") * (2 * model.edge_bits + 16) + F.col("m") * model.tuple_bits).cast("long").alias("bits"))
+    size = F.col("runs") * (model.edge_bits + 16) + F.col("changes") * (model.tuple_bits // 2) + (F.size("temporal") - F.col("changes")) * model.tuple_bits
+    return n.join(sequence, "trip_id").select("trip_id", size.cast("long").alias("bits"))
+
+
+class Ground(PairTable):
+    """A pair table with the coordinates of edges."""
+
+    @staticmethod
+    def collect(sp: DataFrame, edges: DataFrame) -> Ground:
+        out = Ground.__new__(Ground)
+        out.__dict__.update(PairTable.collect(sp, edges).__dict__)  # checks the sizes
+        ends = edges.select("e", "x0", "y0", "x1", "y1").toArrow()
+        out.line = np.zeros((len(out.tail), 4), np.int64)
+        out.line[ends.column("e").to_numpy()] = np.stack([ends.column(c).to_numpy() for c in ("x0", "y0", "x1", "y1")], axis=1)
+        return out
+
+    def places(self, path: np.ndarray, d: np.ndarray) -> np.ndarray:
+        """Plane positions at distances from the start of a path, rounded down."""
+        ends = np.cumsum(self.w[path])
+        at = np.minimum(np.searchsorted(ends, d, side="right"), len(path) - 1)
+        line, w = self.line[path[at]], self.w[path[at]]
+        part = d - (ends[at] - w)
+        return line[:, :2] + (line[:, 2:] - line[:, :2]) * part[:, None] // w[:, None]
+
+    def bridge(self, e: int, off: int, f: int, far: int) -> np.ndarray | None:
+        """Edges driven from ``off`` on edge e to ``far`` on edge f along the recorded path; none if there is no such path."""
+        if e == f and far >= off:
+            return np.array([e], np.int32)
+        u, v = self.head[[e]], self.tail[[f]]
+        if u[0] != v[0] and self.find(u, v)[0] < 0:
+            return None
+        return np.concatenate([[e], self.walk(u, v)[0], [f]]).astype(np.int32)
+
+
+def _lossy(path: np.ndarray, d: np.ndarray, t: np.ndarray, ground: Ground, eps: int) -> tuple[list[int], np.ndarray, np.ndarray]:
+    """Kept samples, the path that stands for the trip, and distances of the kept samples on it."""
+    ends = np.cumsum(ground.w[path])
+    at = np.minimum(np.searchsorted(ends, d, side="left"), len(path) - 1)  # a sample at an edge's end is on that edge
+    e, off, here = path[at], d - (ends[at] - ground.w[path[at]]), ground.places(path, d)
+    kept, out, reach, i = [0], [path[:1]], [int(off[0])], 0
+    base = 0  # distance of the start of edge e[i] on the path that is kept
+    while i < len(d) - 1:
+        best = None
+        for j in range(i + 1, len(d)):
+            # The next sample is always in reach: along the trip's own edges.
+            own = path[at[i] : at[j] + 1]
+            line = ground.bridge(int(e[i]), int(off[i]), int(e[j]), int(off[j])) if j > i + 1 else own
+            if line is None:
+                continue
+            upto = int(ground.w[line[:-1]].sum()) + int(off[j])
+            if j > i + 1:
+                moved = off[i] + (upto - off[i]) * (t[i + 1 : j] - t[i]) // (t[j] - t[i])
+                gap = ground.places(line, moved) - here[i + 1 : j]
+                if ((gap * gap).sum(1) > eps * eps).any():
+                    continue
+            best = (j, line, upto)
+        i, line, upto = best
+        kept.append(i)
+        out.append(line[1:])
+        reach.append(base + upto)
+        base += upto - int(off[i])
+    return kept, np.concatenate(out), np.array(reach)
+
+
+_LOSSY = pa.schema([("trip_id", pa.int64()), ("path", pa.list_(pa.int32())), ("temporal", pa.list_(pa.struct([("d", pa.int64()), ("t", pa.int64())])))])
+
+
+def lossy_matched(trips: DataFrame, sp: DataFrame, edges: DataFrame, eps: int) -> DataFrame:
+    """trip_id, path, temporal of rows with these columns: the samples kept, and the path that recorded shortest paths make of them."""
+    shared = trips.sparkSession.sparkContext.broadcast(Ground.collect(sp, edges))
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ground = shared.value
+        for batch in batches:
+            paths, sequences = [], []
+            for path, points in zip(batch.column("path").to_pylist(), batch.column("temporal").to_pylist(), strict=True):
+                d, t = (np.array([p[c] for p in points], np.int64) for c in "dt")
+                kept, line, reach = _lossy(np.array(path, np.int32), d, t, ground, eps)
+                paths.append(line.tolist())
+                sequences.append([{"d": a, "t": b} for a, b in zip(reach.tolist(), t[kept].tolist(), strict=True)])
+            yield pa.RecordBatch.from_arrays([batch.column("trip_id"), pa.array(paths, _LOSSY.field("path").type), pa.array(sequences, _LOSSY.field("temporal").type)], schema=_LOSSY)
 
-def lossy_matched_bits(paths: DataFrame, temporal: DataFrame, sp: DataFrame, edges: DataFrame, eps: int, model: StorageModel) -> DataFrame:
-    """trip_id, bits: edges of the path left after shortest-path skipping without coding, and points at equal-time distance eps."""
-    kept = sp_compress(paths.select("trip_id", "path"), sp, edges).select("trip_id", F.size("path").alias("k"))
-    points = opening_window(temporal, eps, None).select("trip_id", F.size("temporal").alias("m"))
-    # A lossy record has a point for each edge that it keeps, or the points that the bound asks for, if more.
-    return kept.join(points, "trip_id").select("trip_id", (F.col("k") * model.edge_bits + F.greatest("k", "m") * model.tuple_bits).cast("long").alias("bits"))
+    usable = trips.where((F.size("path") > 0) & (F.size("temporal") > 0)).select("trip_id", "path", "temporal")
+    return usable.mapInArrow(run, f"trip_id long, path array<int>, temporal {POINTS}")
 
 
-def serialise(samples: list[dict]) -> bytes:
-    """x, y, t as doubles, in order."""
-    return b"".join(struct.pack("<ddd", p["x"], p["y"], p["t"]) for p in samples)
+def lossy_matched_bits(kept: DataFrame, model: StorageModel) -> DataFrame:
+    """trip_id, bits: an edge, a distance on it and a time for each sample that is kept."""
+    return kept.select("trip_id", (F.size("temporal") * (model.edge_bits + model.tuple_bits)).cast("long").alias("bits"))
 
 
-def codec_bits(samples: DataFrame, codec: str) -> DataFrame:
-    """trip_id, raw_bits, bits: a trip's serialised samples (array of x, y, t) and their size under a byte codec."""
-    press = CODECS[codec]
+def serialise(column: pa.Array) -> list[bytes]:
+    """x, y, t of each list of samples as doubles, in order."""
+    offsets = offsets_of(column.value_lengths().fill_null(0).to_numpy()).tolist()
+    flat = column.flatten()
+    body = np.stack([flat.field(c).cast(pa.float64()).to_numpy() for c in ("x", "y", "t")], axis=1).astype("<f8").tobytes()
+    return [body[24 * a : 24 * b] for a, b in zip(offsets, offsets[1:], strict=False)]
+
+
+def byte_compress(samples: DataFrame, codec: str) -> DataFrame:
+    """``samples`` (array of x, y, t) becomes the codec's bytes."""
+    press = CODECS[codec][0]
+    return map_column(samples, "samples", samples.sparkSession.sparkContext.broadcast(None), lambda column, _: pa.array([press(b) for b in serialise(column)], pa.binary()), "binary")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            raw = [serialise(s) for s in batch.column("samples").to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column("trip_id"), pa.array([8 * len(r) for r in raw], pa.int64()), pa.array([8 * len(press(r)) for r in raw], pa.int64())], names=["trip_id", "raw_bits", "bits"])
 
-    return samples.select("trip_id", "samples").mapInArrow(run, "trip_id long, raw_bits long, bits long")
+def byte_decompress(packed: DataFrame, codec: str) -> DataFrame:
+    """The samples again, as doubles."""
+    unpress = CODECS[codec][1]
 
+    def unpack(column: pa.Array, _) -> pa.Array:
+        bodies = [unpress(b) for b in column.to_pylist()]
+        flat = np.frombuffer(b"".join(bodies), "<f8").reshape(-1, 3)
+        values = pa.StructArray.from_arrays([pa.array(np.ascontiguousarray(flat[:, k])) for k in range(3)], names=["x", "y", "t"])
+        return lists(values, offsets_of([len(b) // 24 for b in bodies]), values.type, column)
+
+    return map_column(packed, "samples", packed.sparkSession.sparkContext.broadcast(None), unpack, "array<struct<x: double, y: double, t: double>>")
+
+
+def codec_bits(samples: DataFrame, codec: str) -> DataFrame:
+    """trip_id, raw_bits, bits: a trip's serialised samples and their size under a byte codec."""
+    packed = byte_compress(samples.select("trip_id", (F.size("samples") * 192).cast("long").alias("raw_bits"), "samples"), codec)
+    return packed.select("trip_id", "raw_bits", (F.octet_length("samples") * 8).cast("long").alias("bits"))

@@ -9,11 +9,14 @@ is its suffix link.
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from roadtraj.operators.flat import alive, flatten, lists, map_column, offsets_of, steps
 from roadtraj.operators.huffman import Codebook
-from roadtraj.operators.spatial import map_paths
 
 THETA = 3
 
@@ -70,87 +73,155 @@ def tile(lengths: DataFrame, key: str = "trip_id") -> DataFrame:
     return rows.select(key, F.explode(F.expr(walk)).alias("p")).select(key, "p.pos", "p.len")
 
 
-def longest_states(path: list[int], known: set[str], theta: int) -> list[int]:
-    out, now = [], 0
-    text = [str(e) for e in path]
-    for i in range(len(text)):
-        now = min(now + 1, theta)
-        while now > 1 and "-".join(text[i - now + 1 : i + 1]) not in known:
-            now -= 1
-        out.append(now)
+def _known(path: np.ndarray, offsets: np.ndarray, book: Codebook) -> np.ndarray:
+    """Grams of 1 to theta edges that start at each place (theta x places), -1 where the dictionary has none."""
+    stop = np.repeat(offsets[1:], np.diff(offsets))
+    place = np.arange(len(path))
+    out = np.full((book.theta, len(path)), -1, np.int64)
+    here = place
+    for n in range(book.theta):
+        here = here[here + n < stop[here]]
+        here = here if n == 0 else here[out[n - 1, here] >= 0]
+        if not len(here):
+            break
+        out[n, here] = book.onward(out[n - 1, here] if n else np.full(len(here), -1), path[here + n].astype(np.int64))
     return out
 
 
-def pieces_backward(path: list[int], book: Codebook) -> list[str]:
-    """Pieces from the end back, each the longest gram that ends there."""
-    states, out, i = longest_states(path, book.lengths, book.theta), [], len(path) - 1
-    text = [str(e) for e in path]
-    while i >= 0:
-        out.append("-".join(text[i - states[i] + 1 : i + 1]))
-        i -= states[i]
-    return out[::-1]
+def _jumps(size: np.ndarray, offsets: np.ndarray, backward: bool) -> np.ndarray:
+    """Which places begin (backward: end) a piece, when every piece takes the size at its end that comes first. All rows jump at once."""
+    mark = np.zeros(len(size), bool)
+    own = np.flatnonzero(np.diff(offsets) > 0)
+    at, low, high = (offsets[1:][own] - 1 if backward else offsets[:-1][own]), offsets[:-1][own], offsets[1:][own]
+    while len(at):
+        mark[at] = True
+        at = at - size[at] if backward else at + size[at]
+        more = (at >= low) & (at < high)
+        at, low, high = at[more], low[more], high[more]
+    return np.flatnonzero(mark)
 
 
-def pieces_forward(path: list[int], book: Codebook) -> list[str]:
+def pieces_backward(path: np.ndarray, offsets: np.ndarray, book: Codebook) -> tuple[np.ndarray, np.ndarray]:
+    """Pieces from the end back, each the longest gram that ends there: their grams, and the offsets of the rows."""
+    known, size = _known(path, offsets, book), np.zeros(len(path), np.int64)
+    for n in range(book.theta):
+        at = np.flatnonzero(known[n] >= 0)
+        size[at + n] = n + 1  # a longer gram comes later
+    ends = _jumps(size, offsets, True)
+    return known[size[ends] - 1, ends - size[ends] + 1], np.searchsorted(ends, offsets)
+
+
+def pieces_forward(path: np.ndarray, offsets: np.ndarray, book: Codebook) -> tuple[np.ndarray, np.ndarray]:
     """Pieces from the front, each the longest gram that starts there."""
-    text, out, i = [str(e) for e in path], [], 0
-    while i < len(text):
-        n = next(n for n in range(min(book.theta, len(text) - i), 0, -1) if n == 1 or "-".join(text[i : i + n]) in book.lengths)
-        out.append("-".join(text[i : i + n]))
-        i += n
-    return out
+    known = _known(path, offsets, book)
+    size = (known >= 0).sum(0)
+    begins = _jumps(size, offsets, False)
+    return known[size[begins] - 1, begins], np.searchsorted(begins, offsets)
+
+
+def pieces_cheapest(path: np.ndarray, offsets: np.ndarray, book: Codebook) -> tuple[np.ndarray, np.ndarray]:
+    """Pieces of least total code length, by dynamic programming over the last piece; of equals the shorter one."""
+    known, stride = _known(path, offsets, book), len(path) + len(offsets)
+    _, first, length = steps(offsets)
+    row = np.searchsorted(offsets, first, side="right") - 1
+    # Costs before and behind every place: one more than places in each row.
+    cost, size = np.full(stride, np.iinfo(np.int64).max // 2), np.zeros(len(path), np.int64)
+    cost[first + row] = 0
+    for k in range(1, int(length.max(initial=0)) + 1):
+        m = alive(length, k - 1)
+        end, shift = first[:m] + k - 1, row[:m]
+        for n in range(min(book.theta, k)):
+            gram = known[n, end - n]
+            through = np.where(gram >= 0, cost[end - n + shift] + book.bits[gram], np.iinfo(np.int64).max // 2)
+            better = through < cost[end + 1 + shift]
+            cost[(end + 1 + shift)[better]] = through[better]
+            size[end[better]] = n + 1
+    ends = _jumps(size, offsets, True)
+    return known[size[ends] - 1, ends - size[ends] + 1], np.searchsorted(ends, offsets)
+
+
+TILINGS = {"backward": pieces_backward, "forward": pieces_forward, "cheapest": pieces_cheapest}
+
+
+def _checked(path: np.ndarray, offsets: np.ndarray, book: Codebook) -> tuple[np.ndarray, np.ndarray]:
+    if len(path) and (book.onward(np.full(len(path), -1), path.astype(np.int64)) < 0).any():
+        raise ValueError("an edge that the dictionary does not have; mine with the network's edges")
+    return path, offsets
 
 
-def pieces_cheapest(path: list[int], book: Codebook) -> list[str]:
-    """Pieces of least total code length, by dynamic programming over the last piece."""
-    text = [str(e) for e in path]
-    cost, back = [0.0] + [float("inf")] * len(text), [0] * (len(text) + 1)
-    for k in range(1, len(text) + 1):
-        for n in range(1, min(book.theta, k) + 1):
-            bits = book.lengths.get("-".join(text[k - n : k]))
-            if bits is not None and cost[k - n] + bits < cost[k]:
-                cost[k], back[k] = cost[k - n] + bits, n
-    out, k = [], len(text)
-    while k:
-        out.append("-".join(text[k - back[k] : k]))
-        k -= back[k]
-    return out[::-1]
+def decompose(paths: DataFrame, book: Codebook, how: str = "backward", column: str = "path") -> DataFrame:
+    """``column`` becomes its pieces (array of grams). ``how``: backward, forward or cheapest."""
+    tiling = TILINGS[how]
 
+    def tile_column(column: pa.Array, book: Codebook) -> pa.Array:
+        pieces, offsets = tiling(*_checked(*flatten(column), book), book)
+        return lists(book.names.take(pa.array(pieces)), offsets, pa.string(), column)
 
-_TILINGS = {"backward": pieces_backward, "forward": pieces_forward, "cheapest": pieces_cheapest}
+    return map_column(paths, column, paths.sparkSession.sparkContext.broadcast(book), tile_column, "array<string>")
 
 
-def decompose(paths: DataFrame, book: Codebook, how: str = "backward", column: str = "path") -> DataFrame:
-    """``column`` becomes its pieces (array of grams). ``how``: backward, forward or cheapest."""
-    tiling = _TILINGS[how]
-    return map_paths(paths, column, paths.sparkSession.sparkContext.broadcast(book), lambda path, b: tiling(path, b), "array<string>")
+def _binary(data: np.ndarray, offsets: np.ndarray, like: pa.Array) -> pa.Array:
+    whole = pa.Array.from_buffers(pa.binary(), len(offsets) - 1, [None, pa.py_buffer(offsets.astype(np.int32)), pa.py_buffer(np.ascontiguousarray(data))])
+    return pc.if_else(like.is_null(), pa.scalar(None, pa.binary()), whole) if like.null_count else whole
+
+
+def _bits_struct(grams: np.ndarray, offsets: np.ndarray, book: Codebook, like: pa.Array) -> pa.Array:
+    data, bounds, n_bits = book.pack(grams, offsets)
+    return pa.StructArray.from_arrays([_binary(data, bounds, like), pa.array(n_bits, pa.int64())], names=["bits", "n_bits"])
+
+
+_BITS = "struct<bits: binary, n_bits: bigint>"
 
 
 def encode(nodes: DataFrame, book: Codebook, column: str = "path") -> DataFrame:
     """Adds bits (binary) and n_bits; ``column`` holds pieces."""
-    sized = nodes.withColumn("bits", F.col(column))
-    packed = map_paths(sized, "bits", nodes.sparkSession.sparkContext.broadcast(book), lambda pieces, b: b.pack(pieces), "binary")
-    return packed.withColumn("n_bits", F.conv(F.hex(F.substring("bits", 1, 4)), 16, 10).cast("long")).withColumn("bits", F.expr("substring(bits, 5)"))
+
+    def pack_column(pieces: pa.Array, book: Codebook) -> pa.Array:
+        lengths = pc.fill_null(pc.list_value_length(pieces), 0).to_numpy()
+        grams = pc.index_in(pieces.flatten(), value_set=book.names)
+        if grams.null_count:
+            raise ValueError("a piece that is no gram of the dictionary")
+        return _bits_struct(grams.to_numpy().astype(np.int64), offsets_of(lengths), book, pieces)
+
+    packed = map_column(nodes.withColumn("_coded", F.col(column)), "_coded", nodes.sparkSession.sparkContext.broadcast(book), pack_column, _BITS)
+    return packed.withColumns({"bits": F.col("_coded.bits"), "n_bits": F.col("_coded.n_bits")}).drop("_coded")
+
+
+def _unpacked(coded: pa.Array, book: Codebook) -> tuple[np.ndarray, np.ndarray]:
+    bits = pc.fill_null(coded.field("bits"), b"")
+    offsets = np.frombuffer(bits.buffers()[1], np.int32)[bits.offset : bits.offset + len(bits) + 1].astype(np.int64)
+    body = bits.buffers()[2]
+    data = np.frombuffer(body, np.uint8)[offsets[0] : offsets[-1]] if body is not None and body.size else np.zeros(0, np.uint8)
+    return book.unpack(data, offsets - offsets[0], pc.fill_null(coded.field("n_bits"), 0).to_numpy())
 
 
 def decode(packed: DataFrame, book: Codebook) -> DataFrame:
     """bits, n_bits -> path array<int>, in place of bits."""
-    whole = packed.withColumn("bits", F.expr("concat(unhex(lpad(hex(n_bits), 8, '0')), bits)"))
-    return map_paths(whole, "bits", packed.sparkSession.sparkContext.broadcast(book), lambda bits, b: b.unpack(bits), "array<int>").withColumnRenamed("bits", "path").drop("n_bits")
 
+    def unpack_column(coded: pa.Array, book: Codebook) -> pa.Array:
+        edges, offsets = book.expand(*_unpacked(coded, book))
+        return lists(edges, offsets, pa.int32(), coded.field("bits"))
+
+    whole = packed.withColumn("path", F.struct("bits", F.col("n_bits").cast("long").alias("n_bits"))).drop("bits", "n_bits")
+    return map_column(whole, "path", packed.sparkSession.sparkContext.broadcast(book), unpack_column, "array<int>")
 
-def tune_theta(paths: DataFrame, edges: DataFrame, most: int = 8) -> DataFrame:
-    """theta, bits_before, bits_after, of the given paths coded with their own dictionary, for each length bound."""
+
+def tune_theta(train: DataFrame, paths: DataFrame, edges: DataFrame, most: int = 8) -> DataFrame:
+    """theta, bits_before, bits_after of ``paths`` coded with the dictionary of ``train``, for each length bound.
+
+    Grams are counted once: a shorter bound has the same counts of what it keeps.
+    """
     from roadtraj.operators.huffman import codebook
+    from roadtraj.operators.twostage import compress_paths
+    from roadtraj.plans.scratch import cut
 
-    spark, out = paths.sparkSession, None
-    total = paths.agg(F.sum(F.size("path")).alias("edges"))
+    mined, short, out = cut(mine_grams(train, most, edges)), cut(paths.select("trip_id", "path")), None
+    total = short.agg((F.sum(F.size("path")) * 32).alias("bits_before"))
     for theta in range(1, most + 1):
-        book = codebook(mine_grams(paths, theta, edges), theta)
-        bits = encode(decompose(paths, book), book).agg(F.sum("n_bits").alias("bits_after"))
-        row = total.crossJoin(bits).select(F.lit(theta).alias("theta"), (F.col("edges") * 32).alias("bits_before"), "bits_after")
+        bits = compress_paths(short, None, codebook(mined.where(F.col("n") <= theta), theta)).agg(F.sum("n_bits").alias("bits_after"))
+        row = total.crossJoin(bits).select(F.lit(theta).alias("theta"), "bits_before", "bits_after")
         out = row if out is None else out.unionByName(row)
-    return out if out is not None else spark.createDataFrame([], "theta int, bits_before long, bits_after long")
+    return out
 
 
 def rank_symbols(paths: DataFrame, partitions: int = 8) -> DataFrame:

@@ -7,12 +7,13 @@ difference between driven and straight distance, one trip at a time.
 
 from __future__ import annotations
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from roadtraj.functions.geometry import point_segment_squared
-from roadtraj.operators.spatial import PairTable, map_paths
+from roadtraj.functions.geometry import nearest_part, point_segment_squared
+from roadtraj.operators.spatial import PairTable, sp_decompress
 
 
 def candidates(samples: DataFrame, edges: DataFrame, radius: int) -> DataFrame:
@@ -30,26 +31,22 @@ def match_trips(samples: DataFrame, edges: DataFrame, sp: DataFrame | None = Non
     near = candidates(samples.drop("e"), edges, radius)
     if mode == "nearest":
         return near.groupBy("trip_id", "seq").agg(F.min(F.struct("gap", "e")).alias("m")).select("trip_id", "seq", "m.e")
-    shared = samples.sparkSession.sparkContext.broadcast(PairTable(sp, edges))
+    shared = samples.sparkSession.sparkContext.broadcast(PairTable.collect(sp, edges))
 
     def decode(frame: pd.DataFrame) -> pd.DataFrame:
         pairs, cost, backs, layers = shared.value, None, [], []
         for seq, layer in frame.sort_values(["seq", "gap", "e"]).groupby("seq", sort=True):
-            e, own, x, y = layer["e"].tolist(), layer["gap"].tolist(), float(layer["x"].iloc[0]), float(layer["y"].iloc[0])
+            e, own, x, y = layer["e"].to_numpy(), layer["gap"].to_numpy(), float(layer["x"].iloc[0]), float(layer["y"].iloc[0])
             if cost is None:
-                cost, back = own, [0] * len(e)
+                cost, back = own, np.zeros(len(e), np.int64)
             else:
-                straight = ((x - px) ** 2 + (y - py) ** 2) ** 0.5
-                fresh, back = [], []
-                for f, g in zip(e, own, strict=True):
-                    best = min(range(len(was)), key=lambda i, f=f: cost[i] + _turn(pairs, was[i], f, straight))
-                    fresh.append(cost[best] + _turn(pairs, was[best], f, straight) + g)
-                    back.append(best)
-                cost = fresh
+                through = cost[:, None] + _turns(pairs, was, e, ((x - px) ** 2 + (y - py) ** 2) ** 0.5)
+                back = through.argmin(0)
+                cost = through[back, np.arange(len(e))] + own
             backs.append(back)
             layers.append((seq, e))
             was, px, py = e, x, y
-        at, out = min(range(len(cost)), key=cost.__getitem__), []
+        at, out = int(cost.argmin()), []
         for (seq, e), back in zip(reversed(layers), reversed(backs), strict=True):
             out.append((frame["trip_id"].iloc[0], seq, e[at]))
             at = back[at]
@@ -58,38 +55,65 @@ def match_trips(samples: DataFrame, edges: DataFrame, sp: DataFrame | None = Non
     return near.groupBy("trip_id").applyInPandas(decode, "trip_id long, seq int, e int")
 
 
-def _turn(pairs: PairTable, e: int, f: int, straight: float) -> float:
-    if e == f:
-        return 0.0
-    hop = 0 if pairs.head[e] == pairs.tail[f] else pairs.dist[pairs.head[e], pairs.tail[f]]
-    return 1e12 if hop < 0 else abs(float(hop) + pairs.w[f] - straight) * 100.0
+def _turns(pairs: PairTable, e: np.ndarray, f: np.ndarray, straight: float) -> np.ndarray:
+    """Costs of going from each edge e to each edge f: how far the driven distance is from the straight one."""
+    came, goes = np.repeat(e, len(f)), np.tile(f, len(e))
+    u, v = pairs.head[came], pairs.tail[goes]
+    at = pairs.find(u, v)
+    hop = np.where(u == v, 0, np.where(at >= 0, pairs.dist[at], -1))
+    cost = np.where(hop < 0, 1e12, np.abs(hop.astype(np.float64) + pairs.w[goes] - straight) * 100.0)
+    return np.where(came == goes, 0.0, cost).reshape(len(e), len(f))
 
 
 def fill_gaps(matched: DataFrame, sp: DataFrame, edges: DataFrame) -> DataFrame:
     """trip_id, path: matched edges in order, repeats once, holes filled by shortest paths."""
-    from roadtraj.operators.spatial import restore
-
     by = Window.partitionBy("trip_id").orderBy("seq")
     changed = matched.withColumn("was", F.lag("e").over(by)).where("was IS NULL OR was <> e")
     paths = changed.groupBy("trip_id").agg(F.sort_array(F.collect_list(F.struct("seq", "e"))).alias("s")).select("trip_id", F.col("s.e").alias("path"))
-    return map_paths(paths, "path", matched.sparkSession.sparkContext.broadcast(PairTable(sp, edges)), restore)
+    return sp_decompress(paths, sp, edges)
 
 
-def reformat(samples: DataFrame, paths: DataFrame, edges: DataFrame) -> DataFrame:
-    """trip_id, seq, d, t: fixes projected on their trip's path; d never falls.
+def reformat(matched: DataFrame, samples: DataFrame, sp: DataFrame, edges: DataFrame) -> DataFrame:
+    """trip_id, seq, t, d: distance of each matched fix from the start of its trip's path (see ``fill_gaps``); d never falls.
 
-    Each fix takes, of the path's edges, the closest one that is not behind the
-    fix before; ties go to the first.
+    A fix lies on its matched edge, at the nearest point of it. Runs of fixes on one
+    edge share that edge's place on the path, and the place of the next run is one gap
+    (the recorded path between both edges) and one edge further, so a path that
+    returns to an edge, and fixes without a match, do no harm. ``trip_header`` takes the first
+    distance off.
     """
-    by = Window.partitionBy("trip_id").orderBy("pos")
-    steps = paths.select("trip_id", F.posexplode("path").alias("pos", "e")).join(edges, "e")
-    cum = steps.withColumn("c0", F.coalesce(F.sum("w").over(by.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
-    gap = point_segment_squared(*[F.col(c).cast("double") for c in ("x", "y", "x0", "y0", "x1", "y1")])
-    part = F.greatest(F.lit(0.0), F.least(F.lit(1.0), ((F.col("x") - F.col("x0")) * (F.col("x1") - F.col("x0")) + (F.col("y") - F.col("y0")) * (F.col("y1") - F.col("y0"))) / F.greatest((F.col("x1") - F.col("x0")) * (F.col("x1") - F.col("x0")) + (F.col("y1") - F.col("y0")) * (F.col("y1") - F.col("y0")), F.lit(1))))
-    each = samples.drop("e").join(cum, "trip_id").select("trip_id", "seq", "t", F.struct(gap.alias("gap"), F.abs(F.col("pos") - F.col("seq")).alias("far"), (F.col("c0") + F.floor(part * F.col("w"))).cast("long").alias("d")).alias("m"))
-    best = each.groupBy("trip_id", "seq", "t").agg(F.min("m").alias("m"))
-    up = Window.partitionBy("trip_id").orderBy("seq").rowsBetween(Window.unboundedPreceding, 0)
-    return best.select("trip_id", "seq", F.max("m.d").over(up).alias("d"), "t")
+    by = Window.partitionBy("trip_id").orderBy("seq")
+    on = matched.select("trip_id", "seq", "e").join(edges, "e")
+    changed = on.withColumns({"_e": F.lag("e").over(by), "_head": F.lag("head").over(by), "_w": F.lag("w").over(by)})
+    pairs = sp.select(F.col("u").alias("_head"), F.col("v").alias("tail"), F.col("dist").alias("_hop"))
+    moved = changed.join(pairs, ["_head", "tail"], "left")
+    # From the start of one edge to the start of the next: the edge left behind, and the gap.
+    gone = F.when(F.col("_e").isNull() | (F.col("_e") == F.col("e")), F.lit(0)).otherwise(F.col("_w") + F.when(F.col("_head") == F.col("tail"), F.lit(0)).otherwise(F.col("_hop")))
+    begun = moved.withColumn("c0", F.sum(gone).over(by.rowsBetween(Window.unboundedPreceding, 0)))
+    fixes = begun.join(samples.select("trip_id", "seq", "x", "y", "t"), ["trip_id", "seq"])
+    part = nearest_part(*[F.col(c).cast("double") for c in ("x", "y", "x0", "y0", "x1", "y1")])
+    at = fixes.withColumn("d", (F.col("c0") + F.floor(part * F.col("w"))).cast("long"))
+    return at.select("trip_id", "seq", "t", F.max("d").over(by.rowsBetween(Window.unboundedPreceding, 0)).alias("d"))
+
+
+def trip_header(points: DataFrame, paths: DataFrame) -> DataFrame:
+    """trip_id, start_off, n_edges, n_samples, t_first, t_last, d_total: what a trip needs beside path and sequence.
+
+    A trip may start within an edge; ``start_off`` is how far, and distances (see
+    ``from_start``) count from there.
+    """
+    ends = points.groupBy("trip_id").agg(F.min("d").alias("start_off"), F.count(F.lit(1)).alias("n_samples"), F.min("t").alias("t_first"), F.max("t").alias("t_last"), (F.max("d") - F.min("d")).alias("d_total"))
+    return ends.join(paths.select("trip_id", F.size("path").alias("n_edges")), "trip_id").select("trip_id", "start_off", "n_edges", "n_samples", "t_first", "t_last", "d_total")
+
+
+def from_start(points: DataFrame, header: DataFrame) -> DataFrame:
+    """The points with distances from the trip's first sample."""
+    return points.join(header.select("trip_id", "start_off"), "trip_id").withColumn("d", F.col("d") - F.col("start_off")).drop("start_off")
+
+
+def on_path(points: DataFrame, header: DataFrame) -> DataFrame:
+    """The inverse: distances from the start of the path."""
+    return points.join(header.select("trip_id", "start_off"), "trip_id").withColumn("d", F.col("d") + F.col("start_off")).drop("start_off")
 
 
 def to_xyt(points: DataFrame, paths: DataFrame, edges: DataFrame) -> DataFrame:

@@ -45,13 +45,18 @@ def tsed_squared(original_xyt: DataFrame, packed_xyt: DataFrame) -> DataFrame:
     return original_xyt.join(other, ["trip_id", "seq"]).groupBy("trip_id").agg(F.max(gap).cast("long").alias("tsed2"))
 
 
-def aux_sizes(sp: DataFrame, grams: DataFrame, spans: DataFrame) -> DataFrame:
-    """structure, entries, bytes: what the codec and the queries keep beside the trips."""
-    n_pairs, n_grams, n_spans = F.count(F.lit(1)), F.count(F.lit(1)), F.count(F.lit(1))
-    rows = [(sp, n_pairs, "pair_last_edge", 4), (sp, n_pairs, "pair_distance", 8), (sp, n_pairs, "pair_box", 16), (grams, n_grams, "automaton", 16), (grams, n_grams, "codes", 8), (spans, n_spans, "span_length", 8), (spans, n_spans, "span_box", 16)]
+def aux_sizes(sp: DataFrame, grams: DataFrame) -> DataFrame:
+    """structure, entries, bytes: what the codec (pairs, automaton, codes) and the queries (distances, boxes) keep beside the trips.
+
+    Bytes are those of the arrays: a pair is two vertices and an edge, a gram its
+    text, links and symbol, a length eight bytes and a box four times eight.
+    """
+    pairs = sp.agg(F.count(F.lit(1)).alias("n"))
+    coded = grams.agg(F.count(F.lit(1)).alias("n"), F.sum(F.octet_length("gram")).alias("text"))
+    rows = [(pairs, "pair_last_edge", "n * 12"), (pairs, "pair_distance", "n * 8"), (pairs, "pair_box", "n * 32"), (coded, "automaton", "n * 16 + text"), (coded, "codes", "n * 16"), (coded, "gram_length", "n * 8"), (coded, "gram_box", "n * 32")]
     out = None
-    for df, count, name, size in rows:
-        row = df.agg(count.alias("entries")).select(F.lit(name).alias("structure"), "entries", (F.col("entries") * size).alias("bytes"))
+    for df, name, size in rows:
+        row = df.select(F.lit(name).alias("structure"), F.col("n").alias("entries"), F.expr(size).cast("long").alias("bytes"))
         out = row if out is None else out.unionByName(row)
     return out
 

@@ -93,13 +93,17 @@ def where_at(asked: DataFrame, temporal: DataFrame, placed: DataFrame, aux: Aux)
     return edge.select("qid", "trip_id", along("ex0", "ex1", "part", "w").alias("x"), along("ey0", "ey1", "part", "w").alias("y"))
 
 
-def when_at(asked: DataFrame, temporal: DataFrame, placed: DataFrame, aux: Aux) -> DataFrame:
-    """qid, trip_id, t of q (qid, trip_id, x, y): first passage; points off the path give no row."""
+def first_passage(asked: DataFrame, placed: DataFrame, aux: Aux) -> DataFrame:
+    """qid, trip_id, d of q (qid, trip_id, x, y): distance at which the trip first passes the point; points off the path give no row."""
     boxed = asked.join(placed.withColumnsRenamed({"x0": "bx0", "y0": "by0", "x1": "bx1", "y1": "by1"}), "trip_id").where("x BETWEEN bx0 AND bx1 AND y BETWEEN by0 AND by1")
     on = _open(boxed, aux).where("x BETWEEN least(ex0, ex1) AND greatest(ex0, ex1) AND y BETWEEN least(ey0, ey1) AND greatest(ey0, ey1)")
     gone = F.expr("at + (abs(x - ex0) + abs(y - ey0)) * w div (abs(ex1 - ex0) + abs(ey1 - ey0))")
-    first = on.groupBy("qid", "trip_id").agg(F.min(gone).alias("d"))
-    return first.join(temporal, "trip_id").select("qid", "trip_id", F.expr(tim_sql("temporal", "d")).cast("long").alias("t"))
+    return on.groupBy("qid", "trip_id").agg(F.min(gone).alias("d"))
+
+
+def when_at(asked: DataFrame, temporal: DataFrame, placed: DataFrame, aux: Aux) -> DataFrame:
+    """qid, trip_id, t of q (qid, trip_id, x, y): first passage; points off the path give no row."""
+    return first_passage(asked, placed, aux).join(temporal, "trip_id").select("qid", "trip_id", F.expr(tim_sql("temporal", "d")).cast("long").alias("t"))
 
 
 def _clipped(df: DataFrame, lo: str = "d1", hi: str = "d2") -> DataFrame:

@@ -17,7 +17,8 @@ from pyspark.sql import functions as F
 from roadtraj.plans.guards import bounded
 from roadtraj.plans.scratch import cut
 
-MOST_EDGES = 5_000_000
+MOST_BYTES = 512 << 20  # of the adjacency that a search holds
+_EDGE_BYTES = 24
 
 
 def _min_plus(edges: DataFrame, radius: int | None) -> DataFrame:
@@ -40,14 +41,13 @@ def _min_plus(edges: DataFrame, radius: int | None) -> DataFrame:
 def _dijkstra(edges: DataFrame, radius: int | None) -> DataFrame:
     """One search for each source vertex; the adjacency goes to every task, once its size is checked."""
     spark = edges.sparkSession
-    rows = bounded(edges, MOST_EDGES, "the edge table").select("tail", "head", "w").collect()
-    steps: dict[int, list[tuple[int, int]]] = {}
-    for r in rows:
-        steps.setdefault(r["tail"], []).append((r["head"], r["w"]))
-    shared = spark.sparkContext.broadcast(steps)
+    rows = bounded(edges.select("tail", "head", "w"), MOST_BYTES // _EDGE_BYTES, "the edge table").orderBy("tail", "head", "w").toArrow()
+    tail, head, weight = (rows.column(c).to_numpy() for c in ("tail", "head", "w"))
+    # Edges of vertex u stand from first[u] to first[u + 1].
+    shared = spark.sparkContext.broadcast((np.searchsorted(tail, np.arange(int(max(tail.max(initial=-1), head.max(initial=-1))) + 2)), head, weight))
 
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        onward = shared.value
+        first, heads, weights = shared.value
         for batch in batches:
             for u in batch.column("u").to_pylist():
                 known, heap = {}, [(0, u)]
@@ -56,7 +56,8 @@ def _dijkstra(edges: DataFrame, radius: int | None) -> DataFrame:
                     if v in known or (radius is not None and d > radius):
                         continue
                     known[v] = d
-                    for to, w in onward.get(v, ()):
+                    lo, hi = first[v], first[v + 1]
+                    for to, w in zip(heads[lo:hi].tolist(), weights[lo:hi].tolist(), strict=True):
                         if to not in known:
                             heapq.heappush(heap, (d + w, to))
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(known), u, np.int32)), pa.array(list(known), pa.int32()), pa.array(list(known.values()), pa.int64())], names=["u", "v", "dist"])
@@ -85,18 +86,24 @@ def build_pairs(edges: DataFrame, method: str = "minplus", radius: int | None =
 def expand_pairs(wanted: DataFrame, sp: DataFrame, edges: DataFrame) -> DataFrame:
     """u, v, back, e: the edges of the recorded path of each wanted pair; back counts from its end.
 
-    One join with the pair table for each step backwards, all pairs at once.
+    Places on a path double in each round: from every place found, one jump of
+    as many edges as there are rounds' powers of two leads on. So rounds, each one
+    join of the places and one of the jumps with themselves, follow the logarithm of the
+    longest path, and nothing is broadcast.
     """
+    tails = edges.select("e", F.col("tail").alias("to"))
     step = sp.where("last_edge IS NOT NULL").select("u", F.col("v").alias("at"), F.col("last_edge").alias("e"))
-    tails = edges.select("e", "tail")
-    front = wanted.select("u", "v").distinct().where("u <> v").withColumn("at", F.col("v"))
-    out, back = None, 0
+    jump = step.join(tails, "e").select("u", "at", "to").where("u <> to")  # a place before the path's start is none
+    places = cut(wanted.select("u", "v").distinct().where("u <> v").select("u", "v", F.col("v").alias("at"), F.lit(0).alias("back")))
+    width = 1
     while True:
-        found = cut(front.join(step, ["u", "at"]).join(tails, "e").select("u", "v", F.lit(back).alias("back"), "e", "tail"))
-        if found.isEmpty():
-            return out if out is not None else found.drop("tail")
-        out = found.drop("tail") if out is None else out.unionByName(found.drop("tail"))
-        front, back = found.where("tail <> u").select("u", "v", F.col("tail").alias("at")), back + 1
+        ahead = cut(places.join(jump, ["u", "at"]).select("u", "v", F.col("to").alias("at"), (F.col("back") + width).alias("back")))
+        if ahead.isEmpty():
+            break
+        places = places.unionByName(ahead)
+        onward = jump.select("u", F.col("at").alias("to"), F.col("to").alias("end"))
+        jump, width = cut(jump.join(onward, ["u", "to"]).select("u", "at", F.col("end").alias("to"))), 2 * width
+    return places.join(step, ["u", "at"]).select("u", "v", "back", "e")
 
 
 def check_containment(sp: DataFrame, edges: DataFrame) -> DataFrame:

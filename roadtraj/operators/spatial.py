@@ -7,107 +7,168 @@ edge is never skipped into one.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from roadtraj.operators.flat import alive, flatten, lists, map_column, offsets_of, ragged, steps
 from roadtraj.plans.guards import bounded
 
-MOST_PAIRS = 16_000_000
+MOST_BYTES = 512 << 20  # of a pair table that tasks hold
+_PAIR_BYTES, _EDGE_BYTES = 20, 16
+_DENSE_BYTES = 64 << 20
 
 
 class PairTable:
-    """Dense last-edge and distance matrices of a network that fits into a task; the size is checked first."""
-
-    def __init__(self, sp: DataFrame, edges: DataFrame, most: int = MOST_PAIRS):
-        got = bounded(sp, most, "the pair table").select("u", "v", "dist", F.coalesce("last_edge", F.lit(-1)).alias("last_edge")).toPandas()
-        ends = bounded(edges, most, "the edge table").select("e", "tail", "head", "w").toPandas()
-        n = int(max(ends["tail"].max(), ends["head"].max())) + 1
-        self.last, self.dist = np.full((n, n), -1, np.int32), np.full((n, n), -1, np.int64)
-        self.last[got["u"], got["v"]], self.dist[got["u"], got["v"]] = got["last_edge"], got["dist"]
-        size = int(ends["e"].max()) + 1
-        self.tail, self.head, self.w = np.full(size, -1, np.int32), np.full(size, -1, np.int32), np.zeros(size, np.int64)
-        self.tail[ends["e"]], self.head[ends["e"]], self.w[ends["e"]] = ends["tail"], ends["head"], ends["w"]
+    """Last edges and distances of the pairs of a network that fits into a task; the size is checked first.
 
-    def sp_end(self, e: int, f: int) -> int:
+    Pairs are found by position in a sorted list, so a table bounded by radius costs
+    its own size whatever the number of vertices; small networks get an index by pair on top.
+    """
+
+    def __init__(self, pairs: dict[str, np.ndarray], edges: dict[str, np.ndarray]):
+        self.vertices = int(max(edges["tail"].max(initial=0), edges["head"].max(initial=0), pairs["u"].max(initial=0), pairs["v"].max(initial=0))) + 1
+        code = pairs["u"].astype(np.int64) * self.vertices + pairs["v"]
+        order = np.argsort(code, kind="stable")
+        self.code, self.last, self.dist = code[order], pairs["last_edge"][order].astype(np.int32), pairs["dist"][order].astype(np.int64)
+        self.index = None
+        if self.vertices**2 * 4 <= _DENSE_BYTES:
+            self.index = np.full(self.vertices**2, -1, np.int32)
+            self.index[self.code] = np.arange(len(code), dtype=np.int32)
+        size = int(edges["e"].max(initial=-1)) + 1
+        self.tail, self.head, self.w = np.full(size, -1, np.int32), np.full(size, -1, np.int32), np.zeros(size, np.int64)
+        self.tail[edges["e"]], self.head[edges["e"]], self.w[edges["e"]] = edges["tail"], edges["head"], edges["w"]
+
+    @staticmethod
+    def collect(sp: DataFrame, edges: DataFrame, most: int = MOST_BYTES) -> PairTable:
+        got = bounded(sp.select("u", "v", "dist", F.coalesce("last_edge", F.lit(-1)).alias("last_edge")), most // _PAIR_BYTES, "the pair table").toArrow()
+        ends = bounded(edges.select("e", "tail", "head", "w"), most // _EDGE_BYTES, "the edge table").toArrow()
+        as_arrays = lambda t: {c: t.column(c).to_numpy() for c in t.column_names}
+        return PairTable(as_arrays(got), as_arrays(ends))
+
+    def find(self, u: np.ndarray, v: np.ndarray) -> np.ndarray:
+        """Places of pairs in the table, -1 where there is none."""
+        code = u.astype(np.int64) * self.vertices + v
+        if self.index is not None:
+            return self.index[code]
+        if not len(self.code):
+            return np.full(len(code), -1)
+        at = np.minimum(np.searchsorted(self.code, code), len(self.code) - 1)
+        return np.where(self.code[at] == code, at, -1)
+
+    def sp_end(self, e: np.ndarray, f: np.ndarray) -> np.ndarray:
         """-1: no recorded path."""
-        if e == f:
-            return -1
         u, v = self.head[e], self.tail[f]
-        return e if u == v else int(self.last[u, v])
-
-    def between(self, e: int, f: int) -> list[int]:
-        """Edges of the recorded path strictly between e and f."""
-        u, v, out = self.head[e], self.tail[f], []
-        while v != u:
-            last = int(self.last[u, v])
-            out.append(last)
-            v = self.tail[last]
-        return out[::-1]
-
-
-def skip(path: list[int], pairs: PairTable) -> list[int]:
-    """Keep an edge only where the recorded path from the last kept edge leaves the trip."""
-    if len(path) < 3:
-        return list(path)
-    out, anchor = [path[0]], path[0]
-    for here, ahead in zip(path[1:], path[2:], strict=False):
-        if pairs.sp_end(anchor, ahead) != here:
-            out.append(here)
-            anchor = here
-    return [*out, path[-1]]
-
-
-def fewest(path: list[int], pairs: PairTable) -> int:
-    """Edges of the best skipping of all, by dynamic programming over run starts."""
-    n = len(path)
-    if n < 2:
-        return n
-    cost = [1] + [n + 1] * (n - 1)
-    for i in range(n):
-        for j in range(i + 1, n):
-            if j > i + 1 and pairs.sp_end(path[i], path[j]) != path[j - 1]:
-                break
-            cost[j] = min(cost[j], cost[i] + 1)
-    return cost[-1]
-
-
-def restore(path: list[int], pairs: PairTable) -> list[int]:
-    out = path[:1]
-    for e, f in zip(path, path[1:], strict=False):
-        if pairs.head[e] != pairs.tail[f]:
-            out += pairs.between(e, f)
-        out.append(f)
-    return out
-
-
-def map_paths(df: DataFrame, column: str, shared, function, kind: str = "array<int>") -> DataFrame:
-    """``df`` with ``column`` replaced by function(path, shared value), in Arrow batches without a shuffle."""
-    types = {"array<int>": pa.list_(pa.int32()), "long": pa.int64(), "array<string>": pa.list_(pa.string()), "binary": pa.binary()}
-    schema = ", ".join(f"`{f.name}` {kind if f.name == column else f.dataType.simpleString()}" for f in df.schema)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        value = shared.value
-        for batch in batches:
-            done = pa.array([function(p, value) if p is not None else None for p in batch.column(column).to_pylist()], types[kind])
-            yield pa.RecordBatch.from_arrays([done if n == column else batch.column(n) for n in batch.schema.names], names=batch.schema.names)
-
-    return df.mapInArrow(run, schema)
+        at = self.find(u, v)
+        return np.where(e == f, -1, np.where(u == v, e, np.where(at >= 0, self.last[at], -1) if len(self.last) else -1))
+
+    def walk(self, u: np.ndarray, v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Edges of the recorded paths from each u to each v, and their offsets."""
+        own, at, rows, edges, step = np.flatnonzero(u != v), v[u != v], [], [], 0
+        while len(own):
+            place = self.find(u[own], at)
+            if (place < 0).any():
+                raise ValueError("a pair without a recorded path")
+            last = self.last[place]
+            rows.append(own)
+            edges.append(last)
+            at = self.tail[last]
+            more = at != u[own]
+            own, at, step = own[more], at[more], step + 1
+        if not rows:
+            return np.zeros(0, np.int32), np.zeros(len(u) + 1, np.int64)
+        row, edge, back = np.concatenate(rows), np.concatenate(edges), np.repeat(np.arange(step), [len(r) for r in rows])
+        count = np.bincount(row, minlength=len(u))
+        offsets = offsets_of(count)
+        out = np.empty(len(edge), np.int32)
+        out[offsets[row] + count[row] - 1 - back] = edge
+        return out, offsets
+
+
+def skip(column: pa.Array, pairs: PairTable) -> pa.Array:
+    """Keep an edge only where the recorded path from the last kept edge leaves the trip. All trips take a step at once."""
+    path, offsets = flatten(column)
+    keep = np.ones(len(path), bool)
+    _, first, length = steps(offsets, 3)
+    anchor = path[first]
+    for i in range(1, int(length.max(initial=0)) - 1):
+        n = alive(length, i + 1)
+        here = path[first[:n] + i]
+        kept = pairs.sp_end(anchor[:n], path[first[:n] + i + 1]) != here
+        keep[first[:n] + i] = kept
+        anchor[:n] = np.where(kept, here, anchor[:n])
+    return lists(path[keep], offsets_of(keep)[offsets], pa.int32(), column)
+
+
+def fewest(column: pa.Array, pairs: PairTable) -> pa.Array:
+    """Edges of the best skipping of all: how far a run from each place may go, then the cheapest chain of runs."""
+    path, offsets = flatten(column)
+    stop = np.repeat(offsets[1:], np.diff(offsets))
+    reach = np.arange(len(path))
+    own = np.flatnonzero(reach + 1 < stop)
+    reach[own] += 1
+    ahead = 2
+    while len(own):
+        own = own[own + ahead < stop[own]]
+        own = own[pairs.sp_end(path[own], path[own + ahead]) == path[own + ahead - 1]]
+        reach[own] += 1
+        ahead += 1
+    out = []
+    for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True):
+        cost = [1] + [b - a + 1] * (b - a - 1)
+        for i, far in enumerate(reach[a:b].tolist()):
+            for j in range(i + 1, far - a + 1):
+                cost[j] = min(cost[j], cost[i] + 1)
+        out.append(cost[-1] if b > a else 0)
+    return pa.array(out, pa.int64())
+
+
+def restore(column: pa.Array, pairs: PairTable) -> pa.Array:
+    """Skipped edges put back: recorded paths between neighbours that do not follow each other."""
+    path, offsets = flatten(column)
+    inner = np.ones(len(path), bool)
+    inner[offsets[1:][np.diff(offsets) > 0] - 1] = False  # the last edge of a trip has no neighbour
+    gap = np.flatnonzero(inner)
+    gap = gap[pairs.head[path[gap]] != pairs.tail[path[gap + 1]]]
+    between, bounds = pairs.walk(pairs.head[path[gap]], pairs.tail[path[gap + 1]])
+    more = np.zeros(len(path), np.int64)
+    more[gap] = np.diff(bounds)
+    place = offsets_of(1 + more)
+    out = np.empty(int(place[-1]), np.int32)
+    out[place[:-1]] = path
+    out[ragged(place[gap] + 1, more[gap])] = between
+    return lists(out, place[offsets], pa.int32(), column)
+
+
+def _with_pairs(paths: DataFrame, sp: DataFrame, edges: DataFrame, column: str, function, kind: str) -> DataFrame:
+    return map_column(paths, column, paths.sparkSession.sparkContext.broadcast(PairTable.collect(sp, edges)), function, kind)
 
 
 def sp_compress(paths: DataFrame, sp: DataFrame, edges: DataFrame, column: str = "path") -> DataFrame:
-    return map_paths(paths, column, paths.sparkSession.sparkContext.broadcast(PairTable(sp, edges)), skip)
+    return _with_pairs(paths, sp, edges, column, skip, "array<int>")
 
 
 def sp_decompress(paths: DataFrame, sp: DataFrame, edges: DataFrame, column: str = "path") -> DataFrame:
-    return map_paths(paths, column, paths.sparkSession.sparkContext.broadcast(PairTable(sp, edges)), restore)
+    return _with_pairs(paths, sp, edges, column, restore, "array<int>")
 
 
 def sp_best_length(paths: DataFrame, sp: DataFrame, edges: DataFrame, column: str = "path") -> DataFrame:
-    return map_paths(paths, column, paths.sparkSession.sparkContext.broadcast(PairTable(sp, edges)), fewest, "long")
+    return _with_pairs(paths, sp, edges, column, fewest, "bigint")
+
+
+def vertex_tours(stops: DataFrame, sp: DataFrame, edges: DataFrame, column: str = "path") -> DataFrame:
+    """Lists of vertices become the edges of the recorded paths from each to the next."""
+
+    def expand(vertices: pa.Array, pairs: PairTable) -> pa.Array:
+        at, offsets = flatten(vertices)
+        inner = np.ones(len(at), bool)
+        inner[offsets[1:][np.diff(offsets) > 0] - 1] = False
+        leg = np.flatnonzero(inner)
+        path, bounds = pairs.walk(at[leg], at[leg + 1])
+        return lists(path, bounds[offsets_of(inner)[offsets]], pa.int32(), vertices)
+
+    return _with_pairs(stops, sp, edges, column, expand, "array<int>")
 
 
 def sp_compress_lookahead(steps: DataFrame, sp: DataFrame, edges: DataFrame, reach: int = 16) -> DataFrame:

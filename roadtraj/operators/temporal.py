@@ -22,59 +22,100 @@ from roadtraj.functions.interpolate import dis_sql, tim_sql
 POINTS = "array<struct<d: bigint, t: bigint>>"
 
 
-def _lower(dd: str, dt: str, tau: int, eta: int | None, start: str) -> str:
-    late = "" if eta is None else f", named_struct('n', {dd}, 'm', {dt} + {eta}L)"
-    return f"aggregate(array(named_struct('n', {dd} - {tau}L, 'm', {dt}){late}), {start}, (_b, _c) -> IF(_c.n * _b.m > _b.n * _c.m, _c, _b))"
+# A slope is a fraction of differences, and slopes are compared by cross products. Where the extent of a
+# sequence shows that those fit into 64 bits they are BIGINT, else DECIMAL, exact up to 38 digits.
+_BIG, _WIDE = "BIGINT", "DECIMAL(19, 0)"
 
 
-def _upper(dd: str, dt: str, tau: int, eta: int | None, start: str) -> str:
-    some = start if eta is None else f"IF({dt} > {eta}L, named_struct('n', {dd}, 'm', {dt} - {eta}L), {start})"
-    return f"aggregate(array(named_struct('n', {dd} + {tau}L, 'm', {dt}), {some}), {start}, (_b, _c) -> IF(_c.n * _b.m < _b.n * _c.m, _c, _b))"
+def _difference(a: str, b: str, kind: str) -> str:
+    return f"({a} - {b})" if kind == _BIG else f"cast(cast({a} as {_WIDE}) - {b} as {_WIDE})"
 
 
-_ZERO, _OPEN = "named_struct('n', 0L, 'm', 1L)", "named_struct('n', 1L, 'm', 0L)"
+def _fraction(n: str, m: str, kind: str) -> str:
+    return f"named_struct('n', cast({n} as {kind}), 'm', cast({m} as {kind}))"
 
 
-def angular(tau: int, eta: int | None, column: str = "temporal") -> str:
-    """SQL: the kept points of an array of (d, t); no bound on times where eta is None. Row-local; the state is constant but for the output."""
-    dd, dt = "(p.d - a.from.d)", "(p.t - a.from.t)"
-    again_d, again_t = "(p.d - a.prev.d)", "(p.t - a.prev.t)"
+def _narrowest(bounds: list[str], start: str, less: bool) -> str:
+    """SQL: the greatest (least) of fractions and ``start``."""
+    if not bounds:
+        return start
+    return f"aggregate(array({', '.join(bounds)}), {start}, (_b, _c) -> IF(_c.n * _b.m {'<' if less else '>'} _b.n * _c.m, _c, _b))"
+
+
+def _lower(dd: str, dt: str, tau: int | None, eta: int | None, start: str, kind: str) -> str:
+    return _narrowest(([] if tau is None else [_fraction(f"{dd} - {tau}", dt, kind)]) + ([] if eta is None else [_fraction(dd, f"{dt} + {eta}", kind)]), start, False)
+
+
+def _upper(dd: str, dt: str, tau: int | None, eta: int | None, start: str, kind: str) -> str:
+    late = [] if eta is None else [f"IF({dt} > {eta}, {_fraction(dd, f'{dt} - {eta}', kind)}, {start})"]
+    return _narrowest(([] if tau is None else [_fraction(f"{dd} + {tau}", dt, kind)]) + late, start, True)
+
+
+def _fits(column: str, tau: int | None, eta: int | None) -> str:
+    """SQL: no cross product of a sequence's slopes passes 64 bits."""
+    span = lambda c, b: f"(double(element_at({column}, -1).{c}) - {column}[0].{c} + double({0 if b is None else b}))"
+    return f"{span('d', tau)} * {span('t', eta)} < 4.0E18D"
+
+
+def _fold(tau: int | None, eta: int | None, column: str, begin: str, keep: str, finish: str, kind: str) -> str:
+    dd, dt = _difference("p.d", "a.from.d", kind), _difference("p.t", "a.from.t", kind)
+    again_d, again_t = _difference("p.d", "a.prev.d", kind), _difference("p.t", "a.prev.t", kind)
+    zero, free = _fraction("0", "1", kind), _fraction("1", "0", kind)
     inside = f"{dd} * a.lo.m >= a.lo.n * {dt} AND {dd} * a.hi.m <= a.hi.n * {dt}"
-    go = f"named_struct('from', a.from, 'prev', p, 'lo', {_lower(dd, dt, tau, eta, 'a.lo')}, 'hi', {_upper(dd, dt, tau, eta, 'a.hi')}, 'out', a.out)"
-    restart = f"named_struct('from', a.prev, 'prev', p, 'lo', {_lower(again_d, again_t, tau, eta, _ZERO)}, 'hi', {_upper(again_d, again_t, tau, eta, _OPEN)}, 'out', concat(a.out, array(a.prev)))"
-    start = f"named_struct('from', {column}[0], 'prev', {column}[0], 'lo', {_ZERO}, 'hi', {_OPEN}, 'out', array({column}[0]))"
-    return f"CASE WHEN size({column}) <= 2 THEN {column} ELSE aggregate(slice({column}, 2, size({column})), {start}, (a, p) -> IF({inside}, {go}, {restart}), a -> concat(a.out, array(a.prev))) END"
+    go = f"named_struct('from', a.from, 'prev', p, 'lo', {_lower(dd, dt, tau, eta, 'a.lo', kind)}, 'hi', {_upper(dd, dt, tau, eta, 'a.hi', kind)}, 'out', a.out)"
+    restart = f"named_struct('from', a.prev, 'prev', p, 'lo', {_lower(again_d, again_t, tau, eta, zero, kind)}, 'hi', {_upper(again_d, again_t, tau, eta, free, kind)}, 'out', {keep})"
+    start = f"named_struct('from', {column}[0], 'prev', {column}[0], 'lo', {zero}, 'hi', {free}, 'out', {begin})"
+    return f"aggregate(slice({column}, 2, size({column})), {start}, (a, p) -> IF({inside}, {go}, {restart}), a -> {finish})"
+
 
+def _run(tau: int | None, eta: int | None, column: str, few: str, begin: str, keep: str, finish: str) -> str:
+    """SQL: a fold over an array of (d, t) whose output starts with ``begin``, grows by ``keep`` and ends with ``finish``; ``few`` for two points or less."""
+    folds = [_fold(tau, eta, column, begin, keep, finish, kind) for kind in (_BIG, _WIDE)]
+    return f"CASE WHEN size({column}) <= 2 THEN {few} WHEN {_fits(column, tau, eta)} THEN {folds[0]} ELSE {folds[1]} END"
 
-def compress_points(points: list[dict], tau: int, eta: int) -> list[dict]:
+
+def angular(tau: int | None, eta: int | None, column: str = "temporal") -> str:
+    """SQL: the kept points of an array of (d, t); None is no bound. Row-local; the state is constant but for the output."""
+    return _run(tau, eta, column, column, f"array({column}[0])", "concat(a.out, array(a.prev))", "concat(a.out, array(a.prev))")
+
+
+def angular_count(tau: int | str | None, eta: int | str | None, column: str = "temporal") -> str:
+    """SQL: how many points ``angular`` keeps, without making their array. Bounds are numbers, columns, or None."""
+    return _run(tau, eta, column, f"size({column})", "1", "a.out + 1", "a.out + 1")
+
+
+def narrow(low: tuple, high: tuple, dd: int, dt: int, tau: int | None, eta: int | None) -> tuple[tuple, tuple]:
+    """The range of slopes, as fractions, that one more skipped point allows."""
+    lower = ([] if tau is None else [(dd - tau, dt)]) + ([] if eta is None else [(dd, dt + eta)])
+    upper = ([] if tau is None else [(dd + tau, dt)]) + ([] if eta is None or dt <= eta else [(dd, dt - eta)])
+    for n, m in lower:
+        if n * low[1] > low[0] * m:
+            low = (n, m)
+    for n, m in upper:
+        if n * high[1] < high[0] * m:
+            high = (n, m)
+    return low, high
+
+
+def compress_points(points: list[dict], tau: int | None, eta: int | None) -> list[dict]:
     """The same codec for one long sequence, in one pass over a list."""
     if len(points) <= 2:
         return points
     out, anchor, prev = [points[0]], points[0], points[0]
     lo, hi = (0, 1), (1, 0)
-
-    def narrow(low, high, dd, dt):
-        for n, m in ((dd - tau, dt), (dd, dt + eta)):
-            if n * low[1] > low[0] * m:
-                low = (n, m)
-        for n, m in ((dd + tau, dt), (dd, dt - eta))[: 2 if dt > eta else 1]:
-            if n * high[1] < high[0] * m:
-                high = (n, m)
-        return low, high
-
     for p in points[1:]:
         dd, dt = p["d"] - anchor["d"], p["t"] - anchor["t"]
         if dd * lo[1] >= lo[0] * dt and dd * hi[1] <= hi[0] * dt:
-            lo, hi = narrow(lo, hi, dd, dt)
+            lo, hi = narrow(lo, hi, dd, dt, tau, eta)
         else:
             out.append(prev)
             anchor = prev
-            lo, hi = narrow((0, 1), (1, 0), p["d"] - anchor["d"], p["t"] - anchor["t"])
+            lo, hi = narrow((0, 1), (1, 0), p["d"] - anchor["d"], p["t"] - anchor["t"], tau, eta)
         prev = p
     return [*out, prev]
 
 
-def temporal_compress(df: DataFrame, tau: int, eta: int, column: str = "temporal", strategy: str = "native") -> DataFrame:
+def temporal_compress(df: DataFrame, tau: int | None, eta: int | None, column: str = "temporal", strategy: str = "native") -> DataFrame:
     """``column`` thinned. ``strategy``: native (an array fold in the JVM) or arrow (for very long sequences)."""
     if strategy == "native":
         return df.withColumn(column, F.expr(angular(tau, eta, column)))

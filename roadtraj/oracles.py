@@ -55,8 +55,56 @@ greedy(trip_id, pos, anchor, kept) AS (
   UNION ALL
   SELECT l.trip_id, l.pos, CASE WHEN spe.came IS DISTINCT FROM l.e THEN l.e ELSE g.anchor END, spe.came IS DISTINCT FROM l.e
   FROM greedy g JOIN long l ON l.trip_id = g.trip_id AND l.pos = g.pos + 1 LEFT JOIN spe ON spe.a = g.anchor AND spe.f = l.nxt WHERE l.nxt IS NOT NULL),
-kept AS (SELECT trip_id, pos FROM greedy WHERE kept UNION SELECT trip_id, n FROM long),
-short AS (SELECT long.trip_id, train, long.pos AS place, row_number() OVER (PARTITION BY long.trip_id ORDER BY long.pos) AS pos, e FROM long JOIN kept USING (trip_id, pos))"""
+stayed AS (SELECT trip_id, pos FROM greedy WHERE kept UNION SELECT trip_id, n FROM long),
+short AS (SELECT long.trip_id, train, long.pos AS place, row_number() OVER (PARTITION BY long.trip_id ORDER BY long.pos) AS pos, e FROM long JOIN stayed USING (trip_id, pos))"""
+
+def mined(theta: int = 3, source: str = "short") -> str:
+    """grams(gram, n, freq) of the training trips, and ``ahead``: the grams that end and start at each place."""
+    back = ", ".join(f"lag(e, {k}) OVER t AS b{k + 1}" for k in range(1, theta))
+    onward = ", ".join(f"lead(e, {k}) OVER t AS e{k + 1}" for k in range(1, theta))
+    each = " UNION ALL ".join(f"SELECT {' || chr(45) || '.join(['CAST(e AS VARCHAR)', *(f'e{k}' for k in range(2, n + 1))])} AS gram, {n} AS n FROM ahead WHERE train{f' AND e{n} IS NOT NULL' if n > 1 else ''}" for n in range(1, theta + 1))
+    return f"""
+ahead AS (SELECT trip_id, train, pos, e{', ' + back if back else ''}{', ' + onward if onward else ''} FROM {source} WINDOW t AS (PARTITION BY trip_id ORDER BY pos)),
+counted AS (SELECT gram, n, count(*) AS freq FROM ({each}) GROUP BY gram, n),
+grams AS (SELECT gram, n, freq FROM counted UNION ALL SELECT CAST(e AS VARCHAR), 1, 0 FROM net WHERE CAST(e AS VARCHAR) NOT IN (SELECT gram FROM counted))"""
+
+
+# Code lengths: the two least weights are merged until one is left; of equals leaves come first, then what was merged first.
+CODED = """
+leaf AS (SELECT gram, n, freq, row_number() OVER (ORDER BY freq, n DESC, gram) AS id, count(*) OVER () AS total FROM grams),
+merged(k, q, a, b) AS (
+  SELECT CAST(0 AS BIGINT), (SELECT list(struct_pack(w := CAST(freq AS HUGEINT), j := 0, id := id) ORDER BY id) FROM leaf), CAST(NULL AS BIGINT), CAST(NULL AS BIGINT)
+  UNION ALL
+  SELECT k + 1, list_sort(list_append(q[3:], struct_pack(w := q[1].w + q[2].w, j := 1, id := k + 1 + (SELECT max(total) FROM leaf)))), q[1].id, q[2].id FROM merged WHERE len(q) > 1),
+child AS (SELECT k + (SELECT max(total) FROM leaf) AS parent, unnest([a, b]) AS id FROM merged WHERE k > 0),
+depths(id, depth) AS (SELECT max(parent), 0 FROM child UNION ALL SELECT child.id, depth + 1 FROM depths JOIN child ON depths.id = child.parent),
+lens AS (SELECT gram, leaf.n, freq, CAST(depth AS BIGINT) AS len FROM leaf JOIN depths ON leaf.id = depths.id)"""
+
+# Pieces of three tilings, with their code lengths: from the end, from the front, and of least cost.
+TILED = """
+ending AS (SELECT a.trip_id, a.pos, l1.len AS c1, l2.len AS c2, l3.len AS c3 FROM ahead a JOIN lens l1 ON l1.gram = CAST(a.e AS VARCHAR)
+  LEFT JOIN lens l2 ON l2.gram = a.b2 || '-' || a.e LEFT JOIN lens l3 ON l3.gram = a.b3 || '-' || a.b2 || '-' || a.e),
+lengths AS (SELECT trip_id, pos, CASE WHEN c3 IS NOT NULL THEN 3 WHEN c2 IS NOT NULL THEN 2 ELSE 1 END AS len, coalesce(c3, c2, c1) AS bits FROM ending),
+tiles(trip_id, pos, len, bits) AS (
+  SELECT trip_id, pos, len, bits FROM lengths l WHERE pos = (SELECT max(pos) FROM lengths m WHERE m.trip_id = l.trip_id)
+  UNION ALL
+  SELECT l.trip_id, l.pos, l.len, l.bits FROM tiles t JOIN lengths l ON l.trip_id = t.trip_id AND l.pos = t.pos - t.len),
+starting AS (SELECT a.trip_id, a.pos, CASE WHEN l3.len IS NOT NULL THEN 3 WHEN l2.len IS NOT NULL THEN 2 ELSE 1 END AS len, coalesce(l3.len, l2.len, l1.len) AS bits
+  FROM ahead a JOIN lens l1 ON l1.gram = CAST(a.e AS VARCHAR) LEFT JOIN lens l2 ON l2.gram = a.e || '-' || a.e2 LEFT JOIN lens l3 ON l3.gram = a.e || '-' || a.e2 || '-' || a.e3),
+fronts(trip_id, pos, len, bits) AS (
+  SELECT trip_id, pos, len, bits FROM starting WHERE pos = 1
+  UNION ALL
+  SELECT s.trip_id, s.pos, s.len, s.bits FROM fronts f JOIN starting s ON s.trip_id = f.trip_id AND s.pos = f.pos + f.len),
+least_cost(trip_id, pos, d0, d1, d2) AS (
+  SELECT trip_id, pos, c1, CAST(0 AS BIGINT), CAST(NULL AS BIGINT) FROM ending WHERE pos = 1
+  UNION ALL
+  SELECT e.trip_id, e.pos, least(d0 + c1, d1 + c2, d2 + c3), d0, d1 FROM least_cost c JOIN ending e ON e.trip_id = c.trip_id AND e.pos = c.pos + 1)"""
+
+# Pieces and the hops between them as stretches of the trip: distances at their ends.
+PIECES = """
+piece AS (SELECT t.trip_id, a.place AS first, b.place AS last FROM tiles t JOIN short a ON a.trip_id = t.trip_id AND a.pos = t.pos - t.len + 1 JOIN short b ON b.trip_id = t.trip_id AND b.pos = t.pos),
+stretch AS (SELECT trip_id, first, last FROM piece UNION ALL SELECT trip_id, was + 1, first - 1 FROM (SELECT *, lag(last) OVER (PARTITION BY trip_id ORDER BY first) AS was FROM piece) WHERE first > was + 1),
+spanned AS MATERIALIZED (SELECT s.trip_id, a.c0, b.c1 FROM stretch s JOIN cum a ON a.trip_id = s.trip_id AND a.pos = s.first JOIN cum b ON b.trip_id = s.trip_id AND b.pos = s.last)"""
 
 GRAMS = """
 ahead AS (SELECT trip_id, train, pos, e, lead(e) OVER t AS e2, lead(e, 2) OVER t AS e3, lag(e) OVER t AS b2, lag(e, 2) OVER t AS b3 FROM short WINDOW t AS (PARTITION BY trip_id ORDER BY pos)),
@@ -73,10 +121,14 @@ tiles(trip_id, pos, len) AS (
   SELECT l.trip_id, l.pos, l.len FROM tiles t JOIN lengths l ON l.trip_id = t.trip_id AND l.pos = t.pos - t.len)"""
 
 
-def thinned(tau: int, eta: int, source: str = "points") -> str:
-    """kept(trip_id, seq): the points of the angular codec, by recursion with fractions as pairs."""
+def thinned(tau: int | str, eta: int | str, source: str = "points") -> str:
+    """kept(trip_id, seq): the points of the angular codec, by recursion with fractions as pairs.
+
+    Bounds are numbers, or the columns tau and eta of the source.
+    """
+    own, inner, outer = (", tau, eta", ", q.tau, q.eta", ", p.tau, p.eta") if isinstance(tau, str) else ("", "", "")
     return f"""
-pts AS (SELECT trip_id, seq, CAST(d AS HUGEINT) AS d, CAST(t AS HUGEINT) AS t, max(seq) OVER (PARTITION BY trip_id) AS n FROM {source}),
+pts AS (SELECT trip_id, seq, CAST(d AS HUGEINT) AS d, CAST(t AS HUGEINT) AS t, max(seq) OVER (PARTITION BY trip_id) AS n{own} FROM {source}),
 run(trip_id, seq, kept, ad, aat, pd, pt, ln, lm, hn, hm) AS (
   SELECT trip_id, seq, CAST(NULL AS BIGINT), d, t, d, t, CAST(0 AS HUGEINT), CAST(1 AS HUGEINT), CAST(1 AS HUGEINT), CAST(0 AS HUGEINT) FROM pts WHERE seq = 1
   UNION ALL
@@ -87,9 +139,9 @@ run(trip_id, seq, kept, ad, aat, pd, pt, ln, lm, hn, hm) AS (
       d - ad AS l2n, t - aat + {eta} AS l2m,
       CASE WHEN (d - ad + {tau}) * hm < hn * (t - aat) THEN d - ad + {tau} ELSE hn END AS h1n, CASE WHEN (d - ad + {tau}) * hm < hn * (t - aat) THEN t - aat ELSE hm END AS h1m,
       CASE WHEN t - aat > {eta} THEN d - ad ELSE 1 END AS h2n, CASE WHEN t - aat > {eta} THEN t - aat - {eta} ELSE 0 END AS h2m
-    FROM (SELECT p.trip_id, p.seq, p.d, p.t, CASE WHEN ok THEN NULL ELSE r_seq END AS kept, CASE WHEN ok THEN ad0 ELSE pd0 END AS ad, CASE WHEN ok THEN at0 ELSE pt0 END AS aat,
+    FROM (SELECT p.trip_id, p.seq, p.d, p.t{outer}, CASE WHEN ok THEN NULL ELSE r_seq END AS kept, CASE WHEN ok THEN ad0 ELSE pd0 END AS ad, CASE WHEN ok THEN at0 ELSE pt0 END AS aat,
         CASE WHEN ok THEN ln0 ELSE 0 END AS ln, CASE WHEN ok THEN lm0 ELSE 1 END AS lm, CASE WHEN ok THEN hn0 ELSE 1 END AS hn, CASE WHEN ok THEN hm0 ELSE 0 END AS hm
-      FROM (SELECT q.trip_id, q.seq, q.d, q.t, r.seq AS r_seq, r.ad AS ad0, r.aat AS at0, r.pd AS pd0, r.pt AS pt0, r.ln AS ln0, r.lm AS lm0, r.hn AS hn0, r.hm AS hm0,
+      FROM (SELECT q.trip_id, q.seq, q.d, q.t{inner}, r.seq AS r_seq, r.ad AS ad0, r.aat AS at0, r.pd AS pd0, r.pt AS pt0, r.ln AS ln0, r.lm AS lm0, r.hn AS hn0, r.hm AS hm0,
           (q.d - r.ad) * r.lm >= r.ln * (q.t - r.aat) AND (q.d - r.ad) * r.hm <= r.hn * (q.t - r.aat) AS ok
         FROM run r JOIN pts q ON q.trip_id = r.trip_id AND q.seq = r.seq + 1) p) s) z),
 kept AS (SELECT trip_id, kept AS seq FROM run WHERE kept IS NOT NULL UNION SELECT trip_id, 1 FROM pts WHERE seq = 1 UNION SELECT trip_id, n FROM pts WHERE seq = n)"""

@@ -15,6 +15,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from roadtraj.operators.temporal import narrow
+
 _STATE = "started boolean, ad long, at long, pd long, pt long, ln long, lm long, hn long, hm long, late long"
 _OUT = "trip_id long, d long, t long"
 
@@ -26,16 +28,6 @@ def event_stream(spark: SparkSession, sf_dir: str, per_trigger: int = 1) -> Data
     return raw.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
-def _narrow(low, high, dd, dt, tau, eta):
-    for n, m in ((dd - tau, dt), (dd, dt + eta)):
-        if n * low[1] > low[0] * m:
-            low = (n, m)
-    for n, m in ((dd + tau, dt), (dd, dt - eta))[: 2 if dt > eta else 1]:
-        if n * high[1] < high[0] * m:
-            high = (n, m)
-    return low, high
-
-
 def stream_temporal(points: DataFrame, tau: int, eta: int, gap_ms: int = 3_600_000) -> DataFrame:
     """trip_id, d, t of kept points, in append mode. ``points``: trip_id, d, t and a watermarked ``ts``."""
 
@@ -61,12 +53,12 @@ def stream_temporal(points: DataFrame, tau: int, eta: int, gap_ms: int = 3_600_0
                     continue
                 dd, dt, lo, hi = d - ad, t - at, (ln, lm), (hn, hm)
                 if dd * lo[1] >= lo[0] * dt and dd * hi[1] <= hi[0] * dt:
-                    lo, hi = _narrow(lo, hi, dd, dt, tau, eta)
+                    lo, hi = narrow(lo, hi, dd, dt, tau, eta)
                 else:
                     if (pd_, pt) != (ad, at):
                         out.append((key[0], pd_, pt))
                     ad, at = pd_, pt
-                    lo, hi = _narrow((0, 1), (1, 0), d - ad, t - at, tau, eta)
+                    lo, hi = narrow((0, 1), (1, 0), d - ad, t - at, tau, eta)
                 s = (True, ad, at, d, t, *lo, *hi, late)
         if s is not None:
             state.update(s)

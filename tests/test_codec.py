@@ -1,36 +1,60 @@
 """Worked examples and invariants of the codec."""
 
 import random
+from collections import Counter
 
+import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from roadtraj.operators import grams, huffman, packed, shortest, spatial, temporal
+from roadtraj.operators import grams, huffman, packed, shortest, spatial, temporal, twostage
 from roadtraj.sources import network, trips
 
 SF = "/root/testdata/sf0.001"
 
 
-class Chain:
-    """Pair facts of a small example, given directly."""
+def pair_table(edges):
+    """Recorded paths of a small network (e, tail, head, w), by relaxing until nothing changes."""
+    vertices = sorted({v for _, t, h, _ in edges for v in (t, h)})
+    dist = {(u, u): 0 for u in vertices}
+    for _ in vertices:
+        for u in vertices:
+            for _, t, h, w in edges:
+                if (u, t) in dist:
+                    dist[u, h] = min(dist.get((u, h), dist[u, t] + w), dist[u, t] + w)
+    last = {(u, v): min((e for e, t, h, w in edges if h == v and dist.get((u, t), 10**9) + w == d), default=-1) if u != v else -1 for (u, v), d in dist.items()}
+    columns = lambda rows, names: {n: np.array(c, np.int64) for n, c in zip(names, zip(*rows, strict=True), strict=True)}
+    return spatial.PairTable(columns([(u, v, d, last[u, v]) for (u, v), d in dist.items()], ("u", "v", "dist", "last_edge")), columns(edges, ("e", "tail", "head", "w")))
 
-    def __init__(self, ends):
-        self.ends = ends
 
-    def sp_end(self, e, f):
-        return -1 if e == f else self.ends.get((e, f), -1)
+def _lists(*paths):
+    return pa.array(paths, pa.list_(pa.int32()))
 
 
 def test_skip_example():
-    # The last edges before each of the pairs on the path 15, 12, 9, 6, 3.
-    pairs = Chain({(15, 12): 15, (15, 9): 12, (15, 6): 9, (15, 3): 6})
-    assert spatial.skip([15, 12, 9, 6, 3], pairs) == [15, 3]
+    # The path 15, 12, 9, 6, 3 is the recorded path from 15 to 3.
+    pairs = pair_table([(15, 0, 1, 1), (12, 1, 2, 1), (9, 2, 3, 1), (6, 3, 4, 1), (3, 4, 5, 1)])
+    assert spatial.skip(_lists([15, 12, 9, 6, 3], None, [12], [], [9, 6]), pairs).to_pylist() == [[15, 3], None, [12], [], [9, 6]]
+    assert pairs.sp_end(np.array([15, 15, 15]), np.array([9, 6, 15])).tolist() == [12, 9, -1]
 
 
-def test_skip_keeps_returns_and_short_paths():
-    pairs = Chain({("e", "a"): "e", ("e", "b"): "a", ("a", "b"): "a", ("b", "e"): "b", ("a", "e"): "b", ("e", "g"): "e", ("b", "g"): "e"})
-    assert spatial.skip(["e", "a", "b", "e", "g"], pairs)[1:-1]
-    assert spatial.skip(["e"], pairs) == ["e"] and spatial.skip([], pairs) == [] and spatial.skip(["e", "a"], pairs) == ["e", "a"]
+def test_skip_keeps_returns():
+    """A trip that comes back to an edge is not skipped into it, with a dense and with a sorted pair table."""
+    pairs = pair_table([(0, 0, 1, 1), (1, 1, 2, 1), (2, 2, 0, 1), (3, 1, 3, 1)])
+    trips_ = _lists([0, 1, 2, 0, 3], [0, 1, 2, 0, 1, 2, 0], [1, 2, 0, 3])
+    for _ in range(2):
+        short = spatial.skip(trips_, pairs)
+        assert len(short[0]) > 2 and spatial.restore(short, pairs).to_pylist() == trips_.to_pylist()
+        pairs.index = None
+
+
+def test_walks_between_vertices():
+    pairs = pair_table([(0, 0, 1, 1), (1, 1, 2, 1), (2, 2, 0, 1), (3, 1, 3, 1)])
+    path, offsets = pairs.walk(np.array([0, 2, 1]), np.array([3, 2, 0]))
+    assert path.tolist() == [0, 3, 1, 2] and offsets.tolist() == [0, 2, 2, 4]
+    with pytest.raises(ValueError):
+        pairs.walk(np.array([3]), np.array([0]))
 
 
 # Three training paths over edges 1 to 10.
@@ -70,10 +94,62 @@ def test_huffman_example(example):
 def test_decomposition_example(example):
     book = huffman.codebook(example, 3)
     path = [1, 4, 7, 5, 8, 6, 3, 1, 5, 2, 10]
-    assert grams.pieces_backward(path, book) == ["1-4", "7", "5", "8-6-3", "1-5-2", "10"]
-    bits = lambda pieces: sum(book.lengths[p] for p in pieces)
-    assert bits(grams.pieces_cheapest(path, book)) <= bits(grams.pieces_backward(path, book))
-    assert book.unpack(book.pack(grams.pieces_backward(path, book))) == path
+    pieces, offsets = grams.pieces_backward(np.array(path, np.int32), np.array([0, len(path)]), book)
+    assert book.names.take(pa.array(pieces)).to_pylist() == ["1-4", "7", "5", "8-6-3", "1-5-2", "10"]
+    data, bounds, n_bits = book.pack(pieces, offsets)
+    assert n_bits[0] == sum(book.lengths[g] for g in ("1-4", "7", "5", "8-6-3", "1-5-2", "10"))
+    assert "".join(f"{x:08b}" for x in data)[: n_bits[0]] == "".join(format(book.codes[g], f"0{book.lengths[g]}b") for g in ("1-4", "7", "5", "8-6-3", "1-5-2", "10"))
+    assert book.expand(*book.unpack(data, bounds, n_bits))[0].tolist() == path
+
+
+def _slow_pieces(path, book, how):
+    text, out = [str(e) for e in path], []
+    if how == "forward":
+        while text:
+            n = next(n for n in range(min(book.theta, len(text)), 0, -1) if "-".join(text[:n]) in book.lengths)
+            out.append("-".join(text[:n]))
+            text = text[n:]
+    elif how == "backward":
+        while text:
+            n = next(n for n in range(min(book.theta, len(text)), 0, -1) if "-".join(text[-n:]) in book.lengths)
+            out.insert(0, "-".join(text[-n:]))
+            text = text[:-n]
+    else:
+        best = [(0, [])]
+        for k in range(1, len(text) + 1):
+            best.append(min(((best[k - n][0] + book.lengths[g], best[k - n][1] + [g]) for n in range(1, min(book.theta, k) + 1) if (g := "-".join(text[k - n : k])) in book.lengths), key=lambda x: x[0]))
+        out = best[-1][1]
+    return out
+
+
+@pytest.mark.parametrize("theta", [1, 2, 3, 6])
+def test_tilings_and_codes_of_many_paths(theta):
+    """Every tiling against a loop over one path, and codes there and back, empty paths included."""
+    rng = random.Random(theta)
+    paths = [[rng.randrange(6) if rng.random() < 0.7 else rng.randrange(12) for _ in range(rng.randrange(0, 30))] for _ in range(80)]
+    counts = Counter("-".join(map(str, p[i : i + n])) for p in paths[:40] for n in range(1, theta + 1) for i in range(len(p) - n + 1))
+    book = huffman.Codebook([*counts.items(), *((str(e), 0) for e in range(12) if str(e) not in counts)], theta)
+    flat, offsets = np.array([e for p in paths for e in p], np.int32), np.concatenate([[0], np.cumsum([len(p) for p in paths])])
+    for how, tiling in grams.TILINGS.items():
+        pieces, bounds = tiling(flat, offsets, book)
+        names = book.names.take(pa.array(pieces)).to_pylist()
+        got = [names[a:b] for a, b in zip(bounds, bounds[1:], strict=False)]
+        want = [_slow_pieces(p, book, how) for p in paths]
+        if how == "cheapest":
+            assert [sum(book.lengths[g] for g in x) for x in got] == [sum(book.lengths[g] for g in x) for x in want]
+            assert ["-".join(x) for x in got] == ["-".join(map(str, p)) for p in paths]
+        else:
+            assert got == want
+        back, ends = book.expand(*book.unpack(*book.pack(pieces, bounds)))
+        assert back.tolist() == flat.tolist() and ends.tolist() == offsets.tolist()
+
+
+def test_code_words_have_bounded_width():
+    weights = [1, 1]
+    while len(weights) < 70:
+        weights.append(weights[-1] + weights[-2])
+    with pytest.raises(ValueError, match="57 bits"):
+        huffman.Codebook([(str(i), w) for i, w in enumerate(weights)], 1)
 
 
 def test_counter_example_keeps_all():
@@ -135,6 +211,17 @@ def test_bounded_pairs_stay_lossless(spark, town):
     assert spatial.sp_decompress(short, near, edges).exceptAll(paths).count() == 0
 
 
+def test_both_stages_in_one_pass(spark, town):
+    edges, sp, paths = town
+    short = spatial.sp_compress(paths, sp, edges)
+    book, pairs = huffman.codebook(grams.mine_grams(short.where("train"), 3, edges), 3), spatial.PairTable.collect(sp, edges)
+    packed_ = twostage.compress_paths(paths, pairs, book)
+    assert packed_.exceptAll(grams.encode(grams.decompose(short, book), book).drop("path")).count() == 0
+    assert twostage.decompress_paths(packed_, pairs, book).exceptAll(paths).count() == 0
+    plain = twostage.compress_paths(paths, None, book, "cheapest")
+    assert twostage.decompress_paths(plain, None, book).exceptAll(paths).count() == 0
+
+
 def test_weighted_counts(spark, town):
     edges, sp, paths = town
     short = spatial.sp_compress(paths, sp, edges)
