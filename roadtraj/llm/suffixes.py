@@ -141,7 +141,7 @@ def _key(docs: DataFrame) -> DataFrame:
 
 def _gram_hashes(data: np.ndarray, length: int, base: int = _BASE) -> np.ndarray:
     """Hash of the ``length`` bytes at each place that has them."""
-    out, step = [], 1 << 20
+    out, step = [], 1 << 18
     for lo in range(0, len(data) - length + 1, step):
         part = data[lo : lo + step + length - 1]
         out.append(run_hashes(BYTE_VALUES[part], np.arange(len(part) - length + 1), length, base))
@@ -174,7 +174,7 @@ def _extent(places: np.ndarray, document: np.ndarray, offsets: np.ndarray) -> tu
 
 
 def _anchor_rows(batches: Iterator[pa.RecordBatch], with_context: bool) -> Iterator[pa.RecordBatch]:
-    for batch in slices(batches):
+    for batch in slices(batches, most=1 << 20):
         data, offsets = text_bytes(batch.column("text"))
         places, hashes = anchor_places(data, offsets)
         document = np.searchsorted(offsets, places, side="right") - 1
@@ -340,7 +340,7 @@ def _resolve_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 
 def _string_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Every string around hot anchors, hashed in 128 bits."""
-    for batch in slices(batches, most=1 << 20):
+    for batch in slices(batches, most=1 << 18):  # each byte begins a string, which takes some hundred bytes here
         data, offsets = text_bytes(batch.column("text"))
         places, kinds, document = _marks(batch, offsets)
         at = kinds == HOT
