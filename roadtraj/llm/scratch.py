@@ -8,23 +8,27 @@ partitions of the other side.
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
 
-_OWN: dict[str, str | None] = {}
+_OWN: dict[str, str] = {}
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The cluster's ``spark.checkpoint.dir``; a temporary folder only where that is unset."""
+    """The session's ``spark.checkpoint.dir``. Where that is unset, a temporary folder, in local mode only."""
     folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not folder:  # tests on one machine
-        app = spark.sparkContext.applicationId
-        folder = _OWN.setdefault(app, None) or f"file://{tempfile.mkdtemp(prefix='roadtraj-')}"
-        _OWN[app] = folder
-    return folder
+    if folder:
+        return folder
+    if not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+    app = spark.sparkContext.applicationId
+    if app not in _OWN:
+        _OWN[app] = f"file://{tempfile.mkdtemp(prefix='roadtraj-')}"
+    return _OWN[app]
 
 
 def materialize(df: DataFrame, tag: str) -> DataFrame:
