@@ -18,6 +18,7 @@ from pyspark.sql import functions as F
 from roadtraj.functions.geometry import along, box_gap_squared
 from roadtraj.functions.interpolate import dis_sql, tim_sql
 from roadtraj.operators.shortest import expand_pairs
+from roadtraj.operators.spatial import PairTable, walk_pairs
 
 
 @dataclass
@@ -37,8 +38,11 @@ def trip_spans(nodes: DataFrame) -> DataFrame:
     return both.select("trip_id", (F.col("i") * 2 - F.col("span").contains(">").cast("int")).alias("k"), "span")
 
 
-def build_aux(spans: DataFrame, sp: DataFrame, edges: DataFrame) -> Aux:
-    """Lengths, boxes and edges of every distinct span: built from shortest paths, independent of the number of trips."""
+def build_aux(spans: DataFrame, sp: DataFrame, edges: DataFrame, table: PairTable | None = None) -> Aux:
+    """Lengths, boxes and edges of every distinct span: built from shortest paths, independent of the number of trips.
+
+    With a pair table that fits into tasks paths are walked there, else by joins.
+    """
     kinds = spans.select("span").distinct()
     hop = F.col("span").contains(">")
     listed = kinds.select("span", F.posexplode(F.split("span", "[->]")).alias("i", "text")).select("span", "i", F.col("text").cast("int").alias("e"))
@@ -46,7 +50,8 @@ def build_aux(spans: DataFrame, sp: DataFrame, edges: DataFrame) -> Aux:
     links = listed.withColumn("f", F.lead("e").over(ahead)).where("f IS NOT NULL")
     ends = edges.select("e", "tail", "head")
     pairs = links.join(ends.select("e", F.col("head").alias("u")), "e").join(ends.select(F.col("e").alias("f"), F.col("tail").alias("v")), "f").where("u <> v")
-    inner = expand_pairs(pairs.select("u", "v"), sp, edges).withColumnRenamed("e", "inner_e")
+    wanted = pairs.select("u", "v")
+    inner = (expand_pairs(wanted, sp, edges) if table is None else walk_pairs(wanted, table)).withColumnRenamed("e", "inner_e")
     between = pairs.join(inner, ["u", "v"]).select("span", "i", (-F.col("back") - 1).alias("j"), F.col("inner_e").alias("e"))
     own = listed.where(~hop).select("span", "i", F.lit(-(1 << 30)).alias("j"), "e")
     # Edges between places i and i + 1 come after place i and before place i + 1.
@@ -162,6 +167,21 @@ def min_distance(pairs: DataFrame, placed: DataFrame, aux: Aux) -> DataFrame:
     return opened.groupBy("trip_a", "trip_b").agg(F.min(box_gap_squared(tuple(F.col(f"a{c}") for c in box), tuple(F.col(f"b{c}") for c in box))).cast("long").alias("d2"))
 
 
+def shelved(placed: DataFrame) -> DataFrame:
+    """trip_id, shelf: one row for each trip, its pieces in order as an array of (c1, span), for answers that need one piece of a trip."""
+    return placed.groupBy("trip_id").agg(F.sort_array(F.collect_list(F.struct("c1", "span"))).alias("shelf"))
+
+
+def where_on_shelf(asked: DataFrame, trips: DataFrame, aux: Aux) -> DataFrame:
+    """As ``where_at``, from rows (trip_id, temporal, shelf): two joins by key, one piece of a trip opened, nothing exploded."""
+    d = asked.join(trips, "trip_id").withColumn("d", F.expr(dis_sql("temporal", "t")).cast("long"))
+    d = d.withColumn("total", F.expr("element_at(shelf, -1).c1")).withColumns({"look": F.least("d", F.col("total") - 1), "d": F.least("d", "total")})
+    # Running lengths ascend, so the first one above the distance is that of the piece.
+    at = d.withColumn("_i", F.expr("size(filter(shelf, s -> s.c1 <= look))")).select("qid", "trip_id", "d", "look", F.expr("shelf[_i].span").alias("span"), F.expr("IF(_i = 0, 0L, shelf[_i - 1].c1)").alias("c0"))
+    edge = _open(at, aux).where("at <= look AND look < at + w").withColumn("part", F.col("d") - F.col("at"))
+    return edge.select("qid", "trip_id", along("ex0", "ex1", "part", "w").alias("x"), along("ey0", "ey1", "part", "w").alias("y"))
+
+
 def edge_counts(spans: DataFrame, aux: Aux) -> DataFrame:
     """e, n: how often each edge is driven; every distinct piece and hop is opened once, with its count."""
     return spans.groupBy("span").agg(F.count(F.lit(1)).alias("times")).join(aux.parts.select("span", "e"), "span").groupBy("e").agg(F.sum("times").cast("long").alias("n"))
@@ -174,6 +194,37 @@ def snapshot(temporal: DataFrame, placed: DataFrame, aux: Aux, t: int, cell: int
     return at.groupBy(F.floor(F.col("x") / cell).alias("cx"), F.floor(F.col("y") / cell).alias("cy")).agg(F.count(F.lit(1)).alias("n"))
 
 
+def dense_clusters(cells: DataFrame, least: int) -> DataFrame:
+    """t, cluster, cells, trips: cells (t, cx, cy, n) with ``least`` trips or more, joined where they touch, corners included."""
+    from roadtraj.plans.graph import components
+
+    name = lambda x, y: F.concat_ws(":", "t", x, y)
+    dense = cells.where(F.col("n") >= least).withColumn("node", name("cx", "cy"))
+    ahead = F.explode(F.array(*[F.struct(F.lit(dx).alias("x"), F.lit(dy).alias("y")) for dx, dy in ((0, 0), (1, 0), (0, 1), (1, 1), (1, -1))]))
+    near = dense.withColumn("_d", ahead).select(F.col("node").alias("a"), name(F.col("cx") + F.col("_d.x"), F.col("cy") + F.col("_d.y")).alias("b"))
+    labels = components(near.join(dense.select(F.col("node").alias("b")), "b").select("a", "b"))
+    joined = dense.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    named = joined.groupBy("t", "label").agg(F.min("node").alias("cluster"), F.count(F.lit(1)).alias("cells"), F.sum("n").alias("trips"))
+    return named.select("t", "cluster", "cells", "trips")
+
+
+def region_trips(asked: DataFrame, index: DataFrame, cell: int, temporal: DataFrame, placed: DataFrame, aux: Aux) -> DataFrame:
+    """rid, trip_id of trips that meet a box between t1 and t2; q: rid, t1, t2, rx0, ry0, rx1, ry1.
+
+    The cell index (see ``cell_index``) names the trips whose boxes touch the cells of
+    a box, trips not under way are dropped, and only the rest is opened.
+    """
+    span = lambda lo, hi: F.explode(F.sequence(F.floor(F.col(lo) / cell), F.floor(F.col(hi) / cell)))
+    # A box is cut to the index's extent first, so a strip without ends has a bounded number of cells.
+    extent = index.agg(F.min("cx").alias("ax"), F.max("cx").alias("bx"), F.min("cy").alias("ay"), F.max("cy").alias("by"))
+    cut_ = asked.crossJoin(F.broadcast(extent)).select("rid", F.greatest(F.col("rx0"), F.col("ax") * cell).alias("lx"), F.least(F.col("rx1"), F.col("bx") * cell + cell - 1).alias("hx"), F.greatest(F.col("ry0"), F.col("ay") * cell).alias("ly"), F.least(F.col("ry1"), F.col("by") * cell + cell - 1).alias("hy")).where("lx <= hx AND ly <= hy")
+    tiled = cut_.withColumn("cx", span("lx", "hx")).withColumn("cy", span("ly", "hy"))
+    near = tiled.join(index, ["cx", "cy"]).select("rid", "trip_id").distinct()
+    ends = temporal.where(F.size("temporal") > 0).select("trip_id", F.col("temporal")[0]["t"].alias("_a"), F.element_at("temporal", -1)["t"].alias("_b"))
+    alive = near.join(asked, "rid").join(ends, "trip_id").where("_a <= t2 AND t1 <= _b").drop("_a", "_b").withColumnRenamed("rid", "qid")
+    return range_hit(alive, temporal, placed, aux).where("hit = 1").select(F.col("qid").alias("rid"), "trip_id")
+
+
 def visited(asked: DataFrame, temporal: DataFrame, placed: DataFrame) -> DataFrame:
     """qid, tuples, spans: sequence entries and pieces passed before a where_at answer is found."""
     d = asked.join(temporal, "trip_id").select("qid", "trip_id", F.expr("size(filter(temporal, p -> p.t < t))").alias("tuples"), F.expr(dis_sql("temporal", "t")).cast("long").alias("d"))

@@ -7,6 +7,8 @@ edge is never skipped into one.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
@@ -157,6 +159,22 @@ def sp_best_length(paths: DataFrame, sp: DataFrame, edges: DataFrame, column: st
     return _with_pairs(paths, sp, edges, column, fewest, "bigint")
 
 
+def walk_pairs(wanted: DataFrame, pairs: PairTable) -> DataFrame:
+    """u, v, back, e as ``expand_pairs`` gives them, by walks in a table that tasks hold: one job, no rounds."""
+    shared = wanted.sparkSession.sparkContext.broadcast(pairs)
+
+    def walk(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            u, v = (batch.column(c).to_numpy() for c in "uv")
+            path, bounds = shared.value.walk(u, v)
+            count = np.diff(bounds)
+            back = np.repeat(bounds[1:] - 1, count) - np.arange(len(path))
+            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(u, count), pa.int32()), pa.array(np.repeat(v, count), pa.int32()), pa.array(back, pa.int32()), pa.array(path, pa.int32())], names=["u", "v", "back", "e"])
+
+    kinds = wanted.select(F.col("u").cast("int"), F.col("v").cast("int")).distinct().where("u <> v")
+    return kinds.mapInArrow(walk, "u int, v int, back int, e int")
+
+
 def vertex_tours(stops: DataFrame, sp: DataFrame, edges: DataFrame, column: str = "path") -> DataFrame:
     """Lists of vertices become the edges of the recorded paths from each to the next."""
 

@@ -1,16 +1,47 @@
-"""Lineage cuts of iterative plans, in the folder that all executors share."""
+"""Lineage cuts and stored tables of iterative plans, in the folder that all executors share."""
 
 from __future__ import annotations
 
+import re
 import tempfile
+import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
+
+_OWN: dict[str, str] = {}
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """The session's ``spark.checkpoint.dir``. Where that is unset, a temporary folder, in local mode only."""
+    folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if folder:
+        return folder
+    if not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+    app = spark.sparkContext.applicationId
+    if app not in _OWN:
+        _OWN[app] = tempfile.mkdtemp(prefix="roadtraj-")
+    return _OWN[app]
+
+
+def fresh_folder(spark: SparkSession, tag: str) -> str:
+    """A new folder below the shared one, removed when the driver's JVM ends."""
+    path = f"{shared_folder(spark)}/roadtraj-{uuid.uuid4().hex}/{tag}"
+    hadoop_path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    hadoop_path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(hadoop_path.getParent())
+    return path
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Checkpoint ``df``; the folder is spark.checkpoint.dir, a temporary one only where that is unset."""
-    spark = df.sparkSession
-    sc = spark.sparkContext
+    """Checkpoint ``df`` to the shared folder."""
+    sc = df.sparkSession.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="roadtraj-"))
+        sc.setCheckpointDir(shared_folder(df.sparkSession))
     return df.checkpoint()
+
+
+def stored(df: DataFrame, tag: str) -> DataFrame:
+    """Write ``df`` as Parquet to the shared folder and return a scan of it."""
+    path = fresh_folder(df.sparkSession, tag)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)

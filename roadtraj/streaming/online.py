@@ -3,7 +3,7 @@
 The codec keeps one state row for each trip: anchor, last point, two slope bounds
 as fractions, and counts. Rows not later than the last point are dropped and
 counted. A trip ends by event time: a watermark past its last point plus the gap
-emits the last point and clears the state.
+emits the last point, with the number of dropped rows, and clears the state.
 """
 
 from __future__ import annotations
@@ -18,7 +18,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from roadtraj.operators.temporal import narrow
 
 _STATE = "started boolean, ad long, at long, pd long, pt long, ln long, lm long, hn long, hm long, late long"
-_OUT = "trip_id long, d long, t long"
+_OUT = "trip_id long, d long, t long, late long"  # late: rows dropped, told with the last point
 
 
 def event_stream(spark: SparkSession, sf_dir: str, per_trigger: int = 1) -> DataFrame:
@@ -29,13 +29,13 @@ def event_stream(spark: SparkSession, sf_dir: str, per_trigger: int = 1) -> Data
 
 
 def stream_temporal(points: DataFrame, tau: int, eta: int, gap_ms: int = 3_600_000) -> DataFrame:
-    """trip_id, d, t of kept points, in append mode. ``points``: trip_id, d, t and a watermarked ``ts``."""
+    """trip_id, d, t of kept points, and ``late`` (null but with a trip's last point), in append mode. ``points``: trip_id, d, t and a watermarked ``ts``."""
 
     def step(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:
             s = state.get
             state.remove()
-            yield pd.DataFrame([(key[0], s[3], s[4])], columns=["trip_id", "d", "t"])
+            yield pd.DataFrame([(key[0], s[3], s[4], s[9])], columns=["trip_id", "d", "t", "late"])
             return
         s = state.get if state.exists else None
         out, newest = [], 0
@@ -44,7 +44,7 @@ def stream_temporal(points: DataFrame, tau: int, eta: int, gap_ms: int = 3_600_0
             newest = max(newest, int(frame["ts"].max().timestamp() * 1000))
             for d, t in zip(frame["d"].tolist(), frame["t"].tolist(), strict=True):
                 if s is None:
-                    out.append((key[0], d, t))
+                    out.append((key[0], d, t, None))
                     s = (True, d, t, d, t, 0, 1, 1, 0, 0)
                     continue
                 _, ad, at, pd_, pt, ln, lm, hn, hm, late = s
@@ -56,18 +56,33 @@ def stream_temporal(points: DataFrame, tau: int, eta: int, gap_ms: int = 3_600_0
                     lo, hi = narrow(lo, hi, dd, dt, tau, eta)
                 else:
                     if (pd_, pt) != (ad, at):
-                        out.append((key[0], pd_, pt))
+                        out.append((key[0], pd_, pt, None))
                     ad, at = pd_, pt
                     lo, hi = narrow((0, 1), (1, 0), d - ad, t - at, tau, eta)
                 s = (True, ad, at, d, t, *lo, *hi, late)
         if s is not None:
             state.update(s)
             state.setTimeoutTimestamp(max(newest, state.getCurrentWatermarkMs() + 1) + gap_ms)
-        yield pd.DataFrame(out, columns=["trip_id", "d", "t"])
+        yield pd.DataFrame(out, columns=["trip_id", "d", "t", "late"]).astype({"late": "Int64"})
 
     return points.groupBy("trip_id").applyInPandasWithState(step, _OUT, _STATE, "append", GroupStateTimeout.EventTimeTimeout)
 
 
+def replay(points: DataFrame, folder: str, parts: int = 4, end_ms: int = 30 * 86_400_000) -> DataFrame:
+    """A stream of points (trip_id, d, t in units of ``t_us`` microseconds as column ts) written in ``parts`` files by time, and two rows far behind the end that let open trips close."""
+    spark = points.sparkSession
+    cuts = [r for r in points.approxQuantile("t", [k / parts for k in range(1, parts)], 0.01)] if parts > 1 else []
+    edges = [None, *cuts, None]
+    for lo, hi in zip(edges, edges[1:], strict=False):
+        part = points if lo is None else points.where(F.col("t") > lo)
+        (part if hi is None else part.where(F.col("t") <= hi)).coalesce(1).write.mode("append").parquet(folder)
+    last = points.agg(F.max("ts").alias("ts"), F.max("t").alias("t"))
+    for k in (1, 2):
+        flush = last.select(F.lit(-k).cast("long").alias("trip_id"), F.lit(0).cast("long").alias("d"), (F.col("t") + k).cast("long").alias("t"), (F.col("ts") + F.expr(f"make_dt_interval(0, 0, 0, {k * end_ms / 1000})")).alias("ts"))
+        flush.select(*points.columns).coalesce(1).write.mode("append").parquet(folder)
+    return spark.readStream.schema(points.schema).option("maxFilesPerTrigger", 1).parquet(folder)
+
+
 def flow_per_hour(events: DataFrame, late: str = "10 minutes") -> DataFrame:
     """Events and users of each hour; rows later than ``late`` behind the watermark are dropped."""
     return events.withWatermark("ts", late).groupBy(F.window("ts", "1 hour")).agg(F.count(F.lit(1)).alias("n"), F.approx_count_distinct("user_id").alias("users"))

@@ -8,10 +8,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from roadtraj import oracles as O
+from roadtraj.functions.interpolate import tim_sql
 from roadtraj.operators import baselines, grams, huffman, matching, measures, packed, shortest, spatial, temporal, twostage
 from roadtraj.plans import rangejoin
 from roadtraj.plans.guards import bounded
-from roadtraj.plans.scratch import cut
+from roadtraj.plans.scratch import cut, fresh_folder, stored
 from roadtraj.relational import ORACLE_SQL as RELATIONAL_SQL
 from roadtraj.relational import QUERIES as RELATIONAL
 from roadtraj.sources import network, tables, trips
@@ -80,7 +81,7 @@ class Fixtures:
 
     @cached_property
     def aux(self) -> packed.Aux:
-        aux = packed.build_aux(self.spans, self.sp, self.edges)
+        aux = packed.build_aux(self.spans, self.sp, self.edges, self.pairs)
         return packed.Aux(cut(aux.spans), cut(aux.parts))
 
     @cached_property
@@ -1065,6 +1066,95 @@ for _name, _form_ in (("raw", None), ("packed", 0)):
         return packed.edge_counts(f.spans, f.aux)
 
 
+@query(_WHERE.replace(EXACT, _at_bounds(100)))
+def where_shelf_100(spark, sf_dir):
+    """The same answers from one row for each trip."""
+    f = Fixtures(spark, sf_dir)
+    sequence, placed, aux = _form(f, 100)
+    return packed.where_on_shelf(f.asked_where(), sequence.join(packed.shelved(placed), "trip_id"), aux)
+
+
+# Built once, asked many times: tours as stored tables, raw and packed.
+
+
+class StoredTours:
+    """Tours of a folder's tables: raw and packed forms, questions, and what codecs start from, all written once."""
+
+    def __init__(self, spark: SparkSession, sf_dir: str, bounds: tuple[int, ...] = (0, 1000)):
+        from pyspark.sql import Window
+
+        f, paths = tour_paths(spark, sf_dir)
+        self.fixtures, self.paths = f, stored(paths, "paths")
+        by = Window.partitionBy("trip_id").orderBy("stop")
+        legs = trips.tour_stops(spark, sf_dir).withColumn("u", F.lag("v").over(by)).join(f.sp.select("u", "v", "dist"), ["u", "v"], "left")
+        moved = legs.select("trip_id", "stop", F.coalesce(F.sum("dist").over(by), F.lit(0)).alias("d"), (F.col("day") * 86400).alias("t"))
+        self.temporal = stored(trips.as_temporal(moved.join(self.paths.select("trip_id"), "trip_id", "left_semi")), "temporal")
+        f.__dict__["paths"] = self.paths
+        train = self.paths.where("trip_id % 10 = 0")
+        short = spatial.sp_compress(train, f.sp, f.edges)
+        f.__dict__["book"] = huffman.codebook(grams.mine_grams(short, 3, f.edges), 3)
+        f.__dict__["short"] = stored(spatial.sp_compress(self.paths, f.sp, f.edges), "short")
+        spans = stored(f.spans, "spans")
+        aux = packed.build_aux(spans, f.sp, f.edges, f.pairs)
+        aux = packed.Aux(stored(aux.spans, "aux-spans"), stored(aux.parts, "aux-parts"))
+        placed = stored(packed.placed_spans(spans, aux), "placed")
+        raw = packed.raw_aux(f.edges)
+        raw = packed.Aux(stored(raw.spans, "raw-spans"), stored(raw.parts, "raw-parts"))
+        raw_placed = stored(packed.placed_spans(packed.raw_spans(self.paths), raw), "raw-placed")
+        self.forms = {"raw": (self.temporal, raw_placed, raw)}
+        for b in bounds:
+            thin = stored(temporal.temporal_compress(self.temporal, b * METRE, b), f"thin-{b}")
+            self.forms[f"packed_{b}"] = (thin, placed, aux)
+        self.shelves = {name: stored(seq.join(packed.shelved(p), "trip_id"), f"shelf-{name}") for name, (seq, p, _) in self.forms.items()}
+        ends = self.temporal.select("trip_id", F.col("temporal")[0]["t"].alias("a"), F.element_at("temporal", -1)["t"].alias("b"))
+        self.where = stored(ends.select(F.col("trip_id").alias("qid"), "trip_id", F.expr("a + (b - a) * (trip_id * 37 % 101) div 100").alias("t")), "ask-where")
+        self.range = stored(ends.select(F.col("trip_id").alias("qid"), "trip_id", F.expr("a + (b - a) div 4").alias("t1"), F.expr("a + (b - a) div 2").alias("t2"), F.expr("trip_id % 40 * 3000 - 1000").alias("rx0"), F.lit(-1000).cast("long").alias("ry0"), F.expr("trip_id % 40 * 3000 + 1000").alias("rx1"), F.lit(10_000_000).cast("long").alias("ry1")), "ask-range")
+        total = raw_placed.groupBy("trip_id").agg(F.max("c1").alias("total"))
+        look = total.select(F.col("trip_id").alias("qid"), "trip_id", F.expr("total * (trip_id * 53 % 101) div 101").alias("look"))
+        edge = packed._open(look.join(raw_placed, "trip_id").where("c0 <= look AND look < c1"), raw).withColumn("part", F.col("look") - F.col("at"))
+        self.when = stored(edge.select("qid", "trip_id", packed.along("ex0", "ex1", "part", "w").alias("x"), packed.along("ey0", "ey1", "part", "w").alias("y")), "ask-when")
+
+    def ask(self, what: str, form: str) -> DataFrame:
+        if what == "where_shelf":
+            return packed.where_on_shelf(self.where, self.shelves[form], self.forms[form][2])
+        question = {"where": packed.where_at, "when": packed.when_at, "range": packed.range_hit}[what]
+        return question({"where": self.where, "when": self.when, "range": self.range}[what], *self.forms[form])
+
+    def samples(self) -> DataFrame:
+        """trip_id, samples: a position and a time at the end of every edge."""
+        _, placed, aux = self.forms["raw"]
+        ends = packed._open(placed, aux).join(self.temporal, "trip_id").select("trip_id", "c1", F.col("ex1").alias("x"), F.col("ey1").alias("y"), F.expr(tim_sql("temporal", "c1")).cast("long").alias("t"))
+        rows = ends.groupBy("trip_id").agg(F.sort_array(F.collect_list(F.struct("c1", "x", "y", "t"))).alias("s"))
+        return rows.select("trip_id", F.expr("transform(s, p -> struct(p.x as x, p.y as y, p.t as t))").alias("samples"))
+
+
+@query(
+    f"""{_TOURS}, {O.SKIPPED} SELECT 'edges' AS what, count(*) AS n FROM steps UNION ALL SELECT 'edges kept', count(*) FROM short UNION ALL SELECT 'edges restored', count(*) FROM steps
+UNION ALL SELECT 'street runs', count(*) FROM (SELECT CASE WHEN street = lag(street) OVER g AND head <> lag(tail) OVER g THEN 0 ELSE 1 END AS new FROM steps JOIN net USING (e) WINDOW g AS (PARTITION BY trip_id ORDER BY pos)) WHERE new = 1
+UNION ALL SELECT 'street edges restored', count(*) FROM steps UNION ALL SELECT 'samples restored', count(*) FROM steps"""
+)
+def codec_workload(spark, sf_dir):
+    """Every codec there and back over the tours: what goes in, what is kept, what comes out. The bench times its parts."""
+    f, paths = tour_paths(spark, sf_dir)
+    paths = stored(paths, "paths")
+    f.__dict__["paths"] = paths
+    count = lambda df, column, what: df.agg(F.sum(F.size(column)).cast("long").alias("n")).select(F.lit(what).alias("what"), "n")
+    short = stored(spatial.sp_compress(paths, f.sp, f.edges), "short")
+    book = huffman.codebook(grams.mine_grams(short.where("trip_id % 10 = 0"), 3, f.edges), 3)
+    back = twostage.decompress_paths(twostage.compress_paths(paths.select("trip_id", "path"), f.pairs, book), f.pairs, book)
+    same = back.join(paths.select("trip_id", F.col("path").alias("was")), "trip_id").where("path = was")
+    steps = paths.select("trip_id", F.posexplode("path").alias("pos", "e")).withColumn("pos", F.col("pos") + 1)
+    runs = stored(baselines.street_runs(steps, f.edges), "runs")
+    streets = baselines.street_expand(runs, f.edges).join(steps, ["trip_id", "pos", "e"])
+    samples = paths.select("trip_id", F.expr("transform(path, (e, i) -> struct(double(e) as x, double(i) as y, double(trip_id) as t))").alias("samples"))
+    bytes_ = baselines.byte_decompress(baselines.byte_compress(samples, "zip"), "zip")
+    rows = [count(paths, "path", "edges"), count(short, "path", "edges kept"), count(same, "path", "edges restored"), runs.agg(F.count(F.lit(1)).alias("n")).select(F.lit("street runs").alias("what"), "n"), streets.agg(F.count(F.lit(1)).alias("n")).select(F.lit("street edges restored").alias("what"), "n"), count(bytes_, "samples", "samples restored")]
+    out = rows[0]
+    for row in rows[1:]:
+        out = out.unionByName(row)
+    return out
+
+
 # Answers over all bounds at once: every trip once for each bound, under a number of its own.
 
 
@@ -1210,6 +1300,72 @@ def snapshot_cells(spark, sf_dir):
     return out
 
 
+_CELLS = f"""{EXACT}, ask AS (SELECT trip_id, m.t FROM ends, (VALUES {', '.join(f'({t})' for t in _MIDDLE)}) m(t) WHERE t_first <= m.t AND m.t <= t_last), a AS ({O.at_time('ask')}),
+cells AS (SELECT t, CAST(floor((x0 + floor((x1 - x0) * (least(d, total) - c0) / w)) / 3000) AS BIGINT) AS cx, CAST(floor((y0 + floor((y1 - y0) * (least(d, total) - c0) / w)) / 3000) AS BIGINT) AS cy, count(*) AS n
+FROM a JOIN cum ON a.trip_id = cum.trip_id AND c0 <= least(d, total - 1) AND least(d, total - 1) < c1 GROUP BY ALL)"""
+
+
+@query(
+    f"""{_CELLS}, dense AS (SELECT *, t || ':' || cx || ':' || cy AS node FROM cells WHERE n >= 3), touch(t, a, b) AS (SELECT t, node, node FROM dense
+  UNION SELECT k.t, k.a, e.node FROM touch k JOIN dense d ON d.node = k.b JOIN dense e ON e.t = d.t AND abs(e.cx - d.cx) <= 1 AND abs(e.cy - d.cy) <= 1),
+named AS (SELECT a AS node, min(b) AS cluster FROM touch GROUP BY a) SELECT t, cluster, count(*) AS cells, CAST(sum(n) AS BIGINT) AS trips FROM dense JOIN named USING (node) GROUP BY t, cluster"""
+)
+def snapshot_clusters(spark, sf_dir):
+    """Dense neighbouring cells of each snapshot as one cluster."""
+    return packed.dense_clusters(snapshot_cells(spark, sf_dir), 3)
+
+
+_START, _BLOCK = 1704067200000000 // trips.T_SCALE, 864000000000 // trips.T_SCALE
+
+
+@query(
+    f"""{EXACT}, ask AS (SELECT CAST(r_regionkey * 3 + k AS BIGINT) AS rid, trip_id, r_regionkey AS region, {_START} + k * {_BLOCK} + {_BLOCK // 4} AS ta, {_START} + k * {_BLOCK} + {_BLOCK // 2} AS tb, t_first, t_last FROM ends, region, (SELECT range AS k FROM range(3))),
+live AS (SELECT * EXCLUDE (t_first, t_last) FROM ask WHERE ta <= t_last AND t_first <= tb), qa AS ({O.at_time('live', 'ta')}), qb AS ({O.at_time('live', 'tb')}),
+cl AS (SELECT qa.rid, qa.trip_id, 3000 * qa.region - 1000 AS rx0, 3000 * qa.region + 1000 AS rx1, x0 + floor((x1 - x0) * greatest(qa.d - c0, 0) / w) AS xa, x0 + floor((x1 - x0) * least(qb.d - c0, w) / w) AS xb
+  FROM qa JOIN qb ON qa.rid = qb.rid AND qa.trip_id = qb.trip_id JOIN cum ON cum.trip_id = qa.trip_id AND c0 <= qb.d AND qa.d <= c1)
+SELECT DISTINCT rid, trip_id FROM cl WHERE least(xa, xb) <= rx1 AND rx0 <= greatest(xa, xb)"""
+)
+def range_indexed(spark, sf_dir):
+    """Trips that cross the strip of a region in a quarter of each ten days, found through the cell index."""
+    f = Fixtures(spark, sf_dir)
+    regions = tables.load(spark, sf_dir, "region", "r_regionkey").withColumn("k", F.explode(F.array(*[F.lit(k) for k in range(3)])))
+    asked = regions.select(
+        (F.col("r_regionkey") * 3 + F.col("k")).cast("long").alias("rid"), (F.lit(_START) + F.col("k") * _BLOCK + _BLOCK // 4).alias("t1"), (F.lit(_START) + F.col("k") * _BLOCK + _BLOCK // 2).alias("t2"),
+        F.expr("cast(3000 * r_regionkey - 1000 as bigint)").alias("rx0"), F.lit(-1000).cast("long").alias("ry0"), F.expr("cast(3000 * r_regionkey + 1000 as bigint)").alias("rx1"), F.lit(1_000_000).cast("long").alias("ry1"),
+    )
+    form = _form(f, 0)
+    return packed.region_trips(asked, packed.cell_index(form[1], 3000), 3000, *form)
+
+
+@query(_WHERE.replace(EXACT, _at_bounds(100)))
+def sql_where(spark, sf_dir):
+    """Where answers in SQL text, over views and registered functions."""
+    from roadtraj.functions import sqlfns
+
+    f = Fixtures(spark, sf_dir)
+    sqlfns.register(spark)
+    sequence, placed, aux = _form(f, 100)
+    sequence.join(packed.shelved(placed), "trip_id").createOrReplaceTempView("roadtraj_trips")
+    aux.parts.createOrReplaceTempView("roadtraj_parts")
+    f.asked_where().createOrReplaceTempView("roadtraj_asked")
+    return spark.sql("""
+      WITH d AS (SELECT qid, trip_id, shelf, dis(temporal, t) AS d, element_at(shelf, -1).c1 AS total FROM roadtraj_asked JOIN roadtraj_trips USING (trip_id)),
+      p AS (SELECT qid, trip_id, least(d, total) AS d, least(d, total - 1) AS look, piece_at(shelf, least(d, total - 1)) AS span, piece_start(shelf, least(d, total - 1)) AS c0 FROM d)
+      SELECT qid, trip_id, along(x0, x1, d - c0 - off, w) AS x, along(y0, y1, d - c0 - off, w) AS y FROM p JOIN roadtraj_parts USING (span) WHERE c0 + off <= look AND look < c0 + off + w""")
+
+
+@query(f"WITH RECURSIVE {BASE.replace('dk = 0 AS train', 'dk <= 1 AS train')}, {O.PAIRS}, {O.SKIPPED}, {O.mined()} SELECT gram, n, freq, CAST(2 AS BIGINT) AS version FROM grams")
+def refreshed_grams(spark, sf_dir):
+    """A dictionary trained anew: the counts of ten more days added to the first version, kept and read back as the second."""
+    f = Fixtures(spark, sf_dir)
+    folder = fresh_folder(spark, "dictionary")
+    huffman.write_version(f.grams, folder, 1)
+    _, first = huffman.read_version(spark, folder, 1)
+    huffman.write_version(huffman.refresh(first, grams.mine_grams(f.short.where("trip_id % 10 = 1"), 3)), folder, 2)
+    version, now = huffman.read_version(spark, folder)
+    return now.select("gram", "n", "freq", F.lit(version).cast("long").alias("version"))
+
+
 @query(f"{_BOXES} SELECT region, quarter, CAST(sum(hit) AS BIGINT) AS trips FROM answer GROUP BY CUBE (region, quarter)")
 def region_flow_cube(spark, sf_dir):
     f = Fixtures(spark, sf_dir)
@@ -1257,12 +1413,14 @@ def stream_session(spark, sf_dir):
     return sessions.select("user_id", F.unix_micros("session_window.start").alias("start"), "n")
 
 
-@query()
+@query(f"WITH RECURSIVE {BASE}, {O.thinned(100 * METRE, 100 * SECOND)} SELECT trip_id, d, t FROM points JOIN kept USING (trip_id, seq) WHERE seq < (SELECT max(seq) FROM points p WHERE p.trip_id = points.trip_id) UNION ALL SELECT trip_id, arg_max(d, t), max(t) FROM points GROUP BY trip_id HAVING count(*) > 1")
 def stream_temporal(spark, sf_dir):
-    """Kept points of an online run over ten-day blocks of money events; trips still open keep their last point in state."""
-    events = online.event_stream(spark, sf_dir).withWatermark("ts", "1 hour")
-    points = events.select((F.col("user_id") * 10).alias("trip_id"), F.unix_seconds("ts").alias("d"), F.unix_micros("ts").alias("t"), "ts")
-    return online.run_to_table(online.stream_temporal(points, 3600, 1800 * SECOND), "roadtraj_online")
+    """Kept points of an online run over the trips, file by file, closed by event time: those that the batch codec keeps."""
+    f = Fixtures(spark, sf_dir)
+    points = f.points.select("trip_id", "d", "t", F.timestamp_micros(F.col("t") * trips.T_SCALE).alias("ts"))
+    stream = online.replay(points, fresh_folder(spark, "stream")).withWatermark("ts", "1 second")
+    kept = online.run_to_table(online.stream_temporal(stream, 100 * METRE, 100 * SECOND), f"roadtraj_online_{abs(hash(sf_dir)) % 10**6}")
+    return kept.where("trip_id >= 0").select("trip_id", "d", "t")
 
 
 # Joins of the range and as-of kind
