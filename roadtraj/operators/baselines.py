@@ -125,7 +125,7 @@ def _lossy(path: np.ndarray, d: np.ndarray, t: np.ndarray, ground: Ground, eps:
     ends = np.cumsum(ground.w[path])
     at = np.minimum(np.searchsorted(ends, d, side="left"), len(path) - 1)  # a sample at an edge's end is on that edge
     e, off, here = path[at], d - (ends[at] - ground.w[path[at]]), ground.places(path, d)
-    kept, out, reach, i = [0], [path[:1]], [int(off[0])], 0
+    kept, out, reach, i = [0], [path[at[:1]]], [int(off[0])], 0
     base = 0  # distance of the start of edge e[i] on the path that is kept
     while i < len(d) - 1:
         best = None

@@ -265,3 +265,109 @@ def test_every_edge_in_reach_is_a_candidate(spark):
     assert got == {(s, e) for s in (0, 1) for e in range(9)}
     sp = spark.createDataFrame([(0, 0, 0, None)], "u long, v long, dist long, last_edge int")
     assert [r.e for r in matching.match_trips(fixes, net, sp, mode="viterbi").orderBy("seq").collect()] == [8, 8]
+
+
+def test_sequences_beyond_64_bits(spark):
+    """Cross products that pass 64 bits: the plan's wide fold against a loop over whole numbers."""
+    rng = random.Random(11)
+    rows = []
+    for i in range(30):
+        d, t, out = 0, 10**15, []
+        for _ in range(20):
+            out.append({"d": d, "t": t})
+            d, t = d + rng.randrange(0, 10**9), t + rng.randrange(1, 10**11)
+        rows.append((i, out))
+    df = spark.createDataFrame(rows, f"trip_id long, temporal {temporal.POINTS}")
+    for tau, eta in ((0, 0), (10**8, 10**10), (None, 10**10), (10**8, None)):
+        got = {r.trip_id: [p.asDict() for p in r.temporal] for r in temporal.temporal_compress(df, tau, eta).collect()}
+        want = {i: temporal.compress_points(p, tau, eta) for i, p in rows}
+        assert got == want
+        counts = {r.trip_id: r.n for r in df.select("trip_id", F.expr(temporal.angular_count(tau, eta)).alias("n")).collect()}
+        assert counts == {i: len(p) for i, p in want.items()}
+
+
+def test_one_bound_alone(spark):
+    """No bound is the same as one that is never reached."""
+    rng = random.Random(12)
+    df = spark.createDataFrame([(i, _random_points(rng)) for i in range(40)], f"trip_id long, temporal {temporal.POINTS}")
+    for none, far in (((3, None), (3, 10**9)), ((None, 4), (10**9, 4))):
+        assert temporal.temporal_compress(df, *none).exceptAll(temporal.temporal_compress(df, *far)).count() == 0
+
+
+def _square(spark):
+    """Four streets of a block, one way round, and back again."""
+    corners = [(0, 0), (1000, 0), (1000, 1000), (0, 1000)]
+    rows = [(k, k, (k + 1) % 4, 1000, *corners[k], *corners[(k + 1) % 4], k) for k in range(4)]
+    return spark.createDataFrame(rows, "e int, tail int, head int, w long, x0 long, y0 long, x1 long, y1 long, street int")
+
+
+def test_reformat_of_loops_and_dropped_fixes(spark):
+    """Two rounds of a block, starting within an edge, with fixes missing: distances go on, and come back as positions."""
+    from roadtraj.operators import matching
+
+    edges = _square(spark)
+    sp = shortest.build_pairs(edges, "dijkstra").cache()
+    drive = [(0, 300), (0, 900), (1, 500), (3, 200), (0, 100), (0, 800), (2, 400)]  # edge and way along it; 2 and 1 are passed unseen
+    spot = {0: lambda p: (p, 5), 1: lambda p: (995, p), 2: lambda p: (1000 - p, 1004), 3: lambda p: (-3, 1000 - p)}
+    fixes = spark.createDataFrame([(7, k, *spot[e](p), 100 + 10 * k, e) for k, (e, p) in enumerate(drive)], "trip_id long, seq int, x long, y long, t long, e int")
+    matched = fixes.select("trip_id", "seq", "e")
+    points = matching.reformat(matched, fixes, sp, edges)
+    assert [r.d for r in points.orderBy("seq").collect()] == [300, 900, 1500, 3200, 4100, 4800, 6400]
+    paths = matching.fill_gaps(matched, sp, edges)
+    assert paths.first().path == [0, 1, 2, 3, 0, 1, 2]
+    header = matching.trip_header(points, paths)
+    assert header.first().asDict() == {"trip_id": 7, "start_off": 300, "n_edges": 7, "n_samples": 7, "t_first": 100, "t_last": 160, "d_total": 6100}
+    began = matching.from_start(points, header)
+    assert began.agg(F.min("d")).first()[0] == 0
+    back = matching.on_path(began, header)
+    assert back.select("seq", "d").exceptAll(points.select("seq", "d")).count() == 0
+    # From fixes to a packed trip and an answer: within the bound of where the fix was.
+    thin = temporal.temporal_compress(trips.as_temporal(back), 50, 5)
+    aux = packed.raw_aux(edges)
+    at = packed.where_at(spark.createDataFrame([(k, 7, 100 + 10 * k) for k in range(7)], "qid long, trip_id long, t long"), thin, packed.placed_spans(packed.raw_spans(paths), aux), aux)
+    for r in at.collect():
+        e, p = drive[r.qid]
+        x, y = {0: (p, 0), 1: (1000, p), 2: (1000 - p, 1000), 3: (0, 1000 - p)}[e]
+        assert abs(r.x - x) + abs(r.y - y) <= 52
+
+
+def test_lossy_record_keeps_the_plane_bound():
+    """Every sample of random walks within the bound, fewer samples with a wider one, and no sample lost at the ends."""
+    from roadtraj.operators import baselines
+
+    side, edges = 5, []
+    for v in range(side * side):
+        x, y = v % side, v // side
+        for dx, dy in ((1, 0), (0, 1), (-1, 0), (0, -1)):
+            if 0 <= x + dx < side and 0 <= y + dy < side:
+                edges.append((len(edges), v, (y + dy) * side + x + dx, 1000))
+    table = pair_table(edges)
+    ground = baselines.Ground.__new__(baselines.Ground)
+    ground.__dict__.update(table.__dict__)
+    ground.line = np.array([(t % side * 1000, t // side * 1000, h % side * 1000, h // side * 1000) for _, t, h, _ in edges])
+    rng, sizes = np.random.default_rng(4), {0: 0, 400: 0, 4000: 0}
+    for _ in range(25):
+        at, path = int(rng.integers(side * side)), []
+        for _ in range(12):
+            e, _, at, _ = edges[rng.choice([e for e, t, _, _ in edges if t == at])]
+            path.append(e)
+        path = np.array(path, np.int32)
+        d = np.sort(rng.integers(0, 12_000, 15))
+        t = np.cumsum(rng.integers(1, 90, 15))
+        for eps in sizes:
+            kept, line, reach = baselines._lossy(path, d, t, ground, eps)
+            assert kept[0] == 0 and kept[-1] == 14 and (np.diff(reach) >= 0).all()
+            moved = np.array([reach[k] if i == kept[k] else reach[k] + (reach[k + 1] - reach[k]) * (t[i] - t[kept[k]]) // (t[kept[k + 1]] - t[kept[k]]) for i in range(15) for k in [int(np.searchsorted(kept, i, side="right")) - 1]])
+            gap = ground.places(line, moved) - ground.places(path, d)
+            assert ((gap * gap).sum(1) <= (eps + 4) ** 2).all()
+            sizes[eps] += len(kept)
+    assert sizes[0] >= sizes[400] > sizes[4000]
+
+
+def test_byte_codecs_come_back(spark):
+    from roadtraj.operators import baselines
+
+    rows = [(1, [(1.5, 2.0, 3.0), (4.0, 5.0, 6.25)]), (2, []), (3, None)]
+    df = spark.createDataFrame(rows, "trip_id long, samples array<struct<x: double, y: double, t: double>>")
+    for codec in baselines.CODECS:
+        assert baselines.byte_decompress(baselines.byte_compress(df, codec), codec).where("trip_id < 3").exceptAll(df).count() == 0
