@@ -149,22 +149,34 @@ def passing_near(asked: DataFrame, temporal: DataFrame, placed: DataFrame, aux:
     return _clipped(_open(alive, aux)).where(gap(tuple(F.col(c) for c in ("px0", "py0", "px1", "py1")))).select("qid", "trip_id").distinct()
 
 
-def min_distance(pairs: DataFrame, placed: DataFrame, aux: Aux) -> DataFrame:
-    """trip_a, trip_b, d2: squared least distance between the paths of trip pairs; exact whatever the temporal bounds.
+_BOX = ("x0", "y0", "x1", "y1")
 
-    The least upper bound over box pairs prunes those whose lower bound lies above it before any piece is opened.
-    """
-    box = ("x0", "y0", "x1", "y1")
-    side = lambda s: placed.select(F.col("trip_id").alias(f"trip_{s}"), F.col("span").alias(f"span_{s}"), *[F.col(c).alias(f"{s}{c}") for c in box]).distinct()
-    met = pairs.join(side("a"), "trip_a").join(side("b"), "trip_b")
-    low = box_gap_squared(tuple(F.col(f"a{c}") for c in box), tuple(F.col(f"b{c}") for c in box))
+
+def _closest(met: DataFrame) -> DataFrame:
+    """The rows (trip_a, trip_b and both boxes) that may hold the least distance: their lower bound is no more than the least upper bound of their pair."""
+    low = box_gap_squared(tuple(F.col(f"a{c}") for c in _BOX), tuple(F.col(f"b{c}") for c in _BOX))
     far_x = F.greatest(F.col("ax1") - F.col("bx0"), F.col("bx1") - F.col("ax0"))
     far_y = F.greatest(F.col("ay1") - F.col("by0"), F.col("by1") - F.col("ay0"))
     bounds = met.withColumns({"low": low, "high": far_x * far_x + far_y * far_y})
-    kept = bounds.withColumn("best", F.min("high").over(Window.partitionBy("trip_a", "trip_b"))).where("low <= best").select("trip_a", "trip_b", "span_a", "span_b")
+    return bounds.withColumn("best", F.min("high").over(Window.partitionBy("trip_a", "trip_b"))).where("low <= best").drop("low", "high", "best", *[f"{s}{c}" for s in "ab" for c in _BOX])
+
+
+def min_distance(pairs: DataFrame, placed: DataFrame, aux: Aux, stretch: int = 8) -> DataFrame:
+    """trip_a, trip_b, d2: squared least distance between the paths of trip pairs; exact whatever the temporal bounds.
+
+    Boxes of stretches of ``stretch`` pieces are compared first, then those of the
+    pieces of the stretches that are left, then edges: so most pairs of pieces are
+    never formed, and few are opened.
+    """
+    chunked = placed.withColumn("chunk", F.floor(F.col("k") / (2 * stretch)))
+    boxes = [F.min("x0").alias("x0"), F.min("y0").alias("y0"), F.max("x1").alias("x1"), F.max("y1").alias("y1")]
+    wide, narrow = chunked.groupBy("trip_id", "chunk").agg(*boxes), chunked.select("trip_id", "chunk", "span", *_BOX).distinct()
+    side = lambda df, s: df.select(*[F.col(c).alias(f"{c.removesuffix('_id')}_{s}" if c not in _BOX else f"{s}{c}") for c in df.columns])
+    near = _closest(pairs.select("trip_a", "trip_b").join(side(wide, "a"), "trip_a").join(side(wide, "b"), "trip_b"))
+    kept = _closest(near.join(side(narrow, "a"), ["trip_a", "chunk_a"]).join(side(narrow, "b"), ["trip_b", "chunk_b"])).select("trip_a", "trip_b", "span_a", "span_b").distinct()
     part = lambda s: aux.parts.select(F.col("span").alias(f"span_{s}"), *[f(a, b).alias(f"{s}{n}") for n, f, a, b in (("x0", F.least, "x0", "x1"), ("y0", F.least, "y0", "y1"), ("x1", F.greatest, "x0", "x1"), ("y1", F.greatest, "y0", "y1"))])
     opened = kept.join(part("a"), "span_a").join(part("b"), "span_b")
-    return opened.groupBy("trip_a", "trip_b").agg(F.min(box_gap_squared(tuple(F.col(f"a{c}") for c in box), tuple(F.col(f"b{c}") for c in box))).cast("long").alias("d2"))
+    return opened.groupBy("trip_a", "trip_b").agg(F.min(box_gap_squared(tuple(F.col(f"a{c}") for c in _BOX), tuple(F.col(f"b{c}") for c in _BOX))).cast("long").alias("d2"))
 
 
 def shelved(placed: DataFrame) -> DataFrame:
@@ -240,7 +252,9 @@ def cell_index(placed: DataFrame, cell: int) -> DataFrame:
 def similar_trips(paths: DataFrame, k: int = 3) -> DataFrame:
     """trip_id, rank, other, shared: the trips that share most edges, ties to the smaller id.
 
-    Pairs meet on shared edges with their counts added up before they are ranked.
+    Pairs meet on shared edges with their counts added up before they are ranked,
+    so a very frequent edge costs the square of its trips: for a region or a day.
+    ``alike_trips`` is the form for all trips.
     """
     each = paths.select("trip_id", F.explode(F.array_distinct("path")).alias("e"))
     pairs = each.join(each.withColumnRenamed("trip_id", "other"), "e").where("trip_id <> other").groupBy("trip_id", "other").agg(F.count(F.lit(1)).alias("shared"))
@@ -248,3 +262,21 @@ def similar_trips(paths: DataFrame, k: int = 3) -> DataFrame:
     return pairs.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("trip_id", "rank", "other", "shared")
 
 
+def alike_trips(paths: DataFrame, percent: int = 70) -> DataFrame:
+    """trip_id, other, shared: pairs (smaller id first) whose sets of edges overlap in ``percent`` of their union or more.
+
+    Edges are ordered from the rarest on. Two sets that overlap so far share one of
+    their first few edges in that order, so trips meet on those only, frequent edges
+    last; pairs whose sizes differ too much are dropped, and the rest is counted.
+    """
+    sets = paths.select("trip_id", F.array_distinct("path").alias("path")).where(F.size("path") > 0)
+    often = sets.select(F.explode("path").alias("e")).groupBy("e").agg(F.count(F.lit(1)).alias("n"))
+    ranked = sets.select("trip_id", F.explode("path").alias("e")).join(often, "e").groupBy("trip_id").agg(F.sort_array(F.collect_list(F.struct("n", "e"))).alias("s"))
+    sized = ranked.select("trip_id", F.expr("transform(s, x -> x.e)").alias("edges"), F.size("s").alias("size"))
+    first = sized.select("trip_id", "size", F.explode(F.expr(f"slice(edges, 1, cast(size - ceil({percent} * size / 100) + 1 as int))")).alias("e"))
+    other = first.select(F.col("trip_id").alias("other"), F.col("size").alias("other_size"), "e")
+    fits = f"trip_id < other AND 100 * size >= {percent} * other_size AND 100 * other_size >= {percent} * size"
+    pairs = first.join(other, "e").where(fits).select("trip_id", "other").distinct()
+    met = pairs.join(sized.select("trip_id", "edges"), "trip_id").join(sized.select(F.col("trip_id").alias("other"), F.col("edges").alias("others")), "other")
+    shared = met.withColumn("shared", F.size(F.array_intersect("edges", "others")).cast("long"))
+    return shared.where(f"100 * shared >= {percent} * (size(edges) + size(others) - shared)").select("trip_id", "other", "shared")

@@ -1382,6 +1382,15 @@ def similar_trips(spark, sf_dir):
     return packed.similar_trips(Fixtures(spark, sf_dir).paths)
 
 
+@query(
+    f"""WITH {BASE}, d AS (SELECT DISTINCT trip_id, e FROM steps), n AS (SELECT trip_id, count(*) AS n FROM d GROUP BY trip_id),
+p AS (SELECT a.trip_id, b.trip_id AS other, count(*) AS shared FROM d a JOIN d b ON a.e = b.e AND a.trip_id < b.trip_id GROUP BY a.trip_id, b.trip_id)
+SELECT p.trip_id, other, shared FROM p JOIN n x ON x.trip_id = p.trip_id JOIN n y ON y.trip_id = other WHERE 100 * shared >= 70 * (x.n + y.n - shared)"""
+)
+def alike_trips(spark, sf_dir):
+    return packed.alike_trips(Fixtures(spark, sf_dir).paths, 70)
+
+
 @query(f"WITH {BASE}, b AS (SELECT trip_id, least(x0, x1) // 3000 AS xa, greatest(x0, x1) // 3000 AS xb, least(y0, y1) // 3000 AS ya, greatest(y0, y1) // 3000 AS yb FROM steps JOIN net ON steps.e = net.e) SELECT DISTINCT r.range AS cx, q.range AS cy, trip_id FROM b, range(40) r, range(40) q WHERE r.range BETWEEN xa AND xb AND q.range BETWEEN ya AND yb")
 def cell_index(spark, sf_dir):
     return packed.cell_index(Fixtures(spark, sf_dir).raw[0], 3000)
