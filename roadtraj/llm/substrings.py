@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from roadtraj.llm.scratch import materialize
+from roadtraj.llm.scratch import materialize, release
 from roadtraj.llm.textbatch import joined_words, ragged, run_hashes, slices, word_hashes, words_of
 
 WINDOW = 50
@@ -125,6 +125,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, with_text: bool = Fals
     marks = marks.withColumnRenamed("doc_id", "_id").withColumnRenamed("tie", "_tie")
     joined = keyed.join(marks, (keyed["doc_id"] == marks["_id"]) & (keyed["tie"] == marks["_tie"]), "left").select("doc_id", "tie", "text", "marks")
     looked = materialize(joined.mapInArrow(_digest_rows, "doc_id long, tie int, n_words long, digest string, text string, marks array<int>"), "digests")
+    release(shared)
 
     near = looked.where(F.col("text").isNotNull())
     windows = near.select("doc_id", "tie", "text", "marks").mapInArrow(lambda batches: _window_rows(batches, window), "h1 long, h2 int, doc_id long, tie int, pos int")

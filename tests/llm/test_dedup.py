@@ -203,3 +203,27 @@ def test_keep_one(spark):
     ids = [r.doc_id for r in kept.select("doc_id").collect() if r.doc_id is not None]
     assert set(ids) == {d for d, c in found.items() if d is not None and d == c} and kept.columns == frame(spark).columns
     assert jaccard.keep_one(frame(spark, [])).count() == 0
+
+
+def test_materialize_leaves_no_shuffle_files(spark):
+    """Disk is given back when a table is written, not when the driver next collects garbage."""
+    import os
+    import time
+
+    from roadtraj.llm.scratch import materialize, release
+
+    blocks = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager()
+
+    def shuffled():
+        found = blocks.getAllBlocks()
+        return {b.toString() for b in map(found.apply, range(found.size())) if b.isShuffle()}
+
+    before = shuffled()
+    table = materialize(spark.range(20_000).groupBy("id").count(), "t")
+    for _ in range(50):
+        if not shuffled() - before:
+            break
+        time.sleep(0.2)
+    assert not shuffled() - before and table.count() == 20_000
+    release(table)
+    assert not os.path.exists(table._scratch.removeprefix("file://"))
