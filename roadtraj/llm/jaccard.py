@@ -42,7 +42,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from roadtraj.llm.scratch import materialize
+from roadtraj.llm.scratch import materialize, release
 from roadtraj.llm.textbatch import LOWER, mix64, powers, ragged, slices, text_bytes, word_hashes, words_of
 
 BLOCK_WEIGHT = 150_000  # bytes of text / 6, and 200 for each document
@@ -301,7 +301,8 @@ def components(edges: DataFrame, tag: str) -> DataFrame:
         moves.append(move)
         ends = [move.select(F.col("node").alias(c), F.col("to").alias(f"_{c}")) for c in "ab"]
         moved = left.join(ends[0], "a").join(ends[1], "b").where("_a <> _b").select(F.least("_a", "_b").alias("a"), F.greatest("_a", "_b").alias("b")).distinct()
-        left = materialize(moved, f"{tag}-left")
+        was, left = left, materialize(moved, f"{tag}-left")
+        release(was)
         if left.isEmpty():
             break
     else:
@@ -344,7 +345,9 @@ def linked_classes(docs: DataFrame, n: int, percent: int) -> tuple[DataFrame, Da
 
     signed = texts.mapInArrow(lambda batches: _signature_rows(batches, n, percent), "h long, key long")
     shared = signed.groupBy("h").agg(F.min("key").alias("lo"), F.max("key").alias("hi")).where("lo < hi").select("h", "lo")
-    met = materialize(signed.hint("merge").join(materialize(shared, "shared"), "h").select("h", "key", "lo"), "met")
+    shared = materialize(shared, "shared")
+    met = materialize(signed.hint("merge").join(shared, "h").select("h", "key", "lo"), "met")
+    release(near, shared)
 
     # Every set with the smallest one that it shares a signature with.
     stars = materialize(met.groupBy("key").agg(F.min("lo").alias("part")), "stars")
@@ -362,7 +365,9 @@ def linked_classes(docs: DataFrame, n: int, percent: int) -> tuple[DataFrame, Da
     of_key = materialize(weights.join(hangs, weights["set_id"] == hangs["_set"], "left").select("key", "weight", label), "labels")
     with_label = met.select("h", "key").hint("merge").join(of_key.select("key", "l"), "key")
     open_ = with_label.groupBy("h").agg(F.min("l").alias("lo"), F.max("l").alias("hi")).where("lo < hi").select("h", "lo")
-    left_over = materialize(with_label.hint("merge").join(materialize(open_, "open"), "h").select("key", "l", "lo").distinct(), "left")
+    open_ = materialize(open_, "open")
+    left_over = materialize(with_label.hint("merge").join(open_, "h").select("key", "l", "lo").distinct(), "left")
+    release(met, stars, open_)
     groups = components(left_over.select(F.col("l").alias("a"), F.col("lo").alias("b")).distinct(), "groups")
     member = left_over.select("key", "l").distinct().join(groups, F.col("l") == groups["node"]).select("key", F.col("label").alias("part"))
     member = materialize(member.join(of_key.select("key", "weight"), "key"), "member")
@@ -370,7 +375,9 @@ def linked_classes(docs: DataFrame, n: int, percent: int) -> tuple[DataFrame, Da
     grid = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     grid = grid.select("key", "part", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), F.lit(True).alias("rank"))
     second = multiply(_with_text(grid, texts), n, percent)
-    return classes, components(first.unionByName(second), "links")
+    labels = components(first.unionByName(second), "links")
+    release(texts, first, of_key, left_over, member)
+    return classes, labels
 
 
 def join_components(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
