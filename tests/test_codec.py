@@ -371,3 +371,28 @@ def test_byte_codecs_come_back(spark):
     df = spark.createDataFrame(rows, "trip_id long, samples array<struct<x: double, y: double, t: double>>")
     for codec in baselines.CODECS:
         assert baselines.byte_decompress(baselines.byte_compress(df, codec), codec).where("trip_id < 3").exceptAll(df).count() == 0
+
+
+def test_lossy_record_of_many_trips_at_once():
+    """Trips that take their steps in common keep what each keeps alone; a trip of one sample and edges driven around count too."""
+    from roadtraj.operators import baselines
+
+    edges = [(v * 2 + k, v, (v + (1 if k == 0 else 5)) % 6, 1000 + 10 * v) for v in range(6) for k in range(2)]
+    ground = baselines.Ground.__new__(baselines.Ground)
+    ground.__dict__.update(pair_table(edges).__dict__)
+    ground.line = np.array([(t * 1000, 0, h * 1000, 0) for _, t, h, _ in edges])
+    rng, trips = np.random.default_rng(6), []
+    for size in (1, 2, 3, 9, 25, 4):
+        at, path = int(rng.integers(6)), []
+        for _ in range(size):
+            path.append(at * 2 + int(rng.integers(2)))
+            at = edges[path[-1]][2]
+        trips.append((np.array(path, np.int32), np.sort(rng.integers(0, 1000 * size + 1, 2 * size - 1)), np.cumsum(rng.integers(1, 90, 2 * size - 1))))
+    bounds = lambda k: np.concatenate([[0], np.cumsum([len(trip[k]) for trip in trips])])
+    flat = [np.concatenate([trip[k] for trip in trips]) for k in range(3)]
+    for eps in (0, 500, 3000):
+        line, line_at, kept, kept_at, reach = baselines._lossy_trips(flat[0], bounds(0), flat[1], flat[2], bounds(1), ground, eps)
+        for i, trip in enumerate(trips):
+            alone = baselines._lossy(*trip, ground, eps)
+            own = slice(kept_at[i], kept_at[i + 1])
+            assert (kept[own] - bounds(1)[i]).tolist() == alone[0] and line[line_at[i] : line_at[i + 1]].tolist() == alone[1].tolist() and reach[own].tolist() == alone[2].tolist()
