@@ -396,3 +396,36 @@ def test_lossy_record_of_many_trips_at_once():
             alone = baselines._lossy(*trip, ground, eps)
             own = slice(kept_at[i], kept_at[i + 1])
             assert (kept[own] - bounds(1)[i]).tolist() == alone[0] and line[line_at[i] : line_at[i + 1]].tolist() == alone[1].tolist() and reach[own].tolist() == alone[2].tolist()
+
+
+def test_best_edges_of_many_trips_at_once():
+    """Trips that take their fixes in common get what a loop with the exact square root gives each, ties to the candidate that stands first."""
+    import math
+
+    from roadtraj.operators import matching
+
+    edges = [(v * 2 + k, v, (v + (1 if k == 0 else 5)) % 6, 1000) for v in range(6) for k in range(2)]
+    pairs, rng = pair_table(edges), np.random.default_rng(8)
+    sizes = [1, 4, 2, 7, 3]
+    fix_at = np.concatenate([[0], np.cumsum(sizes)])
+    count = rng.integers(1, 5, fix_at[-1])
+    start = np.concatenate([[0], np.cumsum(count)])[:-1]
+    e = np.concatenate([np.sort(rng.choice(12, c, replace=False)) for c in count]).astype(np.int32)
+    gap = np.round(rng.integers(0, 3, len(e)) * 10_000.0)
+    x, y = (rng.choice([3, 9, 119, 1757, 0], fix_at[-1]).astype(float) for _ in range(2))
+    want = []
+    for a, b in zip(fix_at, fix_at[1:], strict=False):
+        ways = [(gap[k], [k]) for k in range(start[a], start[a] + count[a])]
+        for i in range(a + 1, b):
+            straight, onward = math.sqrt((x[i] - x[i - 1]) ** 2 + (y[i] - y[i - 1]) ** 2), []
+            for k in range(start[i], start[i] + count[i]):
+                costs = []
+                for cost, way in ways:
+                    f, g = edges[e[way[-1]]], edges[e[k]]
+                    hop = 0 if f[2] == g[1] else pairs.dist[pairs.find(np.array([f[2]]), np.array([g[1]]))[0]]
+                    costs.append(cost + (0.0 if f[0] == g[0] else abs(float(hop) + g[3] - straight) * 100.0))
+                j = costs.index(min(costs))
+                onward.append((costs[j] + gap[k], [*ways[j][1], k]))
+            ways = onward
+        want += [int(e[k]) for k in min(ways, key=lambda w: w[0])[1]]
+    assert matching._best_edges(pairs, fix_at, start, count, e, gap, x, y).tolist() == want
