@@ -109,3 +109,11 @@ def run_to_table(stream: DataFrame, name: str, mode: str = "append", checkpoint:
     query = (writer.option("checkpointLocation", checkpoint) if checkpoint else writer).start()
     query.awaitTermination()
     return stream.sparkSession.table(name)
+
+
+def run_to_files(stream: DataFrame, folder: str) -> DataFrame:
+    """Drive an append-mode stream over all available input into Parquet files below ``folder``, and return a scan of them: no row passes the driver."""
+    out, schema = f"{folder}/rows", stream.schema
+    query = stream.writeStream.format("parquet").outputMode("append").trigger(availableNow=True).option("checkpointLocation", f"{folder}/checkpoint").start(out)
+    query.awaitTermination()
+    return stream.sparkSession.read.schema(schema).parquet(out)

@@ -60,3 +60,13 @@ def test_restart_and_late_rows(spark, tmp_path):
     once, again = (spark.read.schema(online._OUT).parquet(str(tmp_path / n / "out")).where("trip_id < 99") for n in ("once", "again"))
     assert once.count() > 20 and once.exceptAll(again).count() == 0 and again.exceptAll(once).count() == 0
     assert {r.trip_id: r.late for r in once.where("late IS NOT NULL").collect()} == {0: 0, 1: 2, 2: 0}
+
+
+def test_stream_to_files_keeps_rows_off_the_driver(spark, tmp_path):
+    """An append stream ends up in files that hold every row once."""
+    from roadtraj.streaming import online
+
+    spark.range(100).repartition(3).write.parquet(str(tmp_path / "in"))
+    stream = spark.readStream.schema("id long").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    got = online.run_to_files(stream, str(tmp_path / "out"))
+    assert got.inputFiles() and sorted(r.id for r in got.collect()) == list(range(100))
