@@ -429,3 +429,20 @@ def test_best_edges_of_many_trips_at_once():
             ways = onward
         want += [int(e[k]) for k in min(ways, key=lambda w: w[0])[1]]
     assert matching._best_edges(pairs, fix_at, start, count, e, gap, x, y).tolist() == want
+
+
+def test_searches_give_the_recorded_pairs(spark):
+    """Searches of many sources in common give the pairs of the joins: ties, edges side by side, dead ends, vertices out of reach; no pair is shuffled."""
+    rng = random.Random(4)
+    rows = [(e, rng.randrange(30), rng.randrange(30), rng.choice([1, 2, 3, 3, 50])) for e in rng.sample(range(500), 70)] + [(500, 30, 31, 7), (501, 30, 31, 7)]
+    edges = spark.createDataFrame(rows, "e int, tail int, head int, w long").cache()
+    for radius in (None, 5):
+        found, want = shortest.build_pairs(edges, "dijkstra", radius), shortest.build_pairs(edges, "minplus", radius)
+        assert sorted(map(tuple, found.collect()), key=repr) == sorted(map(tuple, want.collect()), key=repr)
+        assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
+
+
+def test_searches_of_a_large_network_are_spread(spark, tmp_path):
+    spark.range(1500).select(F.col("id").alias("s_suppkey")).write.parquet(str(tmp_path / "supplier.parquet"))
+    pairs = shortest.build_pairs(network.build_network(spark, str(tmp_path), "supplier"), "dijkstra")
+    assert pairs.rdd.getNumPartitions() > 1
