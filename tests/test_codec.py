@@ -446,3 +446,38 @@ def test_searches_of_a_large_network_are_spread(spark, tmp_path):
     spark.range(1500).select(F.col("id").alias("s_suppkey")).write.parquet(str(tmp_path / "supplier.parquet"))
     pairs = shortest.build_pairs(network.build_network(spark, str(tmp_path), "supplier"), "dijkstra")
     assert pairs.rdd.getNumPartitions() > 1
+
+
+def test_trees_say_what_the_pair_table_says(spark):
+    """A byte for each pair gives the same walks, skips and counts, dead ends and vertices out of reach included."""
+    rng = random.Random(5)
+    rows = [(e, rng.randrange(25), rng.randrange(25), rng.choice([1, 2, 3, 3, 9])) for e in rng.sample(range(300), 60)] + [(400, 25, 26, 7)]
+    edges = spark.createDataFrame(rows, "e int, tail int, head int, w long").cache()
+    sp = shortest.build_pairs(edges, "dijkstra").cache()
+    trees, pairs = spatial.TreeTable.collect(edges), spatial.PairTable.collect(sp, edges)
+    assert trees.pairs == sp.count() and trees.slots.itemsize == 1
+    e = np.array([r[0] for r in rows])
+    a, b = np.repeat(e, len(e)), np.tile(e, len(e))
+    assert trees.sp_end(a, b).tolist() == pairs.sp_end(a, b).tolist()
+    known = np.array([tuple(r) for r in sp.select("u", "v").collect()])
+    for got, want in zip(trees.walk(known[:, 0], known[:, 1]), pairs.walk(known[:, 0], known[:, 1]), strict=True):
+        assert got.tolist() == want.tolist()
+    with pytest.raises(ValueError):
+        trees.walk(np.array([26]), np.array([25]))
+
+
+def test_tours_over_more_pairs_than_rows_fit(spark, tmp_path):
+    """5,300 suppliers have 28 million pairs, more than a table of rows may hold; a tour drives the recorded path all the same."""
+    import datetime
+
+    from roadtraj import workloads
+
+    n = 5300  # 53 wide
+    spark.range(n).select(F.col("id").alias("s_suppkey")).write.parquet(str(tmp_path / "supplier.parquet"))
+    day = lambda k: datetime.datetime(1995, 1, k)
+    lines = [(1, 1, 0, 1, 1.0, day(1)), (1, 2, 2, 1, 1.0, day(2)), (1, 3, 2 + 53, 1, 1.0, day(3)), (2, 1, 7, 1, 1.0, day(1))]
+    spark.createDataFrame(lines, "l_orderkey long, l_linenumber int, l_suppkey long, l_partkey long, l_extendedprice double, l_shipdate timestamp_ntz").write.parquet(str(tmp_path / "lineitem.parquet"))
+    got = workloads.QUERIES["tour_edges"](spark, str(tmp_path)).collect()
+    # East from 0 and from 1, then north from 2: edges 0, 4 and 9.
+    assert [tuple(r) for r in got] == [(1, 3, 0 * 1 + 4 * 2 + 9 * 3)]
+    assert tuple(workloads.QUERIES["tour_sp_ratio"](spark, str(tmp_path)).first()) == (3, 2)
