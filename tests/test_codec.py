@@ -481,3 +481,23 @@ def test_tours_over_more_pairs_than_rows_fit(spark, tmp_path):
     # East from 0 and from 1, then north from 2: edges 0, 4 and 9.
     assert [tuple(r) for r in got] == [(1, 3, 0 * 1 + 4 * 2 + 9 * 3)]
     assert tuple(workloads.QUERIES["tour_sp_ratio"](spark, str(tmp_path)).first()) == (3, 2)
+
+
+@pytest.mark.parametrize("chunk_bytes", [1 << 27, 600])
+def test_overlaps_of_trips_against_all_pairs(spark, chunk_bytes):
+    """Copies, nested sets, returns to an edge and trips alone, in one chunk and in many; only answers are shuffled."""
+    from roadtraj.operators import overlaps
+
+    rng = random.Random(7)
+    trips_ = [(i, [rng.randrange(9) if i % 4 else rng.randrange(300) for _ in range(rng.randrange(9))]) for i in range(60)]
+    trips_ += [(i + 100, trips_[i % 20][1][::-1] * 2) for i in range(50)] + [(900, [7000]), (901, None)]
+    paths = spark.createDataFrame(trips_, "trip_id long, path array<int>").repartition(3)
+    sets = {i: set(p) for i, p in trips_ if p}
+    both = {(a, b): len(sets[a] & sets[b]) for a in sets for b in sets if a != b and sets[a] & sets[b]}
+    found = overlaps.alike_trips(paths, 70, chunk_bytes)
+    assert sorted(map(tuple, found.collect())) == sorted((a, b, n) for (a, b), n in both.items() if a < b and 100 * n >= 70 * (len(sets[a]) + len(sets[b]) - n))
+    assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
+    want = [(a, r + 1, b, n) for a in sets for r, (n, b) in enumerate(sorted(((n, b) for (c, b), n in both.items() if c == a), key=lambda x: (-x[0], x[1]))[:3])]
+    found = overlaps.similar_trips(paths, 3, chunk_bytes)
+    assert sorted(map(tuple, found.collect())) == sorted(want)
+    assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
