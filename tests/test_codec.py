@@ -501,3 +501,14 @@ def test_overlaps_of_trips_against_all_pairs(spark, chunk_bytes):
     found = overlaps.similar_trips(paths, 3, chunk_bytes)
     assert sorted(map(tuple, found.collect())) == sorted(want)
     assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
+
+
+def test_long_street_runs_keep_a_small_plan(spark):
+    """A run of 100 edges takes seven rounds; the plan must not hold each round's joins over again."""
+    from roadtraj.operators import baselines
+
+    edges = spark.createDataFrame([(i, i, i + 1, 5) for i in range(120)], "e int, tail int, head int, street int")
+    steps = spark.createDataFrame([(1, i + 1, i) for i in range(100)] + [(2, i + 1, i + 50) for i in range(70)], "trip_id long, pos int, e int")
+    back = baselines.street_expand(baselines.street_runs(steps, edges), edges)
+    assert back._jdf.queryExecution().optimizedPlan().toString().count("Join") <= 4
+    assert sorted(map(tuple, back.collect())) == sorted(map(tuple, steps.collect()))
