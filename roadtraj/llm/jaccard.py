@@ -10,6 +10,10 @@ start. Two size-derived bounds, both exact, keep the product small:
   by hash over more than D segments, they agree in a whole segment, so its digest
   is a signature they share. ``segment_signatures`` deals each set for its own
   size level and for the levels of smaller sets that it may still link with.
+  The spare segments make it several that they share, so each set leaves out as many
+  but one of its most frequent signatures: of those that two linked sets share, the
+  rarest stays in both. What unlinked sets have in common, passages found in many
+  documents, goes, and does not tie them to one group that grows with the input.
 
 Sets that share a signature meet in blocks of bounded weight. A block's incidence
 matrix is multiplied with its own transpose: overlap counts are accumulated column by
@@ -149,15 +153,16 @@ def size_levels(most: int, percent: int) -> tuple[np.ndarray, np.ndarray, np.nda
     return tuple(np.array(x, np.int64) for x in (first, widest, segments, spares))
 
 
-def segment_signatures(gram: np.ndarray, bounds: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
-    """Signatures of all sets, and the row of each. Linked sets that are not equal share at least one.
+def level_signatures(gram: np.ndarray, bounds: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Signatures of all sets, the row and the level of each, and how many of its level the row may leave out.
 
-    A set with more empty segments than are spare also signs those, so that the
-    rest of the links, between two such sets, is not lost.
+    Linked sets that are not equal share more than that in one level. A set with more
+    empty segments than are spare also signs those, so that the rest of the links,
+    between two such sets, is not lost, and leaves out nothing.
     """
     size = np.diff(bounds)
     first, widest, segments, spares = size_levels(int(size.max(initial=0)), percent)
-    out, rows = [], []
+    out, rows, levels, surplus = [], [], [], []
     level = np.searchsorted(first, size, side="right") - 1
     while True:
         at = np.flatnonzero((level >= 0) & (size > 0))
@@ -175,21 +180,30 @@ def segment_signatures(gram: np.ndarray, bounds: np.ndarray, percent: int) -> tu
         filled = np.zeros(offset[-1], bool)
         filled[cell] = True
         row = np.repeat(np.arange(len(at)), wide)
-        signs = filled | (np.bincount(row[~filled], minlength=len(at)) > spares[level[at]])[row]
+        spare = spares[level[at]] - np.bincount(row[~filled], minlength=len(at))
+        signs = filled | (spare < 0)[row]
         place = np.arange(offset[-1]) - offset[row]
         label = (place + (level[at][row] << 40)).astype(np.uint64)
         out.append(mix64(sums ^ mix64(label + np.uint64(1)))[signs])
         rows.append(at[row[signs]])
+        levels.append(level[at][row[signs]])
+        surplus.append(np.maximum(spare, 0)[row[signs]])
         level = level - 1
     if not out:
-        return np.zeros(0, np.uint64), np.zeros(0, np.int64)
-    return np.concatenate(out), np.concatenate(rows)
+        return np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int64)
+    return tuple(np.concatenate(x) for x in (out, rows, levels, surplus))
+
+
+def segment_signatures(gram: np.ndarray, bounds: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
+    """Signatures of all sets, and the row of each. Linked sets that are not equal share at least one."""
+    return level_signatures(gram, bounds, percent)[:2]
 
 
 def _signature_rows(batches: Iterator[pa.RecordBatch], n: int, percent: int) -> Iterator[pa.RecordBatch]:
     for batch in slices(batches):
-        h, row = segment_signatures(*gram_sets(batch.column("text"), n), percent)
-        yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), batch.column("key").take(pa.array(row))], names=["h", "key"])
+        h, row, level, surplus = level_signatures(*gram_sets(batch.column("text"), n), percent)
+        columns = [pa.array(h.view(np.int64)), batch.column("key").take(pa.array(row)), pa.array(level.astype(np.int32)), pa.array(surplus.astype(np.int32))]
+        yield pa.RecordBatch.from_arrays(columns, names=["h", "key", "level", "surplus"])
 
 
 def overlaps(gram: np.ndarray, bounds: np.ndarray) -> np.ndarray:
@@ -324,6 +338,17 @@ def _with_text(placed: DataFrame, texts: DataFrame) -> DataFrame:
     return texts.select("key", "set_id", "text").hint("merge").join(placed, "key")
 
 
+def rarest(signed: DataFrame) -> DataFrame:
+    """h, key: the signatures (h, key, level, surplus) of more than one set, without the most frequent ones of each set and level, as many as are surplus."""
+    common = signed.groupBy("h").agg(F.min("key").alias("lo"), F.max("key").alias("hi"), F.count(F.lit(1)).alias("times")).where("lo < hi").select("h", "times")
+    common = materialize(common, "common")
+    by = Window.partitionBy("key", "level").orderBy(F.desc("times"), F.desc("h"))
+    # Sets that agree in the key by chance leave out no more together than the one that may leave out less.
+    fewest = F.min("surplus").over(Window.partitionBy("key", "level"))
+    ranked = signed.hint("merge").join(common, "h").withColumns({"_n": F.row_number().over(by), "_surplus": fewest})
+    return ranked.where("_n > _surplus").select("h", "key")
+
+
 def linked_classes(docs: DataFrame, n: int, percent: int) -> tuple[DataFrame, DataFrame]:
     """(doc_id, n_shingles, set_id, key) of all rows, and (node, label) of classes that link with another."""
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
@@ -343,11 +368,12 @@ def linked_classes(docs: DataFrame, n: int, percent: int) -> tuple[DataFrame, Da
     texts = materialize(texts, "texts")  # a repeated row's text stands twice; it links with itself only
     weights = texts.select("key", "set_id", (F.octet_length("text") / F.lit(6) + 200).alias("weight"))
 
-    signed = texts.mapInArrow(lambda batches: _signature_rows(batches, n, percent), "h long, key long")
-    shared = signed.groupBy("h").agg(F.min("key").alias("lo"), F.max("key").alias("hi")).where("lo < hi").select("h", "lo")
+    signed = texts.mapInArrow(lambda batches: _signature_rows(batches, n, percent), "h long, key long, level int, surplus int")
+    kept = materialize(rarest(signed), "kept")
+    shared = kept.groupBy("h").agg(F.min("key").alias("lo"), F.max("key").alias("hi")).where("lo < hi").select("h", "lo")
     shared = materialize(shared, "shared")
-    met = materialize(signed.hint("merge").join(shared, "h").select("h", "key", "lo"), "met")
-    release(near, shared)
+    met = materialize(kept.hint("merge").join(shared, "h").select("h", "key", "lo"), "met")
+    release(near, kept, shared)
 
     # Every set with the smallest one that it shares a signature with.
     stars = materialize(met.groupBy("key").agg(F.min("lo").alias("part")), "stars")

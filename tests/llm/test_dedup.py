@@ -158,6 +158,46 @@ def test_linked_sets_share_a_signature():
     assert tried > 300
 
 
+def test_linked_sets_share_a_rare_signature():
+    """Linked sets share more signatures of a level than a set leaves out, so the rarest of them stays in both."""
+    rng = np.random.default_rng(7)
+    tried = spared = 0
+    for _ in range(400):
+        size = int(rng.integers(1, 60)) if rng.random() < 0.5 else int(rng.integers(60, 900))
+        pool = rng.integers(0, 1 << 62, 2 * size + 2).astype(np.uint64)
+        apart = int(rng.integers(0, size * 20 // 100 + 1))
+        x = np.unique(pool[:size])
+        y = np.unique(np.concatenate([x[apart:], pool[size : size + int(rng.integers(0, apart + 1))]]))
+        both = len(np.intersect1d(x, y))
+        if not len(y) or 100 * both < 80 * (len(x) + len(y) - both):
+            continue
+        tried += 1
+        h, row, level, surplus = jaccard.level_signatures(np.concatenate([x, y]), np.array([0, len(x), len(x) + len(y)]), 80)
+        for at in np.unique(level):
+            own = [level == at, row == 0], [level == at, row == 1]
+            shared = np.intersect1d(*(h[a & b] for a, b in own))
+            if len(shared):
+                assert all(len(shared) > surplus[a & b].max() for a, b in own)
+        spared += surplus.max() > 0
+    assert tried > 150 and spared > 50
+
+
+def test_jaccard_grid_of_a_common_passage(spark, monkeypatch):
+    """A passage found in all documents does not bring them together in one grid, whose rows grow with the square."""
+    monkeypatch.setattr(jaccard, "BLOCK_WEIGHT", 5000)
+    placed, join = [], jaccard._with_text
+    monkeypatch.setattr(jaccard, "_with_text", lambda rows, texts: (placed.append(rows.count()), join(rows, texts))[1])
+    rng = random.Random(11)
+    word = lambda: f"w{rng.randrange(10**7)}"
+    passage, rows = [word() for _ in range(24)], []
+    for i in range(120):
+        own = [word() for _ in range(70)]
+        rows += [(2 * i, " ".join(own + passage), None, None, None), (2 * i + 1, " ".join(own[1 + i % 3 * 20 :] + passage), None, None, None)]
+    got = Counter((r.doc_id, r.n_shingles, r.component_id) for r in jaccard.join_components(frame(spark, rows)).collect())
+    assert got == _components(rows, 5, 80) and len({k[2] for k in got}) == 200
+    assert placed[1] < 480
+
+
 def test_overlaps_are_a_product(monkeypatch):
     monkeypatch.setattr(jaccard, "_DENSE", 3)
     rng = np.random.default_rng(6)
