@@ -200,6 +200,30 @@ def test_long_conversations(spark):
     assert texts[0] == texts[1] and len(texts[0]) == 39
 
 
+def test_long_examples_are_whole(spark):
+    """Beyond the context limit the rows of an example hold all of its text, and none of it stands in other examples only."""
+    turns = [(c, t, ("user", "assistant", "tool")[(t + c) % 3], f"{c} sagt é <|{t}|> " * (t % 7)) for c in (1, 2, 3) for t in range(30)]
+    df = spark.createDataFrame(turns, "conv_id long, turn long, role string, text string")
+    examples = chat.format_chat(df, 200)
+    got = {}
+    for r in examples.orderBy("conv_id", "example", "context_chars").collect():
+        before = got.setdefault((r.conv_id, r.example), [])
+        assert r.context_chars == sum(len(x.text) for x in before)
+        before.append(r)
+    digest = {r.conv_id: r for r in chat.digests(examples, ordered=True).collect()}
+    for conv in (1, 2, 3):
+        upto, want = "", []
+        for t in turns[30 * (conv - 1) : 30 * conv]:
+            upto += f"<|{t[2]}|>\n{chat.escape(t[3])}<|end|>\n"
+            if t[2] == "assistant":
+                want.append(upto)
+        rows = [rows for (c, _), rows in sorted(got.items()) if c == conv]
+        assert ["".join(x.text for x in r) for r in rows if r[-1].trains] == want and max(map(len, rows)) > 5
+        assert "".join(x.text for x in rows[-1]) == upto
+        assert digest[conv].formatted_chars == sum(map(len, want)) and digest[conv].n_turns == 30
+    assert sorted(digest.values()) == sorted(chat.digests(examples.orderBy(F.rand(1))).collect())
+
+
 def test_escape_round_trip():
     for parts in itertools.product(["<", "|", "\\", "</s>", "[INST]", ">"], repeat=4):
         text = "".join(parts)
