@@ -466,6 +466,29 @@ def test_trees_say_what_the_pair_table_says(spark):
         trees.walk(np.array([26]), np.array([25]))
 
 
+def test_tours_stop_at_every_line_item(spark, tmp_path):
+    """Line items of one day are stops of their own, and a tour with one stop is a tour, with an empty path."""
+    import datetime
+
+    import duckdb
+
+    from roadtraj import workloads
+
+    day = datetime.datetime(1995, 3, 1)
+    spark.range(10).select((F.col("id") + 1).alias("s_suppkey")).write.parquet(f"{tmp_path}/supplier.parquet")
+    items = [(1, 1, 2, 1, 1.0, day), (1, 2, 7, 1, 1.0, day), (1, 3, 4, 1, 1.0, day + datetime.timedelta(days=1)), (2, 1, 3, 1, 1.0, day), (3, 2, 5, 1, 1.0, day), (3, 1, 8, 1, 1.0, day)]
+    spark.createDataFrame(items, "l_orderkey long, l_linenumber int, l_suppkey long, l_partkey long, l_extendedprice double, l_shipdate timestamp_ntz").write.parquet(f"{tmp_path}/lineitem.parquet")
+    _, paths = workloads.tour_paths(spark, str(tmp_path), each=True)
+    got = {r.trip_id: r.path for r in paths.collect()}
+    assert set(got) == {1, 2, 3} and got[2] == [] and got[1] and got[3]
+    con = duckdb.connect()
+    for t in ("supplier", "lineitem"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM read_parquet('{tmp_path}/{t}.parquet/*.parquet')")
+    want = dict(con.execute(workloads.ORACLE_SQL["codec_workload"]).fetchall())
+    assert {r.what: r.n for r in workloads.QUERIES["codec_workload"](spark, str(tmp_path)).collect()} == want
+    assert want["edges"] == sum(map(len, got.values()))
+
+
 def test_tours_over_more_pairs_than_rows_fit(spark, tmp_path):
     """5,300 suppliers have 28 million pairs, more than a table of rows may hold; a tour drives the recorded path all the same."""
     import datetime
